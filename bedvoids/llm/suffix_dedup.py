@@ -110,12 +110,17 @@ class Suffixes:
 
     def __init__(self, data: np.ndarray, most: int):
         self.data, self.p, self.most = data, H.prefix(data), most
+        self.powers = H.powers(len(self.p))[0]
         self.steps = [1 << s for s in reversed(range(most.bit_length()))]
+        # the first eight bytes as a number that orders as they do
+        self.head = np.zeros(len(data), H.U)
+        for k in range(8):
+            self.head[: len(data) - k] |= data[k:].astype(H.U) << H.U(8 * (7 - k))
 
     def common(self, i: np.ndarray, j: np.ndarray) -> np.ndarray:
         """Length of the common extension: binary search over hashes of prefixes."""
         got = np.zeros(len(i), np.int64)
-        powers = H.powers(len(self.p))[0]
+        powers = self.powers
         for step in self.steps:
             to = got + step
             fits = to <= self.most
@@ -125,10 +130,18 @@ class Suffixes:
         return got
 
     def sign(self, i: np.ndarray, j: np.ndarray) -> np.ndarray:
-        got = self.common(i, j)
-        less = np.minimum(got, self.most - 1)
-        a, b = self.data[i + less].astype(np.int16), self.data[j + less].astype(np.int16)
-        return np.where(got >= self.most, 0, np.sign(a - b))
+        """-1, 0 or 1: most suffixes differ early or not at all, and only the others need the search."""
+        a, b = self.head[i], self.head[j]
+        out = np.where(a < b, -1, 1)
+        near = np.flatnonzero(a == b)
+        p, q = i[near], j[near]
+        powers, p_end, q_end = self.powers, self.p[p + self.most], self.p[q + self.most]
+        differ = (p_end - self.p[p]) * powers[p] != (q_end - self.p[q]) * powers[q]
+        out[near[~differ]] = 0
+        near, p, q = near[differ], p[differ], q[differ]
+        got = self.common(p, q)
+        out[near] = np.where(self.data[p + got] < self.data[q + got], -1, 1)
+        return out
 
     def sorted(self, at: np.ndarray, group: np.ndarray) -> np.ndarray:
         """`at` sorted inside each group (groups stand together): all groups' runs are merged level by level at once."""
