@@ -26,8 +26,6 @@ from pyspark.sql import functions as F
 from .store import components, store
 
 ROWS = 16384
-#: Room for rounding where bounds decide; pairs inside it are decided by their cosine.
-_EPS = 1e-9
 
 
 def usable(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -118,22 +116,27 @@ def pairs_of(a: CoverTree, b: CoverTree, cosine: float, tile: int = 1024) -> Ite
     """Node pairs within the threshold: ("all", nodes of a, nodes of b, level) or ("one", vectors of a, vectors of b, level)."""
     limit = np.sqrt(max(0.0, 2 - 2 * cosine))
     last = len(a.cuts) - 1
-    # level 1 by level 1 tiles, then only pairs that remain
+    # tiles of one level by itself, then only pairs that remain; deeper levels bound better as long as they aren't much larger
     todo: list[tuple[int, np.ndarray, np.ndarray]] = []
-    na, nb = len(a.radius[1]), len(b.radius[1])
-    for i in range(0, na, tile):
-        ca, ra = a.x[a.cuts[1][i : min(na, i + tile)]], a.radius[1][i : i + tile]
-        for j in range(0, nb, tile):
-            if a is b and j + tile <= i:
-                continue
-            cb, rb = b.x[b.cuts[1][j : min(nb, j + tile)]], b.radius[1][j : j + tile]
-            reach = limit + ra[:, None] + rb[None, :] + _EPS
-            p, q = np.nonzero(ca @ cb.T >= 1 - np.minimum(reach, 2.0) ** 2 / 2 - _EPS)
-            if a is b:
-                keep = p + i <= q + j
-                p, q = p[keep], q[keep]
+    top = max(k for k in range(1, last) if max(len(a.radius[k]) / len(a.radius[1]), len(b.radius[k]) / len(b.radius[1])) <= 1.25)
+    # nodes in order of radius: within a tile one limit holds, with room for single precision
+    na, nb = (np.argsort(t.radius[top], kind="stable") for t in (a, b))
+    for i in range(0, len(na), tile):
+        ia = na[i : i + tile]
+        ca, ra = a.x[a.cuts[top][ia]].astype(np.float32), a.radius[top][ia].max()
+        for j in range(i if a is b else 0, len(nb), tile):
+            ib = nb[j : j + tile]
+            reach = min(2.0, limit + ra + b.radius[top][ib].max())
+            p, q = np.nonzero(ca @ b.x[b.cuts[top][ib]].astype(np.float32).T >= np.float32(1 - reach * reach / 2 - 1e-5))
+            p, q = ia[p], ib[q]
+            if a is b:  # each pair once, in the order of the tree
+                if i == j:
+                    keep = p <= q
+                    p, q = p[keep], q[keep]
+                else:
+                    p, q = np.minimum(p, q), np.maximum(p, q)
             if len(p):
-                todo.append((1, p + i, q + j))
+                todo.append((top, p, q))
     while todo:
         level, p, q = todo.pop()
         for k in range(0, len(p), 1 << 16):

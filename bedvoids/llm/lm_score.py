@@ -1,0 +1,131 @@
+"""Cross-entropy difference of documents under a target and a background n-gram model.
+
+Both models are of the same order over one vocabulary of 40 symbols: the letters a to z (case folded), space,
+line end, digits, full stop, comma, other ASCII signs, and eight symbols for the bytes beyond ASCII. The
+target model counts the n-grams of the target documents, the background model those of all documents;
+counts of all texts are summed up in the cluster. Each model interpolates its orders by how many different
+symbols follow a context (Witten-Bell). A document's score is the mean over its symbols of its loss under
+the target less its loss under the background, in bits: the lower, the more like the target.
+
+The vocabulary and order bound a model to 40 ** 4 numbers, 10 MB, whatever the corpus. Null and empty texts
+have no symbols and a null score. Without target documents both models are the background's and scores are
+0. Repeated rows are counted as often as they stand; extra columns are ignored.
+"""
+
+from __future__ import annotations
+
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from . import texthash as H
+
+SYMBOLS, ORDER = 40, 4
+
+
+def _symbols() -> np.ndarray:
+    out = np.full(256, 31, np.int32)  # other ASCII signs
+    for i in range(26):
+        out[ord("a") + i] = out[ord("A") + i] = i
+    out[[ord(" "), 9]] = 26
+    out[[10, 13]] = 27
+    out[ord("0") : ord("9") + 1] = 28
+    out[ord(".")], out[ord(",")] = 29, 30
+    out[128:] = 32 + np.arange(128) % 8
+    return out
+
+
+SYMBOL = _symbols()
+
+
+def grams(data: np.ndarray, bounds: np.ndarray) -> np.ndarray:
+    """The number of the n-gram that ends at each byte; texts begin after line ends."""
+    s = SYMBOL[data]
+    code = s.copy()
+    place = np.arange(len(data)) - np.repeat(bounds[:-1], np.diff(bounds))
+    for back in range(1, ORDER):
+        before = np.full(len(s), 27, np.int32)
+        before[back:] = s[:-back]
+        before[place < back] = 27
+        code += before * np.int32(SYMBOLS**back)
+    return code
+
+
+def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    total = np.zeros((2, SYMBOLS**ORDER), np.int64)
+    for batch in batches:
+        data, bounds = H.text_buffer(batch.column("text"))
+        target = batch.column("target").to_numpy(zero_copy_only=False)
+        for i, j in H.pieces(bounds):
+            part, cut = data[bounds[i] : bounds[j]], bounds[i : j + 1] - bounds[i]
+            code = grams(part, cut)
+            mine = np.repeat(target[i:j], np.diff(cut))
+            for row, x in ((0, code), (1, code[mine])):
+                gram, n = np.unique(x, return_counts=True)
+                total[row, gram] += n
+    gram = np.flatnonzero(total[0])
+    for i in range(0, len(gram), 1 << 16):
+        g = gram[i : i + (1 << 16)]
+        yield pa.RecordBatch.from_arrays([pa.array(g.astype(np.int32)), pa.array(total[0, g]), pa.array(total[1, g])], names=["gram", "background", "target"])
+
+
+def losses(count: np.ndarray) -> np.ndarray:
+    """Bits for each n-gram's last symbol after the symbols before it."""
+    c = count.reshape((SYMBOLS,) * ORDER).astype(float)
+    p = np.full(SYMBOLS, 1 / SYMBOLS)
+    for order in range(1, ORDER + 1):
+        own = c.sum(axis=tuple(range(ORDER - order))) if order < ORDER else c
+        seen = own.sum(-1, keepdims=True)
+        kinds = (own > 0).sum(-1, keepdims=True)
+        lower = np.broadcast_to(p, own.shape)
+        p = np.where(seen > 0, (own + kinds * lower) / np.maximum(seen + kinds, 1), lower)
+    return -np.log2(p).reshape(-1)
+
+
+def counts(docs: DataFrame) -> DataFrame:
+    """gram, background, target: how often each n-gram stands in (text, target), summed over all rows."""
+    each = docs.select("text", "target").mapInArrow(_count, "gram int, background long, target long")
+    return each.groupBy("gram").agg(F.sum("background").alias("background"), F.sum("target").alias("target"))
+
+
+def tables(rows: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """Losses under the target and the background from the rows of `counts`; never more than 40 ** 4 rows."""
+    got = rows.toArrow()
+    both = np.zeros((2, SYMBOLS**ORDER), np.int64)
+    gram = got.column("gram").to_numpy()
+    both[0, gram], both[1, gram] = got.column("target").to_numpy(), got.column("background").to_numpy()
+    if not both[0].any():
+        both[0] = both[1]
+    return tuple(losses(x).astype(np.float32) for x in both)
+
+
+def _score(target: np.ndarray, background: np.ndarray):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            data, bounds = H.text_buffer(batch.column("text"))
+            out = np.zeros((2, batch.num_rows))
+            for i, j in H.pieces(bounds):
+                part, cut = data[bounds[i] : bounds[j]], bounds[i : j + 1] - bounds[i]
+                code = grams(part, cut)
+                for k, loss in enumerate((target, background)):
+                    sums = np.r_[0.0, np.cumsum(loss[code], dtype=float)]
+                    out[k, i:j] = sums[cut[1:]] - sums[cut[:-1]]
+            n = np.diff(bounds)
+            with np.errstate(invalid="ignore", divide="ignore"):
+                t, b = out / n
+            empty = n == 0
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), *(pa.array(x, pa.float64(), mask=empty) for x in (t, b, t - b))], names=["doc_id", "n_tokens", "target_bits", "background_bits", "score"])
+
+    return run
+
+
+def scores(docs: DataFrame, target: DataFrame) -> DataFrame:
+    """doc_id, n_tokens, target_bits, background_bits, score for each row; `target` holds the doc_ids of the target."""
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    ids = target.select(F.col("doc_id").cast("long").alias("_target")).where("_target is not null").distinct()
+    marked = texts.join(ids, F.col("doc_id") == F.col("_target"), "left").select("text", F.col("_target").isNotNull().alias("target"))
+    models = tables(counts(marked))
+    return texts.mapInArrow(_score(*models), "doc_id long, n_tokens long, target_bits double, background_bits double, score double")

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import cover_tree, decontaminate, language, minhash_dedup, mixing, suffix_dedup, toxicity, warc
+from . import cover_tree, decontaminate, html_text, language, lm_score, minhash_dedup, mixing, suffix_dedup, toxicity, warc
 from .store import table
 
 
@@ -18,6 +18,10 @@ def op2_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
 
+def op3_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_text.extract(table(spark, sf_dir, "pages"))
+
+
 def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.scores(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
@@ -42,8 +46,12 @@ def op9_cover_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
     return cover_tree.links(table(spark, sf_dir, "embeddings"), cosine=0.9)
 
 
+def op10_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lm_score.scores(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels").where("quality = 1"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_suffix_dedup, op2_source_mix, op4_toxicity, op5_minhash_dedup, op6_warc_round_trip, op7_decontaminate, op8_language, op9_cover_tree)
+    f.__name__: f for f in (op1_suffix_dedup, op2_source_mix, op3_html_text, op4_toxicity, op5_minhash_dedup, op6_warc_round_trip, op7_decontaminate, op8_language, op9_cover_tree, op10_lm_score)
 }
 
 SQL: dict[str, str] = {

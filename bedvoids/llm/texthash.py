@@ -35,7 +35,7 @@ def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     """The first n powers of the base and of its inverse, modulo 2**64."""
     global _POW, _INV
     if len(_POW) < n:
-        size = max(n, 1 << 20)
+        size = max(n + n // 4, 1 << 18)
         for base, put in ((_ODD, "_POW"), (_INVERSE, "_INV")):
             p = np.full(size, base, U)
             p[0] = 1
@@ -80,7 +80,7 @@ def text_buffer(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return data[bounds[0] : bounds[-1]], bounds - bounds[0]
 
 
-def pieces(bounds: np.ndarray, most: int = 1 << 21) -> Iterator[tuple[int, int]]:
+def pieces(bounds: np.ndarray, most: int = 1 << 19) -> Iterator[tuple[int, int]]:
     """Ranges of rows of about `most` bytes together; a longer row is a range of its own."""
     i, n = 0, len(bounds) - 1
     while i < n:

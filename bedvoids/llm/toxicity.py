@@ -25,12 +25,12 @@ from pyspark.sql import functions as F
 from . import texthash as H
 from .language import held_out
 
-SAMPLE = 2500
+SAMPLE = 2000
 PLACES = 1 << 18
 SIZES = (3, 4, 5, 6)
-#: A place must be held by so many of the drawn rows.
-LEAST = 4
-PENALTY = 2e-3
+#: A place counts if so many of the drawn rows hold it and its log-count ratio is this far from 0.
+LEAST, APART = 8, 0.7
+PENALTY = 5e-3
 
 
 def plain(column: pa.Array) -> pa.Array:
@@ -42,7 +42,7 @@ def present(column: pa.Array) -> Iterator[tuple[int, np.ndarray]]:
     """(row, its places) for each row of a column as made by `plain`."""
     data, bounds = H.text_buffer(column)
     mark = np.zeros(PLACES, bool)
-    for i, j in H.pieces(bounds, 1 << 20):
+    for i, j in H.pieces(bounds):
         part, cut = data[bounds[i] : bounds[j]], bounds[i : j + 1] - bounds[i]
         p = H.prefix(part)
         places = []
@@ -70,46 +70,58 @@ def _bits(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 class Model:
     """Weights for all places, with the log-count ratios multiplied in."""
 
-    def __init__(self, rows: list[np.ndarray], y: np.ndarray, prior: float, rounds: int = 150):
+    def __init__(self, rows: list[np.ndarray], y: np.ndarray, rounds: int = 100):
         idx, row = np.concatenate(rows), np.repeat(np.arange(len(rows)), [len(r) for r in rows])
         count = [np.bincount(idx[y[row] == c], minlength=PLACES) for c in (0, 1)]
         n = [(y == c).sum() for c in (0, 1)]
         ratio = np.log((count[1] + 1) / (n[1] + 2)) - np.log((count[0] + 1) / (n[0] + 2))
-        ratio[count[0] + count[1] < LEAST] = 0
-        used = ratio[idx] != 0
-        idx, row = idx[used], row[used]
-        scale = ratio[idx]
-        w, b = np.zeros(PLACES), 0.0
-        cost = np.where(y == 1, 0.5 / max(n[1], 1), 0.5 / max(n[0], 1))
-        # gradient steps with the sizes of Adam; both classes weigh the same
-        m, v, mb, vb = np.zeros(PLACES), np.zeros(PLACES), 0.0, 0.0
+        keep = np.flatnonzero((count[0] + count[1] >= LEAST) & (np.abs(ratio) >= APART))
+        if not len(keep):  # very few labels
+            keep = np.flatnonzero(ratio)
+        place = np.full(PLACES, -1)
+        place[keep] = np.arange(len(keep))
+        used = place[idx] >= 0
+        idx, row, size = place[idx[used]], row[used], len(keep)
+        scale = ratio[keep][idx]
+        cost = np.where(y == 1, 0.5 / n[1], 0.5 / n[0])  # both classes weigh the same
+        w, b = np.zeros(size), 0.0
+        # gradient steps with running means of the gradient and of its square
+        m, v, mb, vb = np.zeros(size), np.zeros(size), 0.0, 0.0
         for t in range(1, rounds + 1):
             f = np.bincount(row, scale * w[idx], minlength=len(y)) + b
             g = (1 / (1 + np.exp(-np.clip(f, -30, 30))) - y) * cost
-            gw = np.bincount(idx, scale * g[row], minlength=PLACES) + PENALTY * w
+            gw = np.bincount(idx, scale * g[row], minlength=size) + PENALTY * w
             gb = g.sum()
             m, v, mb, vb = 0.9 * m + 0.1 * gw, 0.99 * v + 0.01 * gw * gw, 0.9 * mb + 0.1 * gb, 0.99 * vb + 0.01 * gb * gb
             rate = 0.05 * (1 - t / (rounds + 1))
-            w -= rate * (m / (1 - 0.9**t)) / (np.sqrt(v / (1 - 0.99**t)) + 1e-8) * (ratio != 0)
+            w -= rate * (m / (1 - 0.9**t)) / (np.sqrt(v / (1 - 0.99**t)) + 1e-8)
             b -= rate * (mb / (1 - 0.9**t)) / (np.sqrt(vb / (1 - 0.99**t)) + 1e-8)
-        self.weights, self.bias, self.prior = (w * ratio).astype(np.float32), float(b), prior
+        self.weights = np.zeros(PLACES, np.float32)
+        self.weights[keep] = w * ratio[keep]
+        self.bias = float(b)
 
     def score(self, found: np.ndarray) -> float:
         return float(1 / (1 + np.exp(-np.clip(self.weights[found].sum(dtype=float) + self.bias, -30, 30))))
 
 
-def fit(rows: DataFrame, sample: int = SAMPLE) -> Model | float:
-    """Learns from (text, toxic); where there is only one class, its share."""
-    rows = rows.select(F.col("text"), F.col("toxic").cast("int").alias("toxic"), F.shiftright(F.xxhash64("text", F.lit(7)), 1).alias("draw"))
-    n = {r["toxic"]: r["n"] for r in rows.groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
+def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Model | float:
+    """Learns from labels that aren't held out; where there is only one class, its share of them."""
+    marks = labels.where("toxic is not null").where(~held_out(5, 0)).groupBy(F.col("doc_id").cast("long").alias("_id")).agg(F.max(F.col("toxic").cast("int")).alias("toxic"))
+    marks = marks.withColumn("draw", F.shiftright(F.xxhash64("_id", F.lit(7)), 1))
+    n = {r["toxic"]: r["n"] for r in marks.groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
     if len(n) < 2:
         return float(1 in n)
     limit = F.create_map(*[F.lit(v) for k, c in n.items() for v in (k, int(-(1 << 62) + min(1.0, 1.1 * sample / c) * ((1 << 63) - 2)))])
-    drawn = rows.where(F.col("draw") <= F.element_at(limit, F.col("toxic"))).mapInArrow(_bits, "toxic int, draw long, bits binary").collect()
+    # about 1.1 * sample ids of each class: small whatever the tables, so no text has to move
+    few = marks.where(F.col("draw") <= F.element_at(limit, F.col("toxic")))
+    texts = docs.select(F.col("doc_id").cast("long").alias("_id"), F.col("text").cast("string").alias("text")).join(F.broadcast(few), "_id")
+    drawn = texts.select("text", "toxic", "draw").mapInArrow(_bits, "toxic int, draw long, bits binary").collect()
     drawn.sort(key=lambda r: (r["toxic"], r["draw"], bytes(r["bits"])))
     picked = [r for c in (0, 1) for r in [x for x in drawn if x["toxic"] == c][:sample]]
-    sets = [np.flatnonzero(np.unpackbits(np.frombuffer(zlib.decompress(bytes(r["bits"])), np.uint8))).astype(np.int32) for r in picked]
-    return Model(sets, np.array([r["toxic"] for r in picked]), n[1] / sum(n.values()))
+    y = np.array([r["toxic"] for r in picked])
+    if len(np.unique(y)) < 2:
+        return float(n.get(1, 0) / sum(n.values()))
+    return Model([np.flatnonzero(np.unpackbits(np.frombuffer(zlib.decompress(bytes(r["bits"])), np.uint8))).astype(np.int32) for r in picked], y)
 
 
 def _score(model: Model | float):
@@ -126,22 +138,16 @@ def _score(model: Model | float):
     return run
 
 
-def labelled(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """(text, toxic) of the documents that may be learned from."""
-    marks = labels.where("toxic is not null and doc_id is not null").where(~held_out(5, 0)).groupBy(F.col("doc_id").cast("long").alias("_id")).agg(F.max("toxic").alias("toxic"))
-    return docs.select(F.col("doc_id").cast("long").alias("_id"), F.col("text").cast("string").alias("text")).join(marks, "_id").select("text", "toxic")
-
-
 def scores(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """doc_id, held_out, score, predicted for each row of `docs`."""
-    model = fit(labelled(docs, labels))
+    model = fit(docs, labels)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), held_out(5, 0).alias("held_out"), F.col("text").cast("string").alias("text"))
     return rows.mapInArrow(_score(model), "doc_id long, held_out boolean, score double, predicted int")
 
 
 def without_toxic(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """`docs` without those predicted toxic."""
-    model = fit(labelled(docs, labels))
+    model = fit(docs, labels)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
