@@ -7,8 +7,9 @@ says. Bins are read in bands; documents that agree in a band share a bucket.
 
 Documents with the same shingle set are first reduced to the one with the smallest id. In each bucket
 every member is compared only with the bucket's smallest member (a star), on full shingle sets. Links
-that no star shows can only matter where a bucket still holds members of different groups; exactly those
-pairs across groups are compared next, so no link between groups is lost to the stars.
+that no star shows can only matter where a bucket still holds members of different groups: there stars
+around other members follow, and in the end exactly the pairs across groups that haven't been compared, so
+no link between groups is lost to the stars.
 
 Null and empty texts have no shingles: they link with nothing. Texts of fewer than `k` words have one
 shingle of all of them. Rows with the same id are grouped like others. Extra columns are ignored.
@@ -28,6 +29,8 @@ from .store import components, store
 
 #: A pair at similarity 0.8 misses all bands with probability (1 - 0.8 ** 7) ** 48, about 1 in 80,000.
 BANDS, ROWS = 48, 7
+#: Rounds of stars around drawn members, before the pairs across groups that are left are compared one by one.
+TURNS = 2
 
 
 def densified(sign: np.ndarray) -> np.ndarray:
@@ -158,17 +161,34 @@ def groups(docs: DataFrame, k: int = 5, percent: int = 80, bands: int = BANDS, w
         side = lambda s: sets.select(F.col("rep").alias(s), F.col("words").alias(f"words_{s}"))
         return pairs.join(side("b"), "b").join(side("a"), "a").mapInArrow(_links(percent), "a long, b long")
 
-    links = store(confirmed(star), "links")
-    first = components(links).select(F.col("node").alias("rep"), "component")
-    # buckets that still hold several groups: their pairs across groups, except those compared before
-    named = members.join(first, "rep", "left").select("key", "rep", "n", F.coalesce("component", "rep").alias("g"))
-    open_ = named.groupBy("key").agg(F.min("g").alias("g0"), F.max("g").alias("g1")).where("g0 <> g1").select("key")
-    rest = store(named.join(open_, "key"), "open")
-    left, right = (rest.select("key", *[F.col(c).alias(f"{c}_{s}") for c in ("rep", "n", "g")]) for s in "ab")
-    across = left.join(right, "key").where("g_a <> g_b and rep_a < rep_b").where(fits(F.col("n_a"), F.col("n_b")))
-    across = across.select(F.col("rep_a").alias("a"), F.col("rep_b").alias("b")).distinct().join(star, ["a", "b"], "left_anti")
-    more = store(confirmed(across), "links")
-    final = components(links.unionByName(more)).select(F.col("node").alias("rep"), "component") if not more.isEmpty() else first
+    links, tested = store(confirmed(star), "links"), star
+    final = components(links).select(F.col("node").alias("rep"), "component")
+    for turn in range(TURNS + 1):
+        # buckets that still hold several groups: only pairs across groups matter, and of them only new ones
+        named = members.join(final, "rep", "left").select("key", "rep", "n", F.coalesce("component", "rep").alias("g"))
+        hub = F.min_by(F.struct("rep", "n", "g"), F.xxhash64("rep", "key", F.lit(turn))).alias("hub")
+        open_ = named.groupBy("key").agg(F.min("g").alias("g0"), F.max("g").alias("g1"), hub).where("g0 <> g1").select("key", "hub")
+        rest = store(named.join(open_, "key"), "open")
+        if turn < TURNS:  # stars around other members, drawn anew for each bucket
+            pairs = rest.select(F.col("hub.rep").alias("p"), F.col("rep").alias("q"), F.col("hub.n").alias("n_p"), F.col("n").alias("n_q"), F.col("hub.g").alias("g_p"), F.col("g").alias("g_q")).where("g_p <> g_q")
+        else:  # whatever is left, all of it
+            left, right = (rest.select("key", *[F.col(c).alias(f"{c}_{t}") for c in ("rep", "n", "g")]) for t in "pq")
+            pairs = left.join(right, "key").where("g_p <> g_q and rep_p < rep_q").select(F.col("rep_p").alias("p"), F.col("rep_q").alias("q"), "n_p", "n_q")
+        pairs = pairs.where(fits(F.col("n_p"), F.col("n_q"))).select(F.least("p", "q").alias("a"), F.greatest("p", "q").alias("b")).distinct()
+        pairs = store(pairs.join(tested, ["a", "b"], "left_anti"), "pairs")
+        if pairs.isEmpty():
+            continue
+        more = store(confirmed(pairs), "links")
+        tested = tested.unionByName(pairs)
+        if not more.isEmpty():
+            # groups found before stand for their members
+            heads = lambda c: F.coalesce(F.col(f"c_{c}"), F.col(c))
+            side = lambda c: final.select(F.col("rep").alias(c), F.col("component").alias(f"c_{c}"))
+            joined = components(more.join(side("a"), "a", "left").join(side("b"), "b", "left").select(heads("a").alias("a"), heads("b").alias("b")))
+            joined = joined.select("node", F.col("component").alias("to"))
+            known = final.join(joined, F.col("component") == F.col("node"), "left").select("rep", F.coalesce("to", "component").alias("component"))
+            new = joined.join(final, F.col("node") == F.col("rep"), "left_anti").select(F.col("node").alias("rep"), F.col("to").alias("component"))
+            final = store(known.unionByName(new), "groups")
 
     found = reps.select("x", "y", "n", "rep").join(final, "rep", "left").select("x", "y", "n", F.coalesce("component", "rep").alias("component"))
     rows = signs.select("doc_id", "n", "x", "y").join(found, ["x", "y", "n"], "left")

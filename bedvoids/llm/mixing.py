@@ -107,10 +107,10 @@ WITH sized AS (
 ), ranked AS (
   SELECT s.*, g.source_size, g.target, g.u,
     CASE WHEN g.source_size > 0 THEN g.target / g.source_size ELSE 0 END AS rate,
-    row_number() OVER (PARTITION BY s.source ORDER BY s.size, s.doc_id) AS at
+    row_number() OVER (PARTITION BY s.source ORDER BY s.size, s.doc_id) AS place
   FROM sized s JOIN goals g ON s.source IS NOT DISTINCT FROM g.source
 )
 SELECT doc_id, size, source_size, target,
-  CAST(least(floor(u + rate * at) - floor(u + rate * (at - 1)), 2) AS BIGINT) * size AS taken
+  CAST(least(floor(u + rate * place) - floor(u + rate * (place - 1)), 2) AS BIGINT) * size AS taken
 FROM ranked
 """
