@@ -126,6 +126,7 @@ def scores(docs: DataFrame, target: DataFrame) -> DataFrame:
     """doc_id, n_tokens, target_bits, background_bits, score for each row; `target` holds the doc_ids of the target."""
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     ids = target.select(F.col("doc_id").cast("long").alias("_target")).where("_target is not null").distinct()
-    marked = texts.join(ids, F.col("doc_id") == F.col("_target"), "left").select("text", F.col("_target").isNotNull().alias("target"))
+    # no broadcast: the ids grow with the corpus
+    marked = texts.join(ids.hint("merge"), F.col("doc_id") == F.col("_target"), "left").select("text", F.col("_target").isNotNull().alias("target"))
     models = tables(counts(marked))
     return texts.mapInArrow(_score(*models), "doc_id long, n_tokens long, target_bits double, background_bits double, score double")
