@@ -21,7 +21,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import texthash as H
@@ -200,4 +200,6 @@ def one_of_each(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     """`docs` with one document of each group of near-duplicates; repeated rows count once, rows without id stay."""
     kept = groups(docs, k, percent).where("kept").select(F.col("doc_id").alias("_kept")).distinct()
     there = docs.join(kept, docs["doc_id"].cast("long") == F.col("_kept")).select(*docs.columns)
-    return there.dropDuplicates(["doc_id", "text"]).unionByName(docs.where("doc_id is null"))
+    same = Window.partitionBy("doc_id", F.xxhash64("text")).orderBy(F.lit(0))
+    once = there.withColumn("_row", F.row_number().over(same)).where("_row = 1").select(*docs.columns)
+    return once.unionByName(docs.where("doc_id is null"))
