@@ -8,8 +8,8 @@ says. Bins are read in bands; documents that agree in a band share a bucket.
 Documents with the same shingle set are first reduced to the one with the smallest id. In each bucket
 every member is compared only with the bucket's smallest member (a star), on full shingle sets. Links
 that no star shows can only matter where a bucket still holds members of different groups: there stars
-around other members follow, and in the end exactly the pairs across groups that haven't been compared, so
-no link between groups is lost to the stars.
+around other members follow, and in the end all pairs across groups that haven't been compared, but for those
+that a bound on their common shingles rules out, so no link between groups is lost to the stars.
 
 Null and empty texts have no shingles: they link with nothing. Texts of fewer than `k` words have one
 shingle of all of them. Rows with the same id are grouped like others. Extra columns are ignored.
@@ -30,7 +30,7 @@ from .store import components, store
 #: A pair at similarity 0.8 misses all bands with probability (1 - 0.8 ** 7) ** 48, about 1 in 80,000.
 BANDS, ROWS = 48, 7
 #: Rounds of stars around drawn members, before the pairs across groups that are left are compared one by one.
-TURNS = 2
+TURNS = 1
 
 
 def densified(sign: np.ndarray) -> np.ndarray:
@@ -121,6 +121,13 @@ def _emit_sets(k: int):
     return run
 
 
+def _emit_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for rep, words in zip(batch.column("rep").to_pylist(), batch.column("words"), strict=True):
+            values = np.frombuffer(words.as_buffer(), np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(values), rep)), pa.array(values)], names=["rep", "word"])
+
+
 def _links(percent: int):
     """Of pairs with both shingle sets: those with 100 * intersection >= percent * union."""
 
@@ -171,9 +178,13 @@ def groups(docs: DataFrame, k: int = 5, percent: int = 80, bands: int = BANDS, w
         rest = store(named.join(open_, "key"), "open")
         if turn < TURNS:  # stars around other members, drawn anew for each bucket
             pairs = rest.select(F.col("hub.rep").alias("p"), F.col("rep").alias("q"), F.col("hub.n").alias("n_p"), F.col("n").alias("n_q"), F.col("hub.g").alias("g_p"), F.col("g").alias("g_q")).where("g_p <> g_q")
-        else:  # whatever is left, all of it
-            left, right = (rest.select("key", *[F.col(c).alias(f"{c}_{t}") for c in ("rep", "n", "g")]) for t in "pq")
-            pairs = left.join(right, "key").where("g_p <> g_q and rep_p < rep_q").select(F.col("rep_p").alias("p"), F.col("rep_q").alias("q"), "n_p", "n_q")
+        else:  # whatever is left, all of it; shingles that no other of these documents has can't be common to two
+            words = sets.join(rest.select("rep").distinct(), "rep").mapInArrow(_emit_words, "rep long, word long")
+            alone = words.groupBy("word").agg(F.count(F.lit(1)).alias("m"), F.min("rep").alias("rep")).where("m = 1").groupBy("rep").agg(F.count(F.lit(1)).alias("u"))
+            rest = rest.join(alone, "rep", "left").withColumn("c", F.col("n") - F.coalesce("u", F.lit(0)))
+            left, right = (rest.select("key", *[F.col(c).alias(f"{c}_{t}") for c in ("rep", "n", "g", "c")]) for t in "pq")
+            enough = F.least("c_p", "c_q") * (100 + percent) >= (F.col("n_p") + F.col("n_q")) * percent
+            pairs = left.join(right, "key").where("g_p <> g_q and rep_p < rep_q").where(enough).select(F.col("rep_p").alias("p"), F.col("rep_q").alias("q"), "n_p", "n_q")
         pairs = pairs.where(fits(F.col("n_p"), F.col("n_q"))).select(F.least("p", "q").alias("a"), F.greatest("p", "q").alias("b")).distinct()
         pairs = store(pairs.join(tested, ["a", "b"], "left_anti"), "pairs")
         if pairs.isEmpty():
