@@ -67,21 +67,27 @@ def _bits(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([batch.column("toxic"), batch.column("draw"), pa.array(out, pa.binary())], names=["toxic", "draw", "bits"])
 
 
+def _places(bits: bytes) -> np.ndarray:
+    return np.flatnonzero(np.unpackbits(np.frombuffer(zlib.decompress(bits), np.uint8)))
+
+
 class Model:
     """Weights for all places, with the log-count ratios multiplied in."""
 
-    def __init__(self, rows: list[np.ndarray], y: np.ndarray, rounds: int = 100):
-        idx, row = np.concatenate(rows), np.repeat(np.arange(len(rows)), [len(r) for r in rows])
-        count = [np.bincount(idx[y[row] == c], minlength=PLACES) for c in (0, 1)]
+    def __init__(self, bits: list[bytes], y: np.ndarray, rounds: int = 100):
+        count = [np.zeros(PLACES, np.int64), np.zeros(PLACES, np.int64)]
+        for x, c in zip(bits, y, strict=True):
+            count[c][_places(x)] += 1
         n = [(y == c).sum() for c in (0, 1)]
         ratio = np.log((count[1] + 1) / (n[1] + 2)) - np.log((count[0] + 1) / (n[0] + 2))
         keep = np.flatnonzero((count[0] + count[1] >= LEAST) & (np.abs(ratio) >= APART))
         if not len(keep):  # very few labels
             keep = np.flatnonzero(ratio)
-        place = np.full(PLACES, -1)
+        place = np.full(PLACES, -1, np.int32)
         place[keep] = np.arange(len(keep))
-        used = place[idx] >= 0
-        idx, row, size = place[idx[used]], row[used], len(keep)
+        # one row at a time: only its places that count are held
+        rows = [p[p >= 0] for p in (place[_places(x)] for x in bits)]
+        idx, row, size = np.concatenate(rows), np.repeat(np.arange(len(rows)), [len(r) for r in rows]), len(keep)
         scale = ratio[keep][idx]
         cost = np.where(y == 1, 0.5 / n[1], 0.5 / n[0])  # both classes weigh the same
         w, b = np.zeros(size), 0.0
@@ -121,7 +127,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Model | flo
     y = np.array([r["toxic"] for r in picked])
     if len(np.unique(y)) < 2:
         return float(n.get(1, 0) / sum(n.values()))
-    return Model([np.flatnonzero(np.unpackbits(np.frombuffer(zlib.decompress(bytes(r["bits"])), np.uint8))).astype(np.int32) for r in picked], y)
+    return Model([bytes(r["bits"]) for r in picked], y)
 
 
 def _score(model: Model | float):
