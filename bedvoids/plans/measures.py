@@ -67,6 +67,14 @@ def dice_profile(edges: DataFrame) -> DataFrame:
     return edges.agg(F.count(F.lit(1)).alias("links"), F.min("dice").alias("lowest"), F.avg("dice").alias("mean"), F.percentile("dice", F.lit(0.5)).alias("median"), F.max("dice").alias("highest"))
 
 
+def linked_dice(best: DataFrame, traits: DataFrame, gap: int = 1) -> DataFrame:
+    """bubbles, linked, mean: best Dice of every bubble that has a step after it, 0 where nothing overlaps."""
+    last = traits.agg(F.max("step").alias("_last"))
+    own = traits.select("step", F.col("bubble").alias("src")).crossJoin(F.broadcast(last)).where(F.col("step") + gap <= F.col("_last"))  # one row
+    both = own.join(best.select("step", "src", "dice"), ["step", "src"], "left")
+    return both.agg(F.count(F.lit(1)).alias("bubbles"), F.count("dice").alias("linked"), F.avg(F.coalesce("dice", F.lit(0.0))).alias("mean"))
+
+
 def sensitivity(traits: DataFrame, by: list[str]) -> DataFrame:
     """Number and volume of bubbles for every combination of parameters, and over all values of each."""
     return traits.cube(*by).agg(F.count(F.lit(1)).alias("bubbles"), F.sum("voxels").alias("voxels"))
