@@ -31,6 +31,8 @@ from .store import components, store
 BANDS, ROWS = 48, 7
 #: Rounds of stars around drawn members, before the pairs across groups that are left are compared one by one.
 TURNS = 1
+#: Shingles are counted in so many parts to bound how many two documents can have in common.
+PARTS = 64
 
 
 def densified(sign: np.ndarray) -> np.ndarray:
@@ -180,10 +182,14 @@ def groups(docs: DataFrame, k: int = 5, percent: int = 80, bands: int = BANDS, w
             pairs = rest.select(F.col("hub.rep").alias("p"), F.col("rep").alias("q"), F.col("hub.n").alias("n_p"), F.col("n").alias("n_q"), F.col("hub.g").alias("g_p"), F.col("g").alias("g_q")).where("g_p <> g_q")
         else:  # whatever is left, all of it; shingles that no other of these documents has can't be common to two
             words = sets.join(rest.select("rep").distinct(), "rep").mapInArrow(_emit_words, "rep long, word long")
-            alone = words.groupBy("word").agg(F.count(F.lit(1)).alias("m"), F.min("rep").alias("rep")).where("m = 1").groupBy("rep").agg(F.count(F.lit(1)).alias("u"))
-            rest = rest.join(alone, "rep", "left").withColumn("c", F.col("n") - F.coalesce("u", F.lit(0)))
+            shared = words.groupBy("word").agg(F.count(F.lit(1)).alias("m")).where("m > 1").select("word")
+            each = words.join(shared, "word").groupBy("rep", F.pmod("word", F.lit(PARTS)).cast("int").alias("part")).agg(F.count(F.lit(1)).cast("int").alias("c"))
+            parts = each.groupBy("rep").agg(F.map_from_entries(F.collect_list(F.struct("part", "c"))).alias("m"))
+            parts = parts.select("rep", F.transform(F.sequence(F.lit(0), F.lit(PARTS - 1)), lambda i: F.coalesce(F.try_element_at("m", i), F.lit(0))).alias("c"))
+            rest = rest.join(parts, "rep")  # without shared shingles there is no partner
             left, right = (rest.select("key", *[F.col(c).alias(f"{c}_{t}") for c in ("rep", "n", "g", "c")]) for t in "pq")
-            enough = F.least("c_p", "c_q") * (100 + percent) >= (F.col("n_p") + F.col("n_q")) * percent
+            common = F.aggregate(F.zip_with("c_p", "c_q", lambda x, y: F.least(x, y)), F.lit(0), lambda x, y: x + y)
+            enough = common * (100 + percent) >= (F.col("n_p") + F.col("n_q")) * percent
             pairs = left.join(right, "key").where("g_p <> g_q and rep_p < rep_q").where(enough).select(F.col("rep_p").alias("p"), F.col("rep_q").alias("q"), "n_p", "n_q")
         pairs = pairs.where(fits(F.col("n_p"), F.col("n_q"))).select(F.least("p", "q").alias("a"), F.greatest("p", "q").alias("b")).distinct()
         pairs = store(pairs.join(tested, ["a", "b"], "left_anti"), "pairs")
