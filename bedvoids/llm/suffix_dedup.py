@@ -97,7 +97,7 @@ def _emit_contexts(window: int):
             begin = bounds[where] + lo
             size = n.astype(np.int64) + window - 1
             ends = np.r_[0, np.cumsum(size)]
-            for i, j in H.pieces(ends, 1 << 22):
+            for i, j in H.pieces(ends):
                 out = np.r_[0, np.cumsum(size[i:j])]
                 take = np.repeat(begin[i:j] - out[:-1], size[i:j]) + np.arange(out[-1])
                 yield pa.RecordBatch.from_arrays([H.longs(h[i:j]), H.longs(b[i:j]), H.binary(data[take], out)], names=["h", "b", "bytes"])
@@ -237,7 +237,7 @@ def _emit_sorted(window: int, gram: int):
             for h, b, x in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True):
                 if (h, b) == last:  # a repeated row of the table
                     continue
-                if held > 1 << 20 and h != last[0]:
+                if held > 1 << 18 and h != last[0]:
                     if (out := solve(rows)) is not None:
                         yield out
                     rows, held = [], 0
@@ -253,7 +253,7 @@ def _emit_windows(window: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             data, bounds = H.text_buffer(batch.column("bytes"))
-            for i, j in H.pieces(bounds, 1 << 19):
+            for i, j in H.pieces(bounds, 1 << 17):
                 part, cut = data[bounds[i] : bounds[j]], bounds[i : j + 1] - bounds[i]
                 row = np.repeat(np.arange(j - i), np.diff(cut))
                 at = np.arange(max(0, len(part) - window + 1))
