@@ -29,8 +29,8 @@ SAMPLE = 2000
 PLACES = 1 << 18
 SIZES = (3, 4, 5, 6)
 #: A place counts if so many of the drawn rows hold it and its log-count ratio is this far from 0.
-LEAST, APART = 8, 0.7
-PENALTY = 5e-3
+LEAST, APART = 8, 1.5
+PENALTY = 1e-2
 
 
 def plain(column: pa.Array) -> pa.Array:
@@ -74,7 +74,7 @@ def _places(bits: bytes) -> np.ndarray:
 class Model:
     """Weights for all places, with the log-count ratios multiplied in."""
 
-    def __init__(self, bits: list[bytes], y: np.ndarray, rounds: int = 100):
+    def __init__(self, bits: list[bytes], y: np.ndarray, rounds: int = 200):
         count = [np.zeros(PLACES, np.int64), np.zeros(PLACES, np.int64)]
         for x, c in zip(bits, y, strict=True):
             count[c][_places(x)] += 1
