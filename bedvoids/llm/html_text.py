@@ -180,7 +180,12 @@ LABELLED = np.array(
         (3, 0.0, 1, 0.0, 14, 0.0, 1, 0, 1, 0, 1), (7, 0.0, 35, 0.0, 15, 0.0, 1, 0, 1, 0, 1), (90, 0.0, 5, 0.0, 10, 0.0, 1, 0, 1, 0, 1), (200, 0.0, 9, 0.0, 18, 0.0, 1, 0, 1, 0, 1), (40, 0.1, 30, 0.0, 55, 0.0, 1, 0, 1, 0, 1),
         (33, 0.2, 60, 0.0, 20, 0.1, 1, 0, 1, 0, 1), (10, 0.3, 40, 0.1, 38, 0.0, 1, 0, 1, 0, 1), (50, 0.0, 1, 1.0, 44, 0.0, 0, 0, 1, 0, 1), (38, 0.05, 42, 0.0, 51, 0.0, 0, 0, 1, 0, 1), (65, 0.0, 7, 0.0, 30, 0.0, 0, 0, 1, 0, 1),
         (22, 0.0, 33, 0.0, 47, 0.0, 0, 0, 1, 0, 1), (14, 0.0, 52, 0.0, 40, 0.0, 0, 0, 1, 0, 1), (80, 0.0, 0, 0.0, 60, 0.0, 0, 0, 0, 0, 1), (45, 0.0, 30, 0.0, 0, 0.0, 0, 0, 0, 0, 1), (18, 0.0, 70, 0.0, 9, 0.0, 1, 0, 0, 0, 1),
-        (4, 0.0, 25, 0.0, 8, 0.0, 1, 0, 0, 0, 1),
+        (4, 0.0, 25, 0.0, 8, 0.0, 1, 0, 0, 0, 1), (20, 0.0, 0, 0.0, 0, 0.0, 0, 0, 0, 0, 1), (30, 0.0, 0, 0.0, 0, 0.0, 0, 0, 1, 0, 1),
+        # very short blocks of the text, and blocks before link lists
+        (1, 0.0, 3, 0.0, 20, 0.0, 1, 0, 1, 0, 1), (2, 0.0, 2, 0.0, 2, 0.0, 1, 0, 1, 0, 1), (1, 0.0, 1, 0.0, 1, 0.0, 1, 0, 2, 0, 1), (2, 0.0, 5, 0.0, 0, 0.0, 1, 0, 1, 0, 1), (1, 0.0, 0, 0.0, 6, 0.0, 1, 0, 1, 0, 1),
+        (30, 0.0, 40, 0.0, 5, 1.0, 1, 0, 1, 0, 1), (12, 0.0, 30, 0.0, 1, 1.0, 1, 0, 1, 0, 1), (2, 0.0, 4, 0.0, 4, 1.0, 1, 0, 2, 0, 1), (2, 0.0, 1, 1.0, 3, 0.0, 1, 0, 1, 0, 1), (1, 0.0, 9, 0.0, 2, 1.0, 1, 0, 1, 0, 1),
+        (45, 0.0, 22, 0.0, 3, 1.0, 0, 0, 1, 0, 1), (26, 0.1, 31, 0.0, 2, 1.0, 0, 0, 1, 0, 1),
+        (25, 0.0, 8, 1.0, 40, 0.0, 1, 0, 1, 0, 1), (18, 0.0, 9, 0.9, 6, 1.0, 1, 0, 1, 0, 1), (3, 0.0, 12, 0.9, 2, 1.0, 1, 0, 1, 0, 1), (7, 0.0, 6, 0.8, 30, 0.0, 1, 0, 2, 0, 1), (2, 0.0, 6, 1.0, 7, 1.0, 1, 0, 0, 0, 1),
         # lists, quotations and tables of the text
         (6, 0.0, 40, 0.0, 7, 0.0, 1, 0, 3, 0, 1), (9, 0.0, 6, 0.0, 8, 0.0, 1, 0, 3, 0, 1), (15, 0.1, 9, 0.0, 30, 0.0, 1, 0, 3, 0, 1), (3, 0.0, 20, 0.0, 3, 0.0, 1, 0, 4, 0, 1), (8, 0.0, 3, 0.0, 45, 0.0, 1, 0, 4, 0, 1), (30, 0.0, 20, 0.0, 28, 0.0, 0, 0, 3, 0, 1),
     ]
