@@ -17,6 +17,8 @@ from ..sources.shared import fresh_path, store
 from . import measures, pipeline
 
 ORDER_GRID = GridSpec((900.0, 0.0, 0.0), (450000.0, 5.0, 51.0), (12, 3, 12))
+#: Bins that orders fill about half as densely as lines fill theirs.
+SPARSE_GRID = GridSpec((900.0, 0.0, 0.0), (500000.0, 5.0, 50.0), (16, 4, 16))
 Tables = dict[str, DataFrame]
 WORKLOADS: dict[str, Callable[..., Tables]] = {}
 
@@ -209,7 +211,7 @@ def _orders(spark: SparkSession, sf_dir: str, grid: GridSpec) -> tuple[DataFrame
 def e13(spark, sf_dir, fixed: float | None = None, **_) -> Tables:
     """A density threshold tuned on one bed, and the similarity, on two beds of different density."""
     out = []
-    a_grid, b_grid = _grid(), ORDER_GRID
+    a_grid, b_grid = _grid(), SPARSE_GRID
     cases = {"lines": (a_grid, bed(spark, sf_dir, a_grid, steps=1), P.truth(spark, "rise", a_grid).where("step = 0")), "orders": (b_grid, *_orders(spark, sf_dir, b_grid))}
     for name, (grid, particles, true) in cases.items():
         field = store(density.density_field(density.histogram(particles, grid), grid), "field")
@@ -217,7 +219,7 @@ def e13(spark, sf_dir, fixed: float | None = None, **_) -> Tables:
         if fixed is None:  # what separates the first bed: halfway between target and bed
             mean = field.where(F.col("ix") < int(grid.n[0] * P.BED_TOP)).agg(F.avg("density")).first()[0]
             fixed = (goal.mu + mean) / 2
-        labels = supervoxel.slic(field, grid, (3, 3, 3) if name == "lines" else (2, 2, 2))[0]
+        labels = supervoxel.slic(field, grid)[0]
         bsf = similarity.bsf(labels, gaussian.fit_clusters(labels, field), goal)
         below = field.where((F.col("ix") + 0.5) / grid.n[0] < P.BED_TOP).select("voxel")
         for how, found in (("similarity", segment.by_similarity(bsf)), ("fixed density", baselines.density_threshold(field, fixed))):

@@ -3,8 +3,10 @@
 from __future__ import annotations
 
 import atexit
+import os
 import tempfile
 import uuid
+from pathlib import Path
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -12,6 +14,18 @@ from pyspark.sql import functions as F
 _OWN: list[str] = []
 
 
+def importable(spark: SparkSession) -> None:
+    """Lets Python workers that share this machine's files import this package, wherever the driver was started.
+
+    On a cluster whose executors don't have it, submit it with --py-files.
+    """
+    root = str(Path(__file__).resolve().parents[2])
+    env = spark.sparkContext.environment
+    have = env.get("PYTHONPATH", "")
+    if root not in have.split(os.pathsep):
+        env["PYTHONPATH"] = os.pathsep.join(filter(None, (have, root)))
+
+
 def table(spark: SparkSession, sf_dir: str, name: str, cols: list[str] | None = None, where: Column | None = None) -> DataFrame:
     df = spark.read.parquet(f"{sf_dir}/{name}.parquet")
     df = df.where(where) if where is not None else df
