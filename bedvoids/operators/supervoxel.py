@@ -135,28 +135,41 @@ def cluster_arrays(density: np.ndarray, size: tuple[int, int, int], gamma: float
     first = np.r_[True, label[order][1:] != label[order][:-1]]
     centre[label[order][first], 3] = flat[order][first]
     report = []
-    # every centre's window as offsets from its lower corner
-    offsets = np.stack(np.meshgrid(*[np.arange(2 * s + 2) for s in size], indexing="ij"), -1).reshape(-1, 3)
-    slab = max(1, (1 << 22) // len(offsets))
+    half = np.array(size)
     for _ in range(max_iter):
         best, to, tested = np.full(flat.size, np.inf), np.full(flat.size, -1), 0
-        for a in range(0, total, slab):
-            ids = np.arange(a, min(total, a + slab))
-            corner = np.ceil(centre[ids, :3] - np.array(size)).astype(int)
-            at = corner[:, None, :] + offsets[None]
-            gap = at - centre[ids, None, :3]
-            ok = ((at >= 0) & (at < np.array(n))).all(2)
-            ok &= (np.abs(gap) <= np.array(size)).all(2) if window == "closed" else ((gap >= -np.array(size)) & (gap < np.array(size))).all(2)
-            c, o = np.nonzero(ok)
-            voxel = np.ravel_multi_index(tuple(at[c, o].T), n)
-            g = gap[c, o]
-            dist = gamma * np.sqrt(g[:, 0] * g[:, 0] + g[:, 1] * g[:, 1] + g[:, 2] * g[:, 2]) + (1 - gamma) * np.abs(flat[voxel] - centre[ids[c], 3])
-            tested += len(voxel)
-            order = np.lexsort((ids[c], dist, voxel))
-            first = np.r_[True, voxel[order][1:] != voxel[order][:-1]] if len(order) else np.zeros(0, bool)
-            v, dd, cc = voxel[order][first], dist[order][first], ids[c][order][first]
-            better = dd < best[v]  # earlier clusters win ties
-            best[v[better]], to[v[better]] = dd[better], cc[better]
+        corner = np.ceil(centre[:, :3] - half).astype(int)
+        # squared gaps and validity of every place of a window, axis by axis
+        at = [corner[:, i, None] + np.arange(2 * size[i] + 2) for i in range(3)]
+        gap = [at[i] - centre[:, i, None] for i in range(3)]
+        ok = [(at[i] >= 0) & (at[i] < n[i]) & ((np.abs(gap[i]) <= size[i]) if window == "closed" else (gap[i] >= -size[i]) & (gap[i] < size[i])) for i in range(3)]
+        square = [g * g for g in gap]
+        # centres with one corner take turns, so that no voxel is met twice at once
+        code = (corner[:, 0] * (4 * n[1] + 9) + corner[:, 1]) * (4 * n[2] + 9) + corner[:, 2]
+        order = np.argsort(code, kind="stable")
+        start = np.r_[True, code[order][1:] != code[order][:-1]]
+        turn = np.empty(total, int)
+        turn[order] = np.arange(total) - np.maximum.accumulate(np.where(start, np.arange(total), 0))
+        for t in range(int(turn.max()) + 1):
+            mine = turn == t
+            for x in range(2 * size[0] + 2):
+                in_x = mine & ok[0][:, x]
+                for y in range(2 * size[1] + 2):
+                    ids = np.flatnonzero(in_x & ok[1][:, y])
+                    if not len(ids):
+                        continue
+                    plane, base = square[0][ids, x] + square[1][ids, y], (at[0][ids, x] * n[1] + at[1][ids, y]) * n[2]
+                    for z in range(2 * size[2] + 2):
+                        here = ok[2][ids, z]
+                        c = ids[here]
+                        if not len(c):
+                            continue
+                        v = base[here] + at[2][c, z]
+                        d = gamma * np.sqrt(plane[here] + square[2][c, z]) + (1 - gamma) * np.abs(flat[v] - centre[c, 3])
+                        tested += len(c)
+                        better = (d < best[v]) | ((d == best[v]) & (c < to[v]))
+                        v, c = v[better], c[better]
+                        best[v], to[v] = d[better], c
         new = np.where(to >= 0, to, label)
         changed = int((new != label).sum())
         label = new
