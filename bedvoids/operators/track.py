@@ -90,7 +90,7 @@ def trace_recursive(edges: DataFrame, step: int, bubble: int, gap: int = 1) -> D
     """The same for one seed as a recursive query: one level for each step."""
     spark = edges.sparkSession
     for d in ("forward", "backward"):
-        best_links(edges, d).createOrReplaceTempView(f"_best_{d}")
+        store(best_links(edges, d), "best").createOrReplaceTempView(f"_best_{d}")
     return spark.sql(f"""
         WITH RECURSIVE ahead(step, bubble, dice) AS (
             SELECT CAST({step} AS INT), CAST({bubble} AS INT), CAST(NULL AS DOUBLE)

@@ -12,7 +12,7 @@ from ..functions import scalar
 from ..functions.grid import Box, Target, bed_grid
 from ..operators import baselines, components, density, explore, flow, gaussian, imagedb, lifecycle, relational, segment, similarity, supervoxel, target, track, traits
 from ..sources import particles as P
-from ..sources.shared import table
+from ..sources.shared import store, table
 from . import measures, workloads
 from .pipeline import ensemble
 
@@ -50,7 +50,7 @@ def truth_labels(spark):
 
 
 def truth_edges(spark):
-    return track.measured(track.overlaps(truth_labels(spark)))
+    return store(track.measured(track.overlaps(truth_labels(spark))), "edges")  # followed many times
 
 
 def truth_tracks(spark):
