@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .store import fresh_path
+from .store import fresh_path, store
 
 SEGMENT, ARCHIVE, CHUNK = 1 << 20, 16 << 20, 1 << 14
 _HEAD = "HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nTransfer-Encoding: chunked\r\n\r\n"
@@ -226,7 +226,8 @@ def round_trip(pages: DataFrame, segment: int = SEGMENT, archive: int = ARCHIVE)
     path = fresh_path(spark, "warc")
     write(pages, path, segment, archive)
     number = lambda c: F.substring(F.col(c), len("urn:page:") + 1, 30).try_cast("long")
-    records = read(spark, path).select("id", "type", "uri", "digest", "refers", "payload_bytes", "payload_digest")
+    # what is used several times below is read from the archives once, without the payloads
+    records = store(read(spark, path).select("id", "type", "uri", "digest", "refers", "payload_bytes", "payload_digest"), "records")
     sizes = records.where("type = 'response'").groupBy(F.col("id").alias("first")).agg(F.max("payload_bytes").alias("bytes"))
     back = records.where("type = 'revisit'").join(sizes, F.col("refers") == F.col("first"))
     columns = lambda size, sha, refers: [number("id").alias("page_id"), size.alias("payload_bytes"), sha.alias("payload_digest"), F.col("type").alias("record_type"), refers.alias("refers_to"), F.col("uri").alias("url")]
