@@ -1,58 +1,14 @@
-"""Tables read, intermediate results kept where every executor sees them, ranks and graph components."""
+"""What these operators share: tables kept where every executor sees them, and ranks over all rows."""
 
 from __future__ import annotations
 
-import atexit
-import tempfile
-import uuid
-
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..operators.graph import components
+from ..sources.shared import fresh_path, store, table
 
-def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder in spark.checkpoint.dir; a temporary one only where it is unset (local tests)."""
-    place = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if not place:
-        if not spark.sparkContext.master.startswith("local["):
-            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
-        place = _own_dir()
-    return place.rstrip("/")
-
-
-_OWN: list[str] = []
-
-
-def _own_dir() -> str:
-    if not _OWN:
-        _OWN.append(tempfile.mkdtemp(prefix="bedvoids-"))
-    return _OWN[0]
-
-
-def _drop(spark: SparkSession, path: str) -> None:
-    try:
-        jvm = spark.sparkContext._jvm
-        place = jvm.org.apache.hadoop.fs.Path(path)
-        place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(place, True)
-    except Exception:  # the session may be gone at exit
-        pass
-
-
-def fresh_path(spark: SparkSession, name: str) -> str:
-    path = f"{shared_dir(spark)}/bedvoids/{name}-{uuid.uuid4().hex}"
-    atexit.register(_drop, spark, path)
-    return path
-
-
-def store(df: DataFrame, name: str) -> DataFrame:
-    """Cuts the lineage: a Parquet table in the shared folder, which lost executors don't take along."""
-    path = fresh_path(df.sparkSession, name)
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+__all__ = ["components", "fresh_path", "global_rank", "store", "table"]
 
 
 def global_rank(df: DataFrame, order: list[Column], within: str | None = None, name: str = "rank") -> DataFrame:
@@ -79,28 +35,3 @@ def global_rank(df: DataFrame, order: list[Column], within: str | None = None, n
         on = on & F.col(within).eqNullSafe(F.col("_w"))
     out = at.join(offsets, on)
     return out.withColumn(name, F.col("_before") + F.col("_at") - F.col("_from") + 1).drop("_at", "_part", "_p", "_w", "_from", "_before")
-
-
-def components(edges: DataFrame) -> DataFrame:
-    """(a, b) -> (node, component): the smallest node reachable, for each node that has a link to another.
-
-    Alternates two rewritings of the links to stars until nothing changes: greater neighbours are hung
-    below the smallest of a neighbourhood, then lesser ones. Minima are aggregated before the join, so
-    a node with very many links isn't gathered anywhere.
-    """
-    now = store(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).where("a <> b").distinct(), "links")
-    mark = None
-    while True:
-        both = now.unionByName(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        least = both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("m"))
-        large = both.join(least, "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
-        lower = large.groupBy("a").agg(F.min("b").alias("m"))
-        small = large.join(lower, "a")
-        small = small.select(F.col("b").alias("a"), F.col("m").alias("b")).unionByName(small.select("a", F.col("m").alias("b")))
-        now = store(small.where("a <> b").distinct(), "links")
-        seen = now.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
-        if seen == mark:
-            break
-        mark = seen
-    stars = now.groupBy("a").agg(F.min("b").alias("component"))
-    return stars.select(F.col("a").alias("node"), "component").unionByName(stars.select(F.col("component").alias("node"), "component").distinct())
