@@ -2,9 +2,9 @@
 
 Every string of `window` bytes is covered by one block: its least hash of `gram` bytes, and all starts
 in a row with that same least hash. Equal strings have the same least hash, so copies can only be found
-among blocks of one key. Blocks of a key that are all alike are copies as a whole; where blocks of a key
-differ (a passage begins or ends in them), the suffixes in them are sorted: prefix hashes and binary
-search give the common extension of two suffixes in a logarithmic number of steps, a mergesort orders
+among blocks of one key. A block that stands more than once is a copy as a whole; where blocks of a key
+differ (a passage begins or ends in them), the suffixes in the different ones are sorted too: prefix hashes and
+binary search give the common extension of two suffixes in a logarithmic number of steps, a mergesort orders
 them, and neighbours that agree on `window` bytes are compared byte by byte.
 
 Null and empty texts, and texts shorter than `window`, have no repeats. Repeated rows count as documents
@@ -275,12 +275,13 @@ def repeats(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, wide_key: i
     texts = keyed(docs)
     blocks = texts.where(F.octet_length("text") >= window).mapInArrow(_emit_blocks(window, gram), _BLOCKS)
     keys = blocks.groupBy("h").agg(F.count(F.lit(1)).alias("c"), F.min("b").alias("b0"), F.max("b").alias("b1"), F.max("again").alias("a")).where("c > 1 or a")
-    keys = keys.select("h", (F.col("a") | (F.col("b0") != F.col("b1"))).alias("mixed"))
+    # one block alone is mixed if its key's hash stands in it twice; blocks that are all alike never are
+    keys = keys.select("h", ((F.col("c") == 1) | (F.col("b0") != F.col("b1"))).alias("mixed"))
     found = store(blocks.drop("again").join(keys, "h"), "blocks")
 
-    one = found.where("mixed").groupBy("h", "b").agg(F.min(F.struct("doc_id", "mark", "lo", "n")).alias("at"))
+    one = found.where("mixed").groupBy("h", "b").agg(F.min(F.struct("doc_id", "mark", "lo", "n")).alias("at"), (F.count(F.lit(1)) > 1).alias("twice"))
     per_key = one.groupBy("h").agg(F.count(F.lit(1)).alias("k"))
-    asked = one.join(per_key, "h").select("h", "b", "at.*", (F.col("k") > wide_key).alias("wide"))
+    asked = one.join(per_key, "h").select("h", "b", "at.*", "twice", (F.col("k") > wide_key).alias("wide"))
     asked = store(asked, "asked")
 
     def contexts(which: str) -> DataFrame:
@@ -295,6 +296,8 @@ def repeats(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, wide_key: i
         ref = F.struct("h", "b", "s")
         twice = windows.groupBy("x", "y").agg(F.min(ref).alias("i"), F.max(ref).alias("j")).where("i <> j").select("x", "y")
         some = some.unionByName(windows.join(twice, ["x", "y"]).select("h", "b", "s", (F.col("s") + window).alias("e")))
+    # the sort sees each different block once: what stands in several places is a copy as a whole besides
+    some = some.unionByName(asked.where("twice").select("h", "b", F.lit(0).alias("s"), (F.col("n") + (window - 1)).alias("e")))
     whole = found.where("not mixed").select("doc_id", "mark", F.col("lo").alias("s"), (F.col("lo") + F.col("n") + (window - 1)).alias("e"))
     parts = found.where("mixed").join(some, ["h", "b"]).select("doc_id", "mark", (F.col("lo") + F.col("s")).alias("s"), (F.col("lo") + F.col("e")).alias("e"))
     return whole.unionByName(parts).groupBy("doc_id", "mark").agg(F.collect_list(F.struct("s", "e")).alias("spans"))

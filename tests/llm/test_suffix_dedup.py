@@ -62,3 +62,30 @@ def test_text_stays_text(spark):
 
 def test_empty_table(spark):
     assert S.remove_repeats(spark.createDataFrame([], SCHEMA)).count() == 0
+
+
+def _noise(seed, n):
+    r = random.Random(seed)
+    return "".join(r.choice("abcdefghijklmnopqrstuvwxyz ") for _ in range(n))
+
+
+def _copies():
+    """Exact copies beside a near copy of one changed byte or word, and exact copies of a line that stands several times in a row."""
+    out = []
+    for seed in range(8):
+        text = _noise(seed, 900)
+        near = text[:450] + "#" + text[451:] if seed % 2 else text[:450] + " another " + text[460:]
+        out.append([text, text, near])
+    for width in (64, 80, 100, 136):
+        text = _noise(width, 300) + (_noise(width + 1, width - 1) + "\n") * 4 + _noise(width + 2, 300)
+        out += [[text, text], [text, text, text.replace("\n", "\t", 1)]]
+    return out
+
+
+@pytest.mark.parametrize("wide", [2000, 1])
+def test_exact_copies_beside_near_ones_and_repeated_lines(spark, wide, monkeypatch):
+    monkeypatch.setattr(S.repeats, "__defaults__", (200, 64, wide))
+    rows = [(i, t) for i, t in enumerate(t for group in _copies() for t in group)]
+    rows += [(len(rows), rows[3][1]), (3, rows[3][1])]
+    got = sorted(map(tuple, S.remove_repeats(spark.createDataFrame(rows, SCHEMA).repartition(5)).collect()))
+    assert got == brute(rows)
