@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import cover_tree, decontaminate, html_text, language, lm_score, minhash_dedup, mixing, suffix_dedup, toxicity, warc
+from . import cover_tree, decontaminate, html_text, language, minhash_dedup, mixing, suffix_dedup, toxicity, warc, word_lm
 from .store import table
 
 
@@ -47,7 +47,7 @@ def op9_cover_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return lm_score.scores(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels").where("quality = 1"))
+    return word_lm.scores(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels").where("quality = 1"))
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
