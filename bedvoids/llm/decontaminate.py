@@ -9,7 +9,7 @@ most, and lookups of all such block values find every item within the radius. Wh
 by the weighted Jaccard similarity of the shingles, sum of minima over sum of maxima of their counts.
 
 Two multisets at similarity 0.8 differ in a bit with probability 0.15; more than 23 of 64 bits differ for
-about one pair in a million. Null and empty texts match nothing, nor do items without words. Items of
+about one pair in 96,000. Null and empty texts match nothing, nor do items without words. Items of
 fewer than `k` words are one shingle, compared with every run of as many words. Rows with one id are
 looked at one by one. Extra columns are ignored.
 """
