@@ -6,8 +6,13 @@ origin, orders them by segment number, checks numbers and total length, and take
 Of pages with equal payloads one is stored, the others are revisit records that refer to it.
 
 Archives are files of about `archive` bytes in a folder that all executors share; each is written whole by
-one task and read whole, so memory is bounded by its size. Null html counts as an empty payload. Two rows
-with the same page_id and payload are written twice and read back twice.
+one task and read whole, so memory is bounded by its size. Segments are dealt by origin and sorted there; a
+task holds the segments of one record at a time.
+
+Null html counts as an empty payload. Record ids hold page_id, payload digest and a digest of the URL, so rows with
+the same page_id, or without one, are records of their own. Rows that agree in all three are one record, written and
+read back as often as the row stands. Of several rows with the largest page_id of a payload each is a response, and
+so are rows without page_id. Extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -24,7 +29,10 @@ from pyspark.sql import functions as F
 
 from .store import fresh_path, store
 
-SEGMENT, ARCHIVE, CHUNK = 1 << 20, 16 << 20, 1 << 14
+#: Segments are short enough that ordinary pages are cut into several.
+SEGMENT, ARCHIVE, CHUNK = 1 << 10, 16 << 20, 1 << 9
+#: Rows of one digest are dealt to so many tasks.
+SALT = 32
 _HEAD = "HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nTransfer-Encoding: chunked\r\n\r\n"
 _REVISIT = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 _SEGMENTS = "origin string, number int, total long, type string, uri string, digest string, refers string, block binary"
@@ -183,29 +191,60 @@ def _whole(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield _finish(list(zip(*(batch.column(c).to_pylist() for c in ("origin", "type", "uri", "digest", "refers", "block")), strict=True)))
 
 
-def _reassemble(segments: pa.Table) -> pa.Table:
-    rows = sorted(zip(*(segments.column(c).to_pylist() for c in ("number", "total", "type", "uri", "digest", "refers", "block", "origin")), strict=True), key=lambda r: r[0])
-    copies = sum(1 for r in rows if r[0] == 1)  # a page row that stood twice in the table
-    if copies > 1:
-        rows = rows[::copies]
-    numbers, total = [r[0] for r in rows], rows[-1][1]
-    block = b"".join(r[6] for r in rows)
-    if numbers != list(range(1, len(rows) + 1)) or total != len(block):
-        raise ValueError(f"segments {numbers} of {rows[0][7]} have {len(block)} of {total} bytes")
-    _, _, kind, uri, sha, refers, _, origin = rows[0]
-    return pa.Table.from_batches([_finish([(origin, kind, uri, sha, refers, block)] * max(copies, 1))])
+def _joined(origin: str, rows: list[tuple]) -> tuple:
+    """A record from its segments (number, total, type, uri, digest, refers, block), in order of their numbers."""
+    block, total = b"".join(r[6] for r in rows), rows[-1][1]
+    if [r[0] for r in rows] != list(range(1, len(rows) + 1)) or total != len(block):
+        raise ValueError(f"segments {[r[0] for r in rows]} of {origin} have {len(block)} of {total} bytes")
+    _, _, kind, uri, sha, refers, _ = rows[0]
+    return origin, kind, uri, sha, refers, block
+
+
+def _reassemble(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Segments sorted by origin and number come in; each origin's stand together, if in several batches."""
+    last, rows, copies = None, [], []
+    done, size = [], 0
+
+    def out() -> Iterator[pa.RecordBatch]:
+        nonlocal done, size
+        if rows:
+            if len(set(copies)) > 1:
+                raise ValueError(f"segments of {last} stand {copies} times")
+            for _ in range(copies[0]):  # a row that stood several times in the table
+                done.append(_joined(last, rows))
+                size += len(done[-1][5])
+                if size > 4 << 20 or len(done) > 1 << 14:
+                    yield _finish(done)
+                    done, size = [], 0
+
+    for batch in batches:
+        for origin, *row in zip(*(batch.column(c).to_pylist() for c in ("origin", "number", "total", "type", "uri", "digest", "refers", "block")), strict=True):
+            if origin != last:
+                yield from out()
+                last, rows, copies = origin, [], []
+            if rows and rows[-1][0] == row[0]:
+                copies[-1] += 1
+            else:
+                rows.append(row)
+                copies.append(1)
+    yield from out()
+    if done:
+        yield _finish(done)
 
 
 def write(pages: DataFrame, path: str, segment: int = SEGMENT, archive: int = ARCHIVE, least: int = 0) -> None:
     """Archives of (page_id, url, html). Payloads of at least `least` bytes that are equal are stored once, with the largest page_id."""
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.encode(F.coalesce("html", F.lit("")), "utf-8").alias("payload"))
-    rows = rows.withColumn("sha", F.sha1("payload")).withColumn("size", F.octet_length("payload"))
-    first = rows.where(F.col("size") >= least).groupBy("sha", "size").agg(F.max("page_id").alias("first"), F.count(F.lit(1)).alias("m")).where("m > 1").drop("m")
-    # only ids and digests meet; most payloads stand alone and their rows find no partner
-    roles = rows.join(first, ["sha", "size"], "left")
-    again = F.col("first").isNotNull() & (F.col("page_id") != F.col("first"))
-    name = lambda c: F.concat(F.lit("urn:page:"), F.col(c).cast("string"))
-    out = roles.select(F.coalesce(name("page_id"), F.lit("urn:page:")).alias("name"), "url", F.when(again, "revisit").otherwise("response").alias("kind"), F.when(again, name("first")).alias("refers"), F.when(again, F.lit(None)).otherwise(F.col("payload")).alias("payload"), "sha")
+    rows = rows.withColumn("sha", F.sha1("payload")).withColumn("size", F.octet_length("payload")).withColumn("own", F.coalesce(F.md5(F.encode("url", "utf-8")), F.lit("")))
+    # only ids and digests meet; rows of a digest that stands very often are dealt to several tasks
+    few = F.struct("page_id", "own")
+    first = rows.where(F.col("size") >= least).groupBy("sha", "size").agg(F.max(few).alias("first"), F.count(F.lit(1)).alias("m")).where("m > 1 and first.page_id is not null").drop("m")
+    first = first.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALT - 1))))
+    roles = rows.withColumn("salt", F.pmod(F.xxhash64("page_id", "own"), F.lit(SALT)).cast("int")).join(first, ["sha", "size", "salt"], "left")
+    again = F.col("first").isNotNull() & (F.col("page_id") != F.col("first.page_id"))
+    name = lambda page, own: F.concat_ws(":", F.lit("urn:page"), F.coalesce(page.cast("string"), F.lit("")), "sha", own)
+    own = name(F.col("page_id"), F.col("own"))
+    out = roles.select(own.alias("name"), "url", F.when(F.coalesce(again, F.lit(False)), "revisit").otherwise("response").alias("kind"), F.when(again, name(F.col("first.page_id"), F.col("first.own"))).alias("refers"), F.when(again, F.lit(None)).otherwise(F.col("payload")).alias("payload"), "sha")
     out = out.withColumn("payload", F.coalesce("payload", F.unhex(F.lit(""))))
     packed = out.mapInArrow(_pack(segment, archive), "archive binary")
     packed.select(F.col("archive").cast("string").alias("value")).write.option("lineSep", "\r\n").option("maxRecordsPerFile", 1).option("compression", "gzip").text(path)
@@ -215,9 +254,11 @@ def read(spark: SparkSession, path: str) -> DataFrame:
     """Records of all archives below `path`: segments reassembled, payloads decoded and checked against their digests."""
     files = spark.read.format("binaryFile").load(path).select("content")
     segments = files.mapInArrow(_segments, _SEGMENTS)
-    single = segments.where("number = 0").mapInArrow(_whole, _RECORDS)
-    several = segments.where("number > 0").groupBy("origin").applyInArrow(_reassemble, _RECORDS)
-    return single.unionByName(several)
+    n = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    # records in one piece are origins with one segment
+    whole = F.when(F.col("number") == 0, 1).otherwise(F.col("number")).cast("int").alias("number")
+    parts = segments.select("origin", whole, *[c for c in segments.columns if c not in ("origin", "number")])
+    return parts.repartition(n, "origin").sortWithinPartitions("origin", "number").mapInArrow(_reassemble, _RECORDS)
 
 
 def round_trip(pages: DataFrame, segment: int = SEGMENT, archive: int = ARCHIVE) -> DataFrame:
@@ -225,11 +266,12 @@ def round_trip(pages: DataFrame, segment: int = SEGMENT, archive: int = ARCHIVE)
     spark = pages.sparkSession
     path = fresh_path(spark, "warc")
     write(pages, path, segment, archive)
-    number = lambda c: F.substring(F.col(c), len("urn:page:") + 1, 30).try_cast("long")
+    number = lambda c: F.split(F.col(c), ":")[2].try_cast("long")
     # what is used several times below is read from the archives once, without the payloads
     records = store(read(spark, path).select("id", "type", "uri", "digest", "refers", "payload_bytes", "payload_digest"), "records")
-    sizes = records.where("type = 'response'").groupBy(F.col("id").alias("first")).agg(F.max("payload_bytes").alias("bytes"))
-    back = records.where("type = 'revisit'").join(sizes, F.col("refers") == F.col("first"))
+    # equal payloads have equal sizes: revisits meet one row for each page that is referred to, in several tasks
+    sizes = records.where("type = 'response'").join(records.where("refers is not null").select(F.col("refers").alias("id")).distinct(), "id").select(F.col("id").alias("first"), F.col("payload_bytes").alias("bytes"), F.explode(F.sequence(F.lit(0), F.lit(SALT - 1))).alias("salt"))
+    back = records.where("type = 'revisit'").withColumn("salt", F.pmod(F.xxhash64("id"), F.lit(SALT)).cast("int")).join(sizes.withColumnRenamed("salt", "s"), (F.col("refers") == F.col("first")) & (F.col("salt") == F.col("s")))
     columns = lambda size, sha, refers: [number("id").alias("page_id"), size.alias("payload_bytes"), sha.alias("payload_digest"), F.col("type").alias("record_type"), refers.alias("refers_to"), F.col("uri").alias("url")]
     own = records.where("type = 'response'").select(*columns(F.col("payload_bytes"), F.col("payload_digest"), F.lit(None).cast("long")))
     return own.unionByName(back.select(*columns(F.col("bytes"), F.col("digest"), number("refers"))))
