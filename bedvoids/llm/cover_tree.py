@@ -3,13 +3,14 @@
 Vectors are scaled to length 1; cosine c means distance sqrt(2 - 2c). They are dealt into cells around
 pivots and cells into blocks of at most `rows` vectors. A block's cover tree has nested levels with
 halving radii: each node's centre is one of its vectors, all vectors of a node lie within its radius, and
-the first child keeps the parent's centre. Pairs of blocks, then pairs of nodes level by level, are left
-out when their centres are farther apart than the threshold and both covering radii allow, and taken as
-a whole when even their farthest vectors are near enough; the rest is decided by the cosine in double.
+the first child keeps the parent's centre. Pairs of blocks, then pairs of nodes from the roots down level by
+level, are left out when their centres are farther apart than the threshold and both covering radii allow, and
+taken as a whole when even their farthest vectors are near enough; the rest is decided by the cosine in double.
+Children of nodes with many of them are bounded by tiles of products of their centres.
 
 Equal vectors are compared once and count as often as they stand. Null and zero vectors, and those with
 null or non-finite components, link with nothing; so do vectors of another length (only vectors of equal
-length are compared). Repeated ids are rows of their own. Extra columns are ignored.
+length are compared). Repeated ids are rows of their own; null ids link with nothing. Extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -23,9 +24,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from . import texthash as H
 from .store import components, store
 
 ROWS = 16384
+#: Pairs of children of one node pair from which on products are taken in tiles, and node pairs looked at at once.
+MANY, AT_ONCE, TILE = 1 << 14, 1 << 15, 1024
 
 
 def usable(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -112,67 +116,88 @@ def _net(x: np.ndarray, radius: float) -> np.ndarray:
     return owner
 
 
-def pairs_of(a: CoverTree, b: CoverTree, cosine: float, tile: int = 1024) -> Iterator[tuple[str, np.ndarray, np.ndarray, int]]:
-    """Node pairs within the threshold: ("all", nodes of a, nodes of b, level) or ("one", vectors of a, vectors of b, level)."""
+def pairs_of(a: CoverTree, b: CoverTree, cosine: float, seen: list[tuple[int, int, int]] | None = None) -> Iterator[tuple[str, np.ndarray, np.ndarray, int]]:
+    """Node pairs within the threshold: ("all", nodes of a, nodes of b, level) or ("one", vectors of a, vectors of b, level).
+
+    `seen` gets (level, node pairs met, node pairs left open) along the way.
+    """
     limit = np.sqrt(max(0.0, 2 - 2 * cosine))
-    last = len(a.cuts) - 1
-    # tiles of one level by itself, then only pairs that remain; deeper levels bound better as long as they aren't much larger
-    todo: list[tuple[int, np.ndarray, np.ndarray]] = []
-    top = max(k for k in range(1, last) if max(len(a.radius[k]) / len(a.radius[1]), len(b.radius[k]) / len(b.radius[1])) <= 1.25)
-    # nodes in order of radius: within a tile one limit holds, with room for single precision
-    na, nb = (np.argsort(t.radius[top], kind="stable") for t in (a, b))
-    for i in range(0, len(na), tile):
-        ia = na[i : i + tile]
-        ca, ra = a.x[a.cuts[top][ia]].astype(np.float32), a.radius[top][ia].max()
-        for j in range(i if a is b else 0, len(nb), tile):
-            ib = nb[j : j + tile]
-            reach = min(2.0, limit + ra + b.radius[top][ib].max())
-            p, q = np.nonzero(ca @ b.x[b.cuts[top][ib]].astype(np.float32).T >= np.float32(1 - reach * reach / 2 - 1e-5))
+    last, own = len(a.cuts) - 1, a is b
+    # what a node pair opens is looked at before the next one: no more than a stretch for each level is held
+    stack = [iter([(0, np.zeros(1, np.int64), np.zeros(1, np.int64))])]
+    while stack:
+        top = next(stack[-1], None)
+        if top is None:
+            stack.pop()
+            continue
+        level, i, j = top
+        met = len(i)
+        cos = np.einsum("ij,ij->i", a.x[a.cuts[level][i]], b.x[b.cuts[level][j]])
+        if level == last:
+            hit = (cos >= cosine) & ((i < j) if own else True)
+            if seen is not None:
+                seen.append((level, met, 0))
+            if hit.any():
+                yield "one", i[hit], j[hit], level
+            continue
+        if own:  # a vector isn't its own partner
+            more = (i != j) | (a.cuts[level][i + 1] - a.cuts[level][i] > 1)
+            i, j, cos = i[more], j[more], cos[more]
+        d = np.sqrt(np.maximum(0.0, 2 - 2 * cos))
+        ra, rb = a.radius[level][i], b.radius[level][j]
+        whole = d + ra + rb <= limit - 1e-6
+        if whole.any():
+            yield "all", i[whole], j[whole], level
+        open_ = ~whole & (d <= limit + ra + rb + 1e-6)
+        if seen is not None:
+            seen.append((level, met, int(open_.sum())))
+        if open_.any():
+            stack.append(_opened(a, b, level, i[open_], j[open_], limit))
+
+
+def _opened(a: CoverTree, b: CoverTree, level: int, i: np.ndarray, j: np.ndarray, limit: float) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """The pairs of children of node pairs, without those that mirror each other."""
+    own = a is b
+    fa, ta = (np.searchsorted(a.cuts[level + 1], a.cuts[level][i + s]) for s in (0, 1))
+    fb, tb = (np.searchsorted(b.cuts[level + 1], b.cuts[level][j + s]) for s in (0, 1))
+    size = (ta - fa) * (tb - fb)
+    few = np.flatnonzero(size < MANY)
+    for s in _runs(size[few], AT_ONCE):
+        k = few[s]
+        at = np.repeat(k, size[k])
+        within = np.arange(len(at)) - np.repeat(np.cumsum(size[k]) - size[k], size[k])
+        wide = (tb - fb)[at]
+        x, y = fa[at] + within // wide, fb[at] + within % wide
+        if own:
+            keep = (i[at] != j[at]) | (x <= y)
+            x, y = x[keep], y[keep]
+        yield level + 1, x, y
+    for k in np.flatnonzero(size >= MANY):
+        for x, y in _tiles(a, b, level + 1, np.arange(fa[k], ta[k]), np.arange(fb[k], tb[k]), limit, own and i[k] == j[k]):
+            for c in range(0, len(x), AT_ONCE):
+                yield level + 1, x[c : c + AT_ONCE], y[c : c + AT_ONCE]
+
+
+def _tiles(a: CoverTree, b: CoverTree, level: int, na: np.ndarray, nb: np.ndarray, limit: float, same: bool) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Of all pairs of nodes of one level: those that their radii don't rule out, with room for single precision."""
+    # nodes in order of radius: within a tile one limit holds
+    na, nb = na[np.argsort(a.radius[level][na], kind="stable")], nb[np.argsort(b.radius[level][nb], kind="stable")]
+    for i in range(0, len(na), TILE):
+        ia = na[i : i + TILE]
+        ca, ra = a.x[a.cuts[level][ia]].astype(np.float32), a.radius[level][ia].max()
+        for j in range(i if same else 0, len(nb), TILE):
+            ib = nb[j : j + TILE]
+            reach = min(2.0, limit + ra + b.radius[level][ib].max())
+            p, q = np.nonzero(ca @ b.x[b.cuts[level][ib]].astype(np.float32).T >= np.float32(1 - reach * reach / 2 - 1e-5))
             p, q = ia[p], ib[q]
-            if a is b:  # each pair once, in the order of the tree
+            if same:  # each pair once, in the order of the tree
                 if i == j:
                     keep = p <= q
                     p, q = p[keep], q[keep]
                 else:
                     p, q = np.minimum(p, q), np.maximum(p, q)
             if len(p):
-                todo.append((top, p, q))
-    while todo:
-        level, p, q = todo.pop()
-        for k in range(0, len(p), 1 << 16):
-            i, j = p[k : k + (1 << 16)], q[k : k + (1 << 16)]
-            u, v = a.x[a.cuts[level][i]], b.x[b.cuts[level][j]]
-            cos = np.einsum("ij,ij->i", u, v)
-            if level == last:
-                hit = (cos >= cosine) & ((i < j) if a is b else True)
-                if hit.any():
-                    yield "one", i[hit], j[hit], level
-                continue
-            if a is b:  # a vector isn't its own partner
-                more = (i != j) | (a.cuts[level][i + 1] - a.cuts[level][i] > 1)
-                i, j, cos = i[more], j[more], cos[more]
-            d = np.sqrt(np.maximum(0.0, 2 - 2 * cos))
-            ra, rb = a.radius[level][i], b.radius[level][j]
-            whole = d + ra + rb <= limit - 1e-6
-            if whole.any():
-                yield "all", i[whole], j[whole], level
-            open_ = ~whole & (d <= limit + ra + rb + 1e-6)
-            i, j = i[open_], j[open_]
-            if not len(i):
-                continue
-            # children of both, all against all, without those that mirror each other
-            fa, ta = (np.searchsorted(a.cuts[level + 1], a.cuts[level][i + s]) for s in (0, 1))
-            fb, tb = (np.searchsorted(b.cuts[level + 1], b.cuts[level][j + s]) for s in (0, 1))
-            size = (ta - fa) * (tb - fb)
-            for s in _runs(size, 1 << 18):
-                at = np.repeat(np.arange(s.start, s.stop), size[s])
-                within = np.arange(len(at)) - np.repeat(np.cumsum(size[s]) - size[s], size[s])
-                wide = (tb - fb)[at]
-                x, y = fa[at] + within // wide, fb[at] + within % wide
-                if a is b:
-                    keep = (i[at] != j[at]) | (x <= y)
-                    x, y = x[keep], y[keep]
-                todo.append((level + 1, x, y))
+                yield p, q
 
 
 def _runs(size: np.ndarray, most: int) -> Iterator[slice]:
@@ -266,7 +291,7 @@ def _solve(cosine: float):
         return Block(CoverTree.of_parts(np.frombuffer(r["x"], float).reshape(len(ids), -1), r["tree"]), ids, np.frombuffer(r["m"], np.int64))
 
     def run(table: pa.Table) -> pa.Table:
-        sides = [load(r) for r in table.to_pylist()]
+        sides = [load(r) for r in table.sort_by("block").to_pylist()]
         a, b, n = block_links(sides[0], sides[-1], cosine)
         return pa.table({"a": pa.array(a), "b": pa.array(b), "links": pa.array(n)})
 
@@ -291,15 +316,15 @@ def _cells(pivots: np.ndarray):
 def links(vectors: DataFrame, cosine: float = 0.9, rows: int = ROWS) -> DataFrame:
     """vec_id, n_links, component_id, kept for each row of (vec_id, embedding)."""
     all_ = store(vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("embedding")).mapInArrow(usable, "vec_id long, unit binary"), "vectors")
-    one = store(all_.where("unit is not null").groupBy("unit").agg(F.min("vec_id").alias("rep"), F.count(F.lit(1)).alias("m")).withColumn("dim", F.octet_length("unit")), "distinct")
+    one = store(all_.where("unit is not null and vec_id is not null").groupBy("unit").agg(F.min("vec_id").alias("head"), F.count(F.lit(1)).alias("m")).withColumn("dim", F.octet_length("unit")).withColumn("rep", F.monotonically_increasing_id()), "distinct")
     # a pivot for about `rows` vectors, 256 at most; which ones is a matter of speed only
     sizes = {r["dim"]: r["n"] for r in one.groupBy("dim").agg(F.count(F.lit(1)).alias("n")).collect()}
     pieces = []
     for dim, n in sizes.items():
         like = one.where(F.col("dim") == dim)
         k = min(256, -(-n // rows))
-        pivots = np.stack([np.frombuffer(r["unit"], float) for r in like.orderBy(F.xxhash64("rep"), "rep").limit(k).collect()])
-        pieces.append(like.mapInArrow(_cells(pivots), "unit binary, rep long, m long, dim int, cell long"))
+        pivots = np.stack([np.frombuffer(r["unit"], float) for r in like.orderBy(F.xxhash64("unit"), "unit").limit(k).collect()])
+        pieces.append(like.select("unit", "rep", "m", "dim").mapInArrow(_cells(pivots), "unit binary, rep long, m long, dim int, cell long"))
     if not pieces:
         return all_.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"), F.lit(True).alias("kept"))
     dealt = pieces[0]
@@ -313,25 +338,40 @@ def links(vectors: DataFrame, cosine: float = 0.9, rows: int = ROWS) -> DataFram
     return _joined(all_, one, packed, cosine)
 
 
+def _near(blocks: np.ndarray, centres: list[np.ndarray], radius: np.ndarray, limit: float):
+    """Pairs of a block with those that follow it and whose vectors may lie near its own."""
+    sizes = np.array([len(c) for c in centres])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for block in batch.column("block").to_numpy():
+                i = int(np.searchsorted(blocks, block))
+                like = np.flatnonzero(sizes[i:] == sizes[i]) + i
+                d = np.linalg.norm(np.stack([centres[k] for k in like]) - centres[i], axis=1)
+                found = like[d <= limit + radius[i] + radius[like] + 1e-6]
+                pair = H.mix(H.mix(blocks[i : i + 1].view(H.U)) + blocks[found].view(H.U))
+                sides = np.concatenate([np.full(len(found), block), blocks[found[found != i]]])
+                yield pa.RecordBatch.from_arrays([H.longs(np.concatenate([pair, pair[found != i]])), pa.array(sides)], names=["pair", "block"])
+
+    return run
+
+
 def _joined(all_: DataFrame, one: DataFrame, packed: DataFrame, cosine: float) -> DataFrame:
     spark = packed.sparkSession
-    heads = packed.select("block", "centre", "radius").collect()  # one row for thousands of vectors
+    heads = packed.select("block", "centre", "radius").orderBy("block").toArrow()  # one row for thousands of vectors
     limit = float(np.sqrt(max(0.0, 2 - 2 * cosine)))
-    pairs = []
-    for i, p in enumerate(heads):
-        u = np.frombuffer(p["centre"], float)
-        for q in heads[i:]:
-            v = np.frombuffer(q["centre"], float)
-            if len(u) == len(v) and np.linalg.norm(u - v) <= limit + p["radius"] + q["radius"] + 1e-6:
-                pairs.append((p["block"], q["block"]))
-    sides = [(k, x) for k, (p, q) in enumerate(pairs) for x in {p, q}]
-    plan = spark.createDataFrame(sides, "pair long, block long")
-    n = max(1, min(len(pairs), 4 * int(spark.conf.get("spark.sql.shuffle.partitions"))))
-    tasks = packed.select("block", "ids", "m", "x", "tree").join(plan, "block").repartition(n, "pair")
+    centres = [np.frombuffer(c.as_py(), float) for c in heads["centre"]]
+    n = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    plan = packed.select("block").repartition(n, "block").mapInArrow(_near(heads["block"].to_numpy(), centres, heads["radius"].to_numpy(), limit), "pair long, block long")
+    tasks = packed.select("block", "ids", "m", "x", "tree").join(plan, "block")
     found = store(tasks.groupBy("pair").applyInArrow(_solve(cosine), "a long, b long, links long"), "found")
     count = found.where("links > 0").groupBy(F.col("a").alias("rep")).agg(F.sum("links").alias("links"))
     groups = components(found.where("links = 0").select("a", "b")).select(F.col("node").alias("rep"), "component")
-    reps = one.join(count, "rep", "left").join(groups, "rep", "left").select("unit", "m", F.coalesce("links", F.lit(0)).alias("links"), F.coalesce("component", "rep").alias("component"))
+    reps = one.join(count, "rep", "left").join(groups, "rep", "left").select("unit", "m", "head", F.coalesce("links", F.lit(0)).alias("links"), F.coalesce("component", "rep").alias("c"))
+    least = reps.groupBy("c").agg(F.min("head").alias("component"))
+    reps = reps.join(least, "c").select("unit", "m", "links", "component")
     rows = all_.join(reps, "unit", "left")
-    n_links = F.coalesce(F.col("links") + F.col("m") - 1, F.lit(0)).cast("long")
-    return rows.select("vec_id", n_links.alias("n_links"), F.coalesce("component", "vec_id").alias("component_id")).withColumn("kept", F.col("vec_id") == F.col("component_id"))
+    there = F.col("vec_id").isNotNull()
+    n_links = F.coalesce(F.when(there, F.col("links") + F.col("m") - 1), F.lit(0)).cast("long")
+    component = F.when(there, F.coalesce("component", "vec_id"))
+    return rows.select("vec_id", n_links.alias("n_links"), component.alias("component_id")).withColumn("kept", F.coalesce(F.col("vec_id") == F.col("component_id"), F.lit(True)))

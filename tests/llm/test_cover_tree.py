@@ -62,6 +62,34 @@ def test_tree_is_nested():
         assert set(above) <= set(below)
 
 
+def test_traversal_from_the_roots_decides_and_prunes():
+    """Clusters of clusters of clusters: node pairs are met on every level, most are left out early, and what is found is exact."""
+    r = np.random.default_rng(5)
+    x = np.zeros((1, 16))
+    for scale in (1.0, 0.3, 0.1, 0.03, 0.01):
+        x = (x[:, None] + r.normal(size=(len(x), 6, 16)) * scale).reshape(-1, 16)
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    a, b = C.CoverTree(x[::2]), C.CoverTree(x[1::2])
+    for left, right in ((a, a), (a, b)):
+        seen, found = [], np.zeros((len(left.x), len(right.x)), bool)
+        for _, i, j, level in C.pairs_of(left, right, 0.9, seen):
+            for p, q in zip(i, j, strict=True):
+                found[left.cuts[level][p] : left.cuts[level][p + 1], right.cuts[level][q] : right.cuts[level][q + 1]] = True
+        if left is right:
+            found |= found.T
+            np.fill_diagonal(found, True)
+        assert (found == (left.x @ right.x.T >= 0.9)).all()
+        met = {k: (sum(m for lv, m, _ in seen if lv == k), sum(o for lv, _, o in seen if lv == k)) for k in range(len(left.cuts))}
+        assert all(met[k][0] for k in range(len(left.cuts) - 2)) and sum(m for m, _ in met.values()) < found.size / 4
+        assert all(0 < met[k][1] < met[k][0] for k in (2, 3, 4))
+
+
+def test_null_and_repeated_ids(spark):
+    rows = [(None, [1.0, 0.0], 1, "u", 2), (None, [1.0, 0.0], 1, "u", 2), (3, [1.0, 0.01], 1, "u", 2), (3, [1.0, 0.0], 1, "u", 2), (4, [0.0, 1.0], 1, "u", 2)]
+    got = sorted(map(tuple, C.links(spark.createDataFrame(rows, SCHEMA)).collect()), key=str)
+    assert got == [(3, 1, 3, True), (3, 1, 3, True), (4, 0, 4, True), (None, 0, None, True), (None, 0, None, True)]
+
+
 def test_nothing_to_link(spark):
     assert C.links(spark.createDataFrame([], SCHEMA)).count() == 0
     assert [tuple(r) for r in C.links(spark.createDataFrame([(1, None, 1, "u", 2)], SCHEMA)).collect()] == [(1, 0, 1, True)]
