@@ -1,17 +1,19 @@
 """Benchmark items in documents: SimHash windows of an item's size, found by multi-index Hamming search.
 
 Texts are lower-cased in A-Z and cut into words; items and windows are multisets of `k`-word shingles. A
-window has as many shingles as the item (the whole document, if that has fewer). Only windows with enough
-of an item's shingles can be as similar as asked, so others aren't fingerprinted. A fingerprint has 64
-bits, each the sign of a sum over shingles weighted by how often they stand. Items are indexed by eight
-blocks of their fingerprints: within a Hamming radius of 23 at least one block differs in two bits at
-most, and lookups of all such block values find every item within the radius. What is found is confirmed
-by the weighted Jaccard similarity of the shingles, sum of minima over sum of maxima of their counts.
+window has as many shingles as the item (the whole document, if that has fewer). A window that holds too few
+shingles of any item at all can't be as similar as asked to one; all others are fingerprinted. A fingerprint has
+64 bits, each the sign of a sum over shingles weighted by how often they stand. The items of a size are indexed by
+eight blocks of their fingerprints: within a Hamming radius of 23 at least one block differs in two bits at
+most, and lookups of all such block values find every item within the radius. These are the candidates; they are
+confirmed by the weighted Jaccard similarity of the shingles, sum of minima over sum of maxima of their counts.
 
 Two multisets at similarity 0.8 differ in a bit with probability 0.15; more than 23 of 64 bits differ for
 about one pair in 96,000. Null and empty texts match nothing, nor do items without words. Items of
-fewer than `k` words are one shingle, compared with every run of as many words. Rows with one id are
-looked at one by one. Extra columns are ignored.
+fewer than `k` words are one shingle, compared with every run of as many words. Repeated rows, rows with one id and
+rows without id are looked at one by one. Extra columns are ignored, whatever their names. Very long texts are
+fingerprinted in parts of BLOCK windows. Items go to the executors in packs of at most PACK bytes; the benchmark
+has to fit the driver.
 """
 
 from __future__ import annotations
@@ -28,6 +30,8 @@ from . import texthash as H
 RADIUS, BLOCKS = 23, 8
 #: Items are sent to the executors in packs of at most so many bytes of text.
 PACK = 4 << 20
+#: Windows that are fingerprinted at once.
+BLOCK = 1 << 15
 _BITS = np.arange(64, dtype=H.U)
 _ONES = np.array([bin(i).count("1") for i in range(256)], np.uint8)
 _RESULT = "doc_id long, item_id long, similarity double, hamming int, first_word int, n_words int, n_windows int"
@@ -52,17 +56,28 @@ class MultiIndex:
 
     def __init__(self, prints: np.ndarray, radius: int = RADIUS):
         self.prints, self.radius = prints, radius
-        flips = radius // BLOCKS
         values = np.arange(256)
-        close = _ONES[values[:, None] ^ values[None, :]] <= flips
+        close = _ONES[values[:, None] ^ values[None, :]] <= radius // BLOCKS
         blocks = prints.reshape(-1, 1).view(np.uint8)
         # for each block and each value it may have: the fingerprints that lie near in this block
-        self.lists = [[np.flatnonzero(close[v][blocks[:, b]]) for v in values] for b in range(BLOCKS)]
-
-    def near(self, fingerprint: H.U) -> np.ndarray:
-        blocks = np.array([fingerprint], H.U).view(np.uint8)
-        found = np.unique(np.concatenate([self.lists[b][blocks[b]] for b in range(BLOCKS)]))
-        return found[hamming(self.prints[found], np.full(len(found), fingerprint, H.U)) <= self.radius]
+        lists = [np.flatnonzero(close[v][blocks[:, b]]) for b in range(BLOCKS) for v in values]
+        self.ends = np.r_[0, np.cumsum([len(x) for x in lists])]
+        self.items = np.concatenate(lists)
+
+    def near(self, asked: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(number of the fingerprint asked for, number of the indexed one) of all pairs within the radius, in order."""
+        n, size = len(asked), len(self.prints)
+        cell = asked.reshape(-1, 1).view(np.uint8).astype(np.int64) + 256 * np.arange(BLOCKS)
+        first, many = self.ends[cell].ravel(), (self.ends[cell + 1] - self.ends[cell]).ravel()
+        found = []
+        for i, j in H.pieces(np.r_[0, np.cumsum(many)], 1 << 20):
+            m = many[i:j]
+            at = np.repeat(first[i:j] - np.cumsum(m) + m, m) + np.arange(m.sum())
+            pair = np.repeat(np.arange(i, j) // BLOCKS, m) * size + self.items[at]
+            pair = np.unique(pair)
+            found.append(pair[hamming(asked[pair // size], self.prints[pair % size]) <= self.radius])
+        pair = np.unique(np.concatenate(found)) if n and found else np.zeros(0, np.int64)
+        return pair // max(size, 1), pair % max(size, 1)
 
 
 def weighted_jaccard(a: np.ndarray, b: np.ndarray) -> tuple[int, int]:
@@ -95,56 +110,60 @@ class Items:
         self.owner = owner[order]
         self.keys, self.first = np.unique(flat[order], return_index=True)
         self.ends = np.r_[self.first[1:], len(flat)]
-        prints = np.array([fingerprint(signs(s).sum(0)) for s in self.sets], H.U)
-        self.by_size = {int(n): (at, MultiIndex(prints[at])) for n in np.unique(self.size) for at in [np.flatnonzero(self.size == n)]}
-        self.prints = prints
+        self.member = owner * len(self.keys) + np.searchsorted(self.keys, flat)  # (item, key), sorted
+        self.prints = np.array([fingerprint(signs(s).sum(0)) for s in self.sets], H.U)
+        self.by_size = {int(n): (at, MultiIndex(self.prints[at])) for n in np.unique(self.size) for at in [np.flatnonzero(self.size == n)]}
 
     def search(self, values: np.ndarray, rows: np.ndarray, n: int) -> list[tuple]:
         """(row, item, similarity, hamming, first shingle, shingles, windows) for runs of shingles of n texts."""
         if not len(self.keys) or not len(values):
             return []
         at = np.minimum(np.searchsorted(self.keys, values), len(self.keys) - 1)
-        hit = np.flatnonzero(self.keys[at] == values)
-        size = (self.ends - self.first)[at[hit]]
-        place = np.repeat(hit, size)
-        item = self.owner[np.repeat(self.first[at[hit]], size) + np.arange(size.sum()) - np.repeat(np.cumsum(size) - size, size)]
+        key = np.where(self.keys[at] == values, at, -1)
         begin, end = np.searchsorted(rows, np.arange(n)), np.searchsorted(rows, np.arange(n), "right")
-        pair = rows[place] * len(self.ids) + item
-        order = np.argsort(pair, kind="stable")
-        pair, place = pair[order], place[order]
-        cut = np.flatnonzero(np.r_[True, pair[1:] != pair[:-1]]) if len(pair) else np.zeros(0, np.int64)
-        many = np.diff(np.r_[cut, len(pair)])
-        text, what = pair[cut] // len(self.ids), pair[cut] % len(self.ids)
-        window = np.minimum(self.size[what], end[text] - begin[text])
-        # 100 * common >= percent * (sizes - common), with common at most the places that hold shingles of the item
-        least = -(-self.percent * (self.size[what] + window) // (100 + self.percent))
-        out = []
-        for c in np.flatnonzero((many >= least) & (least <= window)):
-            found = self._windows(values, place[cut[c] : cut[c] + many[c]], int(begin[text[c]]), int(end[text[c]]), int(what[c]), int(window[c]), int(least[c]))
-            if found:
-                out.append((int(text[c]), self.ids[what[c]], *found))
-        return out
-
-    def _windows(self, values: np.ndarray, places: np.ndarray, begin: int, end: int, item: int, window: int, least: int) -> tuple | None:
-        # windows from a place on with enough places: starts between the last place they may leave out and the first they need
-        starts = set()
-        for i in range(len(places) - least + 1):
-            low, high = places[i + least - 1] - window + 1, places[i]
-            if low <= high:
-                starts.update(range(max(begin, int(low)), min(int(high), end - window) + 1))
-        best, n = None, 0
-        indexes = self.by_size[int(self.size[item])]
-        for s in sorted(starts):
-            part = values[s : s + window]
-            print_ = fingerprint(signs(part).sum(0))
-            if item not in indexes[0][indexes[1].near(print_)]:
-                continue
-            low, high = weighted_jaccard(part, self.sets[item])
-            if 100 * low >= self.percent * high:
-                n += 1
-                here = (low / high, -s, int(hamming(np.array([print_]), self.prints[item : item + 1])[0]))
-                best = max(best, here) if best else here
-        return (best[0], best[2], -best[1] - begin, window, n) if best else None
+        held = np.r_[0, np.cumsum(key >= 0)]
+        best: dict[tuple[int, int], list] = {}
+        for size in self.by_size:
+            window = np.minimum(size, end - begin)
+            # 100 * common >= percent * (sizes - common), with common at most the places that hold shingles of any item
+            least = -(-self.percent * (size + window) // (100 + self.percent))
+            for r in np.flatnonzero((held[end] - held[begin] >= least) & (least <= window)):
+                start = np.arange(begin[r], end[r] - window[r] + 1)
+                start = start[held[start + window[r]] - held[start] >= least[r]]
+                for i in range(0, len(start), BLOCK):
+                    self._windows(values, key, start[i : i + BLOCK], int(window[r]), size, best, int(r), int(begin[r]))
+        return [(r, self.ids[item], b[0], b[2], -b[1], b[3], b[4]) for (r, item), b in sorted(best.items())]
+
+    def _windows(self, values: np.ndarray, key: np.ndarray, start: np.ndarray, window: int, size: int, best: dict, row: int, begin: int) -> None:
+        """Looks the windows at `start` up and keeps the best of those that are similar enough to an item of `size` shingles."""
+        prints = np.empty(len(start), H.U)
+        for i, j in _stretches(start, window):
+            base = int(start[i])
+            sums = np.zeros((int(start[j - 1]) + window - base + 1, 64), np.int32)
+            np.cumsum(signs(values[base : base + len(sums) - 1]), axis=0, out=sums[1:])
+            prints[i:j] = fingerprint(sums[start[i:j] + window - base] - sums[start[i:j] - base])
+        items, index = self.by_size[size]
+        asked, found = index.near(prints)
+        item = items[found]
+        for i in range(0, len(asked), max(1, (1 << 20) // window)):
+            a, b = asked[i : i + max(1, (1 << 20) // window)], item[i : i + max(1, (1 << 20) // window)]
+            keys = key[start[a][:, None] + np.arange(window)]
+            pair = np.where(keys >= 0, b[:, None] * len(self.keys) + keys, -1)
+            place = np.minimum(np.searchsorted(self.member, pair), len(self.member) - 1)
+            common = (self.member[place] == pair).sum(1)  # at least as many as the sum of minima
+            for x in np.flatnonzero(100 * common >= self.percent * (size + window - common)):
+                s, what = int(start[a[x]]), int(b[x])
+                low, high = weighted_jaccard(values[s : s + window], self.sets[what])
+                if 100 * low >= self.percent * high:
+                    here = [low / high, begin - s, int(hamming(prints[a[x] : a[x] + 1], self.prints[what : what + 1])[0]), window]
+                    there = best.get((row, what))
+                    best[row, what] = [*(max(there[:4], here) if there else here), there[4] + 1 if there else 1]
+
+
+def _stretches(start: np.ndarray, window: int) -> Iterator[tuple[int, int]]:
+    """Runs of starts that lie close enough to share sums."""
+    cut = np.flatnonzero(np.diff(start) > window) + 1
+    return zip(np.r_[0, cut].tolist(), np.r_[cut, len(start)].tolist(), strict=True)
 
 
 def run_hashes(data: np.ndarray, lo: np.ndarray, hi: np.ndarray, row: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
@@ -159,17 +178,23 @@ def run_hashes(data: np.ndarray, lo: np.ndarray, hi: np.ndarray, row: np.ndarray
     return row[: len(word) - k + 1][whole], run[whole]
 
 
+def _found(packs: list[Items], column: pa.Array) -> Iterator[tuple]:
+    """(row, item, similarity, hamming, first word, words, windows) for each text and item that match."""
+    data, bounds = H.text_buffer(column)
+    for i, j in H.pieces(bounds):
+        part = H.LOWER[data[bounds[i] : bounds[j]]]
+        lo, hi, row = H.words(part, bounds[i : j + 1] - bounds[i])
+        for items in packs:
+            rows, values = run_hashes(part, lo, hi, row, items.width)
+            for r, item, s, h, f, w, n in items.search(values, rows, j - i):
+                yield i + r, item, s, h, f, w + items.width - 1, n
+
+
 def _search(packs: list[Items]):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            data, bounds = H.text_buffer(batch.column("text"))
-            ids, out = batch.column("doc_id"), []
-            for i, j in H.pieces(bounds):
-                part = H.LOWER[data[bounds[i] : bounds[j]]]
-                lo, hi, row = H.words(part, bounds[i : j + 1] - bounds[i])
-                for items in packs:
-                    rows, values = run_hashes(part, lo, hi, row, items.width)
-                    out += [(ids[i + r].as_py(), item, s, h, f, w + items.width - 1, n) for r, item, s, h, f, w, n in items.search(values, rows, j - i)]
+            ids = batch.column("doc_id")
+            out = [(ids[r].as_py(), *found) for r, *found in _found(packs, batch.column("text"))]
             types = (pa.int64(), pa.int64(), pa.float64(), pa.int32(), pa.int32(), pa.int32(), pa.int32())
             cols = list(zip(*out, strict=True)) or [[]] * 7
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types, strict=True)], names=["doc_id", "item_id", "similarity", "hamming", "first_word", "n_words", "n_windows"])
@@ -177,23 +202,39 @@ def _search(packs: list[Items]):
     return run
 
 
-def matches(docs: DataFrame, benchmark: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
-    """A row for each document and item that match: the most similar window and how many windows match."""
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+def _clean(packs: list[Items], place: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keep = np.ones(batch.num_rows, bool)
+            keep[[r for r, *_ in _found(packs, batch.column(place))]] = False
+            yield batch.filter(pa.array(keep))
+
+    return run
+
+
+def _packs(benchmark: DataFrame, k: int, percent: int) -> Iterator[list[Items]]:
     items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("text")).where("text is not null")
     size = int(items.agg(F.sum(F.octet_length("text"))).first()[0] or 0)
     packs = max(1, -(-size // PACK))
-    found = None
     for p in range(packs):  # one pass for each pack, however large the benchmark is
         rows = items.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(packs)) == p).collect()
         ids, bodies = [r["item_id"] for r in rows], [r["text"] for r in rows]
-        widths = [x for x in (Items(ids, bodies, k, w, percent) for w in range(1, k + 1)) if x.ids]
-        here = texts.mapInArrow(_search(widths), _RESULT)
+        yield [x for x in (Items(ids, bodies, k, w, percent) for w in range(1, k + 1)) if x.ids]
+
+
+def matches(docs: DataFrame, benchmark: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
+    """A row for each document and item that match: the most similar window and how many windows match."""
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    found = None
+    for pack in _packs(benchmark, k, percent):
+        here = texts.mapInArrow(_search(pack), _RESULT)
         found = here if found is None else found.unionByName(here)
     return found
 
 
 def without_matches(docs: DataFrame, benchmark: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
-    """`docs` without the documents that match an item; rows without id stay."""
-    bad = matches(docs, benchmark, k, percent).select(F.col("doc_id").alias("_bad")).distinct()
-    return docs.join(bad, docs["doc_id"].cast("long") == F.col("_bad"), "left_anti")
+    """`docs` without the rows whose text matches an item; each is looked at where it stands, nothing is joined."""
+    out = docs
+    for pack in _packs(benchmark, k, percent):
+        out = out.mapInArrow(_clean(pack, docs.columns.index("text")), docs.schema)
+    return out

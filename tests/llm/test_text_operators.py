@@ -5,7 +5,7 @@ import numpy as np
 import pytest
 
 from bedvoids.llm import decontaminate as D
-from bedvoids.llm import html_text, language, lm_score, toxicity
+from bedvoids.llm import html_text, language, toxicity
 from bedvoids.llm.store import table
 
 DOCS = "doc_id long, text string, lang string, source string, label string, held_out int, score string"
@@ -67,12 +67,27 @@ def test_every_fingerprint_in_the_radius_is_found():
     r = np.random.default_rng(1)
     prints = r.integers(0, 1 << 63, 300, dtype=np.uint64)
     index = D.MultiIndex(prints)
-    for _ in range(50):
-        q = prints[r.integers(300)]
+    asked = prints[r.integers(300, size=50)]
+    for i in range(50):
         for bit in r.choice(64, r.integers(0, 30), replace=False):
-            q ^= np.uint64(1) << np.uint64(bit)
-        want = np.flatnonzero(D.hamming(prints, np.full(300, q, np.uint64)) <= D.RADIUS)
-        assert index.near(q).tolist() == want.tolist()
+            asked[i] ^= np.uint64(1) << np.uint64(bit)
+    want = [(i, int(j)) for i, q in enumerate(asked) for j in np.flatnonzero(D.hamming(prints, np.full(300, q, np.uint64)) <= D.RADIUS)]
+    assert list(zip(*(x.tolist() for x in index.near(asked)), strict=True)) == want
+
+
+def test_candidates_come_from_the_index(spark, monkeypatch):
+    """With a radius below 0 the index finds nothing, so nothing is confirmed."""
+    df, items = docs(spark, [(1, "a b c d e f g h", "en")]), spark.createDataFrame([(1, "a b c d e f g h")], "item_id long, text string")
+    assert [m.hamming for m in D.matches(df, items).collect()] == [0]
+    monkeypatch.setattr(D.MultiIndex.__init__, "__defaults__", (-1,))
+    assert D.matches(df, items).count() == 0
+
+
+def test_rows_are_looked_at_one_by_one(spark):
+    rows = [(7, "a b c d e f g h"), (7, "other words stand here and there"), (None, "a b c d e f g h x"), (None, None)]
+    df = spark.createDataFrame([(*x, 1, 2) for x in rows], "doc_id long, text string, _bad int, item_id int")
+    left = D.without_matches(df, spark.createDataFrame([(1, "a b c d e f g h")], "item_id long, text string"))
+    assert left.columns == df.columns and {x.text for x in left.collect()} == {rows[1][1], None}
 
 
 def test_nothing_to_decontaminate(spark):
@@ -124,54 +139,6 @@ def test_toxicity_edges(spark):
     assert toxicity.scores(docs(spark, []), labels).count() == 0
 
 
-# language models
-def brute_losses(texts):
-    """Witten-Bell, context by context, from counts of strings of symbols."""
-    from collections import Counter, defaultdict
-
-    n = lm_score.ORDER
-    follow = [defaultdict(Counter) for _ in range(n)]
-    for t in texts:
-        s = [27] * (n - 1) + [int(lm_score.SYMBOL[b]) for b in (t or "").encode()]
-        for i in range(n - 1, len(s)):
-            for k in range(n):
-                follow[k][tuple(s[i - k : i])][s[i]] += 1
-
-    def p(context, c):
-        if context is None:
-            return 1 / lm_score.SYMBOLS
-        lower = p(context[1:] if context else None, c)
-        seen = follow[len(context)].get(tuple(context))
-        return (seen[c] + len(seen) * lower) / (sum(seen.values()) + len(seen)) if seen else lower
-
-    def bits(t):
-        s = [27] * (n - 1) + [int(lm_score.SYMBOL[b]) for b in (t or "").encode()]
-        return np.mean([-np.log2(p(s[i - n + 1 : i], s[i])) for i in range(n - 1, len(s))])
-
-    return bits
-
-
-def test_scores_against_brute_force(spark):
-    rows = [(0, "abcabd abc", "en"), (1, "Hello, world. 42", "en"), (2, "ééé über", "de"), (3, "abd", "en"), (4, None, "en"), (5, "", "en")]
-    df = docs(spark, rows).repartition(3)
-    got = {r.doc_id: r for r in lm_score.scores(df, df.where("doc_id in (0, 2)")).collect()}
-    target, background = brute_losses([rows[0][1], rows[2][1]]), brute_losses([r[1] for r in rows])
-    for i, t, _ in rows[:4]:
-        assert got[i].target_bits == pytest.approx(target(t), rel=1e-4)
-        assert got[i].background_bits == pytest.approx(background(t), rel=1e-4)
-        assert got[i].score == pytest.approx(target(t) - background(t), abs=1e-3)
-    assert got[4].score is None and got[5].n_tokens == 0
-    assert {r.score for r in lm_score.scores(df, df.where("doc_id = 77")).where("n_tokens > 0").collect()} == {0.0}
-    assert lm_score.scores(docs(spark, []), df).count() == 0
-
-
-def test_target_language_scores_lower(spark):
-    d = table(spark, "/root/testdata/sf0.01", "documents")
-    got = lm_score.scores(d, d.where("lang = 'fr' and doc_id % 2 = 0")).join(d.select("doc_id", "lang"), "doc_id").where("doc_id % 2 = 1 and n_tokens > 200").collect()
-    fr, other = [r.score for r in got if r.lang == "fr"], [r.score for r in got if r.lang != "fr"]
-    assert np.median(fr) < -0.1 < np.median(other)
-
-
 # pages
 def test_articles_of_given_pages(spark):
     import html as h
