@@ -2,10 +2,12 @@
 
 Every string of `window` bytes is covered by one block: its least hash of `gram` bytes, and all starts
 in a row with that same least hash. Equal strings have the same least hash, so copies can only be found
-among blocks of one key. A block that stands more than once is a copy as a whole; where blocks of a key
-differ (a passage begins or ends in them), the suffixes in the different ones are sorted too: prefix hashes and
-binary search give the common extension of two suffixes in a logarithmic number of steps, a mergesort orders
-them, and neighbours that agree on `window` bytes are compared byte by byte.
+among blocks of one key. A block that stands more than once is a copy as a whole, which a keyed cryptographic
+digest of its bytes verifies; where blocks of a key differ (a passage begins or ends in them), the suffixes in the
+different ones are sorted too: prefix hashes and binary search give the common extension of two suffixes in a
+logarithmic number of steps, a mergesort orders them, and neighbours that agree on `window` bytes are compared byte
+by byte. Where too many blocks of a key differ for one task, their windows are grouped over the cluster by prefix
+hash and verified by the same digest; what is found is the same.
 
 Null and empty texts, and texts shorter than `window`, have no repeats. Repeated rows count as documents
 of their own. Extra columns are ignored, whatever their names.
@@ -25,14 +27,25 @@ from . import texthash as H
 from .store import store
 
 WINDOW, GRAM = 200, 64
-#: Keys with more differing blocks than this are resolved by an aggregation of window hashes instead of a sort in one task.
+#: Keys with more differing blocks than this are resolved over the cluster instead of by a sort in one task.
 WIDE_KEY = 2000
 
-_BLOCKS = "h long, b long, doc_id long, mark int, lo int, n int, again boolean"
+_BLOCKS = "h long, b long, doc_id long, mark long, lo int, n int, again boolean"
 _CONTEXTS = "h long, b long, bytes binary"
 _RANGES = "h long, b long, s int, e int"
 
 
+def verifiers(data: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> np.ndarray:
+    """64 bits of a keyed BLAKE2 digest of each data[lo:hi]: what agrees in them and in a prefix hash is taken as equal bytes."""
+    view, digest = memoryview(np.ascontiguousarray(data)), hashlib.blake2b(key=b"whole bytes", digest_size=8)
+    out = bytearray()
+    for i, j in zip(lo.tolist(), hi.tolist(), strict=True):
+        d = digest.copy()
+        d.update(view[i:j])
+        out += d.digest()
+    return np.frombuffer(out, H.U)
+
+
 def _least(h: np.ndarray, width: int) -> np.ndarray:
     """Minimum of each run of `width` values."""
     out, have = h, 1
@@ -43,7 +56,7 @@ def _least(h: np.ndarray, width: int) -> np.ndarray:
 
 
 def blocks_of(data: np.ndarray, bounds: np.ndarray, window: int, gram: int) -> tuple[np.ndarray, ...]:
-    """row, first start, number of starts, key, hash of the whole block, and whether the key's hash stands in it more than once."""
+    """row, first start, number of starts, key, digest of the whole block, and whether the key's hash stands in it more than once."""
     width = window - gram + 1
     if len(data) < window:
         return tuple(np.zeros(0, t) for t in (np.int64, np.int64, np.int64, H.U, H.U, bool))
@@ -66,7 +79,7 @@ def blocks_of(data: np.ndarray, bounds: np.ndarray, window: int, gram: int) -> t
         left = (runs[lo[i : i + 8192]] == k).argmax(1) + lo[i : i + 8192]
         right = hi[i : i + 8192] - 1 + width - 1 - (runs[hi[i : i + 8192] - 1][:, ::-1] == k).argmax(1)
         again[i : i + 8192] = left != right
-    whole = H.span(H.prefix(data, H.VALUES_2), lo, hi + window - 1)
+    whole = verifiers(data, lo, hi + window - 1)
     return row[lo], lo - bounds[row[lo]], hi - lo, key, whole, again
 
 
@@ -258,7 +271,7 @@ def _emit_windows(window: int):
                 row = np.repeat(np.arange(j - i), np.diff(cut))
                 at = np.arange(max(0, len(part) - window + 1))
                 at = at[at + window <= cut[row[: len(at)] + 1]]
-                x, y = (H.span(H.prefix(part, v), at, at + window) for v in (H.VALUES, H.VALUES_2))
+                x, y = H.span(H.prefix(part), at, at + window), verifiers(part, at, at + window)
                 take = pa.array(row[at] + i)
                 yield pa.RecordBatch.from_arrays([H.longs(x), H.longs(y), batch.column("h").take(take), batch.column("b").take(take), pa.array((at - cut[row[at]]).astype(np.int32))], names=["x", "y", "h", "b", "s"])
 
@@ -267,17 +280,18 @@ def _emit_windows(window: int):
 
 def keyed(docs: DataFrame) -> DataFrame:
     """Rows as the operator sees them: `mark` tells texts with the same id apart."""
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.hash("text").alias("mark"), F.col("text"))
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("mark"), F.col("text"))
 
 
 def repeats(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, wide_key: int = WIDE_KEY) -> DataFrame:
     """doc_id, mark, spans: an array of byte ranges (s, e) of each text that repeat elsewhere; ranges may overlap."""
     texts = keyed(docs)
-    blocks = texts.where(F.octet_length("text") >= window).mapInArrow(_emit_blocks(window, gram), _BLOCKS)
+    blocks = store(texts.where(F.octet_length("text") >= window).mapInArrow(_emit_blocks(window, gram), _BLOCKS), "all-blocks")
     keys = blocks.groupBy("h").agg(F.count(F.lit(1)).alias("c"), F.min("b").alias("b0"), F.max("b").alias("b1"), F.max("again").alias("a")).where("c > 1 or a")
     # one block alone is mixed if its key's hash stands in it twice; blocks that are all alike never are
     keys = keys.select("h", ((F.col("c") == 1) | (F.col("b0") != F.col("b1"))).alias("mixed"))
-    found = store(blocks.drop("again").join(keys, "h"), "blocks")
+    # kept apart, so that a key with very many blocks is dealt to several tasks
+    found = store(blocks.drop("again").join(store(keys, "keys"), "h"), "blocks")
 
     one = found.where("mixed").groupBy("h", "b").agg(F.min(F.struct("doc_id", "mark", "lo", "n")).alias("at"), (F.count(F.lit(1)) > 1).alias("twice"))
     per_key = one.groupBy("h").agg(F.count(F.lit(1)).alias("k"))
@@ -373,10 +387,11 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, with
 
 def without_repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     """`docs` with repeated passages taken out of `text`; all columns and rows stay."""
-    spans = repeats(docs, window).select(F.col("doc_id").alias("_d"), F.col("mark").alias("_m"), "spans")
-    rows = docs.withColumn("_row_mark", F.hash("text"))
-    hit = rows.join(spans, rows["doc_id"].cast("long").eqNullSafe(F.col("_d")) & (rows["_row_mark"] == F.col("_m")), "left")
-    return hit.withColumn("text", F.udf(_cut, "string", useArrow=True)("text", "spans")).select(*docs.columns)
+    spans = repeats(docs, window)
+    rows = docs.select(F.struct("*").alias("row"), F.col("doc_id").cast("long").alias("d"), F.xxhash64("text").alias("m"))
+    hit = rows.join(spans, F.col("d").eqNullSafe(F.col("doc_id")) & (F.col("m") == F.col("mark")), "left")
+    text = F.udf(_cut, "string", useArrow=True)("row.text", "spans")
+    return hit.select(*[text.alias(c) if c == "text" else F.col("row").getField(c).alias(c) for c in docs.columns])
 
 
 def _cut(text: str | None, spans: list | None) -> str | None:

@@ -54,9 +54,9 @@ def test_against_all_substrings(spark, seed, wide, monkeypatch):
 
 def test_text_stays_text(spark):
     rows = [(1, "é" * 300 + "tail one"), (2, "head" + "é" * 300), (3, None)]
-    df = spark.createDataFrame([(*x, "k", 7) for x in rows], SCHEMA + ", h string, b int")
+    df = spark.createDataFrame([(*x, "k", 7, "s", 1, 2) for x in rows], SCHEMA + ", h string, b int, spans string, _row_mark int, mark int")
     out = S.without_repeats(df)
-    assert out.columns == ["doc_id", "text", "h", "b"]
+    assert out.columns == df.columns and [tuple(r)[2:] for r in out.collect()] == [("k", 7, "s", 1, 2)] * 3
     assert sorted((x.doc_id, x.text) for x in out.collect()) == [(1, "tail one"), (2, "head"), (3, None)]
 
 
