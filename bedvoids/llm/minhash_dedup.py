@@ -5,14 +5,16 @@ for the bin's minimum. Empty bins take the value of a filled one, picked by a ha
 and the attempt (optimal densification), so sparse documents agree in a bin as often as their similarity
 says. Bins are read in bands; documents that agree in a band share a bucket.
 
-Documents with the same shingle set are first reduced to the one with the smallest id. In each bucket
-every member is compared only with the bucket's smallest member (a star), on full shingle sets. Links
+Documents with the same shingle set are first reduced to one, which is a node. In each bucket every member is
+compared only with the bucket's smallest node (a star), on full shingle sets. Links
 that no star shows can only matter where a bucket still holds members of different groups: there stars
 around other members follow, and in the end all pairs across groups that haven't been compared, but for those
-that a bound on their common shingles rules out, so no link between groups is lost to the stars.
+that a bound on their common shingles rules out, so no link between groups is lost to the stars. Stars and
+large buckets are dealt to several tasks, and a task holds one hub's set at a time.
 
-Null and empty texts have no shingles: they link with nothing. Texts of fewer than `k` words have one
-shingle of all of them. Rows with the same id are grouped like others. Extra columns are ignored.
+Null and empty texts have no shingles: they link with nothing, and neither do rows without id. Texts of fewer
+than `k` words have one shingle of all of them. Groups are of texts: rows that share an id are in one group only if
+their texts are linked. Extra columns are ignored, whatever their names.
 """
 
 from __future__ import annotations
@@ -21,7 +23,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import texthash as H
@@ -33,6 +35,8 @@ BANDS, ROWS = 48, 7
 TURNS = 1
 #: Shingles are counted in so many parts to bound how many two documents can have in common.
 PARTS = 64
+#: A star is dealt to so many tasks; a bucket to one for so many members.
+SALT, SHARE = 16, 256
 
 
 def densified(sign: np.ndarray) -> np.ndarray:
@@ -80,7 +84,7 @@ def _emit_signatures(k: int, bands: int, width: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             data, bounds = H.text_buffer(batch.column("text"))
-            ids = batch.column("doc_id")
+            ids, marks = batch.column("doc_id"), batch.column("mark")
             for i, j in H.pieces(bounds):
                 m = j - i
                 rows, values = H.distinct(*H.shingles(data[bounds[i] : bounds[j]], bounds[i : j + 1] - bounds[i], k))
@@ -100,16 +104,21 @@ def _emit_signatures(k: int, bands: int, width: int):
                             key = H.mix(key * H.U(0x100000001B3) + sign[:, :, c])
                         keys[there] = key
                 lists = pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum(np.where(count > 0, bands, 0))].astype(np.int32)), H.longs(keys[count > 0].reshape(-1)))
-                yield pa.RecordBatch.from_arrays([ids.slice(i, m), pa.array(count.astype(np.int64)), H.longs(x), H.longs(y), lists], names=["doc_id", "n", "x", "y", "bands"])
+                yield pa.RecordBatch.from_arrays([ids.slice(i, m), marks.slice(i, m), pa.array(count.astype(np.int64)), H.longs(x), H.longs(y), lists], names=["doc_id", "mark", "n", "x", "y", "bands"])
 
     return run
 
 
 def _emit_sets(k: int):
-    """Shingle sets, sorted, of the texts whose set has the given hash."""
+    """Shingle sets, sorted, of the texts whose set has the given hash; rows of one node stand together and count once."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        last = None
         for batch in batches:
+            rep = batch.column("rep").to_numpy()
+            new = np.r_[rep[:1] != last if last is not None else np.ones(len(rep[:1]), bool), rep[1:] != rep[:-1]]
+            last = rep[-1] if len(rep) else last
+            batch = batch.filter(pa.array(new))
             data, bounds = H.text_buffer(batch.column("text"))
             ids, want = batch.column("rep"), batch.column("x").to_numpy().view(H.U)
             for i, j in H.pieces(bounds):
@@ -131,29 +140,34 @@ def _emit_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _links(percent: int):
-    """Of pairs with both shingle sets: those with 100 * intersection >= percent * union."""
+    """A hub's set (side 0), then its partners' sets: those with 100 * intersection >= percent * union."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        hub = None
         for batch in batches:
-            keep = []
-            for i, (a, b) in enumerate(zip(batch.column("words_a"), batch.column("words_b"), strict=True)):
-                p, q = (np.frombuffer(v.as_buffer(), H.U) for v in (a, b))
-                both = np.concatenate([p, q])
+            out = []
+            for a, side, b, words in zip(*(batch.column(c).to_pylist() for c in ("a", "side", "b")), batch.column("words"), strict=True):
+                values = np.frombuffer(words.as_buffer(), H.U)
+                if side == 0:
+                    hub = values.copy()
+                    continue
+                both = np.concatenate([hub, values])
                 both.sort()
                 common = int((both[1:] == both[:-1]).sum())
                 if 100 * common >= percent * (len(both) - common):
-                    keep.append(i)
-            at = pa.array(keep, pa.int64())
-            yield pa.RecordBatch.from_arrays([batch.column("a").take(at), batch.column("b").take(at)], names=["a", "b"])
+                    out.append((a, b))
+            p, q = zip(*out, strict=True) if out else ((), ())
+            yield pa.RecordBatch.from_arrays([pa.array(p, pa.int64()), pa.array(q, pa.int64())], names=["a", "b"])
 
     return run
 
 
-def groups(docs: DataFrame, k: int = 5, percent: int = 80, bands: int = BANDS, width: int = ROWS) -> DataFrame:
-    """doc_id, n_shingles, component_id, kept for each row of `docs`."""
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    signs = store(texts.mapInArrow(_emit_signatures(k, bands, width), "doc_id long, n long, x long, y long, bands array<long>"), "signatures")
-    reps = store(signs.where("n > 0").groupBy("x", "y", "n").agg(F.min("doc_id").alias("rep"), F.any_value("bands").alias("bands")), "sets")
+def _grouped(docs: DataFrame, k: int, percent: int, bands: int, width: int) -> tuple[DataFrame, DataFrame]:
+    """Rows (doc_id, mark, n, x, y), and sets (x, y, n, head, least): the smallest (doc_id, mark) of a set and of its group."""
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("mark"), "text")
+    signs = store(texts.mapInArrow(_emit_signatures(k, bands, width), "doc_id long, mark long, n long, x long, y long, bands array<long>"), "signatures")
+    reps = signs.where("n > 0 and doc_id is not null").groupBy("x", "y", "n").agg(F.min(F.struct("doc_id", "mark")).alias("head"), F.any_value("bands").alias("bands"))
+    reps = store(reps.withColumn("rep", F.monotonically_increasing_id()), "sets")
 
     entries = reps.select("rep", "n", F.explode("bands").alias("key"))
     buckets = entries.groupBy("key").agg(F.count(F.lit(1)).alias("m"), F.min("rep").alias("hub")).where("m > 1").select("key", "hub")
@@ -163,12 +177,17 @@ def groups(docs: DataFrame, k: int = 5, percent: int = 80, bands: int = BANDS, w
     star = members.where("rep <> hub").groupBy("hub", "rep").agg(F.min("n").alias("n")).join(sizes, "hub").where(fits(F.col("n"), F.col("hub_n")))
     star = store(star.select(F.col("hub").alias("a"), F.col("rep").alias("b")), "star")
 
-    asked = members.select("rep").distinct().join(reps.select("rep", "x"), "rep")
-    sets = store(texts.join(asked, F.col("doc_id") == F.col("rep")).select("rep", "x", "text").mapInArrow(_emit_sets(k), "rep long, words binary"), "words")
+    asked = members.select("rep").distinct().join(reps.select("rep", "x", "head"), "rep")
+    there = texts.join(asked, (F.col("doc_id") == F.col("head.doc_id")) & (texts["mark"] == F.col("head.mark")))
+    sets = store(there.select("rep", "x", "text").mapInArrow(_emit_sets(k), "rep long, words binary"), "words")
+    tasks = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
     def confirmed(pairs: DataFrame) -> DataFrame:
-        side = lambda s: sets.select(F.col("rep").alias(s), F.col("words").alias(f"words_{s}"))
-        return pairs.join(side("b"), "b").join(side("a"), "a").mapInArrow(_links(percent), "a long, b long")
+        salt = F.pmod(F.xxhash64("b"), F.lit(SALT)).cast("int").alias("salt")
+        hubs = pairs.select("a", salt).distinct().join(sets.withColumnRenamed("rep", "a"), "a").select("a", "salt", F.lit(0).alias("side"), F.col("a").alias("b"), "words")
+        partners = pairs.join(sets.withColumnRenamed("rep", "b"), "b").select("a", salt, F.lit(1).alias("side"), "b", "words")
+        dealt = hubs.unionByName(partners).repartition(tasks, "a", "salt").sortWithinPartitions("a", "salt", "side")
+        return dealt.select("a", "side", "b", "words").mapInArrow(_links(percent), "a long, b long")
 
     links, tested = store(confirmed(star), "links"), star
     final = components(links).select(F.col("node").alias("rep"), "component")
@@ -176,7 +195,7 @@ def groups(docs: DataFrame, k: int = 5, percent: int = 80, bands: int = BANDS, w
         # buckets that still hold several groups: only pairs across groups matter, and of them only new ones
         named = members.join(final, "rep", "left").select("key", "rep", "n", F.coalesce("component", "rep").alias("g"))
         hub = F.min_by(F.struct("rep", "n", "g"), F.xxhash64("rep", "key", F.lit(turn))).alias("hub")
-        open_ = named.groupBy("key").agg(F.min("g").alias("g0"), F.max("g").alias("g1"), hub).where("g0 <> g1").select("key", "hub")
+        open_ = named.groupBy("key").agg(F.min("g").alias("g0"), F.max("g").alias("g1"), F.count(F.lit(1)).alias("m"), hub).where("g0 <> g1").select("key", "hub", "m")
         rest = store(named.join(open_, "key"), "open")
         if turn < TURNS:  # stars around other members, drawn anew for each bucket
             pairs = rest.select(F.col("hub.rep").alias("p"), F.col("rep").alias("q"), F.col("hub.n").alias("n_p"), F.col("n").alias("n_q"), F.col("hub.g").alias("g_p"), F.col("g").alias("g_q")).where("g_p <> g_q")
@@ -184,13 +203,16 @@ def groups(docs: DataFrame, k: int = 5, percent: int = 80, bands: int = BANDS, w
             words = sets.join(rest.select("rep").distinct(), "rep").mapInArrow(_emit_words, "rep long, word long")
             shared = words.groupBy("word").agg(F.count(F.lit(1)).alias("m")).where("m > 1").select("word")
             each = words.join(shared, "word").groupBy("rep", F.pmod("word", F.lit(PARTS)).cast("int").alias("part")).agg(F.count(F.lit(1)).cast("int").alias("c"))
-            parts = each.groupBy("rep").agg(F.map_from_entries(F.collect_list(F.struct("part", "c"))).alias("m"))
-            parts = parts.select("rep", F.transform(F.sequence(F.lit(0), F.lit(PARTS - 1)), lambda i: F.coalesce(F.try_element_at("m", i), F.lit(0))).alias("c"))
-            rest = rest.join(parts, "rep")  # without shared shingles there is no partner
-            left, right = (rest.select("key", *[F.col(c).alias(f"{c}_{t}") for c in ("rep", "n", "g", "c")]) for t in "pq")
+            parts = each.groupBy("rep").agg(F.map_from_entries(F.collect_list(F.struct("part", "c"))).alias("counts"))
+            parts = parts.select("rep", F.transform(F.sequence(F.lit(0), F.lit(PARTS - 1)), lambda i: F.coalesce(F.try_element_at("counts", i), F.lit(0))).alias("c"))
+            # without shared shingles there is no partner; a bucket of many members is dealt out by its left side
+            rest = rest.join(parts, "rep").withColumn("shares", F.ceil(F.col("m") / SHARE).cast("int"))
+            left, right = (rest.select("key", "shares", *[F.col(c).alias(f"{c}_{t}") for c in ("rep", "n", "g", "c")]) for t in "pq")
+            left = left.withColumn("share", F.pmod(F.xxhash64("rep_p"), F.col("shares")).cast("int")).drop("shares")
+            right = right.withColumn("share", F.explode(F.sequence(F.lit(0), F.col("shares") - 1))).drop("shares")
             common = F.aggregate(F.zip_with("c_p", "c_q", lambda x, y: F.least(x, y)), F.lit(0), lambda x, y: x + y)
             enough = common * (100 + percent) >= (F.col("n_p") + F.col("n_q")) * percent
-            pairs = left.join(right, "key").where("g_p <> g_q and rep_p < rep_q").where(enough).select(F.col("rep_p").alias("p"), F.col("rep_q").alias("q"), "n_p", "n_q")
+            pairs = left.join(right, ["key", "share"]).where("g_p <> g_q and rep_p < rep_q").where(enough).select(F.col("rep_p").alias("p"), F.col("rep_q").alias("q"), "n_p", "n_q")
         pairs = pairs.where(fits(F.col("n_p"), F.col("n_q"))).select(F.least("p", "q").alias("a"), F.greatest("p", "q").alias("b")).distinct()
         pairs = store(pairs.join(tested, ["a", "b"], "left_anti"), "pairs")
         if pairs.isEmpty():
@@ -207,16 +229,27 @@ def groups(docs: DataFrame, k: int = 5, percent: int = 80, bands: int = BANDS, w
             new = joined.join(final, F.col("node") == F.col("rep"), "left_anti").select(F.col("node").alias("rep"), F.col("to").alias("component"))
             final = store(known.unionByName(new), "groups")
 
-    found = reps.select("x", "y", "n", "rep").join(final, "rep", "left").select("x", "y", "n", F.coalesce("component", "rep").alias("component"))
-    rows = signs.select("doc_id", "n", "x", "y").join(found, ["x", "y", "n"], "left")
-    component = F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.col("component"))
-    return rows.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id")).withColumn("kept", F.col("doc_id") == F.col("component_id"))
+    named = reps.select("x", "y", "n", "rep", "head").join(final, "rep", "left").select("x", "y", "n", "head", F.coalesce("component", "rep").alias("component"))
+    least = named.groupBy("component").agg(F.min("head").alias("least"))
+    return signs.select("doc_id", "mark", "n", "x", "y"), named.join(least, "component").select("x", "y", "n", "head", "least")
+
+
+def groups(docs: DataFrame, k: int = 5, percent: int = 80, bands: int = BANDS, width: int = ROWS) -> DataFrame:
+    """doc_id, n_shingles, component_id, kept for each row of `docs`; rows without id have no component and are kept."""
+    signs, sets = _grouped(docs, k, percent, bands, width)
+    rows = signs.join(sets, ["x", "y", "n"], "left")
+    component = F.when(F.col("doc_id").isNotNull(), F.coalesce("least.doc_id", "doc_id"))
+    return rows.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id")).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
 
 
 def one_of_each(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     """`docs` with one document of each group of near-duplicates; repeated rows count once, rows without id stay."""
-    kept = groups(docs, k, percent).where("kept").select(F.col("doc_id").alias("_kept")).distinct()
-    there = docs.join(kept, docs["doc_id"].cast("long") == F.col("_kept")).select(*docs.columns)
-    same = Window.partitionBy("doc_id", F.xxhash64("text")).orderBy(F.lit(0))
-    once = there.withColumn("_row", F.row_number().over(same)).where("_row = 1").select(*docs.columns)
-    return once.unionByName(docs.where("doc_id is null"))
+    signs, sets = _grouped(docs, k, percent, BANDS, ROWS)
+    signs = signs.where("doc_id is not null")
+    winners = sets.where("head = least").select("head.doc_id", "head.mark").unionByName(signs.where("n = 0").select("doc_id", "mark").distinct())
+    times = signs.groupBy("doc_id", "mark").agg(F.count(F.lit(1)).alias("m")).where("m > 1")
+    winners = winners.join(times, ["doc_id", "mark"], "left").select("doc_id", "mark", F.col("m").isNotNull().alias("again"))
+    rows = docs.select(F.struct("*").alias("row"), F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("mark"))
+    there = rows.join(winners, ["doc_id", "mark"])
+    once = there.where("again").groupBy("doc_id", "mark").agg(F.any_value("row").alias("row"))
+    return there.where("not again").select("row").unionByName(once.select("row")).unionByName(rows.where("doc_id is null").select("row")).select("row.*")
