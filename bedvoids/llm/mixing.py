@@ -8,13 +8,16 @@ Documents stand in order of size, so neighbours stand for each other and the wor
 about one document of the target.
 
 Null texts have size 0 and take 0 words; documents without a source form the last source. Rows with the
-same id are documents of their own. The random offset is a hash of the source and the seed: reruns agree.
+same id are documents of their own; rows alike in every column stand for each other, so they are kept once and
+emitted as often as all of them together. The random offset is a hash of the source and the seed: reruns agree.
+Extra columns are ignored, whatever their names.
 """
 
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import DataType, MapType, VariantType
 
 from .store import global_rank, store
 
@@ -26,6 +29,18 @@ def size_of(text: str) -> Column:
     return F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long")
 
 
+def row_keys(df: DataFrame) -> list[Column]:
+    """Two hashes, a and b, of all columns of a row; rows alike in every column agree in them."""
+
+    def plain(name: str, kind: DataType) -> Column:
+        c = df[f"`{name}`"]
+        return F.to_json(F.struct(c)) if isinstance(kind, VariantType | MapType) or "map<" in kind.simpleString() or "variant" in kind.simpleString() else c
+
+    # nulls leave a hash as it was, so which columns are null is hashed too
+    cols = [plain(f.name, f.dataType) for f in df.schema] + [df[f"`{f.name}`"].isNull() for f in df.schema]
+    return [F.xxhash64(*cols).alias("a"), F.xxhash64(F.lit(9), *cols).alias("b")]
+
+
 def offset(seed: int) -> Column:
     """A number in [0, 1) from source and seed, the same in every engine that has md5."""
     name = F.concat(F.lit(f"{seed}:"), F.coalesce(F.concat(F.lit("="), "source"), F.lit("-")))
@@ -56,26 +71,37 @@ def targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, share: tuple[i
     return ranked.select("source", "source_size", F.when(full, F.col("source_size") * F.lit(float(most))).otherwise(level).alias("target"))
 
 
-def mix(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, share: tuple[int, int] = (3, 2), most: int = 2, seed: int = 1) -> DataFrame:
-    """doc_id, size, source, source_size, target, copies, taken for each row of `docs`."""
-    sized = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), size_of("text").alias("size"))
+def _planned(docs: DataFrame, weights: tuple[int, ...], share: tuple[int, int], most: int, seed: int, keys: list[Column]) -> DataFrame:
+    names = [f"key_{k}" for k in range(len(keys))]
+    sized = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), size_of("text").alias("size"), *[k.alias(n) for k, n in zip(keys, names, strict=True)])
     sized = store(sized, "sizes")
-    ranked = global_rank(sized, [F.col("source").asc_nulls_last(), F.col("size"), F.col("doc_id")], within="source", name="at")
+    ranked = global_rank(sized, [F.col("source").asc_nulls_last(), F.col("size"), F.col("doc_id"), *map(F.col, names)], within="source", name="at")
     goals = targets(sized.groupBy("source").agg(F.sum("size").alias("source_size")), weights, share, most).withColumn("u", offset(seed)).withColumnRenamed("source", "_s")
     both = ranked.join(goals, F.col("source").eqNullSafe(F.col("_s")))
     rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
     crossed = F.floor(F.col("u") + rate * F.col("at")) - F.floor(F.col("u") + rate * (F.col("at") - 1))
     copies = F.least(crossed, F.lit(most)).cast("long")
-    return both.withColumn("copies", copies).select("doc_id", "size", "source", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"))
+    return both.withColumn("copies", copies).select("doc_id", "size", "source", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"), *names)
+
+
+def mix(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, share: tuple[int, int] = (3, 2), most: int = 2, seed: int = 1) -> DataFrame:
+    """doc_id, size, source, source_size, target, copies, taken for each row of `docs`."""
+    return _planned(docs, weights, share, most, seed, [])
 
 
 def mixed(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, share: tuple[int, int] = (3, 2), most: int = 2, seed: int = 1) -> DataFrame:
-    """`docs` as the mix takes them: rows repeat as often as they are taken, with the number of the copy."""
-    taken = mix(docs, weights, share, most, seed)
-    # rows of one id differ by their size only where they differ; each joins with the copies of its like
-    plan = taken.groupBy(F.col("doc_id").alias("_id"), F.col("source").alias("_source"), F.col("size").alias("_size")).agg(F.max("copies").alias("_copies")).where("_copies > 0")
-    on = docs["doc_id"].cast("long").eqNullSafe(F.col("_id")) & docs["source"].cast("string").eqNullSafe(F.col("_source")) & (size_of("text") == F.col("_size"))
-    return docs.join(plan, on).select(*[docs[c] for c in docs.columns], F.explode(F.sequence(F.lit(1).cast("long"), F.col("_copies"))).alias("mix_copy"))
+    """`docs` as the mix takes them: rows repeat as often as they are taken, with the number of the copy in mix_copy (mix_copy_ if that name is taken)."""
+    taken = _planned(docs, weights, share, most, seed, row_keys(docs))
+    plan = taken.groupBy("key_0", "key_1").agg(F.sum("copies").alias("copies"), F.count(F.lit(1)).alias("m")).where("copies > 0")
+    rows = docs.select(*row_keys(docs), F.struct("*").alias("row"))
+    there = rows.join(plan, (F.col("a") == F.col("key_0")) & (F.col("b") == F.col("key_1")))
+    # rows alike in every column: one of them stands for all
+    once = there.where("m > 1").groupBy("a", "b").agg(F.any_value("row").alias("row"), F.any_value("copies").alias("copies"))
+    name = "mix_copy"
+    while name in docs.columns:
+        name += "_"
+    copies = F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies"))).alias(name)
+    return there.where("m = 1").select("row", "copies").unionByName(once.select("row", "copies")).select("row", copies).select("row.*", name)
 
 
 SQL = r"""

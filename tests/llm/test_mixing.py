@@ -1,5 +1,6 @@
 import duckdb
 import pytest
+from pyspark.sql import functions as F
 
 from bedvoids.llm import mixing as M
 
@@ -37,7 +38,16 @@ def test_targets_are_met(spark):
     assert key(got) == key(again)
     mixed = M.mixed(df)
     assert mixed.columns == [*df.columns, "mix_copy"]
-    assert mixed.where("doc_id <> 1").count() == sum(r.copies for r in got if r.doc_id != 1)
+    assert mixed.count() == sum(r.copies for r in got)
+
+
+def test_rows_alike_are_taken_as_often_as_the_mix_says(spark):
+    schema = "doc_id long, text string, source string, size string, _id int, _copies int, mix_copy int, meta map<string,int>"
+    rows = [(1, "one two three", "a", "x", 1, 2, 3, {"k": 1})] * 700 + [(1, "one two three", "a", "x", 9, 2, 3, {"k": i}) for i in range(50)] + [(i, "w " * (i % 9), "b", None, None, 1, 1, None) for i in range(300)] + [(None, None, None, None, None, None, None, None)] * 5
+    df = spark.createDataFrame(rows, schema).repartition(3)
+    want = {r.source: r.n for r in M.mix(df).groupBy("source").agg(F.sum("copies").alias("n")).where("n > 0").collect()}
+    assert {r.source: r["count"] for r in M.mixed(df).groupBy("source").count().collect()} == want
+    assert M.mixed(df).columns == [*df.columns, "mix_copy_"]
 
 
 def test_empty(spark):
