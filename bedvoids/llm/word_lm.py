@@ -3,8 +3,9 @@
 Both models share the vocabulary of the corpus: every string between white space that stands in it, as it is
 written. n-grams of up to ORDER words are counted over all texts, none dropped, and the table of counts is dealt
 over the cluster by the n-gram's 64-bit hash, so it grows with the corpus and nothing of it goes to the driver.
-Documents lie in buckets; each bucket asks once for each n-gram in it, with its own counts, and gets back the
-counts of the whole corpus in the same order, so the joins move each n-gram once a bucket, however common it is.
+Documents lie in buckets, compressed; each bucket asks once for each n-gram in it, with its own counts, and gets back
+what the rest of the corpus counts in the same order, so the joins move each n-gram once a bucket, however common it is,
+and answers for what stands nowhere else are zeros.
 
 A word's share in the target is mixed with its share in the background (MIX), each longer context adds its
 counts to STRENGTH times what the shorter one says. The end of a text counts as a word. A document's score is
@@ -15,6 +16,8 @@ background's and scores are 0. Repeated rows are counted as often as they stand;
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -41,6 +44,34 @@ def _numbers(x: pa.Scalar, kind: type = np.int64) -> np.ndarray:
     return np.ascontiguousarray(raw.reshape(8, -1).T).view(kind).ravel()
 
 
+def _pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The rows of a batch as one compressed row for each bucket."""
+    codec = pa.Codec("zstd", 3)
+    for batch in batches:
+        bucket = batch.column("bucket").to_numpy()
+        order = np.argsort(bucket, kind="stable")
+        cut = np.flatnonzero(np.r_[True, np.diff(bucket[order]) > 0]) if len(order) else []
+        out = []
+        for at in np.split(order, cut[1:]) if len(order) else []:
+            rows = batch.select(["doc_id", "text"]).take(pa.array(at))
+            sink = pa.BufferOutputStream()
+            with pa.ipc.new_stream(sink, rows.schema) as writer:
+                writer.write_batch(rows)
+            raw = sink.getvalue()
+            out.append((int(bucket[at[0]]), raw.size.to_bytes(8, "little") + codec.compress(raw, asbytes=True)))
+        cols = list(zip(*out, strict=True)) or [[], []]
+        yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int32()), pa.array(cols[1], pa.binary())], names=["bucket", "rows"])
+
+
+def _unpacked(packed: pa.Table) -> pa.Table:
+    """doc_id and text of a bucket's rows, in an order that only the rows set."""
+    codec, parts = pa.Codec("zstd"), []
+    for x in sorted(packed["rows"].to_pylist()):
+        raw = codec.decompress(x[8:], int.from_bytes(x[:8], "little"))
+        parts.append(pa.ipc.open_stream(raw).read_all())
+    return pa.concat_tables(parts)
+
+
 def grams(column: pa.ChunkedArray) -> tuple[np.ndarray, list[tuple[np.ndarray, np.ndarray]], np.ndarray, np.ndarray]:
     """Row of each word, start and end; the hash of the n-gram that ends there and whether there is one, for each n; words of each row."""
     data, bounds = H.text_buffer(column)
@@ -69,7 +100,12 @@ def grams(column: pa.ChunkedArray) -> tuple[np.ndarray, list[tuple[np.ndarray, n
 
 
 def _distinct(each: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
-    return np.unique(np.concatenate([g[there] for g, there in each] + [np.array([_ROOT])]), return_counts=True)
+    got = [np.unique(g[there], return_counts=True) for g, there in each] + [(np.array([_ROOT]), np.ones(1, np.int64))]
+    g, n = (np.concatenate(x) for x in zip(*got, strict=True))
+    order = np.argsort(g, kind="stable")
+    g, n = g[order], n[order]
+    first = np.flatnonzero(np.r_[True, g[1:] != g[:-1]])  # hashes of two orders may meet
+    return g[first], np.add.reduceat(n, first)
 
 
 def _part(g: np.ndarray, parts: int) -> np.ndarray:
@@ -80,20 +116,15 @@ def _part(g: np.ndarray, parts: int) -> np.ndarray:
 def _ask(parts: int):
     schema = pa.schema([("part", pa.int32()), ("bucket", pa.int32()), ("g", pa.binary()), ("t", pa.binary()), ("b", pa.binary())])
 
-    def run(texts: pa.Table, ids: pa.Table) -> pa.Table:
-        if not texts.num_rows:
+    def run(packed: pa.Table, ids: pa.Table) -> pa.Table:
+        if not packed.num_rows:
             return schema.empty_table()
+        bucket, texts = packed["bucket"][0].as_py(), _unpacked(packed)
         mine = np.isin(texts["doc_id"].fill_null(0).to_numpy(), ids["doc_id"].to_numpy()) & texts["doc_id"].is_valid().to_numpy()
-        rows, each, event, _ = grams(texts["text"])
-        g, b = _distinct(each)
-        g_t, n_t = _distinct([(x, there & mine[rows]) for x, there in each])
-        t = np.zeros(len(g), np.int64)
-        t[np.searchsorted(g, g_t)] = n_t
-        root = np.searchsorted(g, _ROOT)
-        b[root], t[root] = event.sum(), (event & mine[rows]).sum()
+        g, t, b, _, _ = _counted(texts, mine)
         part = _part(g, parts)
         cut = np.searchsorted(part, np.arange(parts + 1).astype(H.U))
-        bucket, out = texts["bucket"][0].as_py(), []
+        out = []
         for k in np.flatnonzero(np.diff(cut)):
             s = slice(cut[k], cut[k + 1])
             out.append((int(k), bucket, _planes(np.diff(g[s], prepend=H.U(0))), _planes(t[s]), _planes(b[s])))
@@ -102,8 +133,22 @@ def _ask(parts: int):
     return run
 
 
+def _counted(texts: pa.Table, mine: np.ndarray | None) -> tuple:
+    """The n-grams of a bucket and how often they stand in its target texts and in all; what `grams` says; words of each row."""
+    rows, each, event, count = grams(texts["text"])
+    g, b = _distinct(each)
+    root = np.searchsorted(g, _ROOT)
+    b[root] = event.sum()
+    t = np.zeros(len(g), np.int64)
+    if mine is not None and mine.any():
+        g_t, n_t = _distinct([(x, there & mine[rows]) for x, there in each])
+        t[np.searchsorted(g, g_t)] = n_t
+        t[root] = (event & mine[rows]).sum()
+    return g, t, b, (rows, each, event), count
+
+
 def _sum(asked: pa.Table) -> pa.Table:
-    """The counts of all buckets together, to each in the order in which it asked."""
+    """What the other buckets count together, to each in the order in which it asked."""
     got = [np.cumsum(_numbers(x, H.U), dtype=H.U) for x in asked["g"]]
     g = np.unique(np.concatenate(got))
     t, b = np.zeros(len(g), np.int64), np.zeros(len(g), np.int64)
@@ -111,17 +156,20 @@ def _sum(asked: pa.Table) -> pa.Table:
     for at, x, y in zip(where, asked["t"], asked["b"], strict=True):
         t[at] += _numbers(x)
         b[at] += _numbers(y)
-    return pa.table({"bucket": asked["bucket"], "part": asked["part"], "t": pa.array([_planes(t[at]) for at in where], pa.binary()), "b": pa.array([_planes(b[at]) for at in where], pa.binary())})
+    # the target's counts in full: a bucket that scores doesn't know which of its texts are the target's
+    more = [(_planes(t[at]), _planes(b[at] - _numbers(y))) for at, y in zip(where, asked["b"], strict=True)]
+    return pa.table({"bucket": asked["bucket"], "part": asked["part"], "t": pa.array([x for x, _ in more], pa.binary()), "b": pa.array([y for _, y in more], pa.binary())})
 
 
-def _score(texts: pa.Table, replies: pa.Table) -> pa.Table:
-    rows, each, event, count = grams(texts["text"])
+def _score(packed: pa.Table, replies: pa.Table) -> pa.Table:
+    texts = _unpacked(packed)
+    g, _, b, (rows, each, event), count = _counted(texts, None)
     bits = np.zeros((2, texts.num_rows))
     if len(rows):
-        g, _ = _distinct(each)
         replies = replies.sort_by("part")
-        t, b = (np.concatenate([_numbers(x) for x in replies[k]]) for k in ("t", "b"))
+        t, more = (np.concatenate([_numbers(x) for x in replies[k]]) for k in ("t", "b"))
         assert len(t) == len(g), "a bucket asks for the same n-grams each time"
+        b += more
         root = np.searchsorted(g, _ROOT)
         if not t[root]:
             t = b
@@ -144,11 +192,12 @@ def _score(texts: pa.Table, replies: pa.Table) -> pa.Table:
 def scores(docs: DataFrame, target: DataFrame) -> DataFrame:
     """doc_id, n_tokens, target_bits, background_bits, score for each row; `target` holds the doc_ids of the target."""
     n = max(1, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    bucket = F.pmod(F.xxhash64("doc_id"), F.lit(2 * n)).cast("int").alias("bucket")
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).select(bucket, "doc_id", "text")
+    bucket = F.pmod(F.xxhash64(F.col("doc_id")), F.lit(n)).cast("int").alias("bucket")
+    # texts without id aren't the target's, so any bucket will do
+    spread = F.pmod(F.when(F.col("doc_id").isNull(), F.xxhash64("text")).otherwise(F.xxhash64("doc_id")), F.lit(n)).cast("int").alias("bucket")
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).select(spread, "doc_id", "text")
     ids = target.select(F.col("doc_id").cast("long").alias("doc_id")).where("doc_id is not null").distinct().select(bucket, "doc_id")
-    by_bucket = texts.groupBy("bucket")
+    by_bucket = texts.mapInArrow(_pack, "bucket int, rows binary").groupBy("bucket")
     asked = by_bucket.cogroup(ids.groupBy("bucket")).applyInArrow(_ask(4 * n), "part int, bucket int, g binary, t binary, b binary")
     replies = asked.groupBy("part").applyInArrow(_sum, "bucket int, part int, t binary, b binary")
-    out = by_bucket.cogroup(replies.groupBy("bucket")).applyInArrow(_score, "doc_id long, n_tokens long, target_bits double, background_bits double, score double")
-    return out
+    return by_bucket.cogroup(replies.groupBy("bucket")).applyInArrow(_score, "doc_id long, n_tokens long, target_bits double, background_bits double, score double")

@@ -2,10 +2,12 @@ import random
 from collections import Counter
 from math import log2
 
+import numpy as np
 import pytest
 
 from bedvoids.llm import queries as Q
 from bedvoids.llm import word_lm as W
+from bedvoids.llm.store import table
 
 SCHEMA = "doc_id long, text string"
 
@@ -61,3 +63,10 @@ def test_query_knows_words_that_share_symbols(spark, kind, monkeypatch):
     monkeypatch.setattr(Q, "table", lambda s, d, name: tables[name])
     got = {x.doc_id: x.score for x in Q.op10_lm_score(spark, "").collect()}
     assert got[11] < got[10] - 0.1
+
+
+def test_target_language_scores_lower(spark):
+    d = table(spark, "/root/testdata/sf0.01", "documents")
+    got = W.scores(d, d.where("lang = 'fr' and doc_id % 2 = 0")).join(d.select("doc_id", "lang"), "doc_id").where("doc_id % 2 = 1 and n_tokens > 30").collect()
+    fr, other = [r.score for r in got if r.lang == "fr"], [r.score for r in got if r.lang != "fr"]
+    assert np.median(fr) < np.median(other) - 0.1
