@@ -20,8 +20,10 @@ def histogram(particles: DataFrame, grid: GridSpec, axes: tuple[str, ...] = ("x"
     Each task sums up its own rows first; only one row for each of its bins is shuffled. `keys`: more
     columns to group by (member of an ensemble, material).
     """
-    binned = particles.where(grid.inside()).select(*keys, "step", *[c.alias(k) for k, c in grid.bins().items()], *[f"v{a}" for a in axes])
-    return binned.groupBy(*keys, "step", *INDEX).agg(F.count(F.lit(1)).alias("n"), *[F.sum(f"v{a}").alias(f"sum_v{a}") for a in axes])
+    bins = grid.bins()
+    binned = particles.where(grid.inside()).select(*keys, "step", grid.voxel(*[bins[i] for i in INDEX]).alias("voxel"), *[f"v{a}" for a in axes])
+    sums = binned.groupBy(*keys, "step", "voxel").agg(F.count(F.lit(1)).alias("n"), *[F.sum(f"v{a}").alias(f"sum_v{a}") for a in axes])
+    return sums.select(*keys, "step", *[c.alias(k) for k, c in grid.indices().items()], "n", *[f"sum_v{a}" for a in axes])
 
 
 def outside(particles: DataFrame, grid: GridSpec) -> DataFrame:

@@ -7,7 +7,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .target import SIGMA_FLOOR
+from ..functions.grid import SIGMA_FLOOR
 
 
 def moments(value: str = "density") -> list[Column]:
@@ -28,6 +28,11 @@ def of_moments(parts: DataFrame, sigma_floor: float = SIGMA_FLOOR) -> DataFrame:
     return parts.select(*keys, mu.alias("mu"), F.greatest(F.sqrt(var), F.lit(sigma_floor)).alias("sigma"), "n")
 
 
+def of_sums(n: np.ndarray, s1: np.ndarray, s2: np.ndarray, sigma_floor: float = SIGMA_FLOOR) -> tuple[np.ndarray, np.ndarray]:
+    """The same from arrays of whole numbers."""
+    return s1 / n, np.maximum(np.sqrt((s2 * n - s1 * s1).astype(float) / (n * n)), sigma_floor)
+
+
 def fit_clusters(labels: DataFrame, field: DataFrame, sigma_floor: float = SIGMA_FLOOR) -> DataFrame:
     """step, cluster, mu, sigma, n from (step, voxel, cluster) and the field."""
     both = labels.select("step", "voxel", "cluster").join(field.select("step", "voxel", "density"), ["step", "voxel"])

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -14,6 +15,22 @@ def distances(gaussians: DataFrame, target: Target, spread: str = "std", digits:
     return gaussians.withColumn("distance", F.round(bhattacharyya(F.col("mu"), F.col("sigma"), target, spread), digits))
 
 
+def distance_array(mu: np.ndarray, sigma: np.ndarray, target: Target, spread: str = "std", digits: int = 9) -> np.ndarray:
+    """The distances of `distances` from arrays."""
+    a, b = (sigma, target.sigma) if spread == "std" else (sigma * sigma, target.sigma * target.sigma)
+    half = (a + b) / 2.0
+    d = mu - target.mu
+    return np.round(d * d / half / 8.0 + 0.5 * np.log(half / np.sqrt(a * b)), digits)
+
+
+def score_array(distance: np.ndarray, norm: str = "max") -> np.ndarray:
+    """The scores of `scores` for one step from an array."""
+    if norm == "coefficient":
+        return np.exp(-distance)
+    low, top = (0.0 if norm == "max" else distance.min()), distance.max()
+    return 1.0 - (distance - low) / (top - low) if top > low else np.ones(len(distance))
+
+
 def scores(distance: DataFrame, norm: str = "max", scope: str = "step") -> DataFrame:
     """Adds `similarity` in [0, 1]. norm: max, minmax or coefficient; scope: step, or run (which a run in progress can't know)."""
     w = Window.partitionBy(*(["step"] if scope == "step" else [F.lit(0)]))

@@ -21,6 +21,8 @@ from ..sources.shared import store
 
 GAMMA = 0.3
 SIZE = (3, 3, 3)
+#: Centres that the array engine looks at together.
+AT_ONCE = 256
 
 
 def lattice(grid: GridSpec, size: tuple[int, int, int]) -> tuple[int, int, int]:
@@ -121,6 +123,7 @@ def cluster_arrays(density: np.ndarray, size: tuple[int, int, int], gamma: float
     n = density.shape
     flat = density.reshape(-1).astype(float)
     pos = np.stack(np.unravel_index(np.arange(flat.size), n), 1).astype(float)
+    size = tuple(size)
     k = tuple(ceil(a / s) for a, s in zip(n, size, strict=True))
     label = np.ravel_multi_index(tuple((pos[:, i] // size[i]).astype(int) for i in range(3)), k)
     total = k[0] * k[1] * k[2]
@@ -135,42 +138,32 @@ def cluster_arrays(density: np.ndarray, size: tuple[int, int, int], gamma: float
     first = np.r_[True, label[order][1:] != label[order][:-1]]
     centre[label[order][first], 3] = flat[order][first]
     report = []
-    half = np.array(size)
+    wide = [2 * x + 1 for x in size]
     for _ in range(max_iter):
-        best, to, tested = np.full(flat.size, np.inf), np.full(flat.size, -1), 0
-        corner = np.ceil(centre[:, :3] - half).astype(int)
+        best, to, tested = np.full(flat.size, np.inf), np.full(flat.size, total, np.int32), 0
+        corner = np.ceil(centre[:, :3] - size).astype(np.int32)
         # squared gaps and validity of every place of a window, axis by axis
-        at = [corner[:, i, None] + np.arange(2 * size[i] + 2) for i in range(3)]
+        at = [corner[:, i, None] + np.arange(wide[i], dtype=np.int32) for i in range(3)]
         gap = [at[i] - centre[:, i, None] for i in range(3)]
         ok = [(at[i] >= 0) & (at[i] < n[i]) & ((np.abs(gap[i]) <= size[i]) if window == "closed" else (gap[i] >= -size[i]) & (gap[i] < size[i])) for i in range(3)]
-        square = [g * g for g in gap]
-        # centres with one corner take turns, so that no voxel is met twice at once
-        code = (corner[:, 0] * (4 * n[1] + 9) + corner[:, 1]) * (4 * n[2] + 9) + corner[:, 2]
-        order = np.argsort(code, kind="stable")
-        start = np.r_[True, code[order][1:] != code[order][:-1]]
-        turn = np.empty(total, int)
-        turn[order] = np.arange(total) - np.maximum.accumulate(np.where(start, np.arange(total), 0))
-        for t in range(int(turn.max()) + 1):
-            mine = turn == t
-            for x in range(2 * size[0] + 2):
-                in_x = mine & ok[0][:, x]
-                for y in range(2 * size[1] + 2):
-                    ids = np.flatnonzero(in_x & ok[1][:, y])
-                    if not len(ids):
-                        continue
-                    plane, base = square[0][ids, x] + square[1][ids, y], (at[0][ids, x] * n[1] + at[1][ids, y]) * n[2]
-                    for z in range(2 * size[2] + 2):
-                        here = ok[2][ids, z]
-                        c = ids[here]
-                        if not len(c):
-                            continue
-                        v = base[here] + at[2][c, z]
-                        d = gamma * np.sqrt(plane[here] + square[2][c, z]) + (1 - gamma) * np.abs(flat[v] - centre[c, 3])
-                        tested += len(c)
-                        better = (d < best[v]) | ((d == best[v]) & (c < to[v]))
-                        v, c = v[better], c[better]
-                        best[v], to[v] = d[better], c
-        new = np.where(to >= 0, to, label)
+        for c in range(0, total, AT_ONCE):  # so few that what they are compared with stays near the processor
+            (ax, ay, az), (gx, gy, gz), (ox, oy, oz) = ([x[c : c + AT_ONCE] for x in rows] for rows in (at, gap, ok))
+            inside = np.flatnonzero((ox[:, :, None] & oy[:, None, :])[..., None] & oz[:, None, None, :])
+            plane, z = inside // wide[2], inside % wide[2]
+            own = plane // (wide[0] * wide[1])
+            place = (ax[:, :, None] * n[1] + ay[:, None, :]).ravel()[plane] * n[2] + az.ravel()[own * wide[2] + z]
+            square = ((gx * gx)[:, :, None] + (gy * gy)[:, None, :]).ravel()[plane] + (gz * gz).ravel()[own * wide[2] + z]
+            tested += len(own)
+            d = gamma * np.sqrt(square) + (1 - gamma) * np.abs(flat[place] - centre[c : c + AT_ONCE, 3][own])
+            # centres come in order of their numbers: an equal distance doesn't take a voxel from an earlier one
+            near = np.flatnonzero(d < best[place])
+            place, d, own = place[near], d[near], own[near]
+            np.minimum.at(best, place, d)
+            first = np.flatnonzero(best[place] == d)
+            place, own = place[first], (own[first] + c).astype(np.int32)
+            to[place] = total
+            np.minimum.at(to, place, own)
+        new = np.where(to < total, to, label)
         changed = int((new != label).sum())
         label = new
         report.append((changed, tested))
@@ -182,6 +175,25 @@ def cluster_arrays(density: np.ndarray, size: tuple[int, int, int], gamma: float
     return label, centre, report
 
 
+def structs(**columns: np.ndarray | pa.Array) -> pa.ListArray:
+    """One list of structs from arrays of one length."""
+    rows = pa.StructArray.from_arrays([pa.array(v) for v in columns.values()], names=list(columns))
+    return pa.ListArray.from_arrays(pa.array([0, len(rows)], pa.int32()), rows)
+
+
+CENTRES = "array<struct<cluster:int,cx:double,cy:double,cz:double,cv:double,size:bigint>>"
+REPORT = "array<struct<iteration:int,changed:bigint,distances:bigint,converged:boolean>>"
+
+
+def centre_rows(label: np.ndarray, centre: np.ndarray) -> pa.ListArray:
+    return structs(cluster=np.arange(len(centre), dtype=np.int32), **{c: np.ascontiguousarray(centre[:, i]) for i, c in enumerate(("cx", "cy", "cz", "cv"))}, size=np.bincount(label, minlength=len(centre)))
+
+
+def report_rows(report: list[tuple[int, int]]) -> pa.ListArray:
+    changed, distances = (np.array(x, np.int64) for x in zip(*report, strict=True))
+    return structs(iteration=np.arange(1, len(report) + 1, dtype=np.int32), changed=changed, distances=distances, converged=changed == 0)
+
+
 def _array(field, grid, size, gamma, max_iter, window):
     n = grid.n
 
@@ -190,15 +202,10 @@ def _array(field, grid, size, gamma, max_iter, window):
         density = np.zeros(grid.voxels)
         density[table.column("voxel").to_numpy()] = table.column("density").to_numpy()
         label, centre, report = cluster_arrays(density.reshape(n), size, gamma, max_iter, window)
-        sizes = np.bincount(label, minlength=len(centre))
-        lists = {
-            "labels": pa.array([label.astype(np.int32)], pa.list_(pa.int32())),
-            "centres": pa.array([[{"cluster": i, "cx": c[0], "cy": c[1], "cz": c[2], "cv": c[3], "size": int(s)} for i, (c, s) in enumerate(zip(centre.tolist(), sizes.tolist(), strict=True))]], pa.list_(pa.struct([("cluster", pa.int32()), ("cx", pa.float64()), ("cy", pa.float64()), ("cz", pa.float64()), ("cv", pa.float64()), ("size", pa.int64())]))),
-            "report": pa.array([[{"iteration": i + 1, "changed": c, "distances": d, "converged": c == 0} for i, (c, d) in enumerate(report)]], pa.list_(pa.struct([("iteration", pa.int32()), ("changed", pa.int64()), ("distances", pa.int64()), ("converged", pa.bool_())]))),
-        }
-        return pa.table({"step": pa.array([step], pa.int32()), **lists})
-
-    schema = "step int, labels array<int>, centres array<struct<cluster:int,cx:double,cy:double,cz:double,cv:double,size:bigint>>, report array<struct<iteration:int,changed:bigint,distances:bigint,converged:boolean>>"
+        labels = pa.ListArray.from_arrays(pa.array([0, len(label)], pa.int32()), pa.array(label.astype(np.int32)))
+        return pa.table({"step": pa.array([step], pa.int32()), "labels": labels, "centres": centre_rows(label, centre), "report": report_rows(report)})
+
+    schema = f"step int, labels array<int>, centres {CENTRES}, report {REPORT}"
     packed = store(field.select(F.col("step").cast("int").alias("step"), "voxel", "density").groupBy("step").applyInArrow(run, schema), "slic")
     labels = packed.select("step", F.posexplode("labels").alias("voxel", "cluster")).withColumn("voxel", F.col("voxel").cast("long"))
     return labels, packed.select("step", F.inline("centres")), packed.select("step", F.inline("report"))

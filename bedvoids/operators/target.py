@@ -2,15 +2,11 @@
 
 from __future__ import annotations
 
-from math import sqrt
-
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.grid import Box, GridSpec, Target
-
-#: Spread of the rounding of counts: keeps empty regions comparable.
-SIGMA_FLOOR = sqrt(1 / 12)
+from ..functions.grid import SIGMA_FLOOR, Box, GridSpec, Target
+from . import gaussian
 
 
 def select_box(field: DataFrame, box: Box, step: int) -> DataFrame:
@@ -20,7 +16,7 @@ def select_box(field: DataFrame, box: Box, step: int) -> DataFrame:
 def box_gaussian(field: DataFrame, box: Box, step: int, sigma_floor: float = SIGMA_FLOOR) -> DataFrame:
     """mu, sigma, n of the densities in the box."""
     inside = select_box(field, box, step)
-    return inside.agg(F.avg("density").alias("mu"), F.greatest(F.stddev_pop("density"), F.lit(sigma_floor)).alias("sigma"), F.count(F.lit(1)).alias("n"))
+    return gaussian.of_moments(inside.agg(*gaussian.moments()), sigma_floor)
 
 
 def fit_target(field: DataFrame, box: Box, step: int, sigma_floor: float = SIGMA_FLOOR, grid: GridSpec | None = None) -> Target:
