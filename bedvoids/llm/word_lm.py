@@ -72,36 +72,37 @@ def _unpacked(packed: pa.Table) -> pa.Table:
     return pa.concat_tables(parts)
 
 
-def grams(column: pa.ChunkedArray) -> tuple[np.ndarray, list[tuple[np.ndarray, np.ndarray]], np.ndarray, np.ndarray]:
-    """Row of each word, start and end; the hash of the n-gram that ends there and whether there is one, for each n; words of each row."""
+def sequences(column: pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Words with a start before and an end after each text that has any: hash, row and place in it; words of each row."""
     data, bounds = H.text_buffer(column)
-    word, row = [np.zeros(0, H.U)], [np.zeros(0, np.int64)]
+    word = [np.zeros(0, H.U)]
+    count = np.zeros(len(bounds) - 1, np.int64)
     for i, j in H.pieces(bounds):
         part, cut = data[bounds[i] : bounds[j]], bounds[i : j + 1] - bounds[i]
         lo, hi, at = H.words(part, cut)
         word.append(H.span(H.prefix(part), lo, hi))
-        row.append(at + i)
-    word, row = np.concatenate(word), np.concatenate(row)
-    count = np.bincount(row, minlength=len(bounds) - 1)
+        count[i:j] = np.bincount(at, minlength=j - i)
     size = np.where(count > 0, count + 2, 0)
-    ends = np.cumsum(size)
-    rows = np.repeat(np.arange(len(count)), size)
-    place = np.arange(len(rows)) - np.repeat(ends - size, size)
+    rows = np.repeat(np.arange(len(count), dtype=np.int32), size)
+    place = np.arange(len(rows), dtype=np.int32) - np.repeat((np.cumsum(size) - size).astype(np.int32), size)
     seq = np.full(len(rows), _END, H.U)
     seq[place == 0] = _START
-    seq[(place > 0) & (place <= count[rows])] = word
-    out = [(H.mix(seq + _ROOT), np.ones(len(seq), bool))]
-    del word, row
+    seq[(place > 0) & (place <= count[rows])] = np.concatenate(word)
+    return seq, rows, place, count
+
+
+def orders(seq: np.ndarray, place: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """For each n: the hash of the n-gram that ends at each place, and where there is one."""
+    g = H.mix(seq + _ROOT)
+    yield g, np.ones(len(seq), bool)
     for n in range(2, ORDER + 1):
-        g = np.zeros(len(seq), H.U)
-        g[1:] = H.mix(out[-1][0][:-1] * _STEP + seq[1:])
-        out.append((g, place >= n - 1))
-    return rows, out, place > 0, count
+        g = np.r_[np.zeros(min(1, len(seq)), H.U), H.mix(g[:-1] * _STEP + seq[1:])]
+        yield g, place >= n - 1
 
 
-def _distinct(each: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
-    got = [np.unique(g[there], return_counts=True) for g, there in each] + [(np.array([_ROOT]), np.ones(1, np.int64))]
-    g, n = (np.concatenate(x) for x in zip(*got, strict=True))
+def _merged(got: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
+    """The n-grams of all orders, sorted, with their counts, and the root."""
+    g, n = (np.concatenate(x) for x in zip(*got, (np.array([_ROOT]), np.ones(1, np.int64)), strict=True))
     order = np.argsort(g, kind="stable")
     g, n = g[order], n[order]
     first = np.flatnonzero(np.r_[True, g[1:] != g[:-1]])  # hashes of two orders may meet
@@ -121,7 +122,17 @@ def _ask(parts: int):
             return schema.empty_table()
         bucket, texts = packed["bucket"][0].as_py(), _unpacked(packed)
         mine = np.isin(texts["doc_id"].fill_null(0).to_numpy(), ids["doc_id"].to_numpy()) & texts["doc_id"].is_valid().to_numpy()
-        g, t, b, _, _ = _counted(texts, mine)
+        seq, rows, place, _ = sequences(texts["text"])
+        del texts
+        mine, all_, own = mine[rows], [], []
+        for x, there in orders(seq, place):
+            all_.append(np.unique(x[there], return_counts=True))
+            own.append(np.unique(x[there & mine], return_counts=True))
+        (g, b), (g_t, n_t) = _merged(all_), _merged(own)
+        t = np.zeros(len(g), np.int64)
+        t[np.searchsorted(g, g_t)] = n_t
+        root = np.searchsorted(g, _ROOT)
+        b[root], t[root] = (place > 0).sum(), ((place > 0) & mine).sum()
         part = _part(g, parts)
         cut = np.searchsorted(part, np.arange(parts + 1).astype(H.U))
         out = []
@@ -133,20 +144,6 @@ def _ask(parts: int):
     return run
 
 
-def _counted(texts: pa.Table, mine: np.ndarray | None) -> tuple:
-    """The n-grams of a bucket and how often they stand in its target texts and in all; what `grams` says; words of each row."""
-    rows, each, event, count = grams(texts["text"])
-    g, b = _distinct(each)
-    root = np.searchsorted(g, _ROOT)
-    b[root] = event.sum()
-    t = np.zeros(len(g), np.int64)
-    if mine is not None and mine.any():
-        g_t, n_t = _distinct([(x, there & mine[rows]) for x, there in each])
-        t[np.searchsorted(g, g_t)] = n_t
-        t[root] = (event & mine[rows]).sum()
-    return g, t, b, (rows, each, event), count
-
-
 def _sum(asked: pa.Table) -> pa.Table:
     """What the other buckets count together, to each in the order in which it asked."""
     got = [np.cumsum(_numbers(x, H.U), dtype=H.U) for x in asked["g"]]
@@ -163,30 +160,41 @@ def _sum(asked: pa.Table) -> pa.Table:
 
 def _score(packed: pa.Table, replies: pa.Table) -> pa.Table:
     texts = _unpacked(packed)
-    g, _, b, (rows, each, event), count = _counted(texts, None)
-    bits = np.zeros((2, texts.num_rows))
+    ids, (seq, rows, place, count) = texts["doc_id"], sequences(texts["text"])
+    del texts
+    bits = np.zeros((2, len(count)))
     if len(rows):
+        got, at, ends = [], [], []
+        for x, there in orders(seq, place):
+            ends.append(np.flatnonzero(there).astype(np.int32))
+            g, where, n = np.unique(x[there], return_inverse=True, return_counts=True)
+            got.append((g, n))
+            at.append(where.astype(np.int32))
+        del seq
+        g, b = _merged(got)
+        root = np.searchsorted(g, _ROOT)
+        b[root] = (place > 0).sum()
         replies = replies.sort_by("part")
         t, more = (np.concatenate([_numbers(x) for x in replies[k]]) for k in ("t", "b"))
         assert len(t) == len(g), "a bucket asks for the same n-grams each time"
         b += more
-        root = np.searchsorted(g, _ROOT)
         if not t[root]:
             t = b
-        at = [np.searchsorted(g, x[there]) for x, there in each]
+        own = [np.searchsorted(g, x) for x, _ in got]
+        event = place > 0
         for k, n in enumerate((t, b)):
-            share = b[at[0]] / b[root]
-            p = (1 - MIX) * n[at[0]] / n[root] + MIX * share if k == 0 else share
-            seen = n[at[0]].astype(float)
-            for here, (_, there) in zip(at[1:], each[1:], strict=True):
-                end = np.flatnonzero(there)
-                p[end] = (n[here] + STRENGTH * p[end]) / (seen[end - 1] + STRENGTH)
-                seen[end] = n[here]
-            bits[k] = np.bincount(rows[event], -np.log2(p[event]), texts.num_rows)
+            share = (b[own[0]] / b[root])[at[0]]
+            p = (1 - MIX) * (n[own[0]] / n[root])[at[0]] + MIX * share if k == 0 else share
+            seen = n[own[0]].astype(float)[at[0]]
+            for to, where, end in zip(own[1:], at[1:], ends[1:], strict=True):
+                here = n[to].astype(float)[where]
+                p[end] = (here + STRENGTH * p[end]) / (seen[end - 1] + STRENGTH)
+                seen[end] = here
+            bits[k] = np.bincount(rows[event], -np.log2(p[event]), len(count))
     with np.errstate(invalid="ignore", divide="ignore"):
         x, y = bits / (count + 1)
     empty = count == 0
-    return pa.table({"doc_id": texts["doc_id"], "n_tokens": pa.array(count, pa.int64()), **{k: pa.array(v, pa.float64(), mask=empty) for k, v in (("target_bits", x), ("background_bits", y), ("score", x - y))}})
+    return pa.table({"doc_id": ids, "n_tokens": pa.array(count, pa.int64()), **{k: pa.array(v, pa.float64(), mask=empty) for k, v in (("target_bits", x), ("background_bits", y), ("score", x - y))}})
 
 
 def scores(docs: DataFrame, target: DataFrame) -> DataFrame:
