@@ -31,7 +31,7 @@ from .store import fresh_path, store
 
 #: Segments are short enough that ordinary pages are cut into several.
 SEGMENT, ARCHIVE, CHUNK = 1 << 10, 16 << 20, 1 << 9
-#: Rows of one digest are dealt to so many tasks.
+#: Revisits of one page are dealt to so many tasks.
 SALT = 32
 _HEAD = "HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nTransfer-Encoding: chunked\r\n\r\n"
 _REVISIT = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
@@ -236,11 +236,10 @@ def write(pages: DataFrame, path: str, segment: int = SEGMENT, archive: int = AR
     """Archives of (page_id, url, html). Payloads of at least `least` bytes that are equal are stored once, with the largest page_id."""
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.encode(F.coalesce("html", F.lit("")), "utf-8").alias("payload"))
     rows = rows.withColumn("sha", F.sha1("payload")).withColumn("size", F.octet_length("payload")).withColumn("own", F.coalesce(F.md5(F.encode("url", "utf-8")), F.lit("")))
-    # only ids and digests meet; rows of a digest that stands very often are dealt to several tasks
+    # digests of several rows are kept apart first: few of them go to every task, many are joined in parts
     few = F.struct("page_id", "own")
     first = rows.where(F.col("size") >= least).groupBy("sha", "size").agg(F.max(few).alias("first"), F.count(F.lit(1)).alias("m")).where("m > 1 and first.page_id is not null").drop("m")
-    first = first.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALT - 1))))
-    roles = rows.withColumn("salt", F.pmod(F.xxhash64("page_id", "own"), F.lit(SALT)).cast("int")).join(first, ["sha", "size", "salt"], "left")
+    roles = rows.join(store(first, "digests"), ["sha", "size"], "left")
     again = F.col("first").isNotNull() & (F.col("page_id") != F.col("first.page_id"))
     name = lambda page, own: F.concat_ws(":", F.lit("urn:page"), F.coalesce(page.cast("string"), F.lit("")), "sha", own)
     own = name(F.col("page_id"), F.col("own"))
@@ -269,7 +268,7 @@ def round_trip(pages: DataFrame, segment: int = SEGMENT, archive: int = ARCHIVE)
     number = lambda c: F.split(F.col(c), ":")[2].try_cast("long")
     # what is used several times below is read from the archives once, without the payloads
     records = store(read(spark, path).select("id", "type", "uri", "digest", "refers", "payload_bytes", "payload_digest"), "records")
-    # equal payloads have equal sizes: revisits meet one row for each page that is referred to, in several tasks
+    # revisits meet one row for each page that is referred to, in several tasks
     sizes = records.where("type = 'response'").join(records.where("refers is not null").select(F.col("refers").alias("id")).distinct(), "id").select(F.col("id").alias("first"), F.col("payload_bytes").alias("bytes"), F.explode(F.sequence(F.lit(0), F.lit(SALT - 1))).alias("salt"))
     back = records.where("type = 'revisit'").withColumn("salt", F.pmod(F.xxhash64("id"), F.lit(SALT)).cast("int")).join(sizes.withColumnRenamed("salt", "s"), (F.col("refers") == F.col("first")) & (F.col("salt") == F.col("s")))
     columns = lambda size, sha, refers: [number("id").alias("page_id"), size.alias("payload_bytes"), sha.alias("payload_digest"), F.col("type").alias("record_type"), refers.alias("refers_to"), F.col("uri").alias("url")]
