@@ -33,13 +33,17 @@ def components(edges: DataFrame) -> DataFrame:
     return stars.select(F.col("a").alias("node"), "component").unionByName(stars.select(F.col("component").alias("node"), "component").distinct())
 
 
-def pointer_double(links: DataFrame, rounds: int) -> DataFrame:
-    """(a, b): one step from a to b -> (a, b, hops): every pair up to 2 ** rounds steps apart, in `rounds` joins."""
-    reach = links.select("a", "b", F.lit(1).alias("hops"))
-    jump = reach
+def pointer_double(links: DataFrame, seeds: DataFrame, rounds: int) -> DataFrame:
+    """Links (a, b, value), seeds (track, node) -> (track, node, value): all nodes less than 2 ** rounds links from a seed.
+
+    `value` is that of the link that leads to the node, null for the seed. Jumps double in length, one row for each
+    node; only what seeds reach is kept on the way.
+    """
+    reach, jump = seeds.select("track", "node", F.lit(None).cast(links.schema["value"].dataType).alias("value")), links.select("a", "b", "value")
     for k in range(rounds):
-        far = jump.select(F.col("a").alias("m"), F.col("b").alias("far"))
-        more = reach.join(far, F.col("b") == F.col("m")).select("a", F.col("far").alias("b"), (F.col("hops") + (1 << k)).alias("hops"))
+        more = reach.select("track", F.col("node").alias("a")).join(jump, "a").select("track", F.col("b").alias("node"), "value")
         reach = store(reach.unionByName(more), "reach")
-        jump = store(jump.join(far, F.col("b") == F.col("m")).select("a", F.col("far").alias("b"), (F.col("hops") * 2).alias("hops")), "jump")
+        if k < rounds - 1:
+            far = jump.select(F.col("a").alias("b"), F.col("b").alias("far"), F.col("value").alias("last"))
+            jump = store(jump.select("a", "b").join(far, "b").select("a", F.col("far").alias("b"), F.col("last").alias("value")), "jump")
     return reach

@@ -67,19 +67,14 @@ def trace_all(edges: DataFrame, step: int, bubble: int | None = None, bubbles: D
     if bubble is not None:
         seeds = seeds.where(F.col("bubble") == bubble)
     rounds = max(1, ceil(log2(_steps(edges) + 2)))
-    parts = [seeds.select(F.col("bubble").cast("long").alias("track"), "step", "bubble", F.lit(None).cast("double").alias("dice"))]
+    start = seeds.select(F.col("bubble").cast("long").alias("track"), _node("step", "bubble").alias("node"))
+    parts = []
     for direction, own, other in (("forward", "src", "dst"), ("backward", "dst", "src")):
-        best = store(best_links(edges, direction), "best")
         at, to = (F.col("step"), F.col("step") + gap) if direction == "forward" else (F.col("step") + gap, F.col("step"))
-        links = best.select(_node(at, own).alias("a"), _node(to, other).alias("b"), "dice")
-        reach = pointer_double(links, rounds)
-        start = seeds.select(F.col("bubble").cast("long").alias("track"), _node("step", "bubble").alias("a"))
-        found = start.join(reach, "a").join(links.groupBy(F.col("b").alias("to"), F.col("a").alias("from")).agg(F.max("dice").alias("dice")), F.col("b") == F.col("to"))
-        # of the links that lead to the end, the one on this chain
-        chain = start.join(reach, "a").select("track", F.col("b").alias("from2")).unionByName(start.select("track", F.col("a").alias("from2")))
-        found = found.join(chain, (found["track"] == chain["track"]) & (F.col("from") == F.col("from2"))).select(found["track"], "b", "dice")
-        parts.append(found.select("track", F.shiftright("b", 32).cast("int").alias("step"), F.pmod(F.col("b"), F.lit(1 << 32)).cast("int").alias("bubble"), "dice"))
-    return parts[0].unionByName(parts[1]).unionByName(parts[2])
+        links = store(best_links(edges, direction).select(_node(at, own).alias("a"), _node(to, other).alias("b"), F.col("dice").alias("value")), "best")
+        found = pointer_double(links, start, rounds).select("track", F.shiftright("node", 32).cast("int").alias("step"), F.pmod("node", F.lit(1 << 32)).cast("int").alias("bubble"), F.col("value").alias("dice"))
+        parts.append(found if direction == "forward" else found.where(F.col("step") < step))
+    return parts[0].unionByName(parts[1])
 
 
 def trace(edges: DataFrame, step: int, bubble: int, gap: int = 1) -> DataFrame:

@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from ..functions.grid import SPANS, Box
+from ..functions.grid import SPANS, Box, bed_grid
 from ..sources.particles import STEPS as SCENE_STEPS
 from ..sources.particles import void_rows
 from .scenes import BOXES, LEAST
+from .workloads import BINS, ORDER_BINS, order_grid, void_box
 
 NX, NY, NZ = 24, 6, 24
 G = NX * NY * NZ
@@ -272,6 +273,10 @@ MOVING = f"{FOLLOWED}, moved AS MATERIALIZED (SELECT *, (xc - lag(xc) OVER w) /
 LARGEST = f"(SELECT bubble FROM ({SEED}))"
 
 
+def around(field: str = "field", t: str = "") -> str:
+    return AROUND.replace("field f", f"{field} f").replace("boxes AS", f"boxes{t} AS").replace("FROM boxes", f"FROM boxes{t}").replace("near AS", f"near{t} AS").replace("FROM near", f"FROM near{t}").replace("around AS", f"around{t} AS")
+
+
 AROUND = f"""boxes AS (SELECT step, bubble, {", ".join(f"min(i{a}) AS {a}0, max(i{a}) AS {a}1" for a in "xyz")} FROM bubbles GROUP BY step, bubble),
 near AS (
   SELECT b.step, bubble, f.voxel, rise_velocity, CASE WHEN iz BETWEEN z0 AND z1 AND ix < x0 THEN 'below' WHEN iz BETWEEN z0 AND z1 AND ix > x1 THEN 'above' WHEN ix BETWEEN x0 AND x1 AND NOT iz BETWEEN z0 AND z1 THEN 'side' END AS region
@@ -429,3 +434,113 @@ SQL |= {
     "reconstruction_rmse": f"{ON_BLOCKS}, {PER_CLUSTER} SELECT step, round(sqrt(within), 5) AS rmse FROM v",
     "trait_fields": f"{LABELS} SELECT b.step, b.bubble, round(avg(similarity), 6) AS mean_similarity, round(avg(rise_velocity), 6) AS mean_rise FROM bubbles b JOIN bsf USING (step, voxel) JOIN field f USING (step, voxel) GROUP BY b.step, b.bubble",
 }
+
+
+def recalled(t: str, size: int, how: str) -> str:
+    return f"SELECT {size} AS size, '{how}' AS partition, voxels <= 14 AS small, covered >= voxels * {d(0.5)} AS recalled FROM (SELECT t.step, t.bubble, count(*) AS voxels, count(b.voxel) AS covered FROM true_bubbles t LEFT JOIN bsf{t} b ON b.step = t.step AND b.voxel = t.voxel AND b.similarity >= {d(0.92)} GROUP BY ALL)"
+
+
+def parts_of(size: int) -> str:
+    out = []
+    for t, made in ((f"_s{size}", clustered(f"_s{size}", size=size)), (f"_b{size}", partition(f"_b{size}", size=size))):
+        out += [made, gaussians(t), distance(t=t), bsf(t=t)]
+    return ", ".join(out)
+
+
+OVERALL = f"""SELECT hit, missed, extra, round(CASE WHEN hit + extra > 0 THEN hit / CAST(hit + extra AS DOUBLE) END, 6) AS precision, round(CASE WHEN hit + missed > 0 THEN hit / CAST(hit + missed AS DOUBLE) END, 6) AS recall, round(CASE WHEN hit + missed + extra > 0 THEN hit / CAST(hit + missed + extra AS DOUBLE) END, 6) AS iou FROM (
+  SELECT count(*) FILTER (f.voxel IS NOT NULL AND t.voxel IS NOT NULL) AS hit, count(*) FILTER (f.voxel IS NULL) AS missed, count(*) FILTER (t.voxel IS NULL) AS extra FROM {{}} f FULL JOIN truth t ON f.step = t.step AND f.voxel = t.voxel)"""
+
+
+def with_bins(n: tuple[int, int, int], steps: int) -> str:
+    """Bubbles found with other numbers of bins, as a query of its own."""
+    w = [(hi - lo) / k for (lo, hi), k in zip((SPANS[a] for a in "xyz"), n, strict=True)]
+    return f"""SELECT '{"x".join(map(str, n))}' AS bins, * FROM (WITH RECURSIVE {run(n=n, steps=steps, box=void_box(bed_grid(n)))}, {segments()}, {reached('seg', 'found')}, {kept(n=n)},
+count_ AS (SELECT count(*) AS bubbles, round(sum(v), 3) AS volume FROM (SELECT count(*) * {d(w[0] * w[1] * w[2])} AS v FROM bubbles GROUP BY step, bubble)), overall AS ({OVERALL.format("bubbles").replace("FULL JOIN truth t", f"FULL JOIN (SELECT * FROM truth WHERE step < {steps}) t")}) SELECT * FROM count_ CROSS JOIN overall)"""
+
+
+def compared(case: str, n: tuple[int, int, int], source: str = PARTICLES, spans: dict | None = None) -> str:
+    """Similarity and density thresholds on one bed, as a query of its own; the tuned threshold comes from `tuned`."""
+    grid = order_grid(n) if spans else bed_grid(n)
+    name = "x".join(map(str, n))
+    top = f"(ix + {d(0.5)}) / {d(float(n[0]))} < {d(0.85)}"
+    found = {
+        "similarity": f"SELECT b.step, b.voxel FROM bsf b JOIN lattice USING (voxel) WHERE similarity >= {d(0.92)} AND {top}",
+        "density tuned on lines": f"SELECT step, voxel FROM field WHERE density <= (SELECT fixed FROM tuned) AND {top}",
+        "density 12": f"SELECT step, voxel FROM field WHERE density <= 12 AND {top}",
+    }
+    each = " UNION ALL ".join(f"SELECT '{case}' AS \"case\", '{name}' AS bins, '{k}' AS method, * FROM ({OVERALL.format(f'({q})')})" for k, q in found.items())
+    return f"SELECT * FROM (WITH {bed('rise', None, n, source, spans)}, {target(void_box(grid))}, {clustered(n=n)}, {gaussians()}, {distance()}, {bsf()} {each})"
+
+
+def global_rounds(k: int, rounds: int) -> str:
+    """K-means of all voxels with all centres, round by round; centres are picked along the voxels' numbers."""
+    out = [f"""kc_0 AS MATERIALIZED (SELECT step, c AS cluster, CAST(ix AS DOUBLE) AS cx, CAST(iy AS DOUBLE) AS cy, CAST(iz AS DOUBLE) AS cz, CAST(density AS DOUBLE) AS cv FROM range({k}) r(c) JOIN field ON voxel = CAST(round_even(c * ({d((G - 1) / (k - 1))}), 0) AS BIGINT)),
+kl_0 AS MATERIALIZED (SELECT step, voxel, CAST(-1 AS BIGINT) AS cluster FROM field)"""]
+    px = " + ".join(f"(i{a} - c{a}) * (i{a} - c{a})" for a in "xyz")
+    for i in range(1, rounds + 1):
+        out.append(f"""kl_{i} AS MATERIALIZED (SELECT f.step, f.voxel, arg_min(c.cluster, row({d(0.3)} * sqrt({px}) + {d(0.7)} * abs(density - cv), c.cluster)) AS cluster FROM field f JOIN kc_{i - 1} c ON f.step = c.step GROUP BY ALL),
+kc_{i} AS MATERIALIZED (SELECT c.step, c.cluster, {", ".join(f"coalesce(m.m{a}, c.c{a}) AS c{a}" for a in "xyz")}, coalesce(m.mv, c.cv) AS cv FROM kc_{i - 1} c LEFT JOIN (SELECT step, cluster, {", ".join(f"CAST(sum(i{a}) AS DOUBLE) / count(*) AS m{a}" for a in "xyz")}, CAST(sum(density) AS DOUBLE) / count(*) AS mv FROM kl_{i} JOIN field USING (step, voxel) GROUP BY ALL) m USING (step, cluster))""")
+    each = " UNION ALL ".join(f"SELECT a.step, CAST({i} AS INT) AS iteration, count(*) FILTER (a.cluster <> b.cluster) AS changed, count(*) * {k} AS distances FROM kl_{i} a JOIN kl_{i - 1} b USING (step, voxel) GROUP BY a.step" for i in range(1, rounds + 1))
+    return ", ".join(out) + f", all_rounds AS MATERIALIZED ({each}), global_rounds AS MATERIALIZED (SELECT * FROM all_rounds r WHERE NOT EXISTS (SELECT 1 FROM all_rounds b WHERE b.step = r.step AND b.iteration < r.iteration AND b.changed = 0))"
+
+
+THRESHOLDS = (0.88, 0.9, 0.92, 0.94, 0.96)
+STEPPED = "(xc - lag(xc) OVER w) / (step - lag(step) OVER w)"
+FIRST = SEED.replace("step = 5", "step = 0")
+LAYERS = """own AS (SELECT DISTINCT step, bubble FROM tracks)
+SELECT layer, step, count(*) AS voxels FROM (
+  SELECT 'tracked' AS layer, b.step FROM bubbles b JOIN own USING (step, bubble)
+  UNION ALL SELECT 'others', b.step FROM bubbles b WHERE NOT EXISTS (SELECT 1 FROM own o WHERE o.step = b.step AND o.bubble = b.bubble)
+  UNION ALL SELECT 'fast', step FROM field WHERE rise_velocity >= 2) GROUP BY layer, step"""
+BOX_LINKS = "SELECT DISTINCT a.step, a.bubble AS src, b.bubble AS dst FROM {0} a JOIN {0} b ON b.step = a.step + 1 AND " + " AND ".join(f"a.i{x}_min <= b.i{x}_max AND b.i{x}_min <= a.i{x}_max" for x in "xyz")
+ENDS = "SELECT step, bubble, " + ", ".join(f"min(i{a}) AS i{a}_min, max(i{a}) AS i{a}_max" for a in "xyz") + " FROM {} GROUP BY step, bubble"
+H = {(i, j): f"(({'p.c' + str(min(i, j)) + str(max(i, j))} + q.c{min(i, j)}{max(i, j)}) / {d(2.0)})" for i in range(3) for j in range(3)}
+
+
+def det(m: dict) -> str:
+    return " + ".join(f"{m[0, i]} * ({m[1, (i + 1) % 3]} * {m[2, (i + 2) % 3]} - {m[1, (i + 2) % 3]} * {m[2, (i + 1) % 3]})" for i in range(3))
+
+
+def own(t: str) -> dict:
+    return {(i, j): f"{t}.c{min(i, j)}{max(i, j)}" for i in range(3) for j in range(3)}
+
+
+#: Entries of the adjugate of the mean covariance.
+ADJ = {(i, j): f"({H[(j + 1) % 3, (i + 1) % 3]} * {H[(j + 2) % 3, (i + 2) % 3]} - {H[(j + 1) % 3, (i + 2) % 3]} * {H[(j + 2) % 3, (i + 1) % 3]})" for i in range(3) for j in range(3)}
+SQL |= {
+    "mv_bhattacharyya": f"""WITH v AS (SELECT label, CAST(embedding[1] AS DOUBLE) AS x0, CAST(embedding[2] AS DOUBLE) AS x1, CAST(embedding[3] AS DOUBLE) AS x2 FROM embeddings),
+g AS (SELECT label, {", ".join(f"avg(x{i}) AS m{i}" for i in range(3))}, {", ".join(f"covar_pop(x{i}, x{j}) + {d(1e-9 if i == j else 0.0)} AS c{i}{j}" for i in range(3) for j in range(i, 3))} FROM v GROUP BY label)
+SELECT p.label AS label_a, q.label AS label_b, round(({" + ".join(f"(p.m{i} - q.m{i}) * {ADJ[i, j]} * (p.m{j} - q.m{j})" for i in range(3) for j in range(3))}) / ({det(H)}) / 8 + {d(0.5)} * (ln({det(H)}) - {d(0.5)} * (ln({det(own("p"))}) + ln({det(own("q"))}))), 8) AS distance FROM g p JOIN g q ON p.label < q.label""",
+    "kmeans_global": f"WITH {BED}, {global_rounds(64, 5)} SELECT step, iteration, changed, distances FROM global_rounds",
+    "workload_e1": f"WITH {BED}, {target(BOXES['rise'])}, whole AS ({target(Box((0, 19), (0, NY - 1), (0, NZ - 1))).partition('(')[2][:-1]}) SELECT 'target' AS region, round(m0, 9) AS mu, round(s0, 9) AS sigma, n0 AS n FROM goal UNION ALL SELECT 'bed', round(m0, 9), round(s0, 9), n0 FROM whole",
+    "workload_e2": f"{RUN} SELECT step, voxel, round(similarity, 6) AS similarity, round(rise_velocity, 9) AS rise_velocity FROM bsf JOIN field USING (step, voxel)",
+    "workload_e3": f"{LABELS}, {ACCURACY.replace('FROM got f', 'FROM bubbles f')} FROM n",
+    "workload_e4": f"{LABELS}, {TRAITS} SELECT step, bubble, voxels, round(aspect, 6) AS aspect FROM described WHERE aspect BETWEEN 0.5 AND 1.5 AND voxels BETWEEN 10 AND 60",
+    "workload_e5": f"""{LABELS}, {TRAITS}, {edges()}, {BEST}, {traced(SEED)}, followed AS MATERIALIZED (SELECT t.*, voxels, xc FROM tracks t JOIN described USING (step, bubble)) SELECT track, step, bubble, voxels, round(dice, 9) AS dice, round({STEPPED}, 4) AS rise_velocity,
+  coalesce(dice < {d(0.3)} OR (count(dice) OVER v >= 2 AND dice < round(avg(dice) OVER v - {d(2.0)} * stddev_pop(dice) OVER v, 12) - {d(1e-9)}), false) AS low_confidence
+FROM followed WINDOW w AS (PARTITION BY track ORDER BY step), v AS (PARTITION BY track ORDER BY step ROWS BETWEEN 5 PRECEDING AND 1 PRECEDING)""",
+    "workload_e6": f"{MOVING} SELECT track, step, voxels, round(change, 6) AS change, CASE WHEN change >= {d(0.5)} THEN 'merge' ELSE 'split' END AS event FROM moved WHERE change >= {d(0.5)} OR change <= {d(-0.33)}",
+    "workload_e7": f"""{LABELS}, {TRAITS}, {edges()}, {BEST}, {traced('SELECT step, bubble FROM described WHERE step = 0 ORDER BY zc, bubble LIMIT 1', 0)}, one AS (SELECT step, volume, xc, {STEPPED} AS rise_velocity FROM tracks JOIN described USING (step, bubble) WINDOW w AS (ORDER BY step))
+{" UNION ALL ".join(f"SELECT '{a}' AS row_trait, '{b}' AS col_trait, round(corr({a}, {b}), 6) AS r FROM one" for b, a in (("step", "volume"), ("step", "xc"), ("step", "rise_velocity"), ("volume", "xc"), ("volume", "rise_velocity"), ("xc", "rise_velocity")))}""",
+    "workload_e8": f"""{SHAPES}, {TRAITS}, {edges()}, {BEST}, {traced('SELECT step, bubble FROM described WHERE step = 6', 6)}, followed AS (SELECT track, step, max(volume) AS v FROM tracks JOIN described USING (step, bubble) GROUP BY ALL)
+SELECT CAST(t AS INT) AS step, k.track, round(v, 4) AS volume FROM range({SCENE_STEPS["shapes"]}) r(t) CROSS JOIN (SELECT DISTINCT track FROM tracks) k LEFT JOIN followed f ON f.track = k.track AND f.step = t""",
+    "workload_e9": f"""{LABELS}, {MOTION.format(e=d(0.1), wake=d(3.0), above=d(1.0), side=d(-2.0), half=d(0.5), nx=d(float(NX)), nz=d(float(NZ)))},
+moved_field AS MATERIALIZED (SELECT f.step, f.voxel, f.ix, f.iy, f.iz, s / n AS rise_velocity FROM field f LEFT JOIN (SELECT b.step, b.voxel, count(*) AS n, sum(coalesce(v_set, vx)) AS s FROM bed b LEFT JOIN motion m ON m.step = b.step AND m.voxel = b.voxel GROUP BY ALL) c USING (step, voxel)),
+{around()}, {around("moved_field", "_w")}
+{" UNION ALL ".join(f"SELECT '{k}' AS velocity, region, count(*) AS bubbles, round(avg(mean_rise), 5) AS mean_rise, round(avg(up_share), 5) AS up_share, round(avg(down_share), 5) AS down_share FROM around{t} GROUP BY region" for k, t in (("as given", ""), ("set", "_w")))}""",
+    "workload_e10": f"""WITH RECURSIVE {bed("shapes")}, {target(BOXES["shapes"])}, {", ".join(parts_of(s) for s in (3, 4, 6))}, {TRUE_BUBBLES}
+SELECT CAST(size AS INT) AS size, partition, small, count(*) AS bubbles, count(*) FILTER (recalled) AS recalled FROM ({" UNION ALL ".join(recalled(f"_{how[0]}{s}", s, how) for s in (3, 4, 6) for how in ("supervoxels", "blocks"))}) GROUP BY size, partition, small""",
+    "workload_e11": f"""WITH RECURSIVE {run()}, seg AS MATERIALIZED ({" UNION ALL ".join(f"SELECT CAST(step + {1000 * i} AS INT) AS step, voxel, ix, iy, iz FROM bsf JOIN lattice USING (voxel) WHERE similarity >= {d(t)}" for i, t in enumerate(THRESHOLDS, 1))}), {reached("seg", "found")}, {kept()}
+SELECT [{", ".join(map(d, THRESHOLDS))}][CAST(step // 1000 AS INT)] AS threshold, count(DISTINCT row(step, bubble)) AS bubbles, count(*) AS voxels FROM bubbles GROUP BY 1""",
+    "workload_e12": " UNION ALL ".join(with_bins(n, 2) for n in BINS),
+    "workload_e18": f"{LABELS}, {edges()}, {BEST}, {traced(FIRST, 0)}, {LAYERS}",
+    "workload_e19": f"""{SHAPES}, {TRUE_BUBBLES}, {edges()}, {edges(name="true_edges", bubbles="true_bubbles")}, {", ".join(f"ends{t} AS MATERIALIZED ({ENDS.format(b)}), boxes{t} AS MATERIALIZED ({BOX_LINKS.format('ends' + t)})" for t, b in (("_e", "bubbles"), ("_p", "true_bubbles")))}
+{" UNION ALL ".join(f"SELECT '{name}' AS bubbles, 'boxes' AS links, count(*) AS n FROM boxes{t} UNION ALL SELECT '{name}', 'overlap', count(*) FROM {e} UNION ALL SELECT '{name}', 'boxes only', count(*) FROM boxes{t} b WHERE NOT EXISTS (SELECT 1 FROM {e} e WHERE e.step = b.step AND e.src = b.src AND e.dst = b.dst)" for name, t, e in (("extracted", "_e", "edges"), ("planted", "_p", "true_edges")))}""",
+    "workload_e20": f"""WITH {BED}, {seeds()}, {", ".join(iteration(k) for k in range(1, 6))}, {global_rounds(8 * 2 * 8, 5)}, local_rounds AS ({" UNION ALL ".join(f"SELECT step, {k} AS iteration, count(*) FILTER (moved) AS changed, sum(tested) AS distances FROM labels_{k} GROUP BY step" for k in range(1, 6))})
+SELECT 'local' AS method, CAST(iteration AS INT) AS iteration, CAST(sum(distances) AS BIGINT) AS distances FROM local_rounds r WHERE NOT EXISTS (SELECT 1 FROM local_rounds b WHERE b.step = r.step AND b.iteration < r.iteration AND b.changed = 0) GROUP BY iteration
+UNION ALL SELECT 'global', iteration, CAST(sum(distances) AS BIGINT) FROM global_rounds GROUP BY iteration""",
+}
+#: The first bed's threshold, then all beds.
+LINES_BED = f"WITH {BED}, {target(void_box(bed_grid()))}"
+SQL["workload_e13"] = f"""WITH tuned AS MATERIALIZED (SELECT fixed FROM ({LINES_BED} SELECT (any_value(m0) + CAST(sum(density) AS DOUBLE) / count(*)) / {d(2.0)} AS fixed FROM field CROSS JOIN goal WHERE step = 0 AND (ix + {d(0.5)}) / {d(float(NX))} < {d(0.85)}))
+{" UNION ALL ".join([compared("lines", (NX, NY, NZ)), *[compared("orders", n, ORDERS, {"x": (900.0, 500000.0), "y": (0.0, 5.0), "z": (0.0, 50.0)}) for n in ORDER_BINS]])}"""

@@ -248,7 +248,7 @@ def mv_bhattacharyya(spark, d):
     g = gaussian.fit_vectors(P.vector_bed(spark, d), "label", ["x", "y", "z"])
     a, b = g.select(*[F.col(c).alias(f"{c}_a") for c in g.columns]), g.select(*[F.col(c).alias(f"{c}_b") for c in g.columns])
     pairs = a.join(b, F.col("label_a") < F.col("label_b"))  # a few labels
-    return pairs.select("label_a", "label_b", scalar.bhattacharyya_mv()("mu_a", "cov_a", "mu_b", "cov_b").alias("distance"))
+    return pairs.select("label_a", "label_b", F.round(scalar.bhattacharyya_mv()("mu_a", "cov_a", "mu_b", "cov_b"), 8).alias("distance"))
 
 
 # segmentation, components, traits

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 from collections.abc import Callable
 from functools import reduce
 
@@ -15,10 +14,9 @@ from ..sources import fields as store_fields
 from ..sources import particles as P
 from ..sources.shared import fresh_path, store
 from . import measures, pipeline
+from .scenes import BOXES, GRID, LEAST, run_of
 
 ORDER_GRID = GridSpec((900.0, 0.0, 0.0), (450000.0, 5.0, 51.0), (12, 3, 12))
-#: Bins that orders fill about half as densely as lines fill theirs.
-SPARSE_GRID = GridSpec((900.0, 0.0, 0.0), (500000.0, 5.0, 50.0), (16, 4, 16))
 Tables = dict[str, DataFrame]
 WORKLOADS: dict[str, Callable[..., Tables]] = {}
 
@@ -60,116 +58,105 @@ def fitted(spark: SparkSession, particles: DataFrame, grid: GridSpec, scene: str
     return target.fit_target(field, void_box(grid, scene, void, step), step, grid=grid)
 
 
-def _run(spark, sf_dir, grid=None, scene="rise", steps=None, size=(3, 3, 3), threshold=segment.THRESHOLD, wakes=False, min_voxels=4, **options):
-    grid = grid or _grid()
-    particles = bed(spark, sf_dir, grid, scene, steps, wakes)
-    goal = fitted(spark, particles, grid, scene, {"rise": "grow", "shapes": "small"}[scene])
-    fields = pipeline.in_situ(particles, grid, goal, size=size, **options)
-    bsf = store(fields.fields, "fields")
-    return grid, particles, goal, fields, bsf, pipeline.post_hoc(bsf, grid, threshold, min_voxels=min_voxels)
-
-
 @workload("E1")
 def e1(spark, sf_dir, **_) -> Tables:
     """The Gaussian of the selected region against that of the whole bed."""
-    grid = _grid()
-    field = density.density_field(density.histogram(bed(spark, sf_dir, grid, steps=1), grid), grid)
-    inside = target.box_gaussian(field, void_box(grid), 0).select(F.lit("target").alias("region"), "mu", "sigma", "n")
-    whole = target.box_gaussian(field, Box((0, 19), (0, grid.n[1] - 1), (0, grid.n[2] - 1)), 0).select(F.lit("bed").alias("region"), "mu", "sigma", "n")
-    return {"result": inside.unionByName(whole)}
+    r = run_of(spark, sf_dir)
+    parts = {"target": BOXES["rise"], "bed": Box((0, 19), (0, GRID.n[1] - 1), (0, GRID.n[2] - 1))}
+    rows = [target.box_gaussian(r.field, box, 0).select(F.lit(k).alias("region"), F.round("mu", 9).alias("mu"), F.round("sigma", 9).alias("sigma"), "n") for k, box in parts.items()]
+    return {"result": reduce(DataFrame.unionByName, rows)}
 
 
 @workload("E2")
 def e2(spark, sf_dir, **_) -> Tables:
-    """All tables of one step in situ."""
-    grid = _grid()
-    particles = bed(spark, sf_dir, grid, steps=1)
-    out = pipeline.in_situ(particles, grid, fitted(spark, particles, grid))
-    return {"result": out.fields, "density": out.density, "labels": out.labels, "gaussians": out.gaussians, "report": out.report}
+    """All tables in situ."""
+    r = run_of(spark, sf_dir)
+    fields = r.bsf.select("step", "voxel", F.round("similarity", 6).alias("similarity"), F.round("rise_velocity", 9).alias("rise_velocity"))
+    return {"result": fields, "density": r.field, "labels": r.labels, "gaussians": r.gaussians, "report": r.report}
+
+
+def _rounded(df: DataFrame, **digits: int) -> DataFrame:
+    return df.select(*[F.round(c, digits[c]).alias(c) if c in digits else c for c in df.columns])
 
 
 @workload("E3")
-def e3(spark, sf_dir, steps: int = 4, **_) -> Tables:
+def e3(spark, sf_dir, **_) -> Tables:
     """Segmentation at 0.92 and components, against the planted voxels."""
-    grid, _, _, _, bsf, post = _run(spark, sf_dir, steps=steps)
-    return {"result": measures.accuracy(post.labels, P.truth(spark, "rise", grid).where(F.col("step") < steps)), "labels": post.labels}
+    r = run_of(spark, sf_dir)
+    return {"result": _rounded(measures.accuracy(r.voxels, P.truth(spark, "rise", GRID)), precision=6, recall=6, iou=6), "labels": r.voxels}
 
 
 @workload("E4")
-def e4(spark, sf_dir, steps: int = 4, **_) -> Tables:
+def e4(spark, sf_dir, **_) -> Tables:
     """Overview: the largest bubbles, a query on aspect and volume, their pictures."""
-    grid, _, _, _, bsf, post = _run(spark, sf_dir, steps=steps)
-    large = explore.brush(post.traits, "volume", 0.3)
-    near = explore.query(post.traits, {"aspect": (0.5, 1.5), "voxels": (10, 60)})
-    images = imagedb.render(post.labels, bsf, grid)
-    return {"result": near.select("step", "bubble", "voxels", "aspect"), "large": large, "axes": explore.parallel_axes(post.traits, ["volume", "aspect", "xc"]), "spread": explore.spread(near, images)}
+    r = run_of(spark, sf_dir)
+    large = explore.brush(r.traits, "volume", 0.3)
+    near = explore.query(r.traits, {"aspect": (0.5, 1.5), "voxels": (10, 60)})
+    images = imagedb.render(r.voxels, r.bsf, GRID)
+    return {"result": _rounded(near.select("step", "bubble", "voxels", "aspect"), aspect=6), "large": large, "axes": explore.parallel_axes(r.traits, ["volume", "aspect", "xc"]), "spread": explore.spread(near, images)}
 
 
 @workload("E5")
 def e5(spark, sf_dir, step: int = 5, **_) -> Tables:
-    """One bubble from the middle of the run, both ways."""
-    _, _, _, _, _, post = _run(spark, sf_dir)
-    seed = post.traits.where(F.col("step") == step).orderBy(F.desc("voxels"), "bubble").first()
-    found = track.with_traits(track.trace(post.edges, step, seed["bubble"]), post.traits)
-    return {"result": track.flag_low_confidence(track.rise_velocity(found)), "tracks": post.tracks}
+    """The largest bubble in the middle of the run, both ways."""
+    r = run_of(spark, sf_dir)
+    seed = r.traits.where(F.col("step") == step).orderBy(F.desc("voxels"), "bubble").first()
+    found = track.with_traits(track.trace(r.edges, step, seed["bubble"]), r.traits)
+    out = track.flag_low_confidence(track.rise_velocity(found)).select("track", "step", "bubble", "voxels", "dice", "rise_velocity", "low_confidence")
+    return {"result": _rounded(out, dice=9, rise_velocity=4)}
 
 
 @workload("E6")
 def e6(spark, sf_dir, step: int = 5, **_) -> Tables:
     """Volume against time, with merges and splits."""
-    _, _, _, _, _, post = _run(spark, sf_dir)
-    found = track.with_traits(track.trace_all(post.edges, step, bubbles=post.traits), post.traits)
+    r = run_of(spark, sf_dir)
+    found = track.with_traits(track.trace_all(r.edges, step, bubbles=r.traits), r.traits)
     events = lifecycle.volume_events(found)
-    return {"result": events.where("event is not null").select("track", "step", "voxels", "change", "event"), "scatter": explore.scatter(found, "step", "volume", color="dice"), "graph": lifecycle.graph_events(post.edges)}
+    out = events.where("event is not null").select("track", "step", "voxels", "change", "event")
+    return {"result": _rounded(out, change=6), "scatter": explore.scatter(found, "step", "volume", color="dice"), "graph": lifecycle.graph_events(r.edges)}
 
 
 @workload("E7")
 def e7(spark, sf_dir, **_) -> Tables:
-    """Scatterplot matrix and correlations of the growing, accelerating bubble."""
-    grid = _grid()
-    labels = components.label(P.truth(spark, "rise", grid), grid)
-    what = traits.describe(labels, grid)
-    edges = track.measured(track.overlaps(labels))
-    seed = what.where("step = 0").orderBy("zc").first()["bubble"]
-    one = track.rise_velocity(track.with_traits(track.trace(edges, 0, seed), what))
-    return {"result": explore.correlations(one, ["step", "volume", "xc", "rise_velocity"]), "splom": explore.splom(one, ["step", "volume", "xc", "rise_velocity"])}
+    """Scatterplot matrix and correlations of the growing, accelerating bubble: the first step's outermost."""
+    r = run_of(spark, sf_dir)
+    seed = r.traits.where("step = 0").orderBy("zc", "bubble").first()["bubble"]
+    one = track.rise_velocity(track.with_traits(track.trace(r.edges, 0, seed), r.traits))
+    names = ["step", "volume", "xc", "rise_velocity"]
+    return {"result": _rounded(explore.correlations(one, names), r=6), "splom": explore.splom(one, names)}
 
 
 @workload("E8")
 def e8(spark, sf_dir, step: int = 6, **_) -> Tables:
     """All bubbles of a step followed and compared; births and ends."""
-    grid = _grid()
-    labels = components.label(P.truth(spark, "shapes", grid), grid)
-    what = traits.describe(labels, grid)
-    edges = track.measured(track.overlaps(labels))
-    tracks = track.with_traits(track.trace_all(edges, step, bubbles=what), what)
-    return {"result": explore.compare(tracks, what.select("step")), "events": lifecycle.births_deaths(edges, what)}
+    r = run_of(spark, sf_dir, "shapes")
+    tracks = track.with_traits(track.trace_all(r.edges, step, bubbles=r.traits), r.traits)
+    return {"result": _rounded(explore.compare(tracks, r.field.select("step")), volume=4), "events": lifecycle.births_deaths(r.edges, r.traits)}
 
 
 @workload("E9")
-def e9(spark, sf_dir, steps: int = 4, **_) -> Tables:
-    """Velocities of particles around bubbles: sides sink, the wake is fastest."""
-    grid = _grid()
-    field = density.density_field(density.histogram(bed(spark, sf_dir, grid, steps=steps, wakes=True), grid), grid)
-    labels = components.label(P.truth(spark, "rise", grid).where(F.col("step") < steps), grid)
-    near = flow.around(labels, field, grid)
-    return {"result": near.groupBy("region").agg(F.avg("mean_rise").alias("mean_rise"), F.avg("up_share").alias("up_share"), F.avg("down_share").alias("down_share")), "contrast": flow.wake_contrast(near)}
+def e9(spark, sf_dir, **_) -> Tables:
+    """Velocities of particles around extracted bubbles: as the rows have them, and with the motion that a scene sets."""
+    r = run_of(spark, sf_dir)
+    moved = density.density_field(density.histogram(P.planted_bed(spark, sf_dir, "rise", GRID, wakes=True), GRID), GRID)
+    out, contrast = [], {}
+    for name, field in (("as given", r.field), ("set", moved)):
+        near = flow.around(r.voxels, field, GRID)
+        out.append(near.groupBy("region").agg(F.count(F.lit(1)).alias("bubbles"), *[F.round(F.avg(c), 5).alias(c) for c in ("mean_rise", "up_share", "down_share")]).select(F.lit(name).alias("velocity"), "*"))
+        contrast[name] = flow.wake_contrast(near)
+    return {"result": reduce(DataFrame.unionByName, out), "contrast": contrast["set"]}
 
 
 @workload("E10")
-def e10(spark, sf_dir, sizes: tuple[int, ...] = (3, 4, 6), steps: int = 3, **_) -> Tables:
+def e10(spark, sf_dir, sizes: tuple[int, ...] = (3, 4, 6), **_) -> Tables:
     """Larger supervoxels lose small bubbles: recall of the true bubbles by size of clusters, and blocks for comparison."""
-    grid = _grid()
-    particles = bed(spark, sf_dir, grid, "shapes", steps)
-    goal = fitted(spark, particles, grid, "shapes", "small")
-    hist = store(density.histogram(particles, grid), "hist")
-    field = density.density_field(hist, grid)
-    true = components.label(P.truth(spark, "shapes", grid).where(F.col("step") < steps), grid)
+    r = run_of(spark, sf_dir, "shapes")
+    true = store(components.label(P.truth(spark, "shapes", GRID), GRID), "true")
     out = []
     for s in sizes:
         for how in ("supervoxels", "blocks"):
-            labels = supervoxel.slic(field, grid, (s, s, s))[0] if how == "supervoxels" else baselines.blocks(field, grid, (s, s, s))
-            bsf = similarity.bsf(labels, gaussian.fit_clusters(labels, field), goal)
+            labels = supervoxel.slic(r.field, GRID, (s, s, s))[0] if how == "supervoxels" else baselines.blocks(r.field, GRID, (s, s, s))
+            bsf = similarity.bsf(labels, gaussian.fit_clusters(labels, r.field), r.target)
             hit = measures.bubble_recall(segment.by_similarity(bsf), true)
             out.append(hit.select(F.lit(s).alias("size"), F.lit(how).alias("partition"), (F.col("voxels") <= 14).alias("small"), "recalled"))
     rows = reduce(DataFrame.unionByName, out)
@@ -177,53 +164,74 @@ def e10(spark, sf_dir, sizes: tuple[int, ...] = (3, 4, 6), steps: int = 3, **_)
 
 
 @workload("E11")
-def e11(spark, sf_dir, thresholds: tuple[float, ...] = (0.88, 0.9, 0.92, 0.94, 0.96), steps: int = 3, **_) -> Tables:
+def e11(spark, sf_dir, thresholds: tuple[float, ...] = (0.88, 0.9, 0.92, 0.94, 0.96), **_) -> Tables:
     """Bubbles at thresholds around 0.92, all in one pass."""
-    grid, _, _, _, bsf, _ = _run(spark, sf_dir, steps=steps)
+    bsf = run_of(spark, sf_dir).bsf
     found = segment.sweep(bsf, list(thresholds))
     # steps of different thresholds stand side by side as steps of their own
     place = found.select((F.col("step") + F.lit(1000) * F.array_position(F.array(*map(F.lit, thresholds)), F.col("threshold"))).cast("int").alias("step"), "voxel")
-    what = traits.describe(components.label(place, grid), grid).where("not is_freeboard and voxels >= 4")
-    per = what.select(F.element_at(F.array(*map(F.lit, thresholds)), F.floor(F.col("step") / 1000).cast("int")).alias("threshold"), F.pmod("step", F.lit(1000)).alias("step"), "voxels")
+    what = traits.describe(components.label(place, GRID), GRID).where((F.col("voxels") >= LEAST) & ~F.col("is_freeboard"))
+    per = what.select(F.element_at(F.array(*map(F.lit, thresholds)), F.floor(F.col("step") / 1000).cast("int")).alias("threshold"), "voxels")
     return {"result": per.groupBy("threshold").agg(F.count(F.lit(1)).alias("bubbles"), F.sum("voxels").alias("voxels")), "profile": segment.threshold_profile(bsf)}
 
 
+#: A quarter of the bin counts of the published sweep on each axis.
+BINS = ((16, 2, 16), (32, 4, 32), (32, 6, 32), (64, 16, 64))
+
+
 @workload("E12")
-def e12(spark, sf_dir, bins: tuple[tuple[int, int, int], ...] = ((12, 3, 12), (24, 6, 24), (24, 8, 24), (48, 12, 48)), **_) -> Tables:
-    """Numbers of bins: bubbles found at one step."""
+def e12(spark, sf_dir, bins: tuple[tuple[int, int, int], ...] = BINS, steps: int = 2, **_) -> Tables:
+    """Numbers of bins: bubbles found, and how well they cover the planted voxels."""
     out = []
     for n in bins:
         grid = bed_grid(n)
-        particles = bed(spark, sf_dir, grid, steps=1)
-        fields = pipeline.in_situ(particles, grid, fitted(spark, particles, grid)).fields
-        what = traits.describe(components.label(segment.by_similarity(fields), grid), grid).where("not is_freeboard and voxels >= 4")
-        out.append(what.agg(F.count(F.lit(1)).alias("bubbles"), F.sum("volume").alias("volume")).select(F.lit("x".join(map(str, n))).alias("bins"), "bubbles", "volume"))
+        hist = store(density.histogram(bed(spark, sf_dir, grid, steps=steps), grid), "histogram")
+        goal = target.fit_target(density.density_field(hist.where("step = 0"), grid), void_box(grid), 0, grid=grid)
+        found = components.label(segment.by_similarity(pipeline.of_histogram(hist, grid, goal).fields), grid)
+        what = traits.describe(found, grid).where((F.col("voxels") >= LEAST) & ~F.col("is_freeboard"))
+        per = found.join(what.select("step", "bubble"), ["step", "bubble"], "left_semi")
+        count = what.agg(F.count(F.lit(1)).alias("bubbles"), F.round(F.sum("volume"), 3).alias("volume"))
+        hit = _overall(measures.accuracy(per, P.truth(spark, "rise", grid).where(F.col("step") < steps)))
+        out.append(count.crossJoin(F.broadcast(hit)).select(F.lit("x".join(map(str, n))).alias("bins"), "*"))  # one row each
     return {"result": reduce(DataFrame.unionByName, out)}
 
 
-def _orders(spark: SparkSession, sf_dir: str, grid: GridSpec) -> tuple[DataFrame, DataFrame]:
-    """The bed of orders with the first step's voids, and the true voxels."""
-    rows = P.order_bed(spark, sf_dir).withColumn("l_suppkey", F.floor(F.col("x")).cast("long"))
-    return P.planted_bed(spark, sf_dir, "rise", grid, source=rows.drop("step"), steps=1), P.truth(spark, "rise", grid).where("step = 0")
+def _overall(accuracy: DataFrame) -> DataFrame:
+    """hit, missed, extra, precision, recall, iou over all steps."""
+    n = accuracy.agg(*[F.sum(c).alias(c) for c in ("hit", "missed", "extra")])
+    h, m, e = F.col("hit"), F.col("missed"), F.col("extra")
+    ratio = lambda b: F.round(F.when(b > 0, h / b), 6)
+    return n.select("*", ratio(h + e).alias("precision"), ratio(h + m).alias("recall"), ratio(h + m + e).alias("iou"))
+
+
+def order_grid(n: tuple[int, int, int]) -> GridSpec:
+    return GridSpec((900.0, 0.0, 0.0), (500000.0, 5.0, 50.0), n)
+
+
+#: Bins for the second bed: all are reported, none is picked.
+ORDER_BINS = ((12, 3, 12), (16, 4, 16), (20, 5, 20), (24, 6, 24))
+#: The published density threshold.
+FIXED = 12.0
 
 
 @workload("E13")
-def e13(spark, sf_dir, fixed: float | None = None, **_) -> Tables:
-    """A density threshold tuned on one bed, and the similarity, on two beds of different density."""
-    out = []
-    a_grid, b_grid = _grid(), SPARSE_GRID
-    cases = {"lines": (a_grid, bed(spark, sf_dir, a_grid, steps=1), P.truth(spark, "rise", a_grid).where("step = 0")), "orders": (b_grid, *_orders(spark, sf_dir, b_grid))}
-    for name, (grid, particles, true) in cases.items():
-        field = store(density.density_field(density.histogram(particles, grid), grid), "field")
-        goal = target.fit_target(field, void_box(grid), 0, grid=grid)
-        if fixed is None:  # what separates the first bed: halfway between target and bed
-            mean = field.where(F.col("ix") < int(grid.n[0] * P.BED_TOP)).agg(F.avg("density")).first()[0]
-            fixed = (goal.mu + mean) / 2
-        labels = supervoxel.slic(field, grid)[0]
-        bsf = similarity.bsf(labels, gaussian.fit_clusters(labels, field), goal)
-        below = field.where((F.col("ix") + 0.5) / grid.n[0] < P.BED_TOP).select("voxel")
-        for how, found in (("similarity", segment.by_similarity(bsf)), ("fixed density", baselines.density_threshold(field, fixed))):
-            out.append(measures.accuracy(found.join(below, "voxel", "left_semi"), true).select(F.lit(name).alias("case"), F.lit(how).alias("method"), "precision", "recall", "iou"))
+def e13(spark, sf_dir, bins: tuple[tuple[int, int, int], ...] = ORDER_BINS, **_) -> Tables:
+    """Density thresholds, the published one and one tuned on the first bed, and the similarity, on two beds of different density."""
+    orders = P.order_bed(spark, sf_dir).withColumn("l_suppkey", F.floor(F.col("x")).cast("long")).drop("step")
+    cases = [("lines", GRID, None), *[("orders", order_grid(n), orders) for n in bins]]
+    out, tuned = [], None
+    for name, grid, source in cases:
+        hist = store(density.histogram(P.planted_bed(spark, sf_dir, "rise", grid, source=source), grid), "histogram")
+        first = density.density_field(hist.where("step = 0"), grid)
+        goal = target.fit_target(first, void_box(grid), 0, grid=grid)
+        if tuned is None:  # what separates the first bed: halfway between target and bed
+            row = first.where((F.col("ix") + 0.5) / grid.n[0] < P.BED_TOP).agg(F.sum("density"), F.count(F.lit(1))).first()
+            tuned = (goal.mu + row[0] / row[1]) / 2
+        made = pipeline.of_histogram(hist, grid, goal)
+        below = lambda df, grid=grid: df.where(F.col("voxel") < int(-(-P.BED_TOP * grid.n[0] // 1) if (int(P.BED_TOP * grid.n[0]) + 0.5) / grid.n[0] < P.BED_TOP else int(P.BED_TOP * grid.n[0])) * grid.n[1] * grid.n[2])
+        for how, found in (("similarity", segment.by_similarity(made.fields)), ("density tuned on lines", baselines.density_threshold(made.density, tuned)), ("density 12", baselines.density_threshold(made.density, FIXED))):
+            hit = _overall(measures.accuracy(below(found), P.truth(spark, "rise", grid)))
+            out.append(hit.select(F.lit(name).alias("case"), F.lit("x".join(map(str, grid.n))).alias("bins"), F.lit(how).alias("method"), "hit", "missed", "extra", "precision", "recall", "iou"))
     return {"result": reduce(DataFrame.unionByName, out)}
 
 
@@ -288,41 +296,42 @@ def e17(spark, sf_dir, steps: int = 4, **_) -> Tables:
 
 
 @workload("E18")
-def e18(spark, sf_dir, steps: int = 3, **_) -> Tables:
-    """Layers of the scene around one tracked bubble, at three steps."""
-    _, _, _, _, bsf, post = _run(spark, sf_dir, steps=steps)
-    seed = post.traits.where("step = 0").orderBy(F.desc("voxels"), "bubble").first()["bubble"]
-    scene = explore.scene(post.labels, track.trace(post.edges, 0, seed), bsf)
+def e18(spark, sf_dir, **_) -> Tables:
+    """Layers of the scene around the largest bubble of the first step."""
+    r = run_of(spark, sf_dir)
+    seed = r.traits.where("step = 0").orderBy(F.desc("voxels"), "bubble").first()["bubble"]
+    scene = explore.scene(r.voxels, track.trace(r.edges, 0, seed), r.bsf)
     return {"result": scene.groupBy("layer", "step").agg(F.count(F.lit(1)).alias("voxels")), "scene": scene}
 
 
 @workload("E19")
 def e19(spark, sf_dir, **_) -> Tables:
-    """Boxes link a hollow bubble with the one inside it; true overlap doesn't."""
-    grid = _grid()
-    labels = components.label(P.truth(spark, "shapes", grid), grid)
-    what = traits.describe(labels, grid)
-    edges = track.overlaps(labels)
-    boxes = baselines.box_overlaps(what)
-    false = boxes.join(edges.select("step", "src", "dst"), ["step", "src", "dst"], "left_anti")
-    return {"result": boxes.agg(F.count(F.lit(1)).alias("n")).select(F.lit("boxes").alias("links"), "n").unionByName(edges.agg(F.count(F.lit(1)).alias("n")).select(F.lit("overlap").alias("links"), "n")).unionByName(false.agg(F.count(F.lit(1)).alias("n")).select(F.lit("boxes only").alias("links"), "n"))}
+    """Boxes link a hollow bubble with the one inside it; true overlap doesn't. On extracted bubbles and on the planted ones."""
+    r = run_of(spark, sf_dir, "shapes")
+    planted = components.label(P.truth(spark, "shapes", GRID), GRID)
+    out = []
+    for name, voxels in (("extracted", r.voxels), ("planted", planted)):
+        edges = store(track.overlaps(voxels), "edges")
+        boxes = store(baselines.box_overlaps(traits.describe(voxels, GRID)), "boxes")
+        false = boxes.join(edges.select("step", "src", "dst"), ["step", "src", "dst"], "left_anti")
+        out += [df.agg(F.count(F.lit(1)).alias("n")).select(F.lit(name).alias("bubbles"), F.lit(k).alias("links"), "n") for k, df in (("boxes", boxes), ("overlap", edges), ("boxes only", false))]
+    return {"result": reduce(DataFrame.unionByName, out)}
 
 
 @workload("E20")
-def e20(spark, sf_dir, **_) -> Tables:
-    """Distance computations of local and of global clustering, per round."""
-    grid = bed_grid((12, 6, 12))
-    field = density.density_field(density.histogram(bed(spark, sf_dir, grid, steps=1), grid), grid)
-    local = supervoxel.slic(field, grid, max_iter=5)[2]
-    k = 4 * 2 * 4
-    everywhere = baselines.kmeans(field, grid, k, max_iter=5)[1]
-    side = lambda df, name: df.groupBy("iteration").agg(F.sum("distances").alias("distances")).select(F.lit(name).alias("method"), "iteration", "distances")
-    return {"result": side(local, "local").unionByName(side(everywhere, "global"))}
-
-
-def images_of(spark: SparkSession, sf_dir: str, path: str | None = None, steps: int = 2) -> str:
-    """Writes the image database of a run and returns where."""
-    path = path or tempfile.mkdtemp(prefix="images-")
-    grid, _, _, _, bsf, post = _run(spark, sf_dir, steps=steps)
-    imagedb.write(imagedb.render(post.labels, bsf, grid), post.traits, path)
+def e20(spark, sf_dir, rounds: int = 5, **_) -> Tables:
+    """Distance computations of local and of global clustering, per round, all steps together."""
+    r = run_of(spark, sf_dir)
+    k = 1
+    for n in supervoxel.lattice(GRID, (3, 3, 3)):
+        k *= n
+    everywhere = baselines.kmeans(r.field, GRID, k, max_iter=rounds)[1]
+    side = lambda df, name: df.where(F.col("iteration") <= rounds).groupBy("iteration").agg(F.sum("distances").alias("distances")).select(F.lit(name).alias("method"), "iteration", "distances")
+    return {"result": side(r.report, "local").unionByName(side(everywhere, "global"))}
+
+
+def images_of(spark: SparkSession, sf_dir: str, path: str) -> str:
+    """Writes the image database of a run below `path` and returns where."""
+    r = run_of(spark, sf_dir)
+    imagedb.write(imagedb.render(r.voxels, r.bsf, GRID), r.traits, path)
     return path
