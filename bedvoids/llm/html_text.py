@@ -3,8 +3,9 @@
 A page becomes a row of text blocks, split at block-level tags, without scripts, styles, comments and
 other parts that aren't shown. A block is described by its words, link density, and where it stands (the
 kind of the innermost container that says so: article-like, page furniture, or neither; paragraph, heading,
-list item or bare text; words in class and id names), and by words and link density of the blocks before
-and after. A decision tree, grown on the labelled blocks of LABELLED by Gini impurity, tells text from the
+list item or bare text; words in the names of containers up to that one), and by words and link density of the
+blocks before and after. Names of an article's own element and of those around it say nothing about its blocks, nor
+do names that only say what a page has (with-sidebar, has-comments, search-page). A decision tree, grown on the labelled blocks of LABELLED by Gini impurity, tells text from the
 rest; its blocks are joined in page order by one space.
 
 Null and empty pages have no text. Repeated rows are rows of their own; extra columns are ignored.
@@ -32,6 +33,9 @@ SIDE_TAGS = frozenset("nav header footer aside form menu dialog".split())
 HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
 SIDE_WORDS = frozenset("ad ads advert adverts advertisement banner breadcrumb breadcrumbs comment comments cookie cookies consent disqus footer header login masthead menu modal nav navbar navigation newsletter notice pager pagination popup popular promo promoted recommended related replies reply rss search share sharing shoutbox sidebar signup skip social sponsor sponsored subscribe tags toolbar widget".split())
 
+#: In a class or id name these say that a container has something, or is a page of a kind, not that it is that thing.
+HAS_WORDS = frozenset("has have with without no page layout template".split())
+
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|</([a-zA-Z][^\s/>]*)[^>]*(?:>|\Z)|<([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(?:>|\Z)", re.S)
 _NAMES = re.compile(r"(?:^|\s)(class|id|role|style|hidden|aria-hidden)(?:\s*=\s*(\"[^\"]*\"|'[^']*'|[^\s>]+))?", re.I)
 _WORDS = re.compile(r"[a-zA-Z]+")
@@ -46,7 +50,13 @@ class Block(NamedTuple):
     inside: int  # 1 in an article-like element that is nearer than any page furniture
     side: int  # 1 in page furniture
     kind: int  # 0 bare, 1 paragraph, 2 heading, 3 list item, 4 table cell
-    marked: int  # 1 if class, id or role of an element around it names page furniture
+    marked: int  # 1 if class, id or role of an element around it, nearer than any article-like one, names page furniture
+
+
+def is_furniture(name: str) -> bool:
+    """Whether a class, id or role names a part of the page that isn't its text."""
+    words = {*_WORDS.findall(name)}
+    return bool(words & SIDE_WORDS) and not words & HAS_WORDS
 
 
 def blocks(page: str) -> list[Block]:
@@ -64,14 +74,15 @@ def blocks(page: str) -> list[Block]:
         if not text:
             return
         n = len(text.split())
-        inside = side = 0
-        for tag, _, furniture, _ in reversed(stack):
+        inside = side = marked = 0
+        for tag, _, furniture, named in reversed(stack):
+            marked |= int(named and tag not in TEXT_TAGS)
             if furniture or tag in TEXT_TAGS:
                 inside, side = int(tag in TEXT_TAGS and not furniture), int(furniture)
                 break
         names = [s[0] for s in stack]
         kind = 2 if HEADINGS & {*names} else 3 if "li" in names else 4 if "td" in names or "th" in names else 1 if "p" in names else 0
-        out.append(Block(text, n, min(1.0, linked / n), inside, side, kind, int(any(s[3] for s in stack))))
+        out.append(Block(text, n, min(1.0, linked / n), inside, side, kind, marked))
 
     def close(tag: str) -> None:
         while stack:
@@ -134,7 +145,7 @@ def blocks(page: str) -> list[Block]:
                 close("a") if stack[-1][0] == "a" else None
             style = names.get("style", "").replace(" ", "")
             hidden = tag in HIDDEN_TAGS or "hidden" in names or names.get("aria-hidden") == "true" or "display:none" in style
-            marked = tag not in ("body", "html") and bool(SIDE_WORDS & {w for k in ("class", "id", "role") for w in _WORDS.findall(names.get(k, ""))})
+            marked = tag not in ("body", "html") and any(is_furniture(name) for k in ("class", "id", "role") for name in names.get(k, "").split())
             furniture = tag in SIDE_TAGS and not (tag == "header" and any(s[0] in TEXT_TAGS for s in stack))
             stack.append((tag, hidden, furniture, marked))
             state["hidden"] += hidden
@@ -172,6 +183,8 @@ LABELLED = np.array(
         (15, 0.0, 2, 0.0, 2, 0.0, 0, 0, 1, 1, 0), (48, 0.0, 2, 0.0, 3, 0.0, 0, 0, 1, 1, 0), (33, 0.0, 3, 0.5, 3, 0.5, 1, 0, 1, 1, 0), (9, 0.0, 2, 0.0, 14, 0.0, 0, 0, 3, 1, 0), (70, 0.0, 2, 0.0, 2, 0.0, 0, 0, 0, 1, 0),
         # short leftovers outside of the text
         (2, 0.0, 1, 1.0, 1, 1.0, 0, 0, 0, 0, 0), (3, 0.0, 0, 0.0, 2, 1.0, 0, 0, 0, 0, 0), (4, 0.0, 9, 1.0, 6, 1.0, 0, 0, 1, 0, 0), (2, 0.0, 6, 1.0, 0, 0.0, 0, 0, 0, 0, 0), (1, 0.0, 3, 1.0, 5, 1.0, 0, 0, 4, 0, 0),
+        # site names, dates, copyright lines and other short lines that stand bare outside of the text
+        (4, 0.0, 0, 0.0, 30, 0.0, 0, 0, 0, 0, 0), (5, 0.0, 45, 0.0, 0, 0.0, 0, 0, 0, 0, 0), (3, 0.0, 60, 0.0, 0, 0.0, 0, 0, 0, 0, 0), (6, 0.0, 12, 0.0, 40, 0.0, 0, 0, 0, 0, 0), (2, 0.0, 30, 0.0, 25, 0.0, 0, 0, 0, 0, 0), (7, 0.0, 33, 0.0, 4, 0.0, 0, 0, 0, 0, 0),
         # headlines
         (5, 0.0, 8, 0.0, 40, 0.0, 1, 0, 2, 0, 1), (10, 0.0, 9, 0.0, 22, 0.0, 1, 0, 2, 0, 1), (1, 0.0, 7, 0.0, 9, 0.0, 1, 0, 2, 0, 1), (12, 0.0, 18, 0.0, 3, 0.0, 1, 0, 2, 0, 1), (8, 0.0, 1, 1.0, 50, 0.0, 1, 0, 2, 0, 1),
         (7, 0.0, 0, 0.0, 45, 0.0, 0, 0, 2, 0, 1), (9, 0.0, 3, 1.0, 60, 0.0, 0, 0, 2, 0, 1), (4, 0.0, 55, 0.0, 70, 0.0, 1, 0, 2, 0, 1), (6, 0.0, 60, 0.0, 48, 0.0, 0, 0, 2, 0, 1),
@@ -181,6 +194,8 @@ LABELLED = np.array(
         (33, 0.2, 60, 0.0, 20, 0.1, 1, 0, 1, 0, 1), (10, 0.3, 40, 0.1, 38, 0.0, 1, 0, 1, 0, 1), (50, 0.0, 1, 1.0, 44, 0.0, 0, 0, 1, 0, 1), (38, 0.05, 42, 0.0, 51, 0.0, 0, 0, 1, 0, 1), (65, 0.0, 7, 0.0, 30, 0.0, 0, 0, 1, 0, 1),
         (22, 0.0, 33, 0.0, 47, 0.0, 0, 0, 1, 0, 1), (14, 0.0, 52, 0.0, 40, 0.0, 0, 0, 1, 0, 1), (80, 0.0, 0, 0.0, 60, 0.0, 0, 0, 0, 0, 1), (45, 0.0, 30, 0.0, 0, 0.0, 0, 0, 0, 0, 1), (18, 0.0, 70, 0.0, 9, 0.0, 1, 0, 0, 0, 1),
         (4, 0.0, 25, 0.0, 8, 0.0, 1, 0, 0, 0, 1), (20, 0.0, 0, 0.0, 0, 0.0, 0, 0, 0, 0, 1), (30, 0.0, 0, 0.0, 0, 0.0, 0, 0, 1, 0, 1),
+        # headings and short paragraphs of pages that don't mark their text
+        (4, 0.0, 1, 1.0, 30, 0.0, 0, 0, 2, 0, 1), (3, 0.0, 2, 1.0, 28, 0.0, 0, 0, 2, 0, 1), (6, 0.0, 25, 0.0, 18, 0.0, 0, 0, 2, 0, 1), (2, 0.0, 30, 0.0, 30, 0.0, 0, 0, 1, 0, 1), (4, 0.0, 28, 0.0, 12, 0.0, 0, 0, 1, 0, 1), (6, 0.0, 16, 0.0, 22, 0.0, 0, 0, 1, 0, 1), (3, 0.0, 45, 0.0, 4, 0.0, 0, 0, 1, 0, 1), (2, 0.0, 32, 0.0, 3, 0.0, 0, 0, 1, 0, 1), (9, 0.0, 3, 0.0, 20, 0.0, 0, 0, 1, 0, 1),
         # very short blocks of the text, and blocks before link lists
         (1, 0.0, 3, 0.0, 20, 0.0, 1, 0, 1, 0, 1), (2, 0.0, 2, 0.0, 2, 0.0, 1, 0, 1, 0, 1), (1, 0.0, 1, 0.0, 1, 0.0, 1, 0, 2, 0, 1), (2, 0.0, 5, 0.0, 0, 0.0, 1, 0, 1, 0, 1), (1, 0.0, 0, 0.0, 6, 0.0, 1, 0, 1, 0, 1),
         (30, 0.0, 40, 0.0, 5, 1.0, 1, 0, 1, 0, 1), (12, 0.0, 30, 0.0, 1, 1.0, 1, 0, 1, 0, 1), (2, 0.0, 4, 0.0, 4, 1.0, 1, 0, 2, 0, 1), (2, 0.0, 1, 1.0, 3, 0.0, 1, 0, 1, 0, 1), (1, 0.0, 9, 0.0, 2, 1.0, 1, 0, 1, 0, 1),

@@ -164,6 +164,22 @@ def test_page_of_another_layout():
     assert html_text.main_text(PAGE) == "The <Title> & more First paragraph with a link and bold words in it, long enough to read. Second one, café €5. An item of the text Another item of the text A quotation"
 
 
+LONG = "One sentence with quite a number of words that make up a paragraph of the text. " * 2
+
+
+@pytest.mark.parametrize("around", ['<div class="with-sidebar"><article>{}</article></div>', '<article class="has-comments">{}</article>', '<main class="search-page">{}</main>', '<form><div id="page-nav-layout"><article>{}</article></div></form>', '<div class="sidebar"><article>{}</article></div>', '<div class="content">{}</div>'])
+def test_wrappers_that_name_furniture(around):
+    page = "<body><nav><a href=/>Home</a></nav>" + around.format(f"<h1>Title of it</h1><p>{LONG}</p><p>Short one.</p><div class=ad>Buy this now</div><div class='comments-list'><p>{LONG}</p></div><p>{LONG}</p>") + '<div class="sidebar-left"><p>Not the text at all, whatever it says.</p></div><footer>End</footer></body>'
+    assert html_text.main_text(page) == f"Title of it {LONG.strip()} Short one. {LONG.strip()}"
+
+
+def test_words_and_links_of_blocks_decide():
+    """Without any tag or name that says what a block is."""
+    page = f"<div>Site name</div><div><a href=1>One</a> <a href=2>Two</a></div><div>{LONG}</div><div><a href=3>Three more words</a></div><div>{LONG}</div><div>Some line</div>"
+    assert html_text.main_text(page) == f"{LONG.strip()} {LONG.strip()}"
+    assert {html_text.FEATURES[f] for f, *_ in html_text.TREE.nodes if f >= 0} >= {"words", "links", "links_before"}
+
+
 def test_page_edges(spark):
     rows = [(1, "u", None), (2, "u", ""), (3, None, "plain words only, but quite many of them so that they count as the text of this page by their number"), (4, "u", "<"), (5, "u", "<p>unclosed <b>bold"), (6, "u", "<!-- " + "x" * 100000), (7, "u", "<article><p>" + "long text " * 100000 + "</article>")]
     got = {r.page_id: r.text for r in html_text.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
