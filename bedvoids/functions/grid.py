@@ -57,6 +57,19 @@ class GridSpec:
         plane = self.n[1] * self.n[2]
         return {"ix": F.expr(f"cast({_sql(voxel)} div {plane} as int)") if isinstance(voxel, str) else F.floor(v / plane).cast("int"), "iy": F.floor(F.pmod(v, F.lit(plane)) / self.n[2]).cast("int"), "iz": F.pmod(v, F.lit(self.n[2])).cast("int")}
 
+    def morton(self) -> Column:
+        """A key that keeps neighbours together: the bits of ix, iy and iz in turn, lowest first."""
+        out = F.lit(0).cast("long")
+        for bit in range(max(self.n).bit_length()):
+            for place, i in enumerate(INDEX):
+                out = out + F.shiftleft(F.shiftright(F.col(i).cast("long"), bit).bitwiseAND(F.lit(1).cast("long")), 3 * bit + place)
+        return out
+
+    def bucket(self, axis: int) -> Column:
+        """The bin of an axis by the built-in function; the same as in `bins` but for rounding on the edges of bins."""
+        lo, hi, n = self.lo[axis], self.hi[axis], self.n[axis]
+        return F.least(F.width_bucket(F.col(AXES[axis]), F.lit(lo), F.lit(hi), F.lit(n)) - 1, F.lit(n - 1)).cast("int")
+
     def centre(self, axis: int) -> Column:
         return F.lit(self.lo[axis]) + (F.col(INDEX[axis]) + F.lit(0.5)) * F.lit(self.widths[axis])
 

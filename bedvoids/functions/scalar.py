@@ -66,6 +66,15 @@ def dice_of_sets(a: Column, b: Column) -> Column:
     return dice(F.size(F.array_intersect(a, b)), F.size(F.array_distinct(a)), F.size(F.array_distinct(b)))
 
 
+def dice_reference():
+    """Grouped Arrow aggregate of two 0/1 columns, member of a and member of b: Dice; slow, to compare with."""
+
+    def run(a: pd.Series, b: pd.Series) -> float:
+        return float(2 * ((a > 0) & (b > 0)).sum() / ((a > 0).sum() + (b > 0).sum()))
+
+    return F.pandas_udf(run, "double")
+
+
 def register_sql(spark: SparkSession) -> None:
     """The scalar functions as temporary SQL functions of the session."""
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION dice(inter BIGINT, a BIGINT, b BIGINT) RETURNS DOUBLE RETURN 2.0D * inter / (a + b)")

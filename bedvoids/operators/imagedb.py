@@ -4,9 +4,11 @@ from __future__ import annotations
 
 import struct
 import zlib
+from collections.abc import Callable, Iterator
+from pathlib import Path
 
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.grid import GridSpec
@@ -23,9 +25,13 @@ def projection(labels: DataFrame, bsf: DataFrame | None = None, mode: str = "max
 def render(labels: DataFrame, bsf: DataFrame | None, grid: GridSpec, mode: str = "max") -> DataFrame:
     """step, bubble, width, height, pixels: all bubbles in one aggregate, with one view for all; x points up."""
     nx, nz = grid.n[0], grid.n[2]
-    spots = projection(labels, bsf, mode).groupBy("step", "bubble").agg(F.map_from_entries(F.collect_list(F.struct(((F.lit(nx - 1) - F.col("ix")) * nz + F.col("iz")).cast("int").alias("k"), F.col("value").cast("float").alias("v")))).alias("m"))
-    pixels = F.transform(F.sequence(F.lit(0), F.lit(nx * nz - 1)), lambda i: F.coalesce(F.try_element_at(F.col("m"), i), F.lit(0.0).cast("float")))
-    return spots.select("step", "bubble", F.lit(nz).alias("width"), F.lit(nx).alias("height"), pixels.alias("pixels"))
+    seen = projection(labels, bsf, mode).select("step", "bubble", ((F.lit(nx - 1) - F.col("ix")) * nz + F.col("iz")).cast("int").alias("k"), F.col("value").cast("float").alias("v"))
+    # the dark pixels between those that are seen come as runs
+    spots = seen.groupBy("step", "bubble").agg(F.array_sort(F.collect_list(F.struct("k", "v"))).alias("m"))
+    ends = F.concat(F.array(F.struct(F.lit(-1).alias("k"), F.lit(0.0).cast("float").alias("v"))), F.col("m"), F.array(F.struct(F.lit(nx * nz).alias("k"), F.lit(0.0).cast("float").alias("v"))))
+    dark = F.lit(0.0).cast("float")
+    runs = F.zip_with(F.slice("e", 1, F.size("e") - 1), F.slice("e", 2, F.size("e") - 1), lambda p, q: F.concat(F.when(p["k"] < 0, F.array().cast("array<float>")).otherwise(F.array(p["v"])), F.array_repeat(dark, q["k"] - p["k"] - 1)))
+    return spots.withColumn("e", ends).select("step", "bubble", F.lit(nz).alias("width"), F.lit(nx).alias("height"), F.flatten(runs).alias("pixels"))
 
 
 def png(width: int, height: int, pixels: list[float]) -> bytes:
@@ -47,10 +53,30 @@ def pictures(images: DataFrame) -> DataFrame:
 
 def index(traits: DataFrame) -> DataFrame:
     """The attribute table with the name of each bubble's picture in FILE."""
-    return traits.withColumn("FILE", F.format_string("step_%06d/bubble_%06d.png", F.col("step"), F.col("bubble")))
+    return traits.withColumn("FILE", file_name())
+
+
+def file_name() -> Column:
+    return F.format_string("step_%06d/bubble_%06d.png", F.col("step"), F.col("bubble"))
 
 
 def write(images: DataFrame, traits: DataFrame, path: str) -> None:
-    """Pictures as Parquet by step and the table as one CSV file with a header."""
-    pictures(images).write.mode("overwrite").partitionBy("step").parquet(f"{path}/images")
+    """A PNG for each bubble under the name that the table has in FILE, and the table as one CSV file with a header."""
+    named = pictures(images).withColumn("FILE", file_name())
+    root = path.removeprefix("file://")
+    if "://" in root:  # a store that only Spark writes to: the pictures stay rows, by their names
+        named.select("FILE", "png").write.mode("overwrite").parquet(f"{path}/images")
+    else:
+        named.select("FILE", "png").foreachPartition(_files(f"{root}/images"))
     index(traits).coalesce(1).write.mode("overwrite").option("header", True).csv(f"{path}/index")
+
+
+def _files(root: str) -> Callable:
+    def put(rows: Iterator) -> None:
+        for r in rows:
+            place = Path(root, r["FILE"])
+            place.parent.mkdir(parents=True, exist_ok=True)
+            place.with_suffix(".tmp").write_bytes(r["png"])
+            place.with_suffix(".tmp").replace(place)  # a task that runs again replaces the picture
+
+    return put

@@ -60,3 +60,14 @@ def moving_tail(df: DataFrame, order: str, value: str) -> DataFrame:
     w = Window.orderBy(order).rowsBetween(Window.unboundedPreceding, 0)
     sums = df.groupBy(order).agg(F.sum(value).alias("s"))
     return sums.withColumn("running", F.sum("s").over(w))
+
+
+def interval_join(points: DataFrame, intervals: DataFrame, at: str, lo: str, hi: str, width: int = 16) -> DataFrame:
+    """Points with every interval [lo, hi] that holds them (whole numbers): an equi-join on stretches of `width`, and the test."""
+    cells = intervals.withColumn("_k", F.explode(F.sequence(F.floor(F.col(lo) / width), F.floor(F.col(hi) / width))))
+    return points.withColumn("_k", F.floor(F.col(at) / width)).join(cells, "_k").where(F.col(at).between(F.col(lo), F.col(hi))).drop("_k")
+
+
+def sampled(df: DataFrame, share: float, seed: int = 1, by: str | None = None, shares: dict | None = None) -> DataFrame:
+    """A quick look at a share of the rows, or at shares by the value of a column; the same rows in every run over the same files."""
+    return df.sampleBy(by, shares, seed) if by is not None else df.sample(fraction=share, seed=seed)

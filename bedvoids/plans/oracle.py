@@ -142,14 +142,18 @@ def bsf(norm: str = "max", scope: str = "step", t: str = "") -> str:
 bsf{t} AS MATERIALIZED (SELECT l.step, l.voxel, s AS similarity FROM labels{t} l JOIN scored{t} USING (step, cluster))"""
 
 
-def iteration(k: int, t: str = "", size: int = 3, gamma: float = 0.3) -> str:
+def iteration(k: int, t: str = "", size: int = 3, gamma: float = 0.3, cells: bool = False) -> str:
     """A round of clustering: labels of round k and its centres from those of the round before."""
     px = " + ".join(f"(i{a} - c{a}) * (i{a} - c{a})" for a in "xyz")
     near = " AND ".join(f"abs(i{a} - c{a}) <= {size}" for a in "xyz")
+    reach, same = f"centres{t}_{k - 1}", ""
+    if cells:  # centres meet the voxels of the cells that they reach
+        reach = f"(SELECT c.*, {', '.join(f'k{a}' for a in 'xyz')} FROM centres{t}_{k - 1} c, {', '.join(f'range(CAST(floor((c{a} - {size}) / {size}) AS BIGINT), CAST(floor((c{a} + {size}) / {size}) AS BIGINT) + 1) r{a}(k{a})' for a in 'xyz')})"
+        same = " AND " + " AND ".join(f"i{a} // {size} = k{a}" for a in "xyz")
     return f"""labels{t}_{k} AS MATERIALIZED (
   SELECT b.step, b.voxel, coalesce(z.cluster, b.cluster) AS cluster, coalesce(z.cluster, b.cluster) <> b.cluster AS moved, coalesce(z.tested, 0) AS tested FROM labels{t}_{k - 1} b LEFT JOIN (
     SELECT f.step, f.voxel, arg_min(c.cluster, row({d(gamma)} * sqrt({px}) + {d(1 - gamma)} * abs(density - cv), c.cluster)) AS cluster, count(*) AS tested
-    FROM field f JOIN centres{t}_{k - 1} c ON f.step = c.step AND {near} GROUP BY ALL
+    FROM field f JOIN {reach} c ON f.step = c.step{same} AND {near} GROUP BY ALL
   ) z ON z.step = b.step AND z.voxel = b.voxel
 ),
 centres{t}_{k} AS MATERIALIZED (
@@ -167,9 +171,9 @@ centres{t}_0 AS MATERIALIZED (
 )"""
 
 
-def clustered(t: str = "", n: tuple[int, int, int] = (NX, NY, NZ), size: int = 3, gamma: float = 0.3, rounds: int = 20) -> str:
+def clustered(t: str = "", n: tuple[int, int, int] = (NX, NY, NZ), size: int = 3, gamma: float = 0.3, rounds: int = 20, cells: bool = False) -> str:
     """Supervoxels after at most 20 rounds: a step that has converged stays as it is in the rounds after."""
-    chain = ", ".join(iteration(k, t, size, gamma) for k in range(1, rounds + 1))
+    chain = ", ".join(iteration(k, t, size, gamma, cells) for k in range(1, rounds + 1))
     return f"{seeds(t, n, size)}, {chain}, labels{t} AS MATERIALIZED (SELECT step, voxel, cluster, density FROM labels{t}_{rounds} JOIN field USING (step, voxel))"
 
 
@@ -198,9 +202,9 @@ def segments(threshold: float = 0.92, t: str = "") -> str:
     return f"seg{t} AS MATERIALIZED (SELECT step, voxel, ix, iy, iz FROM bsf{t} JOIN lattice USING (voxel) WHERE similarity >= {d(threshold)})"
 
 
-def run(scene: str = "rise", n: tuple[int, int, int] = (NX, NY, NZ), steps: int | None = None, box: Box | None = None, size: int = 3) -> str:
+def run(scene: str = "rise", n: tuple[int, int, int] = (NX, NY, NZ), steps: int | None = None, box: Box | None = None, size: int = 3, cells: bool = False) -> str:
     """The similarity of supervoxels to the selected region, at all steps."""
-    return f"{bed(scene, steps, n)}, {target(box or BOXES[scene])}, {clustered(n=n, size=size)}, {gaussians()}, {distance()}, {bsf()}"
+    return f"{bed(scene, steps, n)}, {target(box or BOXES[scene])}, {clustered(n=n, size=size, cells=cells)}, {gaussians()}, {distance()}, {bsf()}"
 
 
 def extracted(scene: str = "rise", connectivity: int = 6) -> str:
@@ -297,7 +301,7 @@ SQL: dict[str, str] = {
     "planted_truth": f"WITH {LATTICE}, {truth('rise')}, {truth('shapes', 'other')} SELECT step, voxel, ix, iy, iz FROM truth UNION ALL SELECT step + 100, voxel, ix, iy, iz FROM other",
     "bounds": f"WITH {PARTICLES} SELECT {', '.join(f'min({a}) AS lo_{a}, max({a}) AS hi_{a}' for a in 'xyz')} FROM particles",
     "histogram": f"WITH {PARTICLES} SELECT CAST(step AS INT) AS step, ix, iy, iz, count(*) AS n, sum(vx) AS sum_vx, sum(vy) AS sum_vy FROM ({binned()}) GROUP BY ALL",
-    "outside_bounds": f"SELECT CAST(datediff('day', DATE '2024-01-01', CAST(ts AS DATE)) AS INT) AS step, count(*) FILTER (NOT (least(value, {d(200.0)}) BETWEEN 0 AND 200)) AS outside FROM events GROUP BY 1",
+    "outside_bounds": "SELECT CAST(datediff('day', DATE '2024-01-01', CAST(ts AS DATE)) AS INT) AS step, count(*) FILTER (NOT (value BETWEEN 0 AND 200 AND user_id BETWEEN 0 AND 150)) AS outside FROM events GROUP BY 1",
     "density_dense": f"WITH {BED} SELECT step, voxel, density FROM field",
     "density_rebin": f"WITH {PARTICLES} SELECT CAST(step AS INT) AS step, ix, iy, iz, count(*) AS n, sum(vx) AS sum_vx FROM ({binned((12, 3, 12))}) GROUP BY ALL",
     "density_image_space": f"WITH {PARTICLES} SELECT CAST(step AS INT) AS step, ix, iy, iz, count(*) AS n, sum(vx) AS sum_vx FROM ({binned((24, 1, 24))}) GROUP BY ALL",
@@ -385,10 +389,14 @@ SELECT member, step, count(*) AS n FROM h GROUP BY ROLLUP (member, step)""",
 SELECT diameter, CAST(sum(n) AS BIGINT) AS particles, count(*) AS bins, sum(s) AS momentum FROM h GROUP BY diameter""",
     "order_bed_histogram": f"""WITH o AS (SELECT CAST(year(o_orderdate) - 1995 AS INT) AS step, o_totalprice AS x, CAST(substr(o_orderpriority, 1, 1) AS DOUBLE) - 1 + (o_orderkey % 64) / {d(64.0)} AS y, o_custkey % 50 + (o_orderkey % 64) / {d(64.0)} AS z, CASE o_orderstatus WHEN 'F' THEN {d(1.0)} WHEN 'P' THEN {d(-1.0)} ELSE {d(0.0)} END AS vx FROM orders)
 SELECT step, ix, iy, iz, count(*) AS n, sum(vx) AS sum_vx FROM ({binned((12, 3, 12), "o", {"x": (900.0, 450000.0), "y": (0.0, 5.0), "z": (0.0, 51.0)})}) GROUP BY ALL""",
-    "event_hist_daily": f"""WITH e AS (SELECT CAST(datediff('day', DATE '2024-01-01', CAST(ts AS DATE)) AS INT) AS step, least(value, {d(200.0)}) AS x, CAST(hour(ts) AS DOUBLE) AS y, CAST(user_id % 150 AS DOUBLE) AS z, CASE event_type WHEN 'click' THEN {d(2.0)} WHEN 'view' THEN {d(1.0)} WHEN 'signup' THEN {d(0.0)} WHEN 'purchase' THEN {d(-1.0)} ELSE {d(-2.0)} END AS vx FROM events)
+    "event_hist_daily": f"""WITH e AS (SELECT CAST(datediff('day', DATE '2024-01-01', CAST(ts AS DATE)) AS INT) AS step, least(value, {d(200.0)}) AS x, CAST(hour(ts) AS DOUBLE) AS y, CAST(user_id AS DOUBLE) AS z, CASE event_type WHEN 'click' THEN {d(2.0)} WHEN 'view' THEN {d(1.0)} WHEN 'signup' THEN {d(0.0)} WHEN 'purchase' THEN {d(-1.0)} ELSE {d(-2.0)} END AS vx FROM events)
 SELECT step, count(*) AS n, sum(vx) AS momentum, count(DISTINCT row(ix, iy, iz)) AS bins FROM ({binned((20, 6, 15), "e", {"x": (0.0, 200.0), "y": (0.0, 24.0), "z": (0.0, 150.0)})}) GROUP BY step""",
     "event_sliding": "SELECT strftime(b - k * INTERVAL 6 HOUR, '%Y-%m-%d %H:%M:%S') AS start, count(*) AS n FROM (SELECT time_bucket(INTERVAL 6 HOUR, ts, TIMESTAMP '1970-01-01') AS b FROM events), range(4) r(k) GROUP BY 1",
-    "asof_step": "SELECT CAST(s AS INT) AS step, CAST(s // 10 * 10 AS INT) AS stored_step, s // 10 * 100 AS stored FROM range(30) r(s)",
+    "asof_step": f"{LABELS}, per AS (SELECT step, count(DISTINCT bubble) AS bubbles FROM bubbles GROUP BY step) SELECT p.step, p.bubbles, q.step AS stored_step, q.bubbles AS stored FROM per p LEFT JOIN per q ON q.step % 4 = 0 AND q.step = (SELECT max(step) FROM per r WHERE r.step % 4 = 0 AND r.step <= p.step)",
+    "interval_join": f"{EDGES}, {BEST}, {mutual_chains()}, lives AS (SELECT track, min(step) AS a, max(step) AS b FROM chain GROUP BY track) SELECT s.step, track FROM (SELECT DISTINCT step FROM bubbles) s JOIN lives ON s.step BETWEEN a AND b",
+    "morton_order": f"{LABELS} SELECT step, voxel, CAST({' + '.join(f'(((CAST({i} AS BIGINT) >> {k}) & 1) << {3 * k + p})' for k in range(5) for p, i in enumerate(('ix', 'iy', 'iz')))} AS BIGINT) AS morton FROM bubbles",
+    "bins_by_bucket": f"WITH {PARTICLES} SELECT {', '.join(f'CAST(least(floor({d(float(n))} * ({a} - {d(SPANS[a][0])}) / ({d(SPANS[a][1])} - {d(SPANS[a][0])})), {n - 1}) AS INT) AS i{a}' for a, n in zip('xyz', (NX, NY, NZ), strict=True))}, count(*) AS n FROM ({binned()}) GROUP BY 1, 2, 3",
+    "void_voxels": f"WITH {BED} SELECT step, voxel, density FROM truth JOIN field USING (step, voxel)",
     "range_join": f"{LABELS}, {TRAITS} SELECT a.step, a.bubble AS a, b.bubble AS b FROM described a JOIN described b ON b.step = a.step + 1 AND abs(a.xc - b.xc) <= 6000 AND abs(a.zc - b.zc) <= 4",
     "top_bubbles": f"{LABELS}, {TRAITS} SELECT step, bubble, voxels FROM (SELECT *, row_number() OVER (PARTITION BY step ORDER BY voxels DESC, bubble) AS r FROM described) WHERE r <= 2",
     "unpivoted": f"{LABELS}, {TRAITS} SELECT step, bubble, 'voxels' AS name, CAST(voxels AS DOUBLE) AS value FROM traits UNION ALL SELECT step, bubble, 'ix_min', ix_min FROM traits UNION ALL SELECT step, bubble, 'ix_max', ix_max FROM traits",
@@ -451,11 +459,11 @@ OVERALL = f"""SELECT hit, missed, extra, round(CASE WHEN hit + extra > 0 THEN hi
   SELECT count(*) FILTER (f.voxel IS NOT NULL AND t.voxel IS NOT NULL) AS hit, count(*) FILTER (f.voxel IS NULL) AS missed, count(*) FILTER (t.voxel IS NULL) AS extra FROM {{}} f FULL JOIN truth t ON f.step = t.step AND f.voxel = t.voxel)"""
 
 
-def with_bins(n: tuple[int, int, int], steps: int) -> str:
+def with_bins(n: tuple[int, int, int]) -> str:
     """Bubbles found with other numbers of bins, as a query of its own."""
     w = [(hi - lo) / k for (lo, hi), k in zip((SPANS[a] for a in "xyz"), n, strict=True)]
-    return f"""SELECT '{"x".join(map(str, n))}' AS bins, * FROM (WITH RECURSIVE {run(n=n, steps=steps, box=void_box(bed_grid(n)))}, {segments()}, {reached('seg', 'found')}, {kept(n=n)},
-count_ AS (SELECT count(*) AS bubbles, round(sum(v), 3) AS volume FROM (SELECT count(*) * {d(w[0] * w[1] * w[2])} AS v FROM bubbles GROUP BY step, bubble)), overall AS ({OVERALL.format("bubbles").replace("FULL JOIN truth t", f"FULL JOIN (SELECT * FROM truth WHERE step < {steps}) t")}) SELECT * FROM count_ CROSS JOIN overall)"""
+    return f"""SELECT '{"x".join(map(str, n))}' AS bins, * FROM (WITH RECURSIVE {run(n=n, box=void_box(bed_grid(n)), cells=True)}, {segments()}, {reached('seg', 'found')}, {kept(n=n)},
+count_ AS (SELECT count(*) AS bubbles, round(sum(v), 3) AS volume FROM (SELECT count(*) * {d(w[0] * w[1] * w[2])} AS v FROM bubbles GROUP BY step, bubble)), overall AS ({OVERALL.format("bubbles")}) SELECT * FROM count_ CROSS JOIN overall)"""
 
 
 def compared(case: str, n: tuple[int, int, int], source: str = PARTICLES, spans: dict | None = None) -> str:
@@ -532,7 +540,7 @@ moved_field AS MATERIALIZED (SELECT f.step, f.voxel, f.ix, f.iy, f.iz, s / n AS
 SELECT CAST(size AS INT) AS size, partition, small, count(*) AS bubbles, count(*) FILTER (recalled) AS recalled FROM ({" UNION ALL ".join(recalled(f"_{how[0]}{s}", s, how) for s in (3, 4, 6) for how in ("supervoxels", "blocks"))}) GROUP BY size, partition, small""",
     "workload_e11": f"""WITH RECURSIVE {run()}, seg AS MATERIALIZED ({" UNION ALL ".join(f"SELECT CAST(step + {1000 * i} AS INT) AS step, voxel, ix, iy, iz FROM bsf JOIN lattice USING (voxel) WHERE similarity >= {d(t)}" for i, t in enumerate(THRESHOLDS, 1))}), {reached("seg", "found")}, {kept()}
 SELECT [{", ".join(map(d, THRESHOLDS))}][CAST(step // 1000 AS INT)] AS threshold, count(DISTINCT row(step, bubble)) AS bubbles, count(*) AS voxels FROM bubbles GROUP BY 1""",
-    "workload_e12": " UNION ALL ".join(with_bins(n, 2) for n in BINS),
+    "workload_e12": " UNION ALL ".join(with_bins(n) for n in BINS),
     "workload_e18": f"{LABELS}, {edges()}, {BEST}, {traced(FIRST, 0)}, {LAYERS}",
     "workload_e19": f"""{SHAPES}, {TRUE_BUBBLES}, {edges()}, {edges(name="true_edges", bubbles="true_bubbles")}, {", ".join(f"ends{t} AS MATERIALIZED ({ENDS.format(b)}), boxes{t} AS MATERIALIZED ({BOX_LINKS.format('ends' + t)})" for t, b in (("_e", "bubbles"), ("_p", "true_bubbles")))}
 {" UNION ALL ".join(f"SELECT '{name}' AS bubbles, 'boxes' AS links, count(*) AS n FROM boxes{t} UNION ALL SELECT '{name}', 'overlap', count(*) FROM {e} UNION ALL SELECT '{name}', 'boxes only', count(*) FROM boxes{t} b WHERE NOT EXISTS (SELECT 1 FROM {e} e WHERE e.step = b.step AND e.src = b.src AND e.dst = b.dst)" for name, t, e in (("extracted", "_e", "edges"), ("planted", "_p", "true_edges")))}""",

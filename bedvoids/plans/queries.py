@@ -81,7 +81,7 @@ def histogram(spark, d):
 
 @query
 def outside_bounds(spark, d):
-    return density.outside(P.event_bed(spark, d), P.event_grid())
+    return density.outside(P.event_bed(spark, d, cap=None), P.event_grid())
 
 
 @query
@@ -668,9 +668,39 @@ def event_sliding(spark, d):
 
 @query
 def asof_step(spark, d):
-    steps = spark.range(30).select(F.col("id").cast("int").alias("step"), F.lit(1).alias("run"))
-    stored = spark.range(3).select((F.col("id") * 10).cast("int").alias("step"), F.lit(1).alias("run"), (F.col("id") * 100).alias("stored"))
-    return relational.asof_join(steps, stored, "step", ["run"]).select("step", F.col("step_right").alias("stored_step"), "stored")
+    """Each step with the last one that a dump of every fourth step has."""
+    per = run_of(spark, d).traits.groupBy("step").agg(F.count(F.lit(1)).alias("bubbles")).withColumn("run", F.lit(1))
+    stored = per.where("step % 4 = 0").select("step", "run", F.col("bubbles").alias("stored"))
+    return relational.asof_join(per, stored, "step", ["run"]).select("step", "bubbles", F.col("step_right").alias("stored_step"), "stored")
+
+
+@query
+def interval_join(spark, d):
+    """Tracks that live at each step."""
+    lives = lifecycle.summary(track.with_traits(track.all_tracks(run_of(spark, d).edges, run_of(spark, d).traits), run_of(spark, d).traits)).select("track", "first_step", "last_step")
+    steps = run_of(spark, d).traits.select("step").distinct()
+    return relational.interval_join(steps, lives, "step", "first_step", "last_step", width=4).select("step", "track")
+
+
+@query
+def morton_order(spark, d):
+    return run_of(spark, d).voxels.select("step", "voxel", GRID.morton().alias("morton"))
+
+
+@query
+def bins_by_bucket(spark, d):
+    return w1(spark, d).where(GRID.inside()).groupBy(*[GRID.bucket(i).alias(f"i{a}") for i, a in enumerate("xyz")]).agg(F.count(F.lit(1)).alias("n"))
+
+
+@query
+def void_voxels(spark, d):
+    """The planted voxels of the first scene by the table function, with the particles that stay in them."""
+    spark.udtf.register("void_voxels", P.void_voxels())
+    voids = spark.createDataFrame(P.void_rows("rise"), P._VOID)
+    voids.createOrReplaceTempView("_voids")
+    args = ", ".join(c for c in voids.columns if c != "void")
+    at = spark.sql(f"SELECT DISTINCT v.step, v.voxel FROM _voids, LATERAL void_voxels({args.replace('step', '_voids.step')}, {GRID.n[0]}, {GRID.n[1]}, {GRID.n[2]}) v")
+    return at.join(field_w2(spark, d).select("step", "voxel", "density"), ["step", "voxel"])
 
 
 @query

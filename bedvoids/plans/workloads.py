@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable
 from functools import reduce
 
@@ -175,23 +176,23 @@ def e11(spark, sf_dir, thresholds: tuple[float, ...] = (0.88, 0.9, 0.92, 0.94, 0
     return {"result": per.groupBy("threshold").agg(F.count(F.lit(1)).alias("bubbles"), F.sum("voxels").alias("voxels")), "profile": segment.threshold_profile(bsf)}
 
 
-#: A quarter of the bin counts of the published sweep on each axis.
-BINS = ((16, 2, 16), (32, 4, 32), (32, 6, 32), (64, 16, 64))
+#: An eighth of the bin counts of the published sweep on each axis.
+BINS = ((8, 1, 8), (16, 2, 16), (16, 3, 16), (32, 8, 32))
 
 
 @workload("E12")
-def e12(spark, sf_dir, bins: tuple[tuple[int, int, int], ...] = BINS, steps: int = 2, **_) -> Tables:
+def e12(spark, sf_dir, bins: tuple[tuple[int, int, int], ...] = BINS, **_) -> Tables:
     """Numbers of bins: bubbles found, and how well they cover the planted voxels."""
     out = []
     for n in bins:
         grid = bed_grid(n)
-        hist = store(density.histogram(bed(spark, sf_dir, grid, steps=steps), grid), "histogram")
+        hist = store(density.histogram(bed(spark, sf_dir, grid), grid), "histogram")
         goal = target.fit_target(density.density_field(hist.where("step = 0"), grid), void_box(grid), 0, grid=grid)
         found = components.label(segment.by_similarity(pipeline.of_histogram(hist, grid, goal).fields), grid)
         what = traits.describe(found, grid).where((F.col("voxels") >= LEAST) & ~F.col("is_freeboard"))
         per = found.join(what.select("step", "bubble"), ["step", "bubble"], "left_semi")
         count = what.agg(F.count(F.lit(1)).alias("bubbles"), F.round(F.sum("volume"), 3).alias("volume"))
-        hit = _overall(measures.accuracy(per, P.truth(spark, "rise", grid).where(F.col("step") < steps)))
+        hit = _overall(measures.accuracy(per, P.truth(spark, "rise", grid)))
         out.append(count.crossJoin(F.broadcast(hit)).select(F.lit("x".join(map(str, n))).alias("bins"), "*"))  # one row each
     return {"result": reduce(DataFrame.unionByName, out)}
 
@@ -236,62 +237,75 @@ def e13(spark, sf_dir, bins: tuple[tuple[int, int, int], ...] = ORDER_BINS, **_)
 
 
 @workload("E14")
-def e14(spark, sf_dir, steps: int = 4, stride: int = 2, grid: GridSpec | None = None, **_) -> Tables:
-    """A run in situ: seconds of each stage, bytes stored."""
-    grid = grid or _grid()
-    particles = bed(spark, sf_dir, grid, steps=steps)
+def e14(spark, sf_dir, stride: int = 2, grid: GridSpec | None = None, **_) -> Tables:
+    """A run in situ: seconds, rows and share of producing the particles of each stage; bytes of particles and of fields."""
+    grid = grid or GRID
+    particles = bed(spark, sf_dir, grid)
     goal = fitted(spark, particles, grid)
+    read = pipeline.accessed(particles, stride=stride)
+    base = measures.seconds(read)
     held: dict[str, DataFrame] = {}
 
-    def first() -> DataFrame:
-        held["hist"] = store(density.histogram(pipeline.accessed(particles, stride=stride), grid), "hist")
-        held["field"] = store(density.density_field(held["hist"], grid), "field")
-        return held["field"]
+    def kept(name: str, make: Callable[[], DataFrame]) -> tuple:
+        t = time.perf_counter()
+        held[name] = store(make(), name)
+        return name, time.perf_counter() - t
 
-    def second() -> DataFrame:
-        held["labels"] = store(supervoxel.slic(held["field"], grid)[0], "labels")
-        return held["labels"]
-
-    def third() -> DataFrame:
-        return similarity.bsf(held["labels"], gaussian.fit_clusters(held["labels"], held["field"]), goal)
-
-    return {"result": measures.stage_times(spark, {"density and velocity": first, "supervoxels": second, "similarity": third})}
+    rows = [
+        kept("density and velocity", lambda: density.histogram(read, grid)),
+        kept("supervoxels and similarity", lambda: pipeline.of_histogram(held["density and velocity"], grid, goal).fields),
+    ]
+    total = sum(x for _, x in rows)
+    counts = {k: df.count() for k, df in held.items()}
+    result = spark.createDataFrame([(k, t, t / base, counts[k]) for k, t in rows] + [("all", total, total / base, counts["supervoxels and similarity"])], "stage string, seconds double, share_of_producing double, rows long")
+    path = fresh_path(spark, "run")
+    sizes = measures.io_times(spark, {"raw": particles, "fields": store_fields.pack(held["supervoxels and similarity"], grid, ["similarity", "rise_velocity"])}, path)
+    stored = measures.storage(spark, f"{path}/raw", f"{path}/fields", particles.count(), P.STEPS["rise"], stride, 5)
+    return {"result": result, "io": sizes, "storage": stored}
 
 
 @workload("E15")
-def e15(spark, sf_dir, parts: tuple[int, ...] = (1, 2, 4), steps: int = 4, **_) -> Tables:
-    """Seconds of the run by number of partitions (tasks at once)."""
-    grid = _grid()
+def e15(spark, sf_dir, parts: tuple[int, ...] = (1, 2, 4), **_) -> Tables:
+    """Seconds of the clustering by number of tasks at once; labels are the same however many there are. Cores are swept by bench.py."""
+    grid = GRID
+    field = store(density.density_field(density.histogram(bed(spark, sf_dir, grid), grid), grid), "field")
     rows = []
     for p in parts:
-        particles = bed(spark, sf_dir, grid, steps=steps)
-        field = store(density.density_field(density.histogram(particles.coalesce(p), grid), grid), "field")
-        rows.append((p, measures.seconds(supervoxel.slic(field.repartition(p, "step"), grid)[0])))
-    return {"result": spark.createDataFrame(rows, "tasks int, seconds double")}
+        t = time.perf_counter()
+        labels = store(supervoxel.slic(field.repartition(p, "step"), grid)[0], "labels")
+        rows.append((p, time.perf_counter() - t, labels.agg(F.sum(F.xxhash64("step", "voxel", "cluster").cast("decimal(38,0)"))).first()[0]))
+    return {"result": spark.createDataFrame(rows, "tasks int, seconds double, labels decimal(38,0)")}
 
 
 @workload("E16")
-def e16(spark, sf_dir, steps: int = 3, **_) -> Tables:
-    """In situ against writing raw particles, reading them back and computing then: results are the same, time isn't."""
-    grid = _grid()
-    particles = bed(spark, sf_dir, grid, steps=steps)
+def e16(spark, sf_dir, **_) -> Tables:
+    """In situ against writing raw particles, reading them back and computing then: the fields are the same, time isn't."""
+    grid = GRID
+    particles = bed(spark, sf_dir, grid)
     goal = fitted(spark, particles, grid)
     path = fresh_path(spark, "raw")
-    now = measures.seconds(pipeline.in_situ(particles, grid, goal).fields)
+
+    def timed(make: Callable[[], DataFrame]) -> tuple[DataFrame, float]:
+        t = time.perf_counter()
+        return store(make(), "fields"), time.perf_counter() - t
+
+    now, seconds = timed(lambda: pipeline.in_situ(particles, grid, goal).fields)
     write = measures.io_times(spark, {"raw": particles}, path).first()["seconds"]
     read = measures.seconds(spark.read.parquet(f"{path}/raw"))
-    later = measures.seconds(pipeline.from_raw(f"{path}/raw", grid, goal, spark).fields)
-    return {"result": spark.createDataFrame([("in situ", now), ("post hoc: write", write), ("post hoc: read", read), ("post hoc: compute", later)], "stage string, seconds double")}
+    after, later = timed(lambda: pipeline.from_raw(f"{path}/raw", grid, goal, spark).fields)
+    spread, parallel = timed(lambda: pipeline.from_raw(f"{path}/raw", grid, goal, spark, parallelism=8).fields)
+    differ = now.exceptAll(after).count() + now.exceptAll(spread).count()
+    return {"result": spark.createDataFrame([("in situ", seconds, 0), ("post hoc: write", write, 0), ("post hoc: read", read, 0), ("post hoc: compute", later, differ), ("post hoc: compute in parallel", parallel, differ)], "stage string, seconds double, rows_that_differ long")}
 
 
 @workload("E17")
-def e17(spark, sf_dir, steps: int = 4, **_) -> Tables:
+def e17(spark, sf_dir, stride: int = 2, checkpoint: int = 5, **_) -> Tables:
     """Seconds and bytes of storing raw particles, checkpoints and fields."""
-    grid = _grid()
-    particles = store(bed(spark, sf_dir, grid, steps=steps), "particles")
+    grid = GRID
+    particles = store(bed(spark, sf_dir, grid), "particles")
     goal = fitted(spark, particles, grid)
-    fields = pipeline.in_situ(particles, grid, goal, stride=2).fields
-    outputs = {"raw": pipeline.accessed(particles, stride=2), "checkpoint": baselines.strided(particles, 4), "fields": store_fields.pack(fields, grid, ["similarity", "rise_velocity"])}
+    fields = pipeline.in_situ(particles, grid, goal, stride=stride).fields
+    outputs = {"raw": pipeline.accessed(particles, stride=stride), "checkpoint": baselines.strided(particles, checkpoint), "fields": store_fields.pack(fields, grid, ["similarity", "rise_velocity"])}
     return {"result": measures.io_times(spark, outputs, fresh_path(spark, "io"))}
 
 

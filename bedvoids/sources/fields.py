@@ -2,22 +2,21 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.grid import GridSpec
+from .shared import bytes_of
 
 
 def pack(df: DataFrame, grid: GridSpec, values: list[str]) -> DataFrame:
     """One row for each step with arrays of all voxels in order; what is missing is null."""
-    spots = df.groupBy("step").agg(F.map_from_entries(F.collect_list(F.struct("voxel", F.struct(*[F.col(v).cast("float").alias(v) for v in values])))).alias("m"))
-
-    def array(v: str) -> Column:
-        return F.transform(F.sequence(F.lit(0).cast("long"), F.lit(grid.voxels - 1).cast("long")), lambda i: F.try_element_at(F.col("m"), i)[v]).alias(v)
-
-    arrays = [array(v) for v in values]
+    rows = df.select("step", "voxel", *[F.col(v).cast("float").alias(v) for v in values])
+    lattice = df.select("step").distinct().select("step", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(grid.voxels - 1).cast("long"))).alias("voxel"))
+    every = lattice.join(rows, ["step", "voxel"], "left")
+    inorder = every.groupBy("step").agg(F.array_sort(F.collect_list(F.struct("voxel", *values))).alias("m"))
     nx, ny, nz = grid.n
-    return spots.select("step", F.lit(0).alias("tile"), F.lit(nx).alias("nx"), F.lit(ny).alias("ny"), F.lit(nz).alias("nz"), *arrays)
+    return inorder.select("step", F.lit(0).alias("tile"), F.lit(nx).alias("nx"), F.lit(ny).alias("ny"), F.lit(nz).alias("nz"), *[F.col(f"m.{v}").alias(v) for v in values])
 
 
 def unpack(packed: DataFrame, values: list[str]) -> DataFrame:
@@ -48,3 +47,8 @@ def write_raw(particles: DataFrame, path: str) -> None:
 def write_view(spec: DataFrame, path: str) -> None:
     """The description of a view or scene as JSON lines."""
     spec.write.mode("overwrite").json(path)
+
+
+def field_bytes(spark: SparkSession, paths: dict[str, str]) -> DataFrame:
+    """what, bytes: files of a distribution, a field or raw rows, for comparison."""
+    return spark.createDataFrame([(k, bytes_of(spark, p)) for k, p in paths.items()], "what string, bytes long")

@@ -53,21 +53,21 @@ def order_bed(spark: SparkSession, sf_dir: str) -> DataFrame:
 EVENT_VELOCITY = {"click": 2.0, "view": 1.0, "signup": 0.0, "purchase": -1.0, "error": -2.0}
 
 
-def event_columns() -> dict[str, Column]:
+def event_columns(cap: float | None = 200.0) -> dict[str, Column]:
     speed = F.create_map(*[F.lit(v) for kv in EVENT_VELOCITY.items() for v in kv])
     return {
         "step": F.datediff(F.to_date("ts"), F.lit("2024-01-01").cast("date")).cast("int"),
-        "x": F.least(F.col("value"), F.lit(200.0)),
+        "x": F.least(F.col("value"), F.lit(cap)) if cap is not None else F.col("value"),
         "y": F.hour("ts").cast("double"),
-        "z": (F.col("user_id") % 150).cast("double"),
+        "z": F.col("user_id").cast("double"),
         "vx": F.element_at(speed, F.col("event_type")),
         "vy": F.lit(0.0),
         "vz": F.lit(0.0),
     }
 
 
-def event_bed(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return table(spark, sf_dir, "events").select(*[c.alias(k) for k, c in event_columns().items()])
+def event_bed(spark: SparkSession, sf_dir: str, cap: float | None = 200.0) -> DataFrame:
+    return table(spark, sf_dir, "events").select(*[c.alias(k) for k, c in event_columns(cap).items()])
 
 
 def event_grid(n: tuple[int, int, int] = (20, 6, 15)) -> GridSpec:
@@ -167,6 +167,27 @@ def planted_bed(spark: SparkSession, sf_dir: str, scene: str = "rise", grid: Gri
     return out.select("step", "x", "y", "z", "vx", "vy", "vz")
 
 
+def void_voxels() -> type:
+    """A table function of (step, centre, radii, cut's centre and radii, bins): the voxels of a void; for small inputs."""
+    from pyspark.sql.functions import udtf
+
+    @udtf(returnType="step int, voxel bigint, ix int, iy int, iz int")
+    class VoidVoxels:
+        def eval(self, step: int, x0: float, y0: float, z0: float, rx: float, ry: float, rz: float, cx: float, cy: float, cz: float, crx: float, cry: float, crz: float, nx: int, ny: int, nz: int):
+            def ball(ix: int, iy: int, iz: int, c: tuple, r: tuple) -> float:
+                a, b, g = (((i + 0.5) / float(n) - p) / q for i, n, p, q in zip((ix, iy, iz), (nx, ny, nz), c, r, strict=True))
+                return a * a + b * b + g * g
+
+            for ix in range(nx):
+                if (ix + 0.5) / nx < BED_TOP:
+                    for iy in range(ny):
+                        for iz in range(nz):
+                            if ball(ix, iy, iz, (x0, y0, z0), (rx, ry, rz)) <= 1 and ball(ix, iy, iz, (cx, cy, cz), (crx, cry, crz)) > 1:
+                                yield step, (ix * ny + iy) * nz + iz, ix, iy, iz
+
+    return VoidVoxels
+
+
 def motion(spark: SparkSession, scene: str, grid: GridSpec) -> DataFrame:
     """step, voxel, v_set: velocity of the particles beside (sinking), right below (fast) and right above voids."""
     voids = spark.createDataFrame(void_rows(scene), _VOID)

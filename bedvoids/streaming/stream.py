@@ -24,6 +24,13 @@ def events(spark: SparkSession, path: str, files_per_batch: int = 1) -> DataFram
     return raw.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
+def producer(spark: SparkSession, rows_per_second: int, grid: GridSpec) -> DataFrame:
+    """A coupled producer to try a pipeline with: particles that arrive at a rate, all over the bed, a step a second."""
+    rows = spark.readStream.format("rate").option("rowsPerSecond", rows_per_second).load()
+    place = [(F.lit(lo) + F.pmod(F.xxhash64("value", F.lit(i)), F.lit(1 << 20)) / F.lit(float(1 << 20)) * F.lit(hi - lo)).alias(a) for i, (a, lo, hi) in enumerate(zip("xyz", grid.lo, grid.hi, strict=True))]
+    return rows.select(F.col("timestamp").alias("ts"), F.floor(F.col("value") / rows_per_second).cast("int").alias("step"), *place, F.lit(1.0).alias("vx"), F.lit(0.0).alias("vy"), F.lit(0.0).alias("vz"))
+
+
 def event_windows(stream: DataFrame, kind: str = "tumbling", size: str = "1 day", slide: str = "6 hours", gap: str = "30 minutes", late: str = "1 day") -> DataFrame:
     """Counts and means by tumbling, sliding or session windows; a window is final when the watermark has passed it."""
     timed = stream.withWatermark("ts", late)
