@@ -3,6 +3,7 @@ import zlib
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from bedvoids.llm import decontaminate as D
 from bedvoids.llm import html_text, language, toxicity
@@ -116,7 +117,97 @@ def test_language_edges(spark):
     assert {r.lang_pred for r in language.identify(docs(spark, [(1, "word", None), (2, "text", None)])).collect()} == {"und"}
 
 
+def test_kernels_and_regression_against_plain_formulas():
+    """Sets of n-grams one by one, kernels from their sizes, and the ridge solution in the landmarks' own space."""
+    import pyarrow as pa
+
+    texts = ["the cat sat on the mat", "a dog and a cat", "der hund und die katze", "das ist ein haus", "le chat est sur la table", "une maison et un chien", "the house is old", "die katze schläft"]
+    labels = ["en", "en", "de", "de", "fr", "fr", "en", "de"]
+    asked = ["the dog sat", "ein hund und ein haus", "la maison", "zzz"]
+    starts = np.r_[0, np.cumsum(language.PLACES)]
+
+    def places(text):
+        raw, out = text.encode(), set()
+        for n, size in enumerate(language.PLACES, 1):
+            for i in range(len(raw) - n + 1):
+                h = int.from_bytes(raw[i : i + n], "big") * 0x9E3779B1 % (1 << 32)
+                h = (h ^ h >> 15) * 0x85EBCA77 % (1 << 32)
+                out.add(int(starts[n - 1]) + (h >> 16) % size)
+        return out
+
+    plain = lambda ts: language.letters(pa.array(ts, pa.string()))
+    x, q = (np.concatenate([m for _, m in language.presence(plain(ts))]) for ts in (texts, asked))
+    sets = [places(t) for t in plain(texts).to_pylist()]
+    for row, s in zip(x, sets, strict=True):
+        assert set(np.flatnonzero(row)) == s
+    kernel = lambda a, b: np.array([[len(s & t) / (len(s) * len(t)) ** 0.5 for t in b] for s in a])
+    model = language.Model(x, labels, landmarks=5)
+    land = kernel(sets[:5], sets[:5])
+    values, vectors = np.linalg.eigh(land)
+    root = vectors[:, values > 1e-6 * values.max()] / np.sqrt(values[values > 1e-6 * values.max()])
+    z = np.c_[kernel(sets, sets[:5]) @ root, np.ones(8)]
+    y = np.array([[1.0 if g == k else -1.0 for k in ("de", "en", "fr")] for g in labels])
+    w = np.array([1 / labels.count(g) for g in labels])
+    w *= 8 / w.sum()
+    coef = np.linalg.inv(z.T @ np.diag(w) @ z + language.RIDGE * 8 / 1000 * np.eye(z.shape[1])) @ z.T @ np.diag(w) @ y
+    want = np.c_[kernel([places(t) for t in plain(asked).to_pylist()], sets[:5]) @ root, np.ones(4)] @ coef
+    assert np.allclose(model.scores(q), want, atol=2e-3)
+
+
+def test_copies_are_learned_from_once(spark):
+    rows = [(i, "the cat sat on the mat", "en") for i in range(300)] + [(i, "der hund und die katze schlafen", "de") for i in range(300, 330)]
+    df = docs(spark, rows).select("text", F.col("lang").alias("label"))
+    assert language.fit(df).land.shape[0] == 2
+
+
 # toxicity
+def test_places_ratios_and_scores_against_plain_loops():
+    """n-grams by sets, ratios by counting, scores by adding up; and weights where the penalised loss is nearly flat."""
+    import zlib as z
+
+    import pyarrow as pa
+
+    texts = [f"you {w} idiot number {i % 7}" for i, w in enumerate(["stupid", "total", "utter"] * 8)] + [f"a {w} day in may, take {i % 5}" for i, w in enumerate(["lovely", "calm", "sunny"] * 8)]
+    y = np.array([1] * 24 + [0] * 24)
+    spaced = toxicity.plain(pa.array(texts, pa.string()))
+    got = [set(f.tolist()) for _, f in toxicity.present(spaced)]
+
+    def places(text):
+        raw, out = text.encode(), set()
+        for n in toxicity.SIZES:
+            for i in range(len(raw) - n + 1):
+                part = np.frombuffer(raw[i : i + n], np.uint8)
+                h = toxicity.H.span(toxicity.H.prefix(part), np.array([0]), np.array([n]))[0]
+                out.add(int(h) >> (64 - 18))
+        return out
+
+    assert got == [places(t) for t in spaced.to_pylist()]
+    bits = []
+    for s in got:
+        mark = np.zeros(toxicity.PLACES, bool)
+        mark[list(s)] = True
+        bits.append(z.compress(np.packbits(mark).tobytes()))
+    model = toxicity.Model(bits, y)
+    count = {c: {} for c in (0, 1)}
+    for s, c in zip(got, y, strict=True):
+        for p in s:
+            count[c][p] = count[c].get(p, 0) + 1
+    ratio = {p: np.log((count[1].get(p, 0) + 1) / 26) - np.log((count[0].get(p, 0) + 1) / 26) for s in got for p in s}
+    used = {p for p, r in ratio.items() if abs(r) >= toxicity.APART and count[0].get(p, 0) + count[1].get(p, 0) >= toxicity.LEAST}
+    assert {*np.flatnonzero(model.weights).tolist()} <= used
+    w = {p: float(model.weights[p]) / ratio[p] for p in used}
+    grad, loss, none = dict.fromkeys(used, 0.0), 0.0, 0.0
+    for s, c in zip(got, y, strict=True):
+        f = sum(w[p] * ratio[p] for p in s if p in used) + model.bias
+        assert model.score(np.array(sorted(s))) == pytest.approx(1 / (1 + np.exp(-f)), abs=1e-5)
+        loss += np.log1p(np.exp(-f if c else f)) / 48
+        none += np.log(2) / 48
+        for p in s & used:
+            grad[p] += ratio[p] * (1 / (1 + np.exp(-f)) - c) / 48
+    assert loss + toxicity.PENALTY / 2 * sum(v * v for v in w.values()) < 0.2 * none
+    assert max(abs(grad[p] + toxicity.PENALTY * w[p]) for p in used) < 0.02
+
+
 def test_toxicity_of_held_out_texts(spark):
     sf = "/root/testdata/sf0.1"
     d, y = table(spark, sf, "documents"), table(spark, sf, "labels")
