@@ -9,8 +9,8 @@ Documents with the same shingle set are first reduced to one, which is a node. I
 compared only with the bucket's smallest node (a star), on full shingle sets. Links
 that no star shows can only matter where a bucket still holds members of different groups: there stars
 around other members follow, and in the end all pairs across groups that haven't been compared, but for those
-that a bound on their common shingles rules out, so no link between groups is lost to the stars. Stars and
-large buckets are dealt to several tasks, and a task holds one hub's set at a time.
+that a bound on their common shingles rules out, so no link between groups is lost to the stars. Stars are
+dealt to several tasks, and a task holds one hub's set at a time.
 
 Null and empty texts have no shingles: they link with nothing, and neither do rows without id. Texts of fewer
 than `k` words have one shingle of all of them. Groups are of texts: rows that share an id are in one group only if
@@ -35,8 +35,8 @@ BANDS, ROWS = 48, 7
 TURNS = 1
 #: Shingles are counted in so many parts to bound how many two documents can have in common.
 PARTS = 64
-#: A star is dealt to so many tasks; a bucket to one for so many members.
-SALT, SHARE = 16, 256
+#: A star is dealt to so many tasks.
+SALT = 16
 
 
 def densified(sign: np.ndarray) -> np.ndarray:
@@ -195,7 +195,7 @@ def _grouped(docs: DataFrame, k: int, percent: int, bands: int, width: int) -> t
         # buckets that still hold several groups: only pairs across groups matter, and of them only new ones
         named = members.join(final, "rep", "left").select("key", "rep", "n", F.coalesce("component", "rep").alias("g"))
         hub = F.min_by(F.struct("rep", "n", "g"), F.xxhash64("rep", "key", F.lit(turn))).alias("hub")
-        open_ = named.groupBy("key").agg(F.min("g").alias("g0"), F.max("g").alias("g1"), F.count(F.lit(1)).alias("m"), hub).where("g0 <> g1").select("key", "hub", "m")
+        open_ = named.groupBy("key").agg(F.min("g").alias("g0"), F.max("g").alias("g1"), hub).where("g0 <> g1").select("key", "hub")
         rest = store(named.join(open_, "key"), "open")
         if turn < TURNS:  # stars around other members, drawn anew for each bucket
             pairs = rest.select(F.col("hub.rep").alias("p"), F.col("rep").alias("q"), F.col("hub.n").alias("n_p"), F.col("n").alias("n_q"), F.col("hub.g").alias("g_p"), F.col("g").alias("g_q")).where("g_p <> g_q")
@@ -205,14 +205,12 @@ def _grouped(docs: DataFrame, k: int, percent: int, bands: int, width: int) -> t
             each = words.join(shared, "word").groupBy("rep", F.pmod("word", F.lit(PARTS)).cast("int").alias("part")).agg(F.count(F.lit(1)).cast("int").alias("c"))
             parts = each.groupBy("rep").agg(F.map_from_entries(F.collect_list(F.struct("part", "c"))).alias("counts"))
             parts = parts.select("rep", F.transform(F.sequence(F.lit(0), F.lit(PARTS - 1)), lambda i: F.coalesce(F.try_element_at("counts", i), F.lit(0))).alias("c"))
-            # without shared shingles there is no partner; a bucket of many members is dealt out by its left side
-            rest = rest.join(parts, "rep").withColumn("shares", F.ceil(F.col("m") / SHARE).cast("int"))
-            left, right = (rest.select("key", "shares", *[F.col(c).alias(f"{c}_{t}") for c in ("rep", "n", "g", "c")]) for t in "pq")
-            left = left.withColumn("share", F.pmod(F.xxhash64("rep_p"), F.col("shares")).cast("int")).drop("shares")
-            right = right.withColumn("share", F.explode(F.sequence(F.lit(0), F.col("shares") - 1))).drop("shares")
+            rest = store(rest.join(parts, "rep"), "rest")  # without shared shingles there is no partner
+            # both sides come straight from a table, so that adaptive execution can split a bucket of many members
+            left, right = (rest.select("key", *[F.col(c).alias(f"{c}_{t}") for c in ("rep", "n", "g", "c")]) for t in "pq")
             common = F.aggregate(F.zip_with("c_p", "c_q", lambda x, y: F.least(x, y)), F.lit(0), lambda x, y: x + y)
             enough = common * (100 + percent) >= (F.col("n_p") + F.col("n_q")) * percent
-            pairs = left.join(right, ["key", "share"]).where("g_p <> g_q and rep_p < rep_q").where(enough).select(F.col("rep_p").alias("p"), F.col("rep_q").alias("q"), "n_p", "n_q")
+            pairs = left.join(right, "key").where("g_p <> g_q and rep_p < rep_q").where(enough).select(F.col("rep_p").alias("p"), F.col("rep_q").alias("q"), "n_p", "n_q")
         pairs = pairs.where(fits(F.col("n_p"), F.col("n_q"))).select(F.least("p", "q").alias("a"), F.greatest("p", "q").alias("b")).distinct()
         pairs = store(pairs.join(tested, ["a", "b"], "left_anti"), "pairs")
         if pairs.isEmpty():
