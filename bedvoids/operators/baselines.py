@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.grid import INDEX, GridSpec
-from .supervoxel import block_label
+from .supervoxel import block_label, structs
 
 
 def density_threshold(field: DataFrame, at_most: float = 12) -> DataFrame:
@@ -62,19 +62,18 @@ def kmeans(field: DataFrame, grid: GridSpec, k: int, gamma: float = 0.3, max_ite
         start = np.linspace(0, len(voxel) - 1, k).round().astype(int)
         centre, cv, label, report = pos[start], value[start], np.full(len(voxel), -1), []
         for i in range(max_iter):
-            d = gamma * np.sqrt(((pos[:, None] - centre[None]) ** 2).sum(2)) + (1 - gamma) * np.abs(value[:, None] - cv[None])
-            new = d.argmin(1)
+            nearest = [(gamma * np.sqrt(((pos[j : j + 1024, None] - centre[None]) ** 2).sum(2)) + (1 - gamma) * np.abs(value[j : j + 1024, None] - cv[None])).argmin(1) for j in range(0, len(voxel), 1024)]
+            new = np.concatenate(nearest)
             changed = int((new != label).sum())
             label = new
-            report.append({"iteration": i + 1, "changed": changed, "distances": d.size})
+            report.append({"iteration": i + 1, "changed": changed, "distances": len(voxel) * k})
             n = np.maximum(np.bincount(label, minlength=k), 1)
             there = np.bincount(label, minlength=k) > 0
             centre = np.where(there[:, None], np.stack([np.bincount(label, pos[:, j], minlength=k) / n for j in range(3)], 1), centre)
             cv = np.where(there, np.bincount(label, value, minlength=k) / n, cv)
             if not changed:
                 break
-        lists = [{"voxel": int(v), "cluster": int(c)} for v, c in zip(voxel, label, strict=True)]
-        return pa.table({"step": table.column("step").slice(0, 1).cast(pa.int32()), "labels": pa.array([lists], pa.list_(pa.struct([("voxel", pa.int64()), ("cluster", pa.int32())]))), "report": pa.array([report], pa.list_(pa.struct([("iteration", pa.int32()), ("changed", pa.int64()), ("distances", pa.int64())])))})
+        return pa.table({"step": table.column("step").slice(0, 1).cast(pa.int32()), "labels": structs(voxel=voxel, cluster=label.astype(np.int32)), "report": pa.array([report], pa.list_(pa.struct([("iteration", pa.int32()), ("changed", pa.int64()), ("distances", pa.int64())])))})
 
     packed = field.select("step", "voxel", *INDEX, "density").groupBy("step").applyInArrow(run, "step int, labels array<struct<voxel:bigint,cluster:int>>, report array<struct<iteration:int,changed:bigint,distances:bigint>>")
     return packed.select("step", F.inline("labels")), packed.select("step", F.inline("report"))

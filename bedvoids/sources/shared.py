@@ -6,12 +6,16 @@ import atexit
 import os
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 from pathlib import Path
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 _OWN: list[str] = []
+#: Paths made inside each `scratch` that is open.
+_SCRATCH: list[list[str]] = []
 
 
 def importable(spark: SparkSession) -> None:
@@ -44,7 +48,8 @@ def shared_dir(spark: SparkSession) -> str:
     return place.rstrip("/")
 
 
-def _drop(spark: SparkSession, path: str) -> None:
+def drop(spark: SparkSession, path: str) -> None:
+    """Removes what lies at a path, in whatever store Spark writes to."""
     try:
         place = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
         place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(place, True)
@@ -54,10 +59,23 @@ def _drop(spark: SparkSession, path: str) -> None:
 
 def fresh_path(spark: SparkSession, name: str) -> str:
     path = f"{shared_dir(spark)}/bedvoids/{name}-{uuid.uuid4().hex}"
-    atexit.register(_drop, spark, path)
+    atexit.register(drop, spark, path)
+    if _SCRATCH:
+        _SCRATCH[-1].append(path)
     return path
 
 
+@contextmanager
+def scratch(spark: SparkSession) -> Iterator[None]:
+    """Intermediate tables made inside are removed at its end; what has to stay is written to a path from outside."""
+    _SCRATCH.append([])
+    try:
+        yield
+    finally:
+        for path in _SCRATCH.pop():
+            drop(spark, path)
+
+
 def store(df: DataFrame, name: str) -> DataFrame:
     """Cuts the lineage: a Parquet table in the shared folder."""
     path = fresh_path(df.sparkSession, name)
