@@ -2,7 +2,7 @@
 
 Both models share the vocabulary of the corpus: every string between white space that stands in it, as it is
 written. n-grams of up to ORDER words are counted over all texts, none dropped, and the table of counts is dealt
-over the cluster by the n-gram's 64-bit hash, so it grows with the corpus and nothing of it goes to the driver.
+over the cluster by the n-gram's 56-bit hash, so it grows with the corpus and nothing of it goes to the driver.
 Documents lie in buckets, compressed; each bucket asks once for each n-gram in it, with its own counts, and gets back
 what the rest of the corpus counts in the same order, so the joins move each n-gram once a bucket, however common it is,
 and answers for what stands nowhere else are zeros.
@@ -27,7 +27,9 @@ from . import texthash as H
 
 ORDER, MIX, STRENGTH = 3, 0.1, 2.0
 
-_ROOT, _START, _END = H.mix(np.arange(1, 4).astype(H.U))
+#: n-grams are known by 56 bits of a hash: two of 10 ** 13 different ones share theirs with a probability of 1 in 7,000 each.
+_KNOWN = ~H.U(255)
+_ROOT, _START, _END = H.mix(np.arange(1, 4).astype(H.U)) & _KNOWN
 _STEP = H.U(0x100000001B3)
 
 
@@ -93,10 +95,10 @@ def sequences(column: pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray, np.ndarr
 
 def orders(seq: np.ndarray, place: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
     """For each n: the hash of the n-gram that ends at each place, and where there is one."""
-    g = H.mix(seq + _ROOT)
+    g = H.mix(seq + _ROOT) & _KNOWN
     yield g, np.ones(len(seq), bool)
     for n in range(2, ORDER + 1):
-        g = np.r_[np.zeros(min(1, len(seq)), H.U), H.mix(g[:-1] * _STEP + seq[1:])]
+        g = np.r_[np.zeros(min(1, len(seq)), H.U), H.mix(g[:-1] * _STEP + seq[1:]) & _KNOWN]
         yield g, place >= n - 1
 
 
@@ -170,7 +172,7 @@ def _score(packed: pa.Table, replies: pa.Table) -> pa.Table:
             g, where, n = np.unique(x[there], return_inverse=True, return_counts=True)
             got.append((g, n))
             at.append(where.astype(np.int32))
-        del seq
+        del seq, x, there, where
         g, b = _merged(got)
         root = np.searchsorted(g, _ROOT)
         b[root] = (place > 0).sum()
@@ -178,9 +180,11 @@ def _score(packed: pa.Table, replies: pa.Table) -> pa.Table:
         t, more = (np.concatenate([_numbers(x) for x in replies[k]]) for k in ("t", "b"))
         assert len(t) == len(g), "a bucket asks for the same n-grams each time"
         b += more
+        del more, replies
         if not t[root]:
             t = b
-        own = [np.searchsorted(g, x) for x, _ in got]
+        own = [np.searchsorted(g, x).astype(np.int32) for x, _ in got]
+        del g, got
         event = place > 0
         for k, n in enumerate((t, b)):
             share = (b[own[0]] / b[root])[at[0]]
@@ -200,9 +204,9 @@ def _score(packed: pa.Table, replies: pa.Table) -> pa.Table:
 def scores(docs: DataFrame, target: DataFrame) -> DataFrame:
     """doc_id, n_tokens, target_bits, background_bits, score for each row; `target` holds the doc_ids of the target."""
     n = max(1, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    bucket = F.pmod(F.xxhash64(F.col("doc_id")), F.lit(n)).cast("int").alias("bucket")
+    bucket = F.pmod(F.xxhash64(F.col("doc_id")), F.lit(2 * n)).cast("int").alias("bucket")
     # texts without id aren't the target's, so any bucket will do
-    spread = F.pmod(F.when(F.col("doc_id").isNull(), F.xxhash64("text")).otherwise(F.xxhash64("doc_id")), F.lit(n)).cast("int").alias("bucket")
+    spread = F.pmod(F.when(F.col("doc_id").isNull(), F.xxhash64("text")).otherwise(F.xxhash64("doc_id")), F.lit(2 * n)).cast("int").alias("bucket")
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).select(spread, "doc_id", "text")
     ids = target.select(F.col("doc_id").cast("long").alias("doc_id")).where("doc_id is not null").distinct().select(bucket, "doc_id")
     by_bucket = texts.mapInArrow(_pack, "bucket int, rows binary").groupBy("bucket")
