@@ -375,3 +375,21 @@ def _joined(all_: DataFrame, one: DataFrame, packed: DataFrame, cosine: float) -
     n_links = F.coalesce(F.when(there, F.col("links") + F.col("m") - 1), F.lit(0)).cast("long")
     component = F.when(there, F.coalesce("component", "vec_id"))
     return rows.select("vec_id", n_links.alias("n_links"), component.alias("component_id")).withColumn("kept", F.coalesce(F.col("vec_id") == F.col("component_id"), F.lit(True)))
+
+
+#: All pairs of vectors, and what each vector reaches; at cosine 0.9.
+SQL = """
+WITH RECURSIVE v AS MATERIALIZED (
+  SELECT CAST(vec_id AS BIGINT) AS vec_id, list_transform(embedding, lambda y: CAST(y AS DOUBLE)) AS x FROM embeddings
+), good AS MATERIALIZED (
+  SELECT vec_id, x, sqrt(list_inner_product(x, x)) AS size FROM v WHERE len(x) > 0 AND len(list_filter(x, lambda y: y IS NULL OR NOT isfinite(y))) = 0 AND list_inner_product(x, x) > 0
+), links AS MATERIALIZED (
+  SELECT a.vec_id AS p, b.vec_id AS q FROM good a JOIN good b ON a.vec_id < b.vec_id AND len(a.x) = len(b.x) WHERE list_inner_product(a.x, b.x) / (a.size * b.size) >= CAST('0.9' AS DOUBLE)
+), sides AS MATERIALIZED (SELECT p, q FROM links UNION ALL SELECT q, p FROM links
+), reach(vec_id, least_id) USING KEY (vec_id) AS (
+  SELECT vec_id, vec_id FROM v
+  UNION
+  SELECT c.vec_id, min(x.least_id) FROM reach x JOIN sides ON sides.p = x.vec_id JOIN recurring.reach c ON c.vec_id = sides.q WHERE x.least_id < c.least_id GROUP BY c.vec_id
+)
+SELECT v.vec_id, coalesce(n, 0) AS n_links, least_id AS component_id, least_id = v.vec_id AS kept FROM v JOIN reach USING (vec_id) LEFT JOIN (SELECT p AS vec_id, count(*) AS n FROM sides GROUP BY p) USING (vec_id)
+"""

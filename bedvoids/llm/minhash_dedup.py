@@ -251,3 +251,24 @@ def one_of_each(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     there = rows.join(winners, ["doc_id", "mark"])
     once = there.where("again").groupBy("doc_id", "mark").agg(F.any_value("row").alias("row"))
     return there.where("not again").select("row").unionByName(once.select("row")).unionByName(rows.where("doc_id is null").select("row")).select("row.*")
+
+
+#: All pairs that share a shingle, and what each document reaches; for two-word shingles and 80 percent.
+SQL = r"""
+WITH RECURSIVE split AS (
+  SELECT CAST(doc_id AS BIGINT) AS doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents
+), shingled AS MATERIALIZED (
+  SELECT doc_id, list_distinct(CASE WHEN len(w) < 2 THEN w ELSE list_transform(range(1, len(w)), lambda i: w[i] || ' ' || w[i + 1]) END) AS s FROM split
+), sized AS MATERIALIZED (SELECT doc_id, CAST(len(s) AS BIGINT) AS n FROM shingled
+), every AS MATERIALIZED (SELECT doc_id, len(s) AS n, hash(unnest(s)) AS sh FROM shingled
+), links AS MATERIALIZED (
+  SELECT a.doc_id AS p, b.doc_id AS q FROM every a JOIN every b ON a.sh = b.sh AND a.doc_id < b.doc_id AND 100 * least(a.n, b.n) >= 80 * greatest(a.n, b.n)
+  GROUP BY a.doc_id, b.doc_id, a.n, b.n HAVING 100 * count(*) >= 80 * (a.n + b.n - count(*))
+), sides AS MATERIALIZED (SELECT p, q FROM links UNION ALL SELECT q, p FROM links
+), reach(doc_id, least_id) USING KEY (doc_id) AS (
+  SELECT doc_id, doc_id FROM sized
+  UNION
+  SELECT c.doc_id, min(x.least_id) FROM reach x JOIN sides ON sides.p = x.doc_id JOIN recurring.reach c ON c.doc_id = sides.q WHERE x.least_id < c.least_id GROUP BY c.doc_id
+)
+SELECT s.doc_id, s.n AS n_shingles, r.least_id AS component_id, r.least_id = s.doc_id AS kept FROM sized s JOIN reach r USING (doc_id)
+"""

@@ -56,4 +56,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 
 SQL: dict[str, str] = {
     "op2_source_mix": mixing.SQL,
+    "op5_minhash_dedup": minhash_dedup.SQL,
+    "op6_warc_round_trip": warc.SQL,
+    "op9_cover_tree": cover_tree.SQL,
 }

@@ -274,3 +274,18 @@ def round_trip(pages: DataFrame, segment: int = SEGMENT, archive: int = ARCHIVE)
     columns = lambda size, sha, refers: [number("id").alias("page_id"), size.alias("payload_bytes"), sha.alias("payload_digest"), F.col("type").alias("record_type"), refers.alias("refers_to"), F.col("uri").alias("url")]
     own = records.where("type = 'response'").select(*columns(F.col("payload_bytes"), F.col("payload_digest"), F.lit(None).cast("long")))
     return own.unionByName(back.select(*columns(F.col("bytes"), F.col("digest"), number("refers"))))
+
+
+#: Base32 is made from a digest's hexadecimal form, five bits at a time.
+SQL = """
+WITH sized AS (
+  SELECT page_id, coalesce(url, '') AS url, CAST(octet_length(encode(coalesce(html, ''))) AS BIGINT) AS payload_bytes, sha1(coalesce(html, '')) AS hex FROM pages
+), named AS (
+  SELECT *, array_to_string(list_transform(range(32), lambda i: substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567', CAST((CAST('0x' || substr(hex, 10 * (i // 8) + 1, 10) AS BIGINT) >> (35 - 5 * (i % 8))) & 31 AS BIGINT) + 1, 1)), '') AS payload_digest,
+    max(page_id) OVER (PARTITION BY hex, payload_bytes) AS newest
+  FROM sized
+)
+SELECT page_id, payload_bytes, payload_digest, CASE WHEN page_id = newest THEN 'response' ELSE 'revisit' END AS record_type,
+  CASE WHEN page_id = newest THEN NULL ELSE newest END AS refers_to, url
+FROM named
+"""

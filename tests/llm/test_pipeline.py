@@ -1,5 +1,5 @@
 import corpus_pipeline as C
-from bedvoids.llm.store import table
+from bedvoids.llm.store import store, table
 from tests.llm.test_minhash_dedup import shingles
 from tests.llm.test_suffix_dedup import brute
 
@@ -9,7 +9,7 @@ def test_stages_keep_and_drop_what_they_should(spark, sf):
     kept = {}
     for name, stage in C.STAGES:
         before = docs
-        docs = C.store(stage(spark, docs, sf), f"test-{name}")
+        docs = store(stage(spark, docs, sf), f"test-{name}")
         kept[name] = docs
         if name != C.STAGES[-1][0]:
             assert docs.columns == before.columns
