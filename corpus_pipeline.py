@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from bedvoids.llm import decontaminate, minhash_dedup, mixing, suffix_dedup, toxicity
-from bedvoids.llm.store import store, table
+from bedvoids.llm.store import drop, fresh_path, scratch, table
 
 
 def without_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -45,7 +45,15 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
+    """All stages in a row. A stage's intermediate tables, and its input, are removed once its result is written."""
+    docs, before = table(spark, sf_dir, "documents"), None
     for name, stage in STAGES:
-        docs = store(stage(spark, docs, sf_dir), f"stage-{name}")
+        path = fresh_path(spark, f"stage-{name}")
+        with scratch(spark):
+            made = stage(spark, docs, sf_dir)
+            made.write.parquet(path)
+            schema = made.schema
+        if before:
+            drop(spark, before)
+        docs, before = spark.read.schema(schema).parquet(path), path
     return docs
