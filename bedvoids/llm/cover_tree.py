@@ -6,7 +6,8 @@ halving radii: each node's centre is one of its vectors, all vectors of a node l
 the first child keeps the parent's centre. Pairs of blocks, then pairs of nodes from the roots down level by
 level, are left out when their centres are farther apart than the threshold and both covering radii allow, and
 taken as a whole when even their farthest vectors are near enough; the rest is decided by the cosine in double.
-Children of nodes with many of them are bounded by tiles of products of their centres.
+A descent passes over levels that split hardly any node more, as deeper ones bound better at the same cost. Children
+of nodes with many of them are bounded by tiles of products of their centres.
 
 Equal vectors are compared once and count as often as they stand. Null and zero vectors, and those with
 null or non-finite components, link with nothing; so do vectors of another length (only vectors of equal
@@ -30,6 +31,8 @@ from .store import components, store
 ROWS = 16384
 #: Pairs of children of one node pair from which on products are taken in tiles, and node pairs looked at at once.
 MANY, AT_ONCE, TILE = 1 << 14, 1 << 15, 1024
+#: A level is passed over if one below it has no more than so many times its nodes.
+HARDLY = 1.25
 
 
 def usable(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -123,6 +126,8 @@ def pairs_of(a: CoverTree, b: CoverTree, cosine: float, seen: list[tuple[int, in
     """
     limit = np.sqrt(max(0.0, 2 - 2 * cosine))
     last, own = len(a.cuts) - 1, a is b
+    size = [[len(c) - 1 for c in t.cuts] for t in (a, b)]
+    down = [max(k for k in range(level + 1, last + 1) if all(n[k] <= HARDLY * n[level + 1] for n in size)) for level in range(last)]
     # what a node pair opens is looked at before the next one: no more than a stretch for each level is held
     stack = [iter([(0, np.zeros(1, np.int64), np.zeros(1, np.int64))])]
     while stack:
@@ -152,14 +157,14 @@ def pairs_of(a: CoverTree, b: CoverTree, cosine: float, seen: list[tuple[int, in
         if seen is not None:
             seen.append((level, met, int(open_.sum())))
         if open_.any():
-            stack.append(_opened(a, b, level, i[open_], j[open_], limit))
+            stack.append(_opened(a, b, level, down[level], i[open_], j[open_], limit))
 
 
-def _opened(a: CoverTree, b: CoverTree, level: int, i: np.ndarray, j: np.ndarray, limit: float) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
-    """The pairs of children of node pairs, without those that mirror each other."""
+def _opened(a: CoverTree, b: CoverTree, level: int, below: int, i: np.ndarray, j: np.ndarray, limit: float) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """The pairs of descendants on the level `below` of node pairs, without those that mirror each other."""
     own = a is b
-    fa, ta = (np.searchsorted(a.cuts[level + 1], a.cuts[level][i + s]) for s in (0, 1))
-    fb, tb = (np.searchsorted(b.cuts[level + 1], b.cuts[level][j + s]) for s in (0, 1))
+    fa, ta = (np.searchsorted(a.cuts[below], a.cuts[level][i + s]) for s in (0, 1))
+    fb, tb = (np.searchsorted(b.cuts[below], b.cuts[level][j + s]) for s in (0, 1))
     size = (ta - fa) * (tb - fb)
     few = np.flatnonzero(size < MANY)
     for s in _runs(size[few], AT_ONCE):
@@ -171,24 +176,26 @@ def _opened(a: CoverTree, b: CoverTree, level: int, i: np.ndarray, j: np.ndarray
         if own:
             keep = (i[at] != j[at]) | (x <= y)
             x, y = x[keep], y[keep]
-        yield level + 1, x, y
+        yield below, x, y
     for k in np.flatnonzero(size >= MANY):
-        for x, y in _tiles(a, b, level + 1, np.arange(fa[k], ta[k]), np.arange(fb[k], tb[k]), limit, own and i[k] == j[k]):
+        for x, y in _tiles(a, b, below, np.arange(fa[k], ta[k]), np.arange(fb[k], tb[k]), limit, own and i[k] == j[k]):
             for c in range(0, len(x), AT_ONCE):
-                yield level + 1, x[c : c + AT_ONCE], y[c : c + AT_ONCE]
+                yield below, x[c : c + AT_ONCE], y[c : c + AT_ONCE]
 
 
 def _tiles(a: CoverTree, b: CoverTree, level: int, na: np.ndarray, nb: np.ndarray, limit: float, same: bool) -> Iterator[tuple[np.ndarray, np.ndarray]]:
     """Of all pairs of nodes of one level: those that their radii don't rule out, with room for single precision."""
-    # nodes in order of radius: within a tile one limit holds
+    # nodes in order of radius: most tiles are of single vectors, which have one bound
     na, nb = na[np.argsort(a.radius[level][na], kind="stable")], nb[np.argsort(b.radius[level][nb], kind="stable")]
     for i in range(0, len(na), TILE):
         ia = na[i : i + TILE]
-        ca, ra = a.x[a.cuts[level][ia]].astype(np.float32), a.radius[level][ia].max()
+        ca, ra = a.x[a.cuts[level][ia]].astype(np.float32), a.radius[level][ia]
         for j in range(i if same else 0, len(nb), TILE):
             ib = nb[j : j + TILE]
-            reach = min(2.0, limit + ra + b.radius[level][ib].max())
-            p, q = np.nonzero(ca @ b.x[b.cuts[level][ib]].astype(np.float32).T >= np.float32(1 - reach * reach / 2 - 1e-5))
+            rb = b.radius[level][ib]
+            reach = limit + (ra[-1] + rb[-1] if ra[0] == ra[-1] and rb[0] == rb[-1] else ra[:, None] + rb)
+            least = (1 - np.minimum(reach, 2.0) ** 2 / 2 - 1e-5).astype(np.float32)
+            p, q = np.nonzero(ca @ b.x[b.cuts[level][ib]].astype(np.float32).T >= least)
             p, q = ia[p], ib[q]
             if same:  # each pair once, in the order of the tree
                 if i == j:
