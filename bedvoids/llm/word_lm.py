@@ -210,6 +210,6 @@ def scores(docs: DataFrame, target: DataFrame) -> DataFrame:
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).select(spread, "doc_id", "text")
     ids = target.select(F.col("doc_id").cast("long").alias("doc_id")).where("doc_id is not null").distinct().select(bucket, "doc_id")
     by_bucket = texts.mapInArrow(_pack, "bucket int, rows binary").groupBy("bucket")
-    asked = by_bucket.cogroup(ids.groupBy("bucket")).applyInArrow(_ask(4 * n), "part int, bucket int, g binary, t binary, b binary")
+    asked = by_bucket.cogroup(ids.groupBy("bucket")).applyInArrow(_ask(2 * n), "part int, bucket int, g binary, t binary, b binary")
     replies = asked.groupBy("part").applyInArrow(_sum, "bucket int, part int, t binary, b binary")
     return by_bucket.cogroup(replies.groupBy("bucket")).applyInArrow(_score, "doc_id long, n_tokens long, target_bits double, background_bits double, score double")
