@@ -37,6 +37,8 @@ TURNS = 1
 PARTS = 64
 #: A star is dealt to so many tasks.
 SALT = 16
+#: All pairs of a bucket are dealt by pairs of blocks of about so many members.
+BLOCK = 512
 
 
 def densified(sign: np.ndarray) -> np.ndarray:
@@ -162,6 +164,56 @@ def _links(percent: int):
     return run
 
 
+def bounded(part: pa.Table, percent: int) -> tuple[np.ndarray, np.ndarray]:
+    """Of a pair of blocks (i, j): the pairs of nodes from different groups that neither sizes nor counts of common shingles rule out."""
+    i, j = part["i"][0].as_py(), part["j"][0].as_py()
+    at, rep, n, g = (part[x].to_numpy() for x in ("at", "rep", "n", "g"))
+    counts = part["c"].combine_chunks().flatten().to_numpy().reshape(-1, PARTS)
+    left, right = np.flatnonzero(at == i), np.flatnonzero(at == j)
+    out = [(rep[:0], rep[:0])]
+    for a in range(0, len(left), 256):
+        x = left[a : a + 256]
+        open_ = g[x, None] != g[right]
+        open_ &= np.minimum(n[x, None], n[right]) * 100 >= np.maximum(n[x, None], n[right]) * percent
+        if i == j:
+            open_ &= rep[x, None] < rep[right]
+        u, v = np.nonzero(open_)
+        for k in range(0, len(u), 1 << 14):
+            p, q = x[u[k : k + (1 << 14)]], right[v[k : k + (1 << 14)]]
+            common = np.minimum(counts[p], counts[q]).sum(1, dtype=np.int64)
+            enough = common * (100 + percent) >= (n[p] + n[q]) * percent
+            out.append((rep[p[enough]], rep[q[enough]]))
+    p, q = (np.concatenate(x) for x in zip(*out, strict=True))
+    return np.minimum(p, q), np.maximum(p, q)
+
+
+def _bounded(percent: int):
+    """Rows in the order of (key, i, j): the pairs of each pair of blocks."""
+
+    def solve(held: list[pa.RecordBatch]) -> pa.RecordBatch:
+        a, b = bounded(pa.Table.from_batches(held), percent)
+        return pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], names=["a", "b"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pa.RecordBatch] = []
+        last = None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            cell = np.stack([batch.column(x).to_numpy() for x in ("key", "i", "j")])
+            cuts = np.r_[0, np.flatnonzero((cell[:, 1:] != cell[:, :-1]).any(0)) + 1, batch.num_rows]
+            for lo, hi in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
+                if held and cell[:, lo].tolist() != last:
+                    yield solve(held)
+                    held = []
+                held.append(batch.slice(lo, hi - lo))
+                last = cell[:, lo].tolist()
+        if held:
+            yield solve(held)
+
+    return run
+
+
 def _grouped(docs: DataFrame, k: int, percent: int, bands: int, width: int) -> tuple[DataFrame, DataFrame]:
     """Rows (doc_id, mark, n, x, y), and sets (x, y, n, head, least): the smallest (doc_id, mark) of a set and of its group."""
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("mark"), "text")
@@ -195,23 +247,25 @@ def _grouped(docs: DataFrame, k: int, percent: int, bands: int, width: int) -> t
         # buckets that still hold several groups: only pairs across groups matter, and of them only new ones
         named = members.join(final, "rep", "left").select("key", "rep", "n", F.coalesce("component", "rep").alias("g"))
         hub = F.min_by(F.struct("rep", "n", "g"), F.xxhash64("rep", "key", F.lit(turn))).alias("hub")
-        open_ = named.groupBy("key").agg(F.min("g").alias("g0"), F.max("g").alias("g1"), hub).where("g0 <> g1").select("key", "hub")
+        open_ = named.groupBy("key").agg(F.min("g").alias("g0"), F.max("g").alias("g1"), hub, F.count(F.lit(1)).alias("m")).where("g0 <> g1").select("key", "hub", "m")
         rest = store(named.join(open_, "key"), "open")
         if turn < TURNS:  # stars around other members, drawn anew for each bucket
             pairs = rest.select(F.col("hub.rep").alias("p"), F.col("rep").alias("q"), F.col("hub.n").alias("n_p"), F.col("n").alias("n_q"), F.col("hub.g").alias("g_p"), F.col("g").alias("g_q")).where("g_p <> g_q")
+            pairs = pairs.where(fits(F.col("n_p"), F.col("n_q"))).select(F.least("p", "q").alias("a"), F.greatest("p", "q").alias("b"))
         else:  # whatever is left, all of it; shingles that no other of these documents has can't be common to two
             words = sets.join(rest.select("rep").distinct(), "rep").mapInArrow(_emit_words, "rep long, word long")
             shared = words.groupBy("word").agg(F.count(F.lit(1)).alias("m")).where("m > 1").select("word")
             each = words.join(shared, "word").groupBy("rep", F.pmod("word", F.lit(PARTS)).cast("int").alias("part")).agg(F.count(F.lit(1)).cast("int").alias("c"))
             parts = each.groupBy("rep").agg(F.map_from_entries(F.collect_list(F.struct("part", "c"))).alias("counts"))
             parts = parts.select("rep", F.transform(F.sequence(F.lit(0), F.lit(PARTS - 1)), lambda i: F.coalesce(F.try_element_at("counts", i), F.lit(0))).alias("c"))
-            rest = store(rest.join(parts, "rep"), "rest")  # without shared shingles there is no partner
-            # both sides come straight from a table, so that adaptive execution can split a bucket of many members
-            left, right = (rest.select("key", *[F.col(c).alias(f"{c}_{t}") for c in ("rep", "n", "g", "c")]) for t in "pq")
-            common = F.aggregate(F.zip_with("c_p", "c_q", lambda x, y: F.least(x, y)), F.lit(0), lambda x, y: x + y)
-            enough = common * (100 + percent) >= (F.col("n_p") + F.col("n_q")) * percent
-            pairs = left.join(right, "key").where("g_p <> g_q and rep_p < rep_q").where(enough).select(F.col("rep_p").alias("p"), F.col("rep_q").alias("q"), "n_p", "n_q")
-        pairs = pairs.where(fits(F.col("n_p"), F.col("n_q"))).select(F.least("p", "q").alias("a"), F.greatest("p", "q").alias("b")).distinct()
+            rest = rest.join(parts, "rep")  # without shared shingles there is no partner
+            # a bucket of many members is dealt to several tasks: each pair of its blocks is a piece of work of its own
+            blocks = F.ceil(F.col("m") / BLOCK).cast("int")
+            dealt = rest.withColumn("at", F.pmod(F.xxhash64("rep"), blocks).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1)))
+            dealt = dealt.select("key", F.least("at", "other").alias("i"), F.greatest("at", "other").alias("j"), "at", "rep", "n", "g", "c")
+            dealt = dealt.repartition(tasks, "key", "i", "j").sortWithinPartitions("key", "i", "j")
+            pairs = dealt.mapInArrow(_bounded(percent), "a long, b long")
+        pairs = pairs.distinct()
         pairs = store(pairs.join(tested, ["a", "b"], "left_anti"), "pairs")
         if pairs.isEmpty():
             continue

@@ -1,6 +1,10 @@
 import random
 import re
 
+import numpy as np
+import pyarrow as pa
+import pytest
+
 from bedvoids.llm import minhash_dedup as M
 
 SCHEMA = "doc_id long, text string, x int, rep string"
@@ -76,3 +80,29 @@ def test_one_of_each(spark):
 
 def test_empty_table(spark):
     assert M.groups(spark.createDataFrame([], SCHEMA)).count() == 0
+
+
+@pytest.mark.parametrize("blocks", [1, 2])
+def test_pairs_that_a_bound_leaves_against_plain_loops(blocks):
+    r = np.random.default_rng(blocks)
+    m = 700
+    c = r.integers(0, 4, (m, M.PARTS)).astype(np.int32)
+    c[:200] = c[0] + (r.random((200, M.PARTS)) < 0.1)
+    n, g, at = c.sum(1) + r.integers(0, 9, m), np.where(np.arange(m) < 150, 7, np.arange(m)), np.arange(m) % blocks
+    rep = r.permutation(m)
+    part = pa.table({"i": np.zeros(m, np.int32), "j": np.full(m, blocks - 1, np.int32), "at": at.astype(np.int32), "rep": rep, "n": n, "g": g, "c": list(c)})
+    size, many = n.tolist(), np.minimum(c[:, None, :200], c[None]).sum(2)
+    want = set()
+    for a in range(m):
+        for b in range(a):
+            if g[a] != g[b] and (blocks == 1 or at[a] != at[b]) and min(size[a], size[b]) * 100 >= 80 * max(size[a], size[b]) and many[a, b] * 180 >= 80 * (size[a] + size[b]):
+                want.add((min(rep[a], rep[b]), max(rep[a], rep[b])))
+    got = list(zip(*(x.tolist() for x in M.bounded(part, 80)), strict=True))
+    assert len(want) > 500 and len(got) == len(set(got)) and set(got) == want
+
+
+def test_buckets_in_blocks(spark, monkeypatch):
+    rows = made(5)
+    monkeypatch.setattr(M, "BLOCK", 3)
+    got = M.groups(spark.createDataFrame([(*x, 0, "") for x in rows], SCHEMA), k=2).select("doc_id", "n_shingles", "component_id", "kept")
+    assert sorted(map(tuple, got.collect())) == brute(rows, 2)
