@@ -6,7 +6,8 @@ among blocks of one key. A block that stands more than once is a copy as a whole
 digest of its bytes verifies; where blocks of a key differ (a passage begins or ends in them), the suffixes in the
 different ones are sorted too: prefix hashes and binary search give the common extension of two suffixes in a
 logarithmic number of steps, a mergesort orders them, and neighbours that agree on `window` bytes are compared byte
-by byte. Where too many blocks of a key differ for one task, their windows are grouped over the cluster by prefix
+by byte. Groups of suffixes are sorted some at a time, so a task holds a few numbers for each byte of its largest key.
+Where too many blocks of a key, or bytes in them, differ for one task, their windows are grouped over the cluster by prefix
 hash and verified by the same digest; what is found is the same.
 
 Null and empty texts, and texts shorter than `window`, have no repeats. Repeated rows count as documents
@@ -27,8 +28,10 @@ from . import texthash as H
 from .store import store
 
 WINDOW, GRAM = 200, 64
-#: Keys with more differing blocks than this are resolved over the cluster instead of by a sort in one task.
-WIDE_KEY = 2000
+#: Keys with more differing blocks, or bytes in them, than this are resolved over the cluster instead of by a sort in one task.
+WIDE_KEY, WIDE_BYTES = 2000, 1 << 21
+#: Suffixes that are sorted, or merged on a level, at once.
+AT_ONCE = 1 << 16
 
 _BLOCKS = "h long, b long, doc_id long, mark long, lo int, n int, again boolean"
 _CONTEXTS = "h long, b long, bytes binary"
@@ -168,21 +171,23 @@ class Suffixes:
             run = place // level
             other = (run ^ 1) * level
             length = np.minimum(level, total - other)
-            mine = np.flatnonzero((length > 0) & (total > level))
-            low, high = np.zeros(len(mine), np.int64), length[mine]
-            left = run[mine] % 2 == 0
-            base = begin[mine] + other[mine]
-            while True:
-                open_ = np.flatnonzero(low < high)
-                if not len(open_):
-                    break
-                mid = (low[open_] + high[open_]) // 2
-                sign = self.sign(at[base[open_] + mid], at[mine[open_]])
-                before = np.where(left[open_], sign < 0, sign <= 0)
-                low[open_] = np.where(before, mid + 1, low[open_])
-                high[open_] = np.where(before, high[open_], mid)
             place2 = place.copy()
-            place2[mine] = (run[mine] // 2) * 2 * level + place[mine] - run[mine] * level + low
+            todo = np.flatnonzero((length > 0) & (total > level))
+            for k in range(0, len(todo), AT_ONCE):
+                mine = todo[k : k + AT_ONCE]
+                low, high = np.zeros(len(mine), np.int64), length[mine]
+                left = run[mine] % 2 == 0
+                base = begin[mine] + other[mine]
+                while True:
+                    open_ = np.flatnonzero(low < high)
+                    if not len(open_):
+                        break
+                    mid = (low[open_] + high[open_]) // 2
+                    sign = self.sign(at[base[open_] + mid], at[mine[open_]])
+                    before = np.where(left[open_], sign < 0, sign <= 0)
+                    low[open_] = np.where(before, mid + 1, low[open_])
+                    high[open_] = np.where(before, high[open_], mid)
+                place2[mine] = (run[mine] // 2) * 2 * level + place[mine] - run[mine] * level + low
             out = np.empty_like(at)
             out[begin + place2] = at
             at, level = out, level * 2
@@ -199,31 +204,45 @@ class Suffixes:
 
 def repeated_starts(keys: np.ndarray, data: np.ndarray, bounds: np.ndarray, window: int, gram: int) -> np.ndarray:
     """Of differing blocks (rows of `bounds`, with their keys): the starts in `data` whose `window` bytes stand at another start too."""
-    size = np.diff(bounds)
-    row = np.repeat(np.arange(len(size)), size)
-    at = np.arange(max(0, len(data) - gram + 1))
+    row = np.repeat(np.arange(len(bounds) - 1, dtype=np.int32), np.diff(bounds))[: max(0, len(data) - gram + 1)]
     suffixes = Suffixes(data, window)
-    gram_hash = H.span(suffixes.p, at, at + gram)
     # where the key's hash stands next: only starts at the same distance from it can agree
-    nearest = np.where(gram_hash == keys[row[: len(at)]], at, len(data))
+    nearest = np.full(len(row), len(data), np.int32)
+    for i in range(0, len(row), AT_ONCE):
+        at = np.arange(i, min(i + AT_ONCE, len(row)))
+        at = at[H.span(suffixes.p, at, at + gram) == keys[row[at]]]
+        nearest[at] = at
     nearest = np.minimum.accumulate(nearest[::-1])[::-1]
-    start = at[at + window <= bounds[row[: len(at)] + 1]]
-    distance = nearest[start] - start
+    start = np.arange(len(row), dtype=np.int32)
+    start = start[start + window <= bounds[row + 1]]
     _, key = np.unique(keys, return_inverse=True)
-    group = key[row[start]] * (window + 1) + np.minimum(distance, window)
+    group = key[row[start]] * (window + 1) + np.minimum(nearest[start] - start, window)
+    del row, nearest
     order = np.argsort(group, kind="stable")
     start, group = start[order], group[order]
     alone = np.r_[True, group[1:] != group[:-1]] & np.r_[group[1:] != group[:-1], True]
     start, group = start[~alone], group[~alone]
-    if not len(start):
-        return start
+    # groups are sorted some at a time
+    first = np.flatnonzero(np.r_[True, group[1:] != group[:-1]]) if len(group) else np.zeros(0, np.int64)
+    found = [np.zeros(0, np.int64)]
+    for i, j in H.pieces(np.r_[first, len(group)], AT_ONCE):
+        lo, hi = first[i], first[j] if j < len(first) else len(group)
+        found.append(_repeated(suffixes, start[lo:hi].astype(np.int64), group[lo:hi]))
+    return np.sort(np.concatenate(found))
+
+
+def _repeated(suffixes: Suffixes, start: np.ndarray, group: np.ndarray) -> np.ndarray:
+    """The starts of whole groups (that stand together) whose bytes another one of their group has."""
     start = suffixes.sorted(start, group)
-    i, j = start[:-1], start[1:]
-    near = np.flatnonzero((group[1:] == group[:-1]) & (suffixes.common(i, j) >= window))
-    near = near[suffixes.same(i[near], j[near])]
     hit = np.zeros(len(start), bool)
-    hit[near] = hit[near + 1] = True
-    return np.sort(start[hit])
+    for k in range(0, len(start) - 1, AT_ONCE):
+        i, j = start[k : k + AT_ONCE], start[k + 1 : k + 1 + AT_ONCE]
+        i = i[: len(j)]
+        like = group[k + 1 : k + 1 + len(j)] == group[k : k + len(j)]
+        near = np.flatnonzero(like & (suffixes.common(i, j) >= suffixes.most))
+        near = near[suffixes.same(i[near], j[near])] + k
+        hit[near] = hit[near + 1] = True
+    return start[hit]
 
 
 def _ranges(starts: np.ndarray, window: int) -> tuple[np.ndarray, np.ndarray]:
@@ -294,8 +313,8 @@ def repeats(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, wide_key: i
     found = store(blocks.drop("again").join(store(keys, "keys"), "h"), "blocks")
 
     one = found.where("mixed").groupBy("h", "b").agg(F.min(F.struct("doc_id", "mark", "lo", "n")).alias("at"), (F.count(F.lit(1)) > 1).alias("twice"))
-    per_key = one.groupBy("h").agg(F.count(F.lit(1)).alias("k"))
-    asked = one.join(per_key, "h").select("h", "b", "at.*", "twice", (F.col("k") > wide_key).alias("wide"))
+    per_key = one.groupBy("h").agg(F.count(F.lit(1)).alias("k"), F.sum(F.col("at.n") + (window - 1)).alias("bytes"))
+    asked = one.join(per_key, "h").select("h", "b", "at.*", "twice", ((F.col("k") > wide_key) | (F.col("bytes") > WIDE_BYTES)).alias("wide"))
     asked = store(asked, "asked")
 
     def contexts(which: str) -> DataFrame:

@@ -1,9 +1,12 @@
 import hashlib
 import random
+import tracemalloc
 
+import numpy as np
 import pytest
 
 from bedvoids.llm import suffix_dedup as S
+from bedvoids.llm import texthash as H
 
 SCHEMA = "doc_id long, text string"
 
@@ -89,3 +92,24 @@ def test_exact_copies_beside_near_ones_and_repeated_lines(spark, wide, monkeypat
     rows += [(len(rows), rows[3][1]), (3, rows[3][1])]
     got = sorted(map(tuple, S.remove_repeats(spark.createDataFrame(rows, SCHEMA).repartition(5)).collect()))
     assert got == brute(rows)
+
+
+def test_many_bytes_of_one_key_are_sorted_in_little_memory():
+    r = random.Random(4)
+    line = "".join(r.choice("abcdefgh") for _ in range(90))
+    rows = [("%05d" % i * 30 + line * 20 + "%05d" % i * 9).encode() for i in range(270)]
+    data, bounds = np.frombuffer(b"".join(rows), np.uint8), np.cumsum([0, *map(len, rows)])
+    at = np.array([150])
+    keys = np.repeat(H.span(H.prefix(data[: len(rows[0])]), at, at + 64), len(rows))
+    tracemalloc.start()
+    got = S.repeated_starts(keys, data, bounds, 200, 64)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    # windows that begin in front of the lines or end behind them are each row's own
+    assert set(got - bounds[np.searchsorted(bounds, got, "right") - 1]) >= set(range(150, 150 + 90 * 18 - 20)) and peak < 200 * len(data)
+
+
+def test_keys_with_many_bytes_over_the_cluster(spark, monkeypatch):
+    rows = made(3)
+    monkeypatch.setattr(S, "WIDE_BYTES", 700)
+    assert sorted(map(tuple, S.remove_repeats(spark.createDataFrame(rows, SCHEMA).repartition(5)).collect())) == brute(rows)
