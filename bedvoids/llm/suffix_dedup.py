@@ -7,8 +7,8 @@ digest of its bytes verifies; where blocks of a key differ (a passage begins or
 different ones are sorted too: prefix hashes and binary search give the common extension of two suffixes in a
 logarithmic number of steps, a mergesort orders them, and neighbours that agree on `window` bytes are compared byte
 by byte. Groups of suffixes are sorted some at a time, so a task holds a few numbers for each byte of its largest key.
-Where too many blocks of a key, or bytes in them, differ for one task, their windows are grouped over the cluster by prefix
-hash and verified by the same digest; what is found is the same.
+Where too many blocks of a key, or bytes in them, differ for one task, their windows are grouped over the cluster by the
+prefix hash of a part that neighbouring ones have in common, and verified by the same digest; what is found is the same.
 
 Null and empty texts, and texts shorter than `window`, have no repeats. Repeated rows count as documents
 of their own. Extra columns are ignored, whatever their names.
@@ -32,6 +32,8 @@ WINDOW, GRAM = 200, 64
 WIDE_KEY, WIDE_BYTES = 2000, 1 << 21
 #: Suffixes that are sorted, or merged on a level, at once.
 AT_ONCE = 1 << 16
+#: Over the cluster, so many neighbouring windows at most go together.
+TOGETHER = 32
 
 _BLOCKS = "h long, b long, doc_id long, mark long, lo int, n int, again boolean"
 _CONTEXTS = "h long, b long, bytes binary"
@@ -281,18 +283,82 @@ def _emit_sorted(window: int, gram: int):
     return run
 
 
-def _emit_windows(window: int):
+def _anchored(keys: np.ndarray, data: np.ndarray, bounds: np.ndarray, window: int, gram: int, p: np.ndarray) -> tuple[np.ndarray, ...]:
+    """Row and start of each window of differing blocks, and the distance from it to where the key's hash stands next."""
+    row = np.repeat(np.arange(len(bounds) - 1), np.diff(bounds))[: max(0, len(data) - gram + 1)]
+    at = np.arange(len(row))
+    nearest = np.where(H.span(p, at, at + gram) == keys[row], at, len(data))
+    nearest = np.minimum.accumulate(nearest[::-1])[::-1]
+    at = at[at + window <= bounds[row + 1]]
+    return row[at], at, nearest[at] - at
+
+
+def _emit_windows(window: int, gram: int):
+    """Neighbouring windows with a part in common, in a row with that part's hash: two windows can only agree where that does."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             data, bounds = H.text_buffer(batch.column("bytes"))
+            keys = batch.column("h").to_numpy().view(H.U)
             for i, j in H.pieces(bounds, 1 << 17):
                 part, cut = data[bounds[i] : bounds[j]], bounds[i : j + 1] - bounds[i]
-                row = np.repeat(np.arange(j - i), np.diff(cut))
-                at = np.arange(max(0, len(part) - window + 1))
-                at = at[at + window <= cut[row[: len(at)] + 1]]
-                x, y = H.span(H.prefix(part), at, at + window), verifiers(part, at, at + window)
-                take = pa.array(row[at] + i)
-                yield pa.RecordBatch.from_arrays([H.longs(x), H.longs(y), batch.column("h").take(take), batch.column("b").take(take), pa.array((at - cut[row[at]]).astype(np.int32))], names=["x", "y", "h", "b", "s"])
+                p = H.prefix(part)
+                row, at, far = _anchored(keys[i:j], part, cut, window, gram, p)
+                if not len(at):
+                    continue
+                core = at + far % TOGETHER  # all windows that have it end behind it
+                first = np.flatnonzero(np.r_[True, (core[1:] != core[:-1]) | (row[1:] != row[:-1])])
+                each = np.stack([H.span(p, at, at + window), verifiers(part, at, at + window)], 1)
+                c = core[first]
+                take = pa.array(row[first] + i)
+                s = (at - cut[row])[first].astype(np.int32)
+                yield pa.RecordBatch.from_arrays([H.longs(H.span(p, c, c + window - TOGETHER + 1)), batch.column("h").take(take), batch.column("b").take(take), pa.array(s), H.binary(each.reshape(-1).view(np.uint8), np.r_[first, len(at)] * 16)], names=["x", "h", "b", "s", "w"])
+
+    return run
+
+
+def _emit_repeated(window: int):
+    """Rows of windows in the order of (x, w): the ranges whose windows stand in another row too. Equal rows are held once."""
+
+    def solve(held: list[list]) -> Iterator[tuple[int, int, int, int]]:
+        size = np.array([len(x[3]) // 16 for x in held])
+        each = np.frombuffer(b"".join(x[3] for x in held), H.U).reshape(-1, 2)
+        of = np.repeat(np.arange(len(held)), size)
+        order = np.lexsort((each[:, 1], each[:, 0]))
+        same = (each[order[1:]] == each[order[:-1]]).all(1)
+        hit = np.array([x[4] for x in held])[of]
+        hit[order[1:][same]] = hit[order[:-1][same]] = True
+        begin = np.cumsum(size) - size
+        found = np.flatnonzero(hit)
+        new = np.flatnonzero(np.r_[True, (np.diff(found) > 1) | (of[found[1:]] != of[found[:-1]])]) if len(found) else found
+        for k, last in zip(found[new].tolist(), found[np.r_[new[1:] - 1, len(found) - 1]].tolist() if len(found) else [], strict=True):
+            h, b, s = held[of[k]][:3]
+            at = s + k - int(begin[of[k]])
+            yield h, b, at, at + last - k + window
+
+    def batch_of(rows: list[tuple[int, int, int, int]]) -> pa.RecordBatch:
+        h, b, s, e = zip(*rows, strict=True)
+        return pa.RecordBatch.from_arrays([pa.array(h, pa.int64()), pa.array(b, pa.int64()), pa.array(s, pa.int32()), pa.array(e, pa.int32())], names=["h", "b", "s", "e"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[list] = []
+        last = None
+        for batch in batches:
+            out = []
+            for x, h, b, s, w in zip(*(batch.column(c).to_pylist() for c in ("x", "h", "b", "s", "w")), strict=True):
+                if x != last and len(held) >= 4096:
+                    out += solve(held)
+                    held = []
+                if x == last and held and held[-1][3] == w:
+                    held[-1][4] = True
+                    out.append((h, b, s, s + len(w) // 16 - 1 + window))
+                else:
+                    held.append([h, b, s, w, False])
+                last = x
+            if out:
+                yield batch_of(out)
+        if held and (out := list(solve(held))):
+            yield batch_of(out)
 
     return run
 
@@ -323,16 +389,15 @@ def repeats(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, wide_key: i
         return there.select("text", "asked").mapInArrow(_emit_contexts(window), _CONTEXTS)
 
     n = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    some = contexts("not wide").repartition(n, "h").sortWithinPartitions("h", "b").mapInArrow(_emit_sorted(window, gram), _RANGES)
+    ranges = contexts("not wide").repartition(n, "h").sortWithinPartitions("h", "b").mapInArrow(_emit_sorted(window, gram), _RANGES)
     if not asked.where("wide").isEmpty():
-        windows = contexts("wide").mapInArrow(_emit_windows(window), "x long, y long, h long, b long, s int")
-        ref = F.struct("h", "b", "s")
-        twice = windows.groupBy("x", "y").agg(F.min(ref).alias("i"), F.max(ref).alias("j")).where("i <> j").select("x", "y")
-        some = some.unionByName(windows.join(twice, ["x", "y"]).select("h", "b", "s", (F.col("s") + window).alias("e")))
-    # the sort sees each different block once: what stands in several places is a copy as a whole besides
-    some = some.unionByName(asked.where("twice").select("h", "b", F.lit(0).alias("s"), (F.col("n") + (window - 1)).alias("e")))
-    whole = found.where("not mixed").select("doc_id", "mark", F.col("lo").alias("s"), (F.col("lo") + F.col("n") + (window - 1)).alias("e"))
-    parts = found.where("mixed").join(some, ["h", "b"]).select("doc_id", "mark", (F.col("lo") + F.col("s")).alias("s"), (F.col("lo") + F.col("e")).alias("e"))
+        windows = contexts("wide").mapInArrow(_emit_windows(window, gram), "x long, h long, b long, s int, w binary")
+        ranges = ranges.unionByName(windows.repartition(n, "x").sortWithinPartitions("x", "w").mapInArrow(_emit_repeated(window), _RANGES))
+    # the sort sees each different block once: what stands in several places is a copy as a whole, the others stand where they were asked for
+    copies = found.where("mixed").join(asked.where("twice").select("h", "b"), ["h", "b"], "left_semi")
+    whole = found.where("not mixed").select("doc_id", "mark", "lo", "n").unionByName(copies.select("doc_id", "mark", "lo", "n"))
+    whole = whole.select("doc_id", "mark", F.col("lo").alias("s"), (F.col("lo") + F.col("n") + (window - 1)).alias("e"))
+    parts = asked.where("not twice").join(ranges, ["h", "b"]).select("doc_id", "mark", (F.col("lo") + F.col("s")).alias("s"), (F.col("lo") + F.col("e")).alias("e"))
     return whole.unionByName(parts).groupBy("doc_id", "mark").agg(F.collect_list(F.struct("s", "e")).alias("spans"))
 
 

@@ -113,3 +113,24 @@ def test_keys_with_many_bytes_over_the_cluster(spark, monkeypatch):
     rows = made(3)
     monkeypatch.setattr(S, "WIDE_BYTES", 700)
     assert sorted(map(tuple, S.remove_repeats(spark.createDataFrame(rows, SCHEMA).repartition(5)).collect())) == brute(rows)
+
+
+@pytest.mark.parametrize("wide", [2000, 1])
+def test_copies_of_a_block_are_not_paired_with_its_windows(spark, wide):
+    text = _noise(31, 4000)
+    near = [text[: 70 * i] + "#%d#" % i + text[70 * i :] for i in range(1, 50)]
+    rows = list(enumerate([text] * 40 + near))
+    spans = S.repeats(spark.createDataFrame(rows, SCHEMA).repartition(5), wide_key=wide).collect()
+    blocks = {r.doc_id: r.n for r in spark.createDataFrame(rows, SCHEMA).select("doc_id", S.F.lit(0).cast("long").alias("mark"), "text").mapInArrow(S._emit_blocks(200, 64), S._BLOCKS).groupBy("doc_id").agg(S.F.count("*").alias("n")).collect()}
+    # copies once a block, others once for each run of neighbouring windows
+    assert all(len(r.spans) <= blocks[r.doc_id] for r in spans if r.doc_id < 40)
+    assert sum(len(r.spans) for r in spans) < 2 * sum(blocks.values())
+    got = sorted(map(tuple, S.remove_repeats(spark.createDataFrame(rows, SCHEMA).repartition(5)).collect()))
+    assert got == brute(rows)
+
+
+def test_windows_that_go_together_over_the_cluster(spark, monkeypatch):
+    rows = made(5)
+    rows += [(100 + i, x) for i, x in enumerate(t for group in _copies() for t in group)]
+    monkeypatch.setattr(S.repeats, "__defaults__", (200, 64, 0))
+    assert sorted(map(tuple, S.remove_repeats(spark.createDataFrame(rows, SCHEMA).repartition(5)).collect())) == brute(rows)
