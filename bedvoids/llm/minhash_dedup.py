@@ -214,6 +214,15 @@ def _bounded(percent: int):
     return run
 
 
+def likely(texts: DataFrame, asked: DataFrame) -> DataFrame:
+    """Rows of `texts` but most of those whose (doc_id, mark) is no head of `asked`: a bitmap of hashes, eight bits or more a head, is sent to all."""
+    bits = 1 << max(6, (8 * asked.count()).bit_length())
+    place = lambda *c: F.pmod(F.xxhash64(*c), F.lit(bits)).alias("place")
+    words = asked.select(place("head.doc_id", "head.mark")).groupBy(F.shiftright("place", 6).alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, cast(place & 63 as int))")).alias("bits"))
+    rows = texts.select("*", place("doc_id", "mark")).join(F.broadcast(words), F.shiftright("place", 6) == F.col("w"))
+    return rows.where("shiftright(bits, cast(place & 63 as int)) & 1 = 1").select(texts.columns)
+
+
 def _grouped(docs: DataFrame, k: int, percent: int, bands: int, width: int) -> tuple[DataFrame, DataFrame]:
     """Rows (doc_id, mark, n, x, y), and sets (x, y, n, head, least): the smallest (doc_id, mark) of a set and of its group."""
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("mark"), "text")
@@ -229,8 +238,8 @@ def _grouped(docs: DataFrame, k: int, percent: int, bands: int, width: int) -> t
     star = members.where("rep <> hub").groupBy("hub", "rep").agg(F.min("n").alias("n")).join(sizes, "hub").where(fits(F.col("n"), F.col("hub_n")))
     star = store(star.select(F.col("hub").alias("a"), F.col("rep").alias("b")), "star")
 
-    asked = members.select("rep").distinct().join(reps.select("rep", "x", "head"), "rep")
-    there = texts.join(asked, (F.col("doc_id") == F.col("head.doc_id")) & (texts["mark"] == F.col("head.mark")))
+    asked = store(members.select("rep").distinct().join(reps.select("rep", "x", "head"), "rep"), "asked")
+    there = likely(texts, asked).join(asked, (F.col("doc_id") == F.col("head.doc_id")) & (F.col("mark") == F.col("head.mark")))
     sets = store(there.select("rep", "x", "text").mapInArrow(_emit_sets(k), "rep long, words binary"), "words")
     tasks = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 

@@ -106,3 +106,12 @@ def test_buckets_in_blocks(spark, monkeypatch):
     monkeypatch.setattr(M, "BLOCK", 3)
     got = M.groups(spark.createDataFrame([(*x, 0, "") for x in rows], SCHEMA), k=2).select("doc_id", "n_shingles", "component_id", "kept")
     assert sorted(map(tuple, got.collect())) == brute(rows, 2)
+
+
+def test_texts_that_nobody_asks_for_are_not_shuffled(spark):
+    texts = spark.range(-1000, 4000).selectExpr("nullif(id, -1000) AS doc_id", "xxhash64(id) AS mark", "cast(id AS string) AS text")
+    asked = texts.where("doc_id % 20 = 0").selectExpr("doc_id AS rep", "struct(doc_id, mark) AS head")
+    got = M.likely(texts, asked)
+    ids = {r.doc_id for r in got.collect()}
+    assert got.columns == texts.columns and {r.rep for r in asked.collect()} <= ids and len(ids) < 1200
+    assert M.likely(texts, asked.where("false")).isEmpty()
