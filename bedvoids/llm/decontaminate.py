@@ -227,7 +227,7 @@ def matches(docs: DataFrame, benchmark: DataFrame, k: int = 5, percent: int = 80
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     found = None
     for pack in _packs(benchmark, k, percent):
-        here = texts.mapInArrow(_search(pack), _RESULT)
+        here = texts.mapInArrow(H.tidy(_search(pack)), _RESULT)
         found = here if found is None else found.unionByName(here)
     return found
 
@@ -236,5 +236,5 @@ def without_matches(docs: DataFrame, benchmark: DataFrame, k: int = 5, percent:
     """`docs` without the rows whose text matches an item; each is looked at where it stands, nothing is joined."""
     out = docs
     for pack in _packs(benchmark, k, percent):
-        out = out.mapInArrow(_clean(pack, docs.columns.index("text")), docs.schema)
+        out = out.mapInArrow(H.tidy(_clean(pack, docs.columns.index("text"))), docs.schema)
     return out

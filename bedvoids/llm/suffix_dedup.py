@@ -371,7 +371,7 @@ def keyed(docs: DataFrame) -> DataFrame:
 def repeats(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, wide_key: int = WIDE_KEY) -> DataFrame:
     """doc_id, mark, spans: an array of byte ranges (s, e) of each text that repeat elsewhere; ranges may overlap."""
     texts = keyed(docs)
-    blocks = store(texts.where(F.octet_length("text") >= window).mapInArrow(_emit_blocks(window, gram), _BLOCKS), "all-blocks")
+    blocks = store(texts.where(F.octet_length("text") >= window).mapInArrow(H.tidy(_emit_blocks(window, gram)), _BLOCKS), "all-blocks")
     keys = blocks.groupBy("h").agg(F.count(F.lit(1)).alias("c"), F.min("b").alias("b0"), F.max("b").alias("b1"), F.max("again").alias("a")).where("c > 1 or a")
     # one block alone is mixed if its key's hash stands in it twice; blocks that are all alike never are
     keys = keys.select("h", ((F.col("c") == 1) | (F.col("b0") != F.col("b1"))).alias("mixed"))
@@ -386,13 +386,13 @@ def repeats(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, wide_key: i
     def contexts(which: str) -> DataFrame:
         lists = asked.where(which).groupBy(F.col("doc_id").alias("d"), F.col("mark").alias("m")).agg(F.collect_list(F.struct("h", "b", "lo", "n")).alias("asked"))
         there = texts.join(lists, F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("mark") == F.col("m")))
-        return there.select("text", "asked").mapInArrow(_emit_contexts(window), _CONTEXTS)
+        return there.select("text", "asked").mapInArrow(H.tidy(_emit_contexts(window)), _CONTEXTS)
 
     n = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    ranges = contexts("not wide").repartition(n, "h").sortWithinPartitions("h", "b").mapInArrow(_emit_sorted(window, gram), _RANGES)
+    ranges = contexts("not wide").repartition(n, "h").sortWithinPartitions("h", "b").mapInArrow(H.tidy(_emit_sorted(window, gram)), _RANGES)
     if not asked.where("wide").isEmpty():
-        windows = contexts("wide").mapInArrow(_emit_windows(window, gram), "x long, h long, b long, s int, w binary")
-        ranges = ranges.unionByName(windows.repartition(n, "x").sortWithinPartitions("x", "w").mapInArrow(_emit_repeated(window), _RANGES))
+        windows = contexts("wide").mapInArrow(H.tidy(_emit_windows(window, gram)), "x long, h long, b long, s int, w binary")
+        ranges = ranges.unionByName(windows.repartition(n, "x").sortWithinPartitions("x", "w").mapInArrow(H.tidy(_emit_repeated(window)), _RANGES))
     # the sort sees each different block once: what stands in several places is a copy as a whole, the others stand where they were asked for
     copies = found.where("mixed").join(asked.where("twice").select("h", "b"), ["h", "b"], "left_semi")
     whole = found.where("not mixed").select("doc_id", "mark", "lo", "n").unionByName(copies.select("doc_id", "mark", "lo", "n"))
@@ -466,7 +466,7 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, with
     """Digest of each document without its repeated bytes; `with_text` adds what is left as text (whole characters)."""
     spans = repeats(docs, window, gram).select(F.col("doc_id").alias("d"), F.col("mark").alias("m"), "spans")
     both = keyed(docs).join(spans, F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("mark") == F.col("m")), "left")
-    return both.select("doc_id", "text", "spans").mapInArrow(_apply(with_text), _DIGEST + (", text string" if with_text else ""))
+    return both.select("doc_id", "text", "spans").mapInArrow(H.tidy(_apply(with_text)), _DIGEST + (", text string" if with_text else ""))
 
 
 def without_repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:

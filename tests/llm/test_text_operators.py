@@ -2,11 +2,13 @@ import re
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
 from bedvoids.llm import decontaminate as D
 from bedvoids.llm import html_text, language, toxicity
+from bedvoids.llm import texthash as H
 from bedvoids.llm.store import table
 
 DOCS = "doc_id long, text string, lang string, source string, label string, held_out int, score string"
@@ -276,3 +278,21 @@ def test_page_edges(spark):
     got = {r.page_id: r.text for r in html_text.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
     assert got[1] == got[2] == got[6] == "" and got[3] == rows[2][2] and got[7] == ("long text " * 100000).strip()
     assert html_text.extract(spark.createDataFrame([], "page_id long, url string, html string")).count() == 0
+
+
+def test_workers_give_back_what_a_task_took():
+    def resident():
+        with open("/proc/self/statm") as f:
+            return int(f.read().split()[1]) * 4096
+
+    def run(batches):
+        held = []
+        for batch in batches:
+            held += [np.ones(12_500) for _ in range(1000)]  # 100 MB in pieces that the allocator keeps, with one in use behind them
+            keep.append(np.ones(100))
+            yield batch
+
+    keep = []
+    before = resident()
+    batch = pa.RecordBatch.from_arrays([pa.array([1])], names=["x"])
+    assert list(H.tidy(run)(iter([batch]))) == [batch] and resident() - before < 60e6
