@@ -35,8 +35,8 @@ BANDS, ROWS = 48, 7
 TURNS = 1
 #: Shingles are counted in so many parts to bound how many two documents can have in common.
 PARTS = 64
-#: A star is dealt to so many tasks.
-SALT = 16
+#: A star is dealt to so many tasks at most, one for so many partners.
+SALT, SHARE = 16, 64
 #: All pairs of a bucket are dealt by pairs of blocks of about so many members.
 BLOCK = 512
 
@@ -214,19 +214,24 @@ def _bounded(percent: int):
     return run
 
 
-def likely(texts: DataFrame, asked: DataFrame) -> DataFrame:
-    """Rows of `texts` but most of those whose (doc_id, mark) is no head of `asked`: a bitmap of hashes, eight bits or more a head, is sent to all."""
+def among(rows: DataFrame, on: list[str], asked: DataFrame) -> DataFrame:
+    """`rows` but most of those whose `on` isn't in `asked`: a bitmap of hashes, eight bits or more for one asked for, is sent to all."""
     bits = 1 << max(6, (8 * asked.count()).bit_length())
-    place = lambda *c: F.pmod(F.xxhash64(*c), F.lit(bits)).alias("place")
-    words = asked.select(place("head.doc_id", "head.mark")).groupBy(F.shiftright("place", 6).alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, cast(place & 63 as int))")).alias("bits"))
-    rows = texts.select("*", place("doc_id", "mark")).join(F.broadcast(words), F.shiftright("place", 6) == F.col("w"))
-    return rows.where("shiftright(bits, cast(place & 63 as int)) & 1 = 1").select(texts.columns)
+    place = F.pmod(F.xxhash64(*on), F.lit(bits)).alias("place")
+    words = asked.select(place).groupBy(F.shiftright("place", 6).alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, cast(place & 63 as int))")).alias("bits"))
+    there = rows.select("*", place).join(F.broadcast(words), F.shiftright("place", 6) == F.col("w"))
+    return there.where("shiftright(bits, cast(place & 63 as int)) & 1 = 1").select(rows.columns)
+
+
+def likely(texts: DataFrame, asked: DataFrame) -> DataFrame:
+    """Texts that may be the head of one asked for, so that the others aren't shuffled."""
+    return among(texts, ["doc_id", "mark"], asked.select("head.doc_id", "head.mark"))
 
 
 def _grouped(docs: DataFrame, k: int, percent: int, bands: int, width: int) -> tuple[DataFrame, DataFrame]:
     """Rows (doc_id, mark, n, x, y), and sets (x, y, n, head, least): the smallest (doc_id, mark) of a set and of its group."""
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("mark"), "text")
-    signs = store(texts.mapInArrow(_emit_signatures(k, bands, width), "doc_id long, mark long, n long, x long, y long, bands array<long>"), "signatures")
+    signs = store(texts.mapInArrow(H.tidy(_emit_signatures(k, bands, width)), "doc_id long, mark long, n long, x long, y long, bands array<long>"), "signatures")
     reps = signs.where("n > 0 and doc_id is not null").groupBy("x", "y", "n").agg(F.min(F.struct("doc_id", "mark")).alias("head"), F.any_value("bands").alias("bands"))
     reps = store(reps.withColumn("rep", F.monotonically_increasing_id()), "sets")
 
@@ -240,15 +245,19 @@ def _grouped(docs: DataFrame, k: int, percent: int, bands: int, width: int) -> t
 
     asked = store(members.select("rep").distinct().join(reps.select("rep", "x", "head"), "rep"), "asked")
     there = likely(texts, asked).join(asked, (F.col("doc_id") == F.col("head.doc_id")) & (F.col("mark") == F.col("head.mark")))
-    sets = store(there.select("rep", "x", "text").mapInArrow(_emit_sets(k), "rep long, words binary"), "words")
+    sets = store(there.select("rep", "x", "text").mapInArrow(H.tidy(_emit_sets(k)), "rep long, words binary"), "words")
     tasks = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
     def confirmed(pairs: DataFrame) -> DataFrame:
-        salt = F.pmod(F.xxhash64("b"), F.lit(SALT)).cast("int").alias("salt")
-        hubs = pairs.select("a", salt).distinct().join(sets.withColumnRenamed("rep", "a"), "a").select("a", "salt", F.lit(0).alias("side"), F.col("a").alias("b"), "words")
-        partners = pairs.join(sets.withColumnRenamed("rep", "b"), "b").select("a", salt, F.lit(1).alias("side"), "b", "words")
+        named = among(sets, ["rep"], pairs.select(F.explode(F.array("a", "b")).alias("rep")).distinct())
+        # a hub's set goes to one task for every SHARE partners
+        tasks_of = pairs.groupBy("a").agg(F.least(F.lit(SALT), F.ceil(F.count(F.lit(1)) / SHARE)).alias("of"))
+        pairs = pairs.join(tasks_of, "a")
+        salt = F.pmod(F.xxhash64("b"), "of").cast("int").alias("salt")
+        hubs = pairs.select("a", salt).distinct().join(named.withColumnRenamed("rep", "a"), "a").select("a", "salt", F.lit(0).alias("side"), F.col("a").alias("b"), "words")
+        partners = pairs.join(named.withColumnRenamed("rep", "b"), "b").select("a", salt, F.lit(1).alias("side"), "b", "words")
         dealt = hubs.unionByName(partners).repartition(tasks, "a", "salt").sortWithinPartitions("a", "salt", "side")
-        return dealt.select("a", "side", "b", "words").mapInArrow(_links(percent), "a long, b long")
+        return dealt.select("a", "side", "b", "words").mapInArrow(H.tidy(_links(percent)), "a long, b long")
 
     links, tested = store(confirmed(star), "links"), star
     final = components(links).select(F.col("node").alias("rep"), "component")
@@ -262,7 +271,7 @@ def _grouped(docs: DataFrame, k: int, percent: int, bands: int, width: int) -> t
             pairs = rest.select(F.col("hub.rep").alias("p"), F.col("rep").alias("q"), F.col("hub.n").alias("n_p"), F.col("n").alias("n_q"), F.col("hub.g").alias("g_p"), F.col("g").alias("g_q")).where("g_p <> g_q")
             pairs = pairs.where(fits(F.col("n_p"), F.col("n_q"))).select(F.least("p", "q").alias("a"), F.greatest("p", "q").alias("b"))
         else:  # whatever is left, all of it; shingles that no other of these documents has can't be common to two
-            words = sets.join(rest.select("rep").distinct(), "rep").mapInArrow(_emit_words, "rep long, word long")
+            words = sets.join(rest.select("rep").distinct(), "rep").mapInArrow(H.tidy(_emit_words), "rep long, word long")
             shared = words.groupBy("word").agg(F.count(F.lit(1)).alias("m")).where("m > 1").select("word")
             each = words.join(shared, "word").groupBy("rep", F.pmod("word", F.lit(PARTS)).cast("int").alias("part")).agg(F.count(F.lit(1)).cast("int").alias("c"))
             parts = each.groupBy("rep").agg(F.map_from_entries(F.collect_list(F.struct("part", "c"))).alias("counts"))
@@ -273,7 +282,7 @@ def _grouped(docs: DataFrame, k: int, percent: int, bands: int, width: int) -> t
             dealt = rest.withColumn("at", F.pmod(F.xxhash64("rep"), blocks).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1)))
             dealt = dealt.select("key", F.least("at", "other").alias("i"), F.greatest("at", "other").alias("j"), "at", "rep", "n", "g", "c")
             dealt = dealt.repartition(tasks, "key", "i", "j").sortWithinPartitions("key", "i", "j")
-            pairs = dealt.mapInArrow(_bounded(percent), "a long, b long")
+            pairs = dealt.mapInArrow(H.tidy(_bounded(percent)), "a long, b long")
         pairs = pairs.distinct()
         pairs = store(pairs.join(tested, ["a", "b"], "left_anti"), "pairs")
         if pairs.isEmpty():
