@@ -289,7 +289,7 @@ def test_workers_give_back_what_a_task_took():
         held = []
         for batch in batches:
             held += [np.ones(12_500) for _ in range(1000)]  # 100 MB in pieces that the allocator keeps, with one in use behind them
-            keep.append(np.ones(100))
+            keep.append(np.ones(12_500))
             yield batch
 
     keep = []
