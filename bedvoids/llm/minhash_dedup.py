@@ -10,7 +10,8 @@ compared only with the bucket's smallest node (a star), on full shingle sets. Li
 that no star shows can only matter where a bucket still holds members of different groups: there stars
 around other members follow, and in the end all pairs across groups that haven't been compared, but for those
 that a bound on their common shingles rules out, so no link between groups is lost to the stars. Stars are
-dealt to several tasks, and a task holds one hub's set at a time.
+dealt to several tasks, and a task holds one hub's set at a time. Buckets are found, and shingles that several
+documents have, by one shuffle each: rows of a key stand together and pass by one after the other.
 
 Null and empty texts have no shingles: they link with nothing, and neither do rows without id. Texts of fewer
 than `k` words have one shingle of all of them. Groups are of texts: rows that share an id are in one group only if
@@ -27,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import texthash as H
-from .store import components, store
+from .store import components, discard, store
 
 #: A pair at similarity 0.8 misses all bands with probability (1 - 0.8 ** 7) ** 48, about 1 in 80,000.
 BANDS, ROWS = 48, 7
@@ -111,6 +112,37 @@ def _emit_signatures(k: int, bands: int, width: int):
     return run
 
 
+def repeated(batches: Iterator[pa.RecordBatch], by: str) -> Iterator[pa.RecordBatch]:
+    """Of rows in the order of `by`: those whose value stands more than once. Only the last row waits for the next batch."""
+    held = last = None
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        if held is not None:
+            batch = pa.concat_batches([held, batch])
+        values = batch.column(by).to_numpy()
+        same = np.r_[last is not None and values[0] == last, values[1:] == values[:-1]].astype(bool)
+        yield batch.slice(0, len(values) - 1).filter(pa.array(same[:-1] | same[1:]))
+        held, last = batch.slice(len(values) - 1), values[-2] if len(values) > 1 else last
+    if held is not None and last is not None and held.column(by)[0].as_py() == last:
+        yield held
+
+
+def _emit_members(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows in the order of (key, rep): those of keys that several nodes have, with the smallest of these."""
+    key = hub = hub_n = 0
+    for batch in repeated(batches, "key"):
+        if not batch.num_rows:
+            continue
+        keys, reps, n = (batch.column(c).to_numpy() for c in ("key", "rep", "n"))
+        # a key that goes on from the batch before keeps its hub; sets of nodes have a size, so 0 means none yet
+        new = np.r_[hub_n == 0 or keys[0] != key, keys[1:] != keys[:-1]].astype(bool)
+        at = np.cumsum(new)
+        hubs, hubs_n = np.r_[hub, reps[new]][at], np.r_[hub_n, n[new]][at]
+        key, hub, hub_n = keys[-1], hubs[-1], hubs_n[-1]
+        yield pa.RecordBatch.from_arrays([batch.column("key"), batch.column("rep"), batch.column("n"), pa.array(hubs), pa.array(hubs_n)], names=["key", "rep", "n", "hub", "hub_n"])
+
+
 def _emit_sets(k: int):
     """Shingle sets, sorted, of the texts whose set has the given hash; rows of one node stand together and count once."""
 
@@ -129,7 +161,7 @@ def _emit_sets(k: int):
                 ends = np.r_[0, np.cumsum(np.bincount(rows, minlength=j - i))] * 8
                 out = H.binary(values.view(np.uint8), ends)
                 keep = pa.array(np.flatnonzero(x == want[i:j]))
-                yield pa.RecordBatch.from_arrays([ids.slice(i, j - i).take(keep), out.take(keep)], names=["rep", "words"])
+                yield pa.RecordBatch.from_arrays([ids.slice(i, j - i).take(keep), out.take(keep), batch.column("tasks").slice(i, j - i).take(keep)], names=["rep", "words", "tasks"])
 
     return run
 
@@ -141,6 +173,13 @@ def _emit_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([pa.array(np.full(len(values), rep)), pa.array(values)], names=["rep", "word"])
 
 
+def _emit_shared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows in the order of words: node and part of each word that stands more than once."""
+    for batch in repeated(batches, "word"):
+        part = (batch.column("word").to_numpy() % PARTS).astype(np.int32)
+        yield pa.RecordBatch.from_arrays([batch.column("rep"), pa.array(part)], names=["rep", "part"])
+
+
 def _links(percent: int):
     """A hub's set (side 0), then its partners' sets: those with 100 * intersection >= percent * union."""
 
@@ -228,38 +267,50 @@ def likely(texts: DataFrame, asked: DataFrame) -> DataFrame:
     return among(texts, ["doc_id", "mark"], asked.select("head.doc_id", "head.mark"))
 
 
+def addressed(pairs: DataFrame) -> DataFrame:
+    """Pairs (a, b) -> (rep, a, salt, side): a row for each task that needs a node's set, a hub's (side 0) in one for every SHARE partners."""
+    tasks_of = pairs.groupBy("a").agg(F.least(F.lit(SALT), F.ceil(F.count(F.lit(1)) / SHARE)).alias("of"))
+    dealt = pairs.join(tasks_of, "a").select("a", "b", F.pmod(F.xxhash64("b"), "of").cast("int").alias("salt"))
+    hubs = dealt.select("a", "salt").distinct().select(F.col("a").alias("rep"), "a", "salt", F.lit(0).alias("side"))
+    return hubs.unionByName(dealt.select(F.col("b").alias("rep"), "a", "salt", F.lit(1).alias("side")))
+
+
 def _grouped(docs: DataFrame, k: int, percent: int, bands: int, width: int) -> tuple[DataFrame, DataFrame]:
     """Rows (doc_id, mark, n, x, y), and sets (x, y, n, head, least): the smallest (doc_id, mark) of a set and of its group."""
+    tasks = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("mark"), "text")
-    signs = store(texts.mapInArrow(H.tidy(_emit_signatures(k, bands, width)), "doc_id long, mark long, n long, x long, y long, bands array<long>"), "signatures")
-    reps = signs.where("n > 0 and doc_id is not null").groupBy("x", "y", "n").agg(F.min(F.struct("doc_id", "mark")).alias("head"), F.any_value("bands").alias("bands"))
-    reps = store(reps.withColumn("rep", F.monotonically_increasing_id()), "sets")
-
-    entries = reps.select("rep", "n", F.explode("bands").alias("key"))
-    buckets = entries.groupBy("key").agg(F.count(F.lit(1)).alias("m"), F.min("rep").alias("hub")).where("m > 1").select("key", "hub")
-    members = store(entries.join(buckets, "key"), "members")
+    signed = store(texts.mapInArrow(H.tidy(_emit_signatures(k, bands, width)), "doc_id long, mark long, n long, x long, y long, bands array<long>"), "signatures")
+    banded = signed.where("n > 0 and doc_id is not null").groupBy("x", "y", "n").agg(F.min(F.struct("doc_id", "mark")).alias("head"), F.any_value("bands").alias("bands"))
+    banded = store(banded.withColumn("rep", F.monotonically_increasing_id()), "banded")
+    signs = store(signed.drop("bands"), "rows")
+    discard(signed)  # bands take most of the room
+
+    # one shuffle finds the buckets of several nodes, and their hubs
+    entries = banded.select("rep", "n", F.explode("bands").alias("key")).repartition(tasks, "key").sortWithinPartitions("key", "rep")
+    members = store(entries.mapInArrow(H.tidy(_emit_members), "key long, rep long, n long, hub long, hub_n long"), "members")
+    reps = store(banded.drop("bands"), "sets")
+    discard(banded)
     fits = lambda p, q: F.least(p, q) * 100 >= F.greatest(p, q) * percent
-    sizes = reps.select(F.col("rep").alias("hub"), F.col("n").alias("hub_n"))
-    star = members.where("rep <> hub").groupBy("hub", "rep").agg(F.min("n").alias("n")).join(sizes, "hub").where(fits(F.col("n"), F.col("hub_n")))
-    star = store(star.select(F.col("hub").alias("a"), F.col("rep").alias("b")), "star")
+    star = members.where("rep <> hub").where(fits(F.col("n"), F.col("hub_n")))
+    star = store(star.select(F.col("hub").alias("a"), F.col("rep").alias("b")).distinct(), "star")
 
-    asked = store(members.select("rep").distinct().join(reps.select("rep", "x", "head"), "rep"), "asked")
+    # sets know which tasks their stars need them in (a node is in one star for each band at most), so they go there from where they are made
+    sent = addressed(star).groupBy("rep").agg(F.collect_list(F.struct("a", "salt", "side")).alias("tasks"))
+    asked = store(members.select("rep").distinct().join(reps.select("rep", "x", "head"), "rep").join(sent, "rep", "left"), "asked")
     there = likely(texts, asked).join(asked, (F.col("doc_id") == F.col("head.doc_id")) & (F.col("mark") == F.col("head.mark")))
-    sets = store(there.select("rep", "x", "text").mapInArrow(H.tidy(_emit_sets(k)), "rep long, words binary"), "words")
-    tasks = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    sets = there.select("rep", "x", "tasks", "text").mapInArrow(H.tidy(_emit_sets(k)), "rep long, words binary, tasks array<struct<a: long, salt: int, side: int>>")
+    sets = store(sets, "words")
+
+    def compared(dealt: DataFrame) -> DataFrame:
+        dealt = dealt.repartition(tasks, "a", "salt").sortWithinPartitions("a", "salt", "side")
+        return dealt.select("a", "side", F.col("rep").alias("b"), "words").mapInArrow(H.tidy(_links(percent)), "a long, b long")
 
     def confirmed(pairs: DataFrame) -> DataFrame:
-        named = among(sets, ["rep"], pairs.select(F.explode(F.array("a", "b")).alias("rep")).distinct())
-        # a hub's set goes to one task for every SHARE partners
-        tasks_of = pairs.groupBy("a").agg(F.least(F.lit(SALT), F.ceil(F.count(F.lit(1)) / SHARE)).alias("of"))
-        pairs = pairs.join(tasks_of, "a")
-        salt = F.pmod(F.xxhash64("b"), "of").cast("int").alias("salt")
-        hubs = pairs.select("a", salt).distinct().join(named.withColumnRenamed("rep", "a"), "a").select("a", "salt", F.lit(0).alias("side"), F.col("a").alias("b"), "words")
-        partners = pairs.join(named.withColumnRenamed("rep", "b"), "b").select("a", salt, F.lit(1).alias("side"), "b", "words")
-        dealt = hubs.unionByName(partners).repartition(tasks, "a", "salt").sortWithinPartitions("a", "salt", "side")
-        return dealt.select("a", "side", "b", "words").mapInArrow(H.tidy(_links(percent)), "a long, b long")
-
-    links, tested = store(confirmed(star), "links"), star
+        sent = store(addressed(pairs), "sent")
+        named = among(sets.select("rep", "words"), ["rep"], sent.select("rep").distinct())
+        return compared(sent.join(named, "rep"))
+
+    links, tested = store(compared(sets.select("rep", "words", F.explode("tasks").alias("to")).select("rep", "words", "to.*")), "links"), star
     final = components(links).select(F.col("node").alias("rep"), "component")
     for turn in range(TURNS + 1):
         # buckets that still hold several groups: only pairs across groups matter, and of them only new ones
@@ -271,9 +322,10 @@ def _grouped(docs: DataFrame, k: int, percent: int, bands: int, width: int) -> t
             pairs = rest.select(F.col("hub.rep").alias("p"), F.col("rep").alias("q"), F.col("hub.n").alias("n_p"), F.col("n").alias("n_q"), F.col("hub.g").alias("g_p"), F.col("g").alias("g_q")).where("g_p <> g_q")
             pairs = pairs.where(fits(F.col("n_p"), F.col("n_q"))).select(F.least("p", "q").alias("a"), F.greatest("p", "q").alias("b"))
         else:  # whatever is left, all of it; shingles that no other of these documents has can't be common to two
-            words = sets.join(rest.select("rep").distinct(), "rep").mapInArrow(H.tidy(_emit_words), "rep long, word long")
-            shared = words.groupBy("word").agg(F.count(F.lit(1)).alias("m")).where("m > 1").select("word")
-            each = words.join(shared, "word").groupBy("rep", F.pmod("word", F.lit(PARTS)).cast("int").alias("part")).agg(F.count(F.lit(1)).cast("int").alias("c"))
+            # (sets that only seem to be among them can make the bound looser, never too tight)
+            words = among(sets.select("rep", "words"), ["rep"], rest.select("rep").distinct()).mapInArrow(H.tidy(_emit_words), "rep long, word long")
+            shared = words.repartition(tasks, "word").sortWithinPartitions("word").mapInArrow(H.tidy(_emit_shared), "rep long, part int")
+            each = shared.groupBy("rep", "part").agg(F.count(F.lit(1)).cast("int").alias("c"))
             parts = each.groupBy("rep").agg(F.map_from_entries(F.collect_list(F.struct("part", "c"))).alias("counts"))
             parts = parts.select("rep", F.transform(F.sequence(F.lit(0), F.lit(PARTS - 1)), lambda i: F.coalesce(F.try_element_at("counts", i), F.lit(0))).alias("c"))
             rest = rest.join(parts, "rep")  # without shared shingles there is no partner

@@ -6,9 +6,9 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..operators.graph import components
-from ..sources.shared import drop, fresh_path, scratch, store, table
+from ..sources.shared import discard, drop, fresh_path, scratch, store, table
 
-__all__ = ["components", "drop", "fresh_path", "global_rank", "scratch", "store", "table"]
+__all__ = ["components", "discard", "drop", "fresh_path", "global_rank", "scratch", "store", "table"]
 
 
 def global_rank(df: DataFrame, order: list[Column], within: str | None = None, name: str = "rank") -> DataFrame:

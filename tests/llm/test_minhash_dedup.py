@@ -115,3 +115,42 @@ def test_texts_that_nobody_asks_for_are_not_shuffled(spark):
     ids = {r.doc_id for r in got.collect()}
     assert got.columns == texts.columns and {r.rep for r in asked.collect()} <= ids and len(ids) < 1200
     assert M.likely(texts, asked.where("false")).isEmpty()
+
+
+@pytest.mark.parametrize("size", [1, 2, 3, 7, 500])
+def test_buckets_of_several_nodes_from_rows_in_order(size):
+    r = np.random.default_rng(size)
+    key, rep = np.sort(r.integers(-60, 60, 150)), np.zeros(150, np.int64)
+    for k in set(key.tolist()):
+        rep[key == k] = np.sort(r.permutation(1000)[: (key == k).sum()])
+    rows = list(zip(key.tolist(), rep.tolist(), (rep % 7 + 1).tolist(), strict=True))
+    want = []
+    for k, a, n in rows:
+        bucket = [x for x in rows if x[0] == k]
+        if len(bucket) > 1:
+            want.append((k, a, n, bucket[0][1], bucket[0][2]))
+    table = pa.table(dict(zip(("key", "rep", "n"), zip(*rows, strict=True), strict=True)))
+    got = [tuple(x.values()) for batch in M._emit_members(iter(table.to_batches(max_chunksize=size))) for x in batch.to_pylist()]
+    assert 0 < len(want) < 150 and got == want
+    words = [b.rename_columns(["word", "rep", "n"]) for b in table.to_batches(max_chunksize=size)]
+    assert [tuple(x.values()) for batch in M._emit_shared(iter(words)) for x in batch.to_pylist()] == [(a, k % M.PARTS) for k, a, *_ in want]
+
+
+def test_a_set_is_sent_once_for_each_pair(spark):
+    pairs = [(1, b) for b in range(2, 202)] + [(2, 3)]
+    rows = M.addressed(spark.createDataFrame(pairs, "a long, b long")).collect()
+    hubs = [r for r in rows if r.side == 0]
+    assert sorted((r.a, r.rep) for r in rows if r.side == 1) == sorted(pairs)
+    assert 2 <= len(hubs) <= 1 + -(-200 // M.SHARE) and all(r.rep == r.a for r in hubs)
+    assert {(r.a, r.salt) for r in hubs} == {(r.a, r.salt) for r in rows if r.side == 1}
+
+
+def test_bands_do_not_stay_on_disk(spark, monkeypatch, tmp_path):
+    from bedvoids.sources import shared
+
+    monkeypatch.setattr(shared, "shared_dir", lambda spark: str(tmp_path / "a folder"))
+    rows = made(6)
+    got = M.groups(spark.createDataFrame([(*x, 0, "") for x in rows], SCHEMA), k=2)
+    stay = [f for f in (tmp_path / "a folder" / "bedvoids").iterdir() if any(f.glob("*.parquet"))]
+    assert stay and not [f.name for f in stay if "bands" in spark.read.parquet(str(f)).columns]
+    assert sorted(map(tuple, got.collect())) == brute(rows, 2)
