@@ -9,6 +9,10 @@ taken as a whole when even their farthest vectors are near enough; the rest is d
 A descent passes over levels that split hardly any node more, as deeper ones bound better at the same cost. Children
 of nodes with many of them are bounded by tiles of products of their centres.
 
+Blocks are stored once, with components as wide as they came, and scaled to length 1 in double where they are read.
+Pairs of blocks are made by a join without keys, which reads the stored table again and shuffles nothing: what lies
+on disk grows with the number of vectors, not with that of the pairs.
+
 Equal vectors are compared once and count as often as they stand. Null and zero vectors, and those with
 null or non-finite components, link with nothing; so do vectors of another length (only vectors of equal
 length are compared). Repeated ids are rows of their own; null ids link with nothing. Extra columns are ignored.
@@ -22,6 +26,7 @@ from typing import NamedTuple
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -30,20 +35,36 @@ from .store import components, store
 
 ROWS = 16384
 #: Pairs of children of one node pair from which on products are taken in tiles, and node pairs looked at at once.
-MANY, AT_ONCE, TILE = 1 << 14, 1 << 15, 1024
+MANY, AT_ONCE, TILE = 1 << 14, 1 << 15, 512
+#: From so many components on, tiles begin with half of them; with more than this share left open, all of them are taken at once.
+WIDE, MOST = 32, 1 / 64
 #: A level is passed over if one below it has no more than so many times its nodes.
 HARDLY = 1.25
 
 
-def usable(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """vec_id, bytes of the unit vector (double); null where the vector can't be compared."""
-    for batch in batches:
-        out = []
-        for v in batch.column("embedding"):
-            x = None if v.as_py() is None else np.array([np.nan if y is None else y for y in v.as_py()], float)
-            size = 0.0 if x is None or not len(x) else float(np.linalg.norm(x / max(np.abs(x).max(), 1e-300))) if np.isfinite(x).all() and np.abs(x).max() > 0 else 0.0
-            out.append(((x / np.abs(x).max()) / size).tobytes() if size else None)
-        yield pa.RecordBatch.from_arrays([batch.column("vec_id"), pa.array(out, pa.binary())], names=["vec_id", "unit"])
+def usable(kind: str):
+    """vec_id, bytes of the vector's components as numbers of `kind` (NumPy's name); null where the vector can't be compared."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            column = batch.column("embedding")
+            size = pc.fill_null(pc.list_value_length(column), 0).to_numpy()
+            y = column.flatten().to_numpy(zero_copy_only=False).astype(kind, copy=False)  # null components are NaN
+            row = np.repeat(np.arange(len(size)), size)
+            ok = (np.bincount(row[~np.isfinite(y)], minlength=len(size)) == 0) & (np.bincount(row[y != 0], minlength=len(size)) > 0)
+            ends = np.cumsum(np.where(ok, size, 0)) * y.itemsize
+            data = np.ascontiguousarray(y[ok[row]])
+            unit = pa.Array.from_buffers(pa.large_binary(), len(size), [pa.py_buffer(np.packbits(ok, bitorder="little")), pa.py_buffer(np.r_[0, ends].astype(np.int64)), pa.py_buffer(data)])
+            yield pa.RecordBatch.from_arrays([batch.column("vec_id"), unit.cast(pa.binary())], names=["vec_id", "raw"])
+
+    return run
+
+
+def _units(raw: bytes | pa.Buffer, n: int, kind: str) -> np.ndarray:
+    """Rows of length 1, in double."""
+    x = np.frombuffer(raw, kind).reshape(n, -1).astype(float)
+    x /= np.abs(x).max(1, keepdims=True)
+    return x / np.linalg.norm(x, axis=1, keepdims=True)
 
 
 class CoverTree:
@@ -187,15 +208,29 @@ def _tiles(a: CoverTree, b: CoverTree, level: int, na: np.ndarray, nb: np.ndarra
     """Of all pairs of nodes of one level: those that their radii don't rule out, with room for single precision."""
     # nodes in order of radius: most tiles are of single vectors, which have one bound
     na, nb = na[np.argsort(a.radius[level][na], kind="stable")], nb[np.argsort(b.radius[level][nb], kind="stable")]
+    xa, xb = (t.x[t.cuts[level][k]].astype(np.float32) for t, k in ((a, na), (b, nb)))
+    room = 1e-5 + 2e-7 * xa.shape[1]
+    # a product is no greater than that of some components and of the lengths of what is left, which takes fewer steps
+    some = xa.shape[1] // 2 if xa.shape[1] >= WIDE else xa.shape[1]
+    ca, cb = (np.c_[x[:, :some], np.linalg.norm(x[:, some:], axis=1)] for x in (xa, xb))
+    space, flags = np.empty(TILE * TILE, np.float32), np.empty(TILE * TILE, bool)
     for i in range(0, len(na), TILE):
         ia = na[i : i + TILE]
-        ca, ra = a.x[a.cuts[level][ia]].astype(np.float32), a.radius[level][ia]
+        ra = a.radius[level][ia]
         for j in range(i if same else 0, len(nb), TILE):
             ib = nb[j : j + TILE]
             rb = b.radius[level][ib]
             reach = limit + (ra[-1] + rb[-1] if ra[0] == ra[-1] and rb[0] == rb[-1] else ra[:, None] + rb)
-            least = (1 - np.minimum(reach, 2.0) ** 2 / 2 - 1e-5).astype(np.float32)
-            p, q = np.nonzero(ca @ b.x[b.cuts[level][ib]].astype(np.float32).T >= least)
+            least = (1 - np.minimum(reach, 2.0) ** 2 / 2 - room).astype(np.float32)
+            shape = len(ia), len(ib)
+            cos, near = (s[: shape[0] * shape[1]].reshape(shape) for s in (space, flags))
+            open_ = np.flatnonzero(np.greater_equal(np.matmul(ca[i : i + TILE], cb[j : j + TILE].T, out=cos), least, out=near))
+            if len(open_) > MOST * cos.size:
+                open_ = np.flatnonzero(np.greater_equal(np.matmul(xa[i : i + TILE], xb[j : j + TILE].T, out=cos), least, out=near))
+            p, q = np.divmod(open_, len(ib))
+            if 0 < len(open_) <= MOST * cos.size:
+                keep = np.einsum("ij,ij->i", xa[i + p], xb[j + q]) >= (least if least.ndim == 0 else least[p, q])
+                p, q = p[keep], q[keep]
             p, q = ia[p], ib[q]
             if same:  # each pair once, in the order of the tree
                 if i == j:
@@ -283,101 +318,101 @@ def block_links(left: Block, right: Block, cosine: float) -> tuple[np.ndarray, n
     return np.r_[both[there], both[edges[:, 0]]], np.r_[both[there], both[edges[:, 1]]], np.r_[total[there], np.zeros(len(edges), np.int64)]
 
 
-def _pack(table: pa.Table) -> pa.Table:
+def _pack(kind: str):
     """The rows of a block as one row, with their tree."""
-    units = table.column("unit").to_pylist()
-    ids, m = (table.column(c).to_numpy().astype(np.int64) for c in ("rep", "m"))
-    tree, ids, m = Block.of(np.frombuffer(b"".join(units), float).reshape(len(units), -1), ids, m)
-    packed = (ids.tobytes(), m.tobytes(), tree.x.tobytes(), tree.parts(), tree.x[0].tobytes())
-    return pa.table({"block": table.column("block").slice(0, 1), **{c: pa.array([v], pa.binary()) for c, v in zip(("ids", "m", "x", "tree", "centre"), packed, strict=True)}, "radius": pa.array([float(tree.radius[0][0])])})
 
+    def run(table: pa.Table) -> pa.Table:
+        raw = table.column("raw").to_pylist()
+        ids, m = (table.column(c).to_numpy().astype(np.int64) for c in ("rep", "m"))
+        tree, ids, m = Block.of(_units(b"".join(raw), len(raw), kind), ids, m)
+        packed = (ids.tobytes(), m.tobytes(), b"".join([raw[k] for k in tree.order]), tree.parts())
+        cells = {"block": table.column("block").slice(0, 1), **{c: pa.array([v], pa.binary()) for c, v in zip(("ids", "m", "raw", "tree"), packed, strict=True)}}
+        return pa.table(cells | {"centre": pa.array([tree.x[0].tolist()], pa.list_(pa.float64())), "radius": pa.array([float(tree.radius[0][0])])})
+
+    return run
 
-def _solve(cosine: float):
-    def load(r: dict) -> Block:
-        ids = np.frombuffer(r["ids"], np.int64)
-        return Block(CoverTree.of_parts(np.frombuffer(r["x"], float).reshape(len(ids), -1), r["tree"]), ids, np.frombuffer(r["m"], np.int64))
 
-    def run(table: pa.Table) -> pa.Table:
-        sides = [load(r) for r in table.sort_by("block").to_pylist()]
-        a, b, n = block_links(sides[0], sides[-1], cosine)
-        return pa.table({"a": pa.array(a), "b": pa.array(b), "links": pa.array(n)})
+def _solve(cosine: float, kind: str):
+    """Links of each pair of blocks, which stand side by side in a row."""
+
+    def load(batch: pa.RecordBatch, k: int, side: str) -> Block:
+        ids, m, raw, tree = (batch.column(f"{c}_{side}")[k].as_buffer() for c in ("ids", "m", "raw", "tree"))
+        ids = np.frombuffer(ids, np.int64)
+        return Block(CoverTree.of_parts(_units(raw, len(ids), kind), tree), ids, np.frombuffer(m, np.int64))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            at, left = None, None
+            for k, (p, q) in enumerate(zip(batch.column("block_l").to_pylist(), batch.column("block_r").to_pylist(), strict=True)):
+                if p != at:
+                    at, left = p, load(batch, k, "l")
+                a, b, n = block_links(left, left if p == q else load(batch, k, "r"), cosine)
+                yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b), pa.array(n)], names=["a", "b", "links"])
 
     return run
 
 
-def _cells(pivots: np.ndarray):
+def _cells(pivots: np.ndarray, kind: str, first: np.ndarray | None = None):
+    """The cell of each vector or, with the number of the first block of each cell, its block."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            units = batch.column("unit").to_pylist()
-            cell = np.zeros(len(units), np.int64)
-            if len(units) and len(pivots):
-                same = np.array([len(u) == pivots.shape[1] * 8 for u in units])
-                if same.any():
-                    x = np.frombuffer(b"".join(u for u, s in zip(units, same, strict=True) if s), float).reshape(-1, pivots.shape[1])
-                    cell[same] = (x @ pivots.T).argmax(1)
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(cell)], names=[*batch.schema.names, "cell"])
+            raw = batch.column("raw").to_pylist()
+            x = _units(b"".join(raw), len(raw), kind) if raw else np.zeros((0, pivots.shape[1]))
+            cell = (x @ pivots.T).argmax(1)
+            if first is None:
+                yield pa.RecordBatch.from_arrays([pa.array(cell)], names=["cell"])
+                continue
+            part = H.mix(batch.column("rep").to_numpy().astype(H.U)) % (first[cell + 1] - first[cell]).astype(H.U)
+            yield pa.RecordBatch.from_arrays([pa.array(first[cell] + part.astype(np.int64)), *batch.columns], names=["block", *batch.schema.names])
 
     return run
 
 
 def links(vectors: DataFrame, cosine: float = 0.9, rows: int = ROWS) -> DataFrame:
     """vec_id, n_links, component_id, kept for each row of (vec_id, embedding)."""
-    all_ = store(vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("embedding")).mapInArrow(usable, "vec_id long, unit binary"), "vectors")
-    one = store(all_.where("unit is not null and vec_id is not null").groupBy("unit").agg(F.min("vec_id").alias("head"), F.count(F.lit(1)).alias("m")).withColumn("dim", F.octet_length("unit")).withColumn("rep", F.monotonically_increasing_id()), "distinct")
+    single = vectors.schema["embedding"].dataType.elementType.typeName() == "float"
+    kind, wide = ("<f4", "array<float>") if single else ("<f8", "array<double>")
+    read = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast(wide).alias("embedding")).mapInArrow(usable(kind), "vec_id long, raw binary")
+    # rows find their vector by a digest, so the vectors themselves are shuffled to be made distinct and to be put in blocks only
+    key = F.unhex(F.sha2("raw", 256)).alias("key")
+    all_ = store(read.select("vec_id", key), "vectors")
+    one = read.where("raw is not null and vec_id is not null").groupBy("raw").agg(F.min("vec_id").alias("head"), F.count(F.lit(1)).alias("m"))
+    one = store(one.select("raw", key, "head", "m", F.octet_length("raw").alias("dim"), F.monotonically_increasing_id().alias("rep")), "distinct")
     # a pivot for about `rows` vectors, 256 at most; which ones is a matter of speed only
     sizes = {r["dim"]: r["n"] for r in one.groupBy("dim").agg(F.count(F.lit(1)).alias("n")).collect()}
-    pieces = []
+    if not sizes:
+        return all_.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"), F.lit(True).alias("kept"))
+    pieces, blocks = [], 0
     for dim, n in sizes.items():
-        like = one.where(F.col("dim") == dim)
+        like = one.where(F.col("dim") == dim).select("rep", "m", "raw")
         k = min(256, -(-n // rows))
-        pivots = np.stack([np.frombuffer(r["unit"], float) for r in like.orderBy(F.xxhash64("unit"), "unit").limit(k).collect()])
-        pieces.append(like.select("unit", "rep", "m", "dim").mapInArrow(_cells(pivots), "unit binary, rep long, m long, dim int, cell long"))
-    if not pieces:
-        return all_.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"), F.lit(True).alias("kept"))
+        pivots = np.concatenate([_units(r["raw"], 1, kind) for r in like.orderBy(F.xxhash64("raw"), "raw").limit(k).collect()])
+        cells = {0: n} if k == 1 else {r["cell"]: r["n"] for r in like.mapInArrow(_cells(pivots, kind), "cell long").groupBy("cell").agg(F.count(F.lit(1)).alias("n")).collect()}
+        first = blocks + np.cumsum([0, *(-(-cells.get(c, 0) // max(1, rows // 2)) for c in range(k))])
+        blocks = int(first[-1])
+        pieces.append(like.mapInArrow(_cells(pivots, kind, first), "block long, rep long, m long, raw binary"))
     dealt = pieces[0]
     for x in pieces[1:]:
         dealt = dealt.unionByName(x)
-    dealt = store(dealt, "cells")
-    split = dealt.groupBy("dim", "cell").agg(F.ceil(F.count(F.lit(1)) / (rows / 2)).cast("int").alias("parts"))
-    dealt = dealt.join(split, ["dim", "cell"]).withColumn("part", F.pmod(F.xxhash64("rep"), F.col("parts")))
-    named = dealt.withColumn("block", F.xxhash64("dim", "cell", "part")).select("block", "unit", "rep", "m")
-    packed = store(named.groupBy("block").applyInArrow(_pack, "block long, ids binary, m binary, x binary, tree binary, centre binary, radius double"), "blocks")
-    return _joined(all_, one, packed, cosine)
-
-
-def _near(blocks: np.ndarray, centres: list[np.ndarray], radius: np.ndarray, limit: float):
-    """Pairs of a block with those that follow it and whose vectors may lie near its own."""
-    sizes = np.array([len(c) for c in centres])
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for block in batch.column("block").to_numpy():
-                i = int(np.searchsorted(blocks, block))
-                like = np.flatnonzero(sizes[i:] == sizes[i]) + i
-                d = np.linalg.norm(np.stack([centres[k] for k in like]) - centres[i], axis=1)
-                found = like[d <= limit + radius[i] + radius[like] + 1e-6]
-                pair = H.mix(H.mix(blocks[i : i + 1].view(H.U)) + blocks[found].view(H.U))
-                sides = np.concatenate([np.full(len(found), block), blocks[found[found != i]]])
-                yield pa.RecordBatch.from_arrays([H.longs(np.concatenate([pair, pair[found != i]])), pa.array(sides)], names=["pair", "block"])
-
-    return run
+    packed = dealt.groupBy("block").applyInArrow(_pack(kind), "block long, ids binary, m binary, raw binary, tree binary, centre array<double>, radius double")
+    return _joined(all_, one, store(packed, "blocks"), cosine, kind)
 
 
-def _joined(all_: DataFrame, one: DataFrame, packed: DataFrame, cosine: float) -> DataFrame:
-    spark = packed.sparkSession
-    heads = packed.select("block", "centre", "radius").orderBy("block").toArrow()  # one row for thousands of vectors
+def _joined(all_: DataFrame, one: DataFrame, packed: DataFrame, cosine: float, kind: str) -> DataFrame:
     limit = float(np.sqrt(max(0.0, 2 - 2 * cosine)))
-    centres = [np.frombuffer(c.as_py(), float) for c in heads["centre"]]
-    n = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    plan = packed.select("block").repartition(n, "block").mapInArrow(_near(heads["block"].to_numpy(), centres, heads["radius"].to_numpy(), limit), "pair long, block long")
-    tasks = packed.select("block", "ids", "m", "x", "tree").join(plan, "block")
-    found = store(tasks.groupBy("pair").applyInArrow(_solve(cosine), "a long, b long, links long"), "found")
+    left, right = (packed.select(*(F.col(c).alias(f"{c}_{side}") for c in packed.columns)) for side in "lr")
+    apart = F.sqrt(F.aggregate(F.zip_with("centre_l", "centre_r", lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x))
+    # no key is equal on both sides, so the stored blocks are read by each task that needs them
+    near = (F.col("block_l") <= F.col("block_r")) & F.when(F.size("centre_l") == F.size("centre_r"), apart <= limit + F.col("radius_l") + F.col("radius_r") + 1e-6).otherwise(False)
+    sides = left.crossJoin(right).where(near).select(*(f"{c}_{side}" for side in "lr" for c in ("block", "ids", "m", "raw", "tree")))
+    found = store(sides.mapInArrow(_solve(cosine, kind), "a long, b long, links long"), "found")
     count = found.where("links > 0").groupBy(F.col("a").alias("rep")).agg(F.sum("links").alias("links"))
     groups = components(found.where("links = 0").select("a", "b")).select(F.col("node").alias("rep"), "component")
-    reps = one.join(count, "rep", "left").join(groups, "rep", "left").select("unit", "m", "head", F.coalesce("links", F.lit(0)).alias("links"), F.coalesce("component", "rep").alias("c"))
+    reps = one.select("key", "head", "m", "rep").join(count, "rep", "left").join(groups, "rep", "left").select("key", "m", "head", F.coalesce("links", F.lit(0)).alias("links"), F.coalesce("component", "rep").alias("c"))
     least = reps.groupBy("c").agg(F.min("head").alias("component"))
-    reps = reps.join(least, "c").select("unit", "m", "links", "component")
-    rows = all_.join(reps, "unit", "left")
+    reps = reps.join(least, "c").select("key", "m", "links", "component")
+    rows = all_.join(reps, "key", "left")
     there = F.col("vec_id").isNotNull()
     n_links = F.coalesce(F.when(there, F.col("links") + F.col("m") - 1), F.lit(0)).cast("long")
     component = F.when(there, F.coalesce("component", "vec_id"))

@@ -94,3 +94,51 @@ def test_null_and_repeated_ids(spark):
 def test_nothing_to_link(spark):
     assert C.links(spark.createDataFrame([], SCHEMA)).count() == 0
     assert [tuple(r) for r in C.links(spark.createDataFrame([(1, None, 1, "u", 2)], SCHEMA)).collect()] == [(1, 0, 1, True)]
+
+
+def test_pairs_of_blocks_shuffle_no_vectors(spark, monkeypatch):
+    """Blocks are read where they are stored, however many pairs they make, and components are as wide as they came."""
+    keep, plans, tables = C.store, {}, {}
+
+    def noted(df, name):
+        plans[name] = df._jdf.queryExecution().toString()
+        tables[name] = keep(df, name)
+        return tables[name]
+
+    monkeypatch.setattr(C, "store", noted)
+    rows = made(2)
+    assert sorted(map(tuple, C.links(spark.createDataFrame(rows, SCHEMA), rows=64).collect())) == brute(rows)
+    assert tables["blocks"].count() > 4
+    assert "Exchange hashpartitioning" not in plans["found"]
+    assert {len(r["raw"]) for r in tables["distinct"].collect()} == {4 * 8, 4 * 2}
+
+
+def test_components_in_double(spark):
+    """Double components keep their digits, and their size doesn't matter."""
+    x = np.random.default_rng(8).normal(size=6)
+    y = np.r_[-x[1], x[0], 0, 0, 0, 0] / np.hypot(x[0], x[1])
+    at = [np.cos(a) * x / np.linalg.norm(x) + np.sin(a) * y for a in (0, np.arccos(0.9) - 1e-9, np.arccos(0.9) + 1e-9)]
+    rows = [(0, (at[0] * 1e300).tolist()), (1, (at[1] * 1e-300).tolist()), (2, at[2].tolist()), (3, [1e300] * 5 + [float("inf")])]
+    got = sorted(map(tuple, C.links(spark.createDataFrame(rows, "vec_id long, embedding array<double>")).collect()))
+    assert got == [(0, 1, 0, True), (1, 2, 0, False), (2, 1, 0, False), (3, 0, 3, True)]
+
+
+def test_tiles_by_some_components_leave_nothing_out():
+    """Vectors of many components, with few and with many pairs near the threshold in a tile."""
+    r = np.random.default_rng(9)
+    x = r.normal(size=(1500, C.WIDE + 8))
+    x[:300] = x[0] + r.normal(size=(300, x.shape[1])) * 0.34
+    x[300:320] = x[400:420] + r.normal(size=(20, x.shape[1])) * 0.45
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    r.shuffle(x)
+    a, b = C.CoverTree(x[:700]), C.CoverTree(x[700:])
+    for left, right in ((a, a), (a, b)):
+        found = np.zeros((len(left.x), len(right.x)), bool)
+        for _, i, j, level in C.pairs_of(left, right, 0.9):
+            for p, q in zip(i, j, strict=True):
+                found[left.cuts[level][p] : left.cuts[level][p + 1], right.cuts[level][q] : right.cuts[level][q + 1]] = True
+        if left is right:
+            found |= found.T
+            np.fill_diagonal(found, True)
+        want = left.x @ right.x.T >= 0.9
+        assert want.sum() > len(left.x) and (found == want).all()
