@@ -39,7 +39,7 @@ MANY, AT_ONCE, TILE = 1 << 14, 1 << 15, 512
 #: From so many components on, tiles begin with half of them; with more than this share left open, all of them are taken at once.
 WIDE, MOST = 32, 1 / 64
 #: A level is passed over if one below it has no more than so many times its nodes.
-HARDLY = 1.25
+HARDLY = 4.0
 
 
 def usable(kind: str):

@@ -142,3 +142,15 @@ def test_tiles_by_some_components_leave_nothing_out():
             np.fill_diagonal(found, True)
         want = left.x @ right.x.T >= 0.9
         assert want.sum() > len(left.x) and (found == want).all()
+
+
+def test_levels_that_join_few_vectors_are_passed_over():
+    """A level of wide nodes that has most of the vectors as nodes of their own costs more than it leaves out."""
+    r = np.random.default_rng(10)
+    x = r.normal(size=(400, 64))
+    x = np.r_[x, np.repeat(x[:100], 2, axis=0) + r.normal(size=(200, 64)) * 0.6]
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    tree, seen = C.CoverTree(x), []
+    assert 1.25 < 600 / (len(tree.cuts[1]) - 1) < 2
+    list(C.pairs_of(tree, tree, 0.9, seen))
+    assert {level for level, _, _ in seen} <= {0, len(tree.cuts) - 1}
